@@ -32,6 +32,8 @@ SHARD_IDS = 8_000_000
 MAGIC = b"MVTOKENS"
 HEAD = struct.Struct("<8sIIQQQQ")
 BUCKET = 4
+#: displacements tried together
+TRIES = 128
 
 _MANIFEST = "part int, seq int, path string, n_docs long, n_tokens long, low long, high long"
 
@@ -67,13 +69,19 @@ class PerfectHash:
             if sizes[b] < 2:
                 break
             own, d = keys[order[edges[b] : edges[b + 1]]], 1
-            while True:
-                slots = (mix(own, d) % np.uint64(n)).astype(np.int64)
-                if not taken[slots].any() and len(set(slots.tolist())) == len(slots):
-                    break
-                d += 1
-            taken[slots] = True
-            shift[b] = d
+            while True:  # many displacements at a time
+                tries = np.arange(d, d + TRIES)
+                slots = (mix(own[None, :], tries[:, None]) % np.uint64(n)).astype(np.int64)
+                fits = np.flatnonzero(~taken[slots].any(axis=1))
+                for k in fits.tolist():
+                    if len(set(slots[k].tolist())) == len(own):
+                        taken[slots[k]] = True
+                        shift[b] = tries[k]
+                        break
+                else:
+                    d += TRIES
+                    continue
+                break
         free = np.flatnonzero(~taken)
         single = np.flatnonzero(sizes == 1)
         shift[single] = -free[: len(single)] - 1  # buckets of one key name their slot
