@@ -3,12 +3,15 @@
 A text is its words in order (A-Z lower-cased) and one end. Every byte of a word, and the space after
 it, is a walk down a Huffman tree of the training bytes; every step is one bit, predicted from counts in
 hashed tables for several contexts (last byte, last two, last four, all of the word so far). Counts
-come from all training words through one distributed sum over slots. The predictions are mixed in the
-logistic domain with weights chosen by how often the longer contexts were seen; weights are learnt
-online, block after block, within every partition of the word table, and averaged; each training word is
-taken out of its own counts first. A last table refines the mixed probability from what happened in
-training. No context crosses a word, so each distinct word is scored once and texts add up words:
-frequent words (a list of fixed size) inside the scan, the rest through one join.
+come from all distinct training words through one distributed sum over slots. The predictions are mixed
+in the logistic domain with weights chosen by how often the longer contexts were seen; weights are
+learnt online, block after block, within every partition of the word table, and averaged; each training
+word is taken out of its own counts first. A last table refines the mixed probability from what happened
+in training. This gives every possible word a probability; for each of a few classes of training
+documents (the commonest values of ``lang``, if there is such a column) it is joined with that class's
+counts by absolute discounting, and a text's probability is the mixture over the classes, so that no
+class has to be known when scoring. No context crosses a word: each distinct word is scored once and texts
+add up words, frequent ones (a list of fixed size) inside the scan, the rest through one join.
 
 Defined results: null and wordless texts are one end token; null ids hash as the empty text does;
 repeated rows are scored one by one; without training documents every count is 0; an empty table
@@ -37,6 +40,8 @@ SLOTS, LONGEST = (1 << 16, 1 << 18, 1 << 18, 1 << 20), 16
 FREQUENT, HELD = 65_536, 300_000
 GATES_LONG, GATES_MID, LEVELS, DEPTHS = 14, 4, 33, 24
 RATE, STEP = 0.5, 8192
+#: classes at most, and what is taken off each count for unseen words
+CLASSES, DISCOUNT = 6, 0.7
 
 _BATCH = 20_000
 
@@ -150,36 +155,55 @@ class Mixer:
         return np.concatenate(out) if out else np.zeros(0)
 
 
-def _flush(counts: Counter) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "c"])
+def _flush(counts: list[Counter]) -> pa.RecordBatch:
+    w, k, c = [], [], []
+    for i, one in enumerate(counts):
+        w += one.keys()
+        c += one.values()
+        k += [i] * len(one)
+    return pa.RecordBatch.from_arrays([pa.array(w, pa.binary()), pa.array(k, pa.int32()), pa.array(c, pa.int64())], names=["word", "kind", "c"])
 
 
-def word_counts(docs: DataFrame) -> DataFrame:
-    """(word, c): training count of every distinct word of all documents, and of the end."""
+def classes(docs: DataFrame) -> list[str]:
+    """The commonest languages of training documents; texts of none of them count with the first."""
+    if "lang" not in docs.columns:
+        return []
+    out = docs.where(~held_out(docs["doc_id"]) & docs["lang"].isNotNull()).groupBy(docs["lang"].cast("string").alias("l")).count()
+    return [r.l for r in out.orderBy(F.desc("count"), "l").limit(CLASSES).collect()]
+
+
+def word_counts(docs: DataFrame, names: list[str]) -> DataFrame:
+    """(word, c, n0, n1, ...): training counts of every distinct word of all documents and of the end, and by class."""
+    k = max(1, len(names))
 
     def run(batches):
-        total: Counter = Counter()
+        total = [Counter() for _ in range(k)]
         for b in batches:
-            for out, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                w = words(t)
+            for out, kind, t in zip(*(b.column(i).to_pylist() for i in range(3))):
+                w, mine = words(t), total[kind]
                 if out:
                     for x in w:
-                        total.setdefault(x, 0)
+                        mine.setdefault(x, 0)
                 else:
-                    total.update(w)
-                    total[END] += 1
-                if len(total) > HELD:
+                    mine.update(w)
+                    mine[END] += 1
+                if sum(map(len, total)) > HELD:
                     yield _flush(total)
-                    total = Counter()
+                    total = [Counter() for _ in range(k)]
         yield _flush(total)
 
-    rows = docs.select(held_out(docs["doc_id"]).alias("out"), text_of(docs).alias("text")).mapInArrow(run, "word binary, c long")
-    return written(rows.groupBy("word").agg(F.sum("c").alias("c")), "words")
+    kind = F.lit(0)
+    for i, n in enumerate(names):
+        kind = F.when(docs["lang"].cast("string") == n, i).otherwise(kind)
+    rows = docs.select(held_out(docs["doc_id"]).alias("out"), kind.alias("kind"), text_of(docs).alias("text"))
+    rows = rows.mapInArrow(run, "word binary, kind int, c long")
+    by = [F.sum(F.when(F.col("kind") == i, F.col("c")).otherwise(0)).alias(f"n{i}") for i in range(k)]
+    return written(rows.groupBy("word").agg(F.sum("c").alias("c"), *by), "words")
 
 
 def train(table: DataFrame) -> Mixer:
-    """Fit on all words of the table with a count."""
-    seen = table.where("c > 0")
+    """Fit on all words of the table with a count, each once: counts of words come in later."""
+    seen = table.where("c > 0").select("word", F.lit(1).cast("long").alias("c"))
 
     def histogram(frames):
         n = np.zeros(256, np.int64)
@@ -259,67 +283,95 @@ def train(table: DataFrame) -> Mixer:
 
 def scores(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
     """One row per row of ``docs``: counts, the unigram base score and the model's log10 probability."""
-    table = word_counts(docs)
-    n, v = table.agg(F.coalesce(F.sum("c"), F.lit(0)), F.coalesce(F.sum((F.col("c") > 0).cast("int")), F.lit(0))).first()
+    names = classes(docs)
+    k = max(1, len(names))
+    table = word_counts(docs, names)
+    per = [f(f"n{i}") for i in range(k) for f in (F.sum, lambda c: F.count(F.when(F.col(c) > 0, 1)))]
+    ends = [F.max(F.when(F.col("word") == F.lit(END), F.col(c))) for c in ["c", *(f"n{i}" for i in range(k))]]
+    n, v, *rest = (x or 0 for x in table.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1)), *per, *ends).first())
+    tokens_of, types_of, (end_c, *end_n) = rest[0 : 2 * k : 2], rest[1 : 2 * k : 2], rest[2 * k :]
     model = train(table)
     floor = n + 0.5 * (v + 1)
 
+    def by_class(counts, lp):
+        """log10 of the class's discounted share plus the model's; sums of logs, as long words lie below what a double holds."""
+        with np.errstate(divide="ignore"):
+            return [
+                np.logaddexp(np.log(np.maximum(c - DISCOUNT, 0) / m), lp * math.log(10) + math.log(DISCOUNT * t / m)) / math.log(10) if m else lp
+                for c, m, t in zip(counts, tokens_of, types_of)
+            ]
+
     def score(frames):
         for f in frames:
-            yield f.assign(lp=model.log10(f["word"].tolist()))
-
-    scored = written(table.mapInPandas(score, "word binary, c long, lp double"), "scored")
-    common = {bytes(r.word): (r.c, r.lp) for r in scored.orderBy(F.desc("c"), "word").limit(frequent).collect()}
-    end_c = scored.where(F.col("word") == F.lit(END)).select("c", "lp").first()
-    end_c, end_lp = tuple(end_c) if end_c else (0, float(model.log10([END])[0]))
-    end_base = math.log10((end_c + 0.5) / floor)
-    listed = {w: (math.log10((c + 0.5) / floor), lp, int(c > 0)) for w, (c, lp) in common.items() if w != END}
+            lp = model.log10(f["word"].tolist())
+            out = by_class([f[f"n{i}"].to_numpy() for i in range(k)], lp)
+            cols = {f"l{i}": x for i, x in enumerate(out)}
+            yield pd.DataFrame({"word": f["word"], "c": f["c"], **cols})
+
+    ls = [f"l{i}" for i in range(k)]
+    scored = written(table.mapInPandas(score, "word binary, c long, " + ", ".join(f"{x} double" for x in ls)), "scored")
+    common = scored.orderBy(F.desc("c"), "word").limit(frequent).collect()
+    common = [r for r in common if bytes(r.word) != END]
+    listed = {bytes(r.word): i for i, r in enumerate(common)}
+    base_of = np.log10((np.array([r.c for r in common], float) + 0.5) / floor)
+    known_of = np.array([r.c > 0 for r in common], np.int64)
+    ls_of = np.array([[r[x] for x in ls] for r in common], float).reshape(-1, k)
+    end_lp = model.log10([END])
+    end_base, end_ls = math.log10((end_c + 0.5) / floor), [float(x[0]) for x in by_class([np.array([c]) for c in end_n], end_lp)]
 
     def texts(batches):
         part, row = TaskContext.get().partitionId() << 40, 0
+        fixed = ("doc_id", "held_out", "n_tokens", "bytes", "known", "base", *(f"s{i}" for i in range(k)))
+        kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), *[pa.float64()] * k)
         for b in batches:
             for at in range(0, b.num_rows, 500):
                 some = b.slice(at, 500)
-                rid, word, tf, docs_, outs, tokens, known, base, lp, size = ([] for _ in range(10))
+                rid, word, tf, heads = [], [], [], []
+                whole = []
                 for doc, out, t in zip(*(some.column(i).to_pylist() for i in range(3))):
                     w = words(t)
-                    sums, k = [end_base, end_lp], int(end_c > 0)
-                    this = part + row
-                    row += 1
+                    this, row = part + row, row + 1
+                    at_, n_ = [], []
                     for x, c in Counter(w).items():
                         if (e := listed.get(x)) is not None:
-                            sums[0] += c * e[0]
-                            sums[1] += c * e[1]
-                            k += c * e[2]
+                            at_.append(e)
+                            n_.append(c)
                         else:
                             word.append(x)
                             rid.append(this)
                             tf.append(c)
-                            for col in (docs_, outs, tokens, known, base, lp, size):
-                                col.append(None)
-                    word.append(b" " + this.to_bytes(8, "big"))  # no word starts with a space: this row meets none
-                    rid.append(this)
-                    tf.append(0)
-                    for col, val in zip((docs_, outs, tokens, known, base, lp, size), (doc, out, len(w) + 1, k, *sums, sum(map(len, w)) + len(w) + 1)):
-                        col.append(val)
-                kinds = (pa.int64(), pa.binary(), pa.int64(), pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64())
-                cols = (rid, word, tf, docs_, outs, tokens, known, base, lp, size)
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["rid", "word", "tf", "doc_id", "held_out", "n_tokens", "known", "base", "own", "bytes"])
+                    e, m = np.array(at_, np.int64), np.array(n_, np.int64)
+                    sums = m @ ls_of[e] if len(e) else np.zeros(k)
+                    whole.append((doc, out, len(w) + 1, sum(map(len, w)) + len(w) + 1, int(m @ known_of[e]) + int(end_c > 0),
+                                  float(m @ base_of[e]) + end_base, *(float(x) + y for x, y in zip(sums, end_ls))))
+                    heads.append(this)
+                gap = [None] * len(word)
+                # no word starts with a space, so the row of the text itself meets none
+                cols = [pa.array(rid + heads, pa.int64()), pa.array(word + [b" " + h.to_bytes(8, "big") for h in heads], pa.binary()), pa.array(tf + [0] * len(heads), pa.int64())]
+                cols += [pa.array(gap + [x[i] for x in whole], kinds[i]) for i in range(len(fixed))]
+                yield pa.RecordBatch.from_arrays(cols, names=["rid", "word", "tf", *fixed])
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), held_out(docs["doc_id"]).alias("held_out"), text_of(docs).alias("text"))
-    rows = rows.mapInArrow(texts, "rid long, word binary, tf long, doc_id long, held_out boolean, n_tokens long, known long, base double, own double, bytes long")
+    schema = "rid long, word binary, tf long, doc_id long, held_out boolean, n_tokens long, bytes long, known long, base double, "
+    rows = rows.mapInArrow(texts, schema + ", ".join(f"s{i} double" for i in range(k)))
     met = rows.join(scored, "word", "left")
     tf, zero = F.col("tf"), F.lit(0.0)
     one = met.select(
         "rid", "doc_id", "held_out", "n_tokens", "bytes",
         (F.coalesce("known", F.lit(0)) + F.when(F.col("c") > 0, tf).otherwise(0)).alias("known"),
         (F.coalesce("base", zero) + F.coalesce(tf * F.log10((F.col("c") + 0.5) / floor), zero)).alias("base"),
-        (F.coalesce("own", zero) + F.coalesce(tf * F.col("lp"), zero)).alias("own"),
+        *((F.coalesce(f"s{i}", zero) + F.coalesce(tf * F.col(f"l{i}"), zero)).alias(f"s{i}") for i in range(k)),
     )
     out = one.groupBy("rid").agg(
         F.max("doc_id").alias("doc_id"), F.max("held_out").alias("held_out"), F.max("n_tokens").alias("n_tokens"),
-        F.sum("known").cast("long").alias("n_known"), F.sum("base").alias("base_score"), F.sum("own").alias("score"), F.max("bytes").alias("bytes"),
+        F.sum("known").cast("long").alias("n_known"), F.sum("base").alias("base_score"), F.max("bytes").alias("bytes"),
+        *(F.sum(f"s{i}").alias(f"s{i}") for i in range(k)),
     )
+    prior = [(c + 1) / (sum(end_n) + k) for c in end_n]
+    logs = [F.col(f"s{i}") + math.log10(p) for i, p in enumerate(prior)]
+    top = F.greatest(*logs) if k > 1 else logs[0]
+    total = sum((F.pow(F.lit(10.0), x - top) for x in logs), F.lit(0.0))
+    out = out.withColumn("score", top + F.log10(total))
     return out.select(
         "doc_id", "held_out", "n_tokens", "n_known", F.lit(int(n)).cast("long").alias("train_tokens"), "base_score", "score",
         (-F.col("score") * math.log2(10) / F.col("bytes")).alias("bits_per_byte"),
