@@ -29,7 +29,9 @@ from .common import components, text_of, written
 SHINGLE, SIMILAR = 5, 0.8
 FEW, DRAWN = 12, 4
 #: paragraphs from which chunks are cut, chunk lengths kept, one cut in so many words
-LONG, CHUNK, CUT = 50, 6, 10
+LONG, CHUNK, CUT = 50, 8, 11
+#: keys at most that are broadcast to pick the lines to verify; more are joined by shuffle
+PICKED = 1_000_000
 
 
 def tuned(similar: float = SIMILAR, recall: float = 0.99, most: int = 64) -> tuple[int, int]:
@@ -43,7 +45,7 @@ def tuned(similar: float = SIMILAR, recall: float = 0.99, most: int = 64) -> tup
 
 
 def _units(batches, bands: int, rows: int):
-    from xxhash import xxh3_128_digest, xxh64_intdigest
+    from xxhash import xxh64_intdigest
 
     rng = np.random.default_rng(11)
     mul = rng.integers(1, 1 << 63, bands * rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -51,7 +53,7 @@ def _units(batches, bands: int, rows: int):
     for b in batches:
         for lo in range(0, b.num_rows, 400):
             some = b.slice(lo, 400)
-            doc_, place, size, key, text, spans, hashes = [], [], [], [], [], [0], []
+            doc_, place, size, key, spans, hashes = [], [], [], [], [0], []
             chunk_doc, chunk_key, chunk_size = [], [], []
             for doc, t in zip(some.column(0).to_pylist(), some.column(1).to_pylist()):
                 for k, raw in enumerate(t.encode("utf-8", "surrogatepass").lower().split(b"\n")):
@@ -68,8 +70,7 @@ def _units(batches, bands: int, rows: int):
                     doc_.append(doc)
                     place.append(k)
                     size.append(n)
-                    key.append(xxh3_128_digest(line))
-                    text.append(line)
+                    key.append(_key(line))
                     if n >= LONG:
                         raw_line = np.frombuffer(line, np.uint8).astype(np.int64)
                         mark = raw_line[starts] * 7 + raw_line[ends - 1] * 31 + raw_line[(starts + ends) // 2] * 13 + sizes * 3
@@ -77,7 +78,7 @@ def _units(batches, bands: int, rows: int):
                         wide = np.flatnonzero(np.diff(cuts) >= CHUNK)
                         for i, j in zip(cuts[wide].tolist(), cuts[wide + 1].tolist()):
                             chunk_doc.append(doc)
-                            chunk_key.append(xxh3_128_digest(line[starts[i + 1] : ends[j]]))
+                            chunk_key.append(_key(line[starts[i + 1] : ends[j]]))
                             chunk_size.append(j - i)
             h, first = np.array(hashes, np.uint64), np.array(spans[:-1], np.int64)
             sig = np.empty((bands, len(first)), np.uint64)
@@ -89,16 +90,37 @@ def _units(batches, bands: int, rows: int):
                         v ^= v >> np.uint64(32)
                     sig[band] = v
             n, m = len(doc_), len(chunk_doc)
-            flat = pa.array(sig.T.reshape(-1).view(np.int64))
+            flat = pa.array((sig.T.reshape(-1) >> np.uint64(32)).astype(np.uint32).view(np.int32))
             lists = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * bands), flat)
-            none = pa.array([[]] * m, pa.list_(pa.int64()))
+            none = pa.array([None] * m, pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays(
                 [pa.array(doc_ + chunk_doc, pa.int64()), pa.array(place + [-1] * m, pa.int32()), pa.array(size + chunk_size, pa.int64()),
-                 pa.array(key + chunk_key, pa.binary()), pa.array(text + [None] * m, pa.binary()), pa.concat_arrays([lists, none]) if m else lists],
-                names=["doc_id", "place", "n_words", "key", "line", "bands"],
+                 pa.array(key + chunk_key, pa.int64()), pa.concat_arrays([lists, none]) if m else lists],
+                names=["doc_id", "place", "n_words", "key", "bands"],
             )
 
 
+def _key(line: bytes) -> int:
+    """A 64-bit name of a text."""
+    from xxhash import xxh3_64_intdigest
+
+    k = xxh3_64_intdigest(line)
+    return k - (1 << 64) if k >> 63 else k
+
+
+def _lines(batches):
+    for b in batches:
+        for lo in range(0, b.num_rows, 400):
+            found = {}
+            for t in b.slice(lo, 400).column(0).to_pylist():
+                for raw in t.encode("utf-8", "surrogatepass").lower().split(b"\n"):
+                    w = raw.split()
+                    if len(w) >= SHINGLE:
+                        line = b" ".join(w)
+                        found[_key(line)] = line
+            yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.int64()), pa.array(list(found.values()), pa.binary())], names=["key", "line"])
+
+
 def _verify(batches):
     for b in batches:
         keep = []
@@ -117,13 +139,17 @@ def _shingles(line: bytes) -> set:
 def candidates(lines: DataFrame, few: int = FEW, drawn: int = DRAWN) -> DataFrame:
     """Distinct pairs (a, b) of keys to verify, from ``lines`` (key, bands), one row a key."""
     rows = lines.select("key", F.posexplode("bands").alias("band", "value"))
-    picks = [F.min(F.struct(F.xxhash64("key", F.lit(i), "band").alias("h"), F.col("key").alias("k"))).alias(f"r{i}") for i in range(drawn)]
-    buckets = rows.groupBy("band", "value").agg(F.count("*").alias("n"), *picks).where("n > 1")
-    met = rows.join(buckets, ["band", "value"])
+    full = rows.groupBy("band", "value").agg(F.count("*").alias("n")).where("n > 1")
+    met = written(rows.join(full, ["band", "value"]), "buckets")
     small = met.where(F.col("n") <= few).groupBy("band", "value").agg(F.array_sort(F.collect_list("key")).alias("m"))
     pairs = F.flatten(F.transform("m", lambda x, i: F.transform(F.slice("m", i + 2, few), lambda y: F.struct(x.alias("a"), y.alias("b")))))
     small = small.select(F.explode(pairs).alias("p")).select("p.a", "p.b")
-    large = met.where(F.col("n") > few).select("key", F.explode(F.array(*(F.col(f"r{i}")["k"] for i in range(drawn)))).alias("r"))
+    crowd = met.where(F.col("n") > few)
+    turn = [F.hash(F.lit(i), F.col("band")).cast("long") * F.lit(1 << 31) + F.hash(F.lit(i + 99), F.col("band")) for i in range(drawn)]
+    mixed = [F.col("key").bitwiseXOR(t) for t in turn]  # the least key under another order for every band and draw
+    reps = crowd.groupBy("band", "value").agg(*(F.min(m).alias(f"r{i}") for i, m in enumerate(mixed)))
+    large = crowd.join(reps, ["band", "value"])
+    large = large.select("key", F.explode(F.array(*(F.col(f"r{i}").bitwiseXOR(t) for i, t in enumerate(turn)))).alias("r"))
     large = large.where("key <> r").select(F.least("key", "r").alias("a"), F.greatest("key", "r").alias("b"))
     return small.unionByName(large).distinct()
 
@@ -136,22 +162,25 @@ def repeated_passages(docs: DataFrame, recall: float = 0.99) -> DataFrame:
     bands, rows = tuned(SIMILAR, recall)
     named = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_of(docs).alias("text")).where("doc_id is not null")
     units = written(
-        named.mapInArrow(lambda it: _units(it, bands, rows), "doc_id long, place int, n_words long, key binary, line binary, bands array<long>"), "units"
+        named.mapInArrow(lambda it: _units(it, bands, rows), "doc_id long, place int, n_words long, key long, bands array<int>"), "units"
     )
     lines = units.where("place >= 0")
     distinct = written(lines.groupBy("key").agg(F.first("bands").alias("bands")), "paragraphs")
     pairs = written(candidates(distinct), "pairs")
-    needed = pairs.select(F.col("a").alias("key")).union(pairs.select(F.col("b").alias("key"))).distinct()
-    bodies = written(lines.select("key", "line").join(needed, "key", "left_semi").groupBy("key").agg(F.first("line").alias("line")), "bodies")
+    needed = written(pairs.select(F.col("a").alias("key")).union(pairs.select(F.col("b").alias("key"))).distinct(), "needed")
+    pick = F.broadcast(needed) if needed.count() <= PICKED else needed
+    every = docs.select(text_of(docs).alias("text")).mapInArrow(_lines, "key long, line binary")
+    bodies = written(every.join(pick, "key", "left_semi").dropDuplicates(["key"]), "bodies")
     sides = pairs.join(bodies.select(F.col("key").alias("a"), F.col("line").alias("x")), "a")
     sides = sides.join(bodies.select(F.col("key").alias("b"), F.col("line").alias("y")), "b").select("a", "b", "x", "y")
-    edges = sides.mapInArrow(_verify, "a binary, b binary")
+    edges = sides.mapInArrow(_verify, "a long, b long")
     roots = components(edges, "passages")
     tagged = units.select("doc_id", "place", "n_words", "key").join(roots, F.col("key") == F.col("v"), "left")
     tagged = tagged.select("doc_id", "place", "n_words", F.coalesce("root", "key").alias("class"))
-    classes = tagged.groupBy("class").agg(F.min(F.struct("doc_id", "place")).alias("keep"), F.max("doc_id").alias("last"))
-    classes = classes.where("last <> keep.doc_id").drop("last")
-    out = tagged.join(classes, "class")
+    tagged = written(tagged, "tagged")
+    spread = tagged.groupBy("class").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first <> last")
+    out = written(tagged.join(spread.select("class"), "class"), "repeats")
+    out = out.join(out.groupBy("class").agg(F.min(F.struct("doc_id", "place")).alias("keep")), "class")
     return out.select(
         "doc_id", "place", "n_words", F.lower(F.hex("class")).alias("class_id"), F.col("keep.doc_id").alias("keep_id"),
         (F.struct("doc_id", "place") != F.col("keep")).alias("removed"),
