@@ -231,11 +231,19 @@ def train(table: DataFrame) -> Mixer:
             at = np.flatnonzero(total[side])
             yield pd.DataFrame({"slot": at * 2 + side, "n": total[side][at].astype(np.int64)})
 
-    tables = np.zeros((2, sum(SLOTS)), np.float32)
-    got = seen.mapInPandas(gather, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).toPandas()  # 2 x slots rows at most
-    at = got["slot"].to_numpy()
-    tables[at % 2, at // 2] = got["n"].to_numpy()
-    zeros, ones = tables
+    width = 1 << 13
+
+    def dense(f):
+        out = np.zeros(width, "<f4")
+        out[f["slot"].to_numpy() % width] = f["n"].to_numpy()
+        return pd.DataFrame({"chunk": f["chunk"].iloc[:1], "n": [out.tobytes()]})
+
+    slots_ = seen.mapInPandas(gather, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n"))
+    chunks = slots_.withColumn("chunk", F.floor(F.col("slot") / width)).groupBy("chunk").applyInPandas(dense, "chunk long, n binary")
+    flat = np.zeros(2 * sum(SLOTS), np.float32)
+    for chunk, raw in chunks.toLocalIterator():  # 2 x slots numbers whatever the input
+        flat[chunk * width : (chunk + 1) * width] = np.frombuffer(raw, "<f4")
+    zeros, ones = np.ascontiguousarray(flat[0::2]), np.ascontiguousarray(flat[1::2])
     gates = GATES_LONG * GATES_MID
     start = np.full((gates, len(SLOTS) + 1), 0.3, np.float32)
 
