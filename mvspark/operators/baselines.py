@@ -16,11 +16,11 @@ def gather(scores: DataFrame, n: int) -> DataFrame:
     return scores.withColumn("r", F.row_number().over(w)).where(F.col("r") <= n).drop("r")
 
 
-def token_gather_rerank(queries: DataFrame, tokens: DataFrame, k: int, alpha: float = 0.5) -> DataFrame:
+def token_gather_rerank(queries: DataFrame, tokens: DataFrame, k: int, alpha: float = 0.5, gamma: int = 1) -> DataFrame:
     """Owners of the alpha*k nearest tokens of each query token, re-ranked exactly."""
     s = token_scores(queries, tokens)
     owners = gather(s, max(1, int(np.ceil(alpha * k)))).select("qid", "mv_id").distinct()
-    return top_k(unified(s.join(owners, ["qid", "mv_id"], "left_semi")), k)
+    return top_k(unified(s.join(owners, ["qid", "mv_id"], "left_semi"), gamma), k)
 
 
 def retrieved_only(queries: DataFrame, tokens: DataFrame, k: int, n: int, gamma: int = 1, missing: str = "zero") -> DataFrame:

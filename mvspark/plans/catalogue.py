@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -477,7 +476,7 @@ def _workload(ks=(10,), gammas=(1,), words=(16,), dims=(128,), efs=(64,)):
                 for k in ks:
                     for g in gammas:
                         truth = S.linear_scan(q, o, k, g).persist()
-                        res = {"retrieved_only": B.retrieved_only(q, t, k, k, g), "cell_probe": B.cell_probe(q, t, k, 64, 8, 4), "token_gather": B.token_gather_rerank(q, t, k)}
+                        res = {"retrieved_only": B.retrieved_only(q, t, k, k, g), "cell_probe": B.cell_probe(q, t, k, 64, 8, 4), "token_gather": B.token_gather_rerank(q, t, k, gamma=g)}
                         for ef in efs:
                             for linked in (True, False):
                                 cf = SearchConfig(k=k, ef=max(ef, k), gamma=g, linked=linked)
@@ -498,6 +497,61 @@ QUERIES["w05_k"] = _workload(ks=(10, 32))
 QUERIES["w06_aggregate"] = _workload(gammas=(2, 8))
 
 
+@query()
+def w02_growth(spark, sf):
+    """Objects scored a query by linked search as the number of objects doubles."""
+    t, q = _doc_sets(spark, sf)
+    t, q, out = t.select("mv_id", "tok_ix", "vec").persist(), q.persist(), None
+    high = t.agg(F.max("mv_id")).first()[0] or 0
+    for part in (4, 2, 1):
+        some = t.where(F.col("mv_id") <= high // part).persist()
+        o, cfg = S.objects(some), IndexConfig(M=16, ef_construction=48)
+        r, st = G.search_graph(q, o, G.build_graph(o, cfg), SearchConfig(k=10, ef=64), cfg, L.build_links(some, 16))
+        rec = M.recall(r, S.linear_scan(q, o, 10), 10).agg(F.avg("recall").alias("recall"))
+        one = o.agg(F.count("*").alias("n")).crossJoin(st.agg(F.avg("scored").alias("scored"))).crossJoin(rec)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def w07_build_size(spark, sf):
+    """Rows and bytes (12 an edge or link) of graph and links over three object sets."""
+    out = None
+    for name, t in (("embeddings", tok(spark, sf)), ("documents", _doc_sets(spark, sf)[0].select("mv_id", "tok_ix", "vec"))):
+        o = S.objects(t)
+        for part, n in (("graph", G.build_graph(o, CFG).agg(F.sum(F.size("nbrs")).alias("n"))), ("links", L.build_links(t, CFG.M).agg(F.count("*").alias("n")))):
+            one = n.select(F.lit(name).alias("corpus"), F.lit(part).alias("part"), F.col("n").cast("long").alias("n"), (F.col("n") * 12).cast("long").alias("bytes"))
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def w10_weighted_chamfer(spark, sf):
+    """Top-10 documents for benchmark items with idf token weights."""
+    d = X.from_documents(spark, sf, 16)
+    w = S.idf_weights(d.select("mv_id", "word")).select("word", "weight")
+    b = X.from_documents(spark, sf, 16, table="benchmark", key="item_id").join(w, "word", "left")
+    q = b.select(F.col("mv_id").alias("qid"), F.col("tok_ix").alias("q_ix"), "vec", F.coalesce("weight", F.lit(1.0)).alias("weight"))
+    return S.linear_scan(q, S.objects(d), 10)
+
+
+@query()
+def w11_edge_functions(spark, sf):
+    """Recall of plain graph search and largest in-degree, by edge function, on objects of mixed sizes."""
+    t, q = _doc_sets(spark, sf)
+    t = t.select("mv_id", "tok_ix", "vec").where(F.col("tok_ix") < F.when(F.col("mv_id") % 4 == 0, 16).otherwise(4)).persist()
+    o, out = S.objects(t).persist(), None
+    truth = S.linear_scan(q, o, 10).persist()
+    for kind in ("fused", "raw", "one_sided", "sum"):
+        cfg = IndexConfig(M=8, ef_construction=32, edge_fn=kind)
+        g = G.build_graph(o, cfg).persist()
+        r, _ = G.search_graph(q, o, g, SearchConfig(k=10, ef=32, linked=False), cfg)
+        one = M.recall(r, truth, 10).agg(F.avg("recall").alias("recall")).crossJoin(G.hub_report(g).agg(F.max("in_degree").alias("hub")))
+        one = one.select(F.lit(kind).alias("edge_fn"), "recall", "hub")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @query()
 def w08_build_ablation(spark, sf):
     """Multiply-adds of edge scores with and without clusters, by object size."""
