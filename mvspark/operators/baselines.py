@@ -118,3 +118,35 @@ def pooled_rerank(queries: DataFrame, tokens: DataFrame, k: int, prefetch: int =
 
 def brute_force(queries: DataFrame, objs: DataFrame, k: int, gamma: int = 1) -> DataFrame:
     return linear_scan(queries, objs, k, gamma)
+
+
+def product_quantised(queries: DataFrame, tokens: DataFrame, k: int, parts: int = 8, words: int = 16) -> DataFrame:
+    """Single-vector search by product quantisation: codes of sub-vectors, scores by table look-up.
+
+    Results name tokens: qid and mv_id are id * 1000 + place.
+    """
+    some = tokens.orderBy(F.xxhash64("mv_id", "tok_ix"), "mv_id", "tok_ix").limit(words * 60).select("vec").collect()
+    x = np.array([r.vec for r in some], float)
+    width = x.shape[1] // parts
+    books = []
+    for p in range(parts):
+        y = x[:, p * width : (p + 1) * width if p < parts - 1 else None]
+        c = y[:words].copy()
+        for _ in range(6):
+            g = (y @ c.T - 0.5 * (c**2).sum(1)).argmax(1)
+            c = np.array([y[g == i].mean(0) if (g == i).any() else c[i] for i in range(len(c))])
+        books.append(c)
+    cut = lambda v, p: v[:, p * width : (p + 1) * width if p < parts - 1 else None]
+    block = [(qid * 1000 + i, v[None]) for qid, q, _ in query_block(queries) for i, v in enumerate(q)]
+
+    def run(frames):
+        for f in frames:
+            v = np.array(f["vec"].tolist(), float)
+            codes = np.stack([(cut(v, p) @ b.T - 0.5 * (b**2).sum(1)).argmax(1) for p, b in enumerate(books)])
+            ids = f["mv_id"].to_numpy() * 1000 + f["tok_ix"].to_numpy()
+            for name, q in block:
+                s = sum((cut(q, p) @ b.T)[0][codes[p]] for p, b in enumerate(books))
+                best = np.lexsort((ids, -s))[:k]
+                yield pd.DataFrame({"qid": name, "mv_id": ids[best], "score": s[best]})
+
+    return top_k(tokens.select("mv_id", "tok_ix", "vec").mapInPandas(run, "qid long, mv_id long, score double"), k)

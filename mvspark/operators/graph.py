@@ -239,3 +239,63 @@ def hub_report(graph: DataFrame) -> DataFrame:
     """In-degrees of the base layer."""
     edges = graph.where("layer = 0").select(F.explode("nbrs").alias("mv_id"))
     return edges.groupBy("mv_id").agg(F.count("*").alias("in_degree"))
+
+
+def _restored(g: pd.DataFrame, n: pd.DataFrame, cfg: IndexConfig) -> Shard:
+    s = Shard(cfg)
+    s.vecs = {int(i): np.array(v.tolist(), float) for i, v in zip(n["mv_id"], n["vecs"])}
+    if cfg.edge_sim == "clustered":
+        s.groups = {i: kernel.cluster_tokens(v) for i, v in s.vecs.items()}
+    s.near = [{} for _ in range(int(g["layer"].max()) + 1 if len(g) else 0)]
+    for r in g.itertuples():
+        s.near[r.layer][int(r.mv_id)] = list(zip(map(float, r.weights), map(int, r.nbrs)))
+        s.top[int(r.mv_id)] = int(r.top_layer)
+        if r.entry:
+            s.entry = int(r.mv_id)
+    return s
+
+
+def append(graph: DataFrame, objs: DataFrame, new: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """The graph with new objects inserted, shard by shard; appending in id order equals building at once."""
+    every = objs.select("mv_id", "vecs", F.lit(False).alias("new")).unionByName(new.select("mv_id", "vecs", F.lit(True).alias("new")))
+    rows = with_shards(every.join(assign_layers(every, cfg), "mv_id"), cfg.n_shards)
+
+    def grow(n: pd.DataFrame, g: pd.DataFrame) -> pd.DataFrame:
+        s = _restored(g, n[~n["new"]], cfg)
+        for r in n[n["new"]].sort_values("mv_id").itertuples():
+            s.insert(int(r.mv_id), np.array(r.vecs.tolist(), float), int(r.top_layer))
+        shard = (n if len(n) else g)["shard"].iloc[0]
+        out = [(shard, at, i, s.top[i], [x for _, x in e], [w for w, _ in e], i == s.entry) for at, layer in enumerate(s.near) for i, e in layer.items()]
+        return pd.DataFrame(out, columns=["shard", "layer", "mv_id", "top_layer", "nbrs", "weights", "entry"])
+
+    return rows.groupBy("shard").cogroup(graph.groupBy("shard")).applyInPandas(
+        grow, "shard int, layer int, mv_id long, top_layer int, nbrs array<long>, weights array<double>, entry boolean"
+    )
+
+
+def delete(graph: DataFrame, gone: DataFrame) -> DataFrame:
+    """The graph without the objects of ``gone`` (mv_id); a shard's entry moves to its highest node left."""
+    left = graph.join(gone.select("mv_id").distinct(), "mv_id", "left_anti")
+    edges = left.select("shard", "layer", "mv_id", F.posexplode(F.arrays_zip("nbrs", "weights")).alias("at", "e"))
+    edges = edges.join(gone.select(F.col("mv_id").alias("g")).distinct(), F.col("e.nbrs") == F.col("g"), "left_anti")
+    kept = edges.groupBy("shard", "layer", "mv_id").agg(F.array_sort(F.collect_list(F.struct("at", "e"))).alias("l"))
+    top = left.groupBy("shard").agg(F.min_by("mv_id", F.struct(-F.col("top_layer"), F.col("mv_id"))).alias("first"))
+    out = left.select("shard", "layer", "mv_id", "top_layer").join(kept, ["shard", "layer", "mv_id"], "left").join(top, "shard")
+    none = F.array().cast("array<bigint>"), F.array().cast("array<double>")
+    return out.select(
+        "shard", "layer", "mv_id", "top_layer", F.coalesce(F.col("l.e.nbrs"), none[0]).alias("nbrs"),
+        F.coalesce(F.col("l.e.weights"), none[1]).alias("weights"), (F.col("mv_id") == F.col("first")).alias("entry"),
+    )
+
+
+def save(graph: DataFrame, cfg: IndexConfig, path: str) -> None:
+    """Files partitioned by shard and layer, and the settings beside them."""
+    graph.write.partitionBy("shard", "layer").mode("overwrite").parquet(f"{path}/graph")
+    graph.sparkSession.createDataFrame([(cfg.to_json(),)], "config string").coalesce(1).write.mode("overwrite").json(f"{path}/config")
+
+
+def load(spark, path: str) -> tuple[DataFrame, IndexConfig]:
+    import json
+
+    cfg = IndexConfig(**json.loads(spark.read.schema("config string").json(f"{path}/config").first()[0]))
+    return spark.read.parquet(f"{path}/graph"), cfg

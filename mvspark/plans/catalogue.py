@@ -564,3 +564,34 @@ def w08_build_ablation(spark, sf):
 def w12_planted(spark, sf):
     b, d = X.read(spark, sf, "benchmark"), X.read(spark, sf, "documents")
     return d.join(F.broadcast(b.select(F.col("text").alias("p"))), F.expr("contains(text, p)")).agg(F.count("*").alias("planted"))
+
+
+@query()
+def s2_product_quantised(spark, sf):
+    t = tok(spark, sf)
+    return B.product_quantised(X.as_queries(t), t, 10)
+
+
+@query("SELECT CAST(0 AS BIGINT) AS differing")
+def i13_append(spark, sf):
+    """Building at once and appending the later half give one graph."""
+    o = S.objects(tok(spark, sf)).persist()
+    half = o.where("mv_id < 5000000")
+    grown = G.append(G.build_graph(half, CFG), half, o.where("mv_id >= 5000000"), CFG)
+    once, cols = G.build_graph(o, CFG), ["layer", "mv_id", "nbrs", "entry"]
+    return once.select(cols).exceptAll(grown.select(cols)).unionByName(grown.select(cols).exceptAll(once.select(cols))).agg(F.count("*").alias("differing"))
+
+
+@query("SELECT unnest(['degree', 'self', 'nesting', 'endpoint', 'entry']) AS rule, CAST(0 AS BIGINT) AS violations")
+def i13_delete(spark, sf):
+    o = S.objects(tok(spark, sf))
+    return G.check_graph(G.delete(G.build_graph(o, CFG), o.where("mv_id % 3 = 0").select("mv_id")), CFG.M)
+
+
+@query(TOK + ", x AS (SELECT qid, mv_id, sum(s) AS score FROM (SELECT qid, q_ix, mv_id, max(s) AS s FROM sc WHERE mv_id % 2 = 1 GROUP BY ALL) GROUP BY ALL)" + _TOP)
+def r_filtered_search(spark, sf):
+    t = tok(spark, sf)
+    return S.linear_scan(X.as_queries(t), S.objects(t), 10, where=F.col("mv_id") % 2 == 1)
+
+
+QUERIES["w13_overall"] = _workload(efs=(32,), gammas=(1, 2))

@@ -35,6 +35,9 @@ BOTH: dict[str, tuple[str, str | None]] = {
     "r_null": ("SELECT l.doc_id, coalesce(nullif(quality, 0), -1) AS q FROM labels l", None),
     "r_argmax": ("SELECT p_brand, max_by(p_partkey, p_retailprice * 1000000 + p_partkey) AS best FROM part GROUP BY p_brand", None),
     "r_array": ("SELECT conv_id, array_join(array_sort(collect_list(turn)), ',') AS turns FROM conversations GROUP BY conv_id", "SELECT conv_id, string_agg(turn, ',' ORDER BY turn) AS turns FROM conversations GROUP BY conv_id"),
+    "r_lateral": ("SELECT n_name, x.o AS best FROM nation, LATERAL (SELECT max(c_custkey) AS o FROM customer WHERE c_nationkey = n_nationkey) x", None),
+    "r_in_subquery": ("SELECT s_suppkey FROM supplier WHERE s_nationkey IN (SELECT n_nationkey FROM nation WHERE n_name LIKE '%A%')", None),
+    "r_ratio": ("SELECT n_regionkey, count(*) AS n, sum(count(*)) OVER () AS total FROM nation GROUP BY n_regionkey", None),
     "r_html": (r"SELECT page_id, length(regexp_replace(html, '<[^>]*>', '')) AS n FROM pages", "SELECT page_id, length(regexp_replace(html, '<[^>]*>', '', 'g')) AS n FROM pages"),
 }
 

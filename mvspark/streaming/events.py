@@ -61,9 +61,24 @@ def t_state_objects(spark, sf):
     return finish(s, "update").groupBy("user_id").agg(F.max("n_tok").alias("n_tok"))
 
 
-QUERIES = {f.__name__: f for f in (t_tumbling, t_sliding, t_dedup, t_stream_static, t_state_objects)}
+def t_session(spark, sf):
+    """Sessions of a user: events at most an hour apart."""
+    s = stream(spark, sf).withWatermark("ts", "1 hour").groupBy("user_id", F.session_window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n"))
+    return finish(s, "complete").select("user_id", F.col("w.start").alias("start"), "n")
+
+
+def t_stream_stream(spark, sf):
+    """Pairs of an even and an odd event of one user, the second within an hour after the first."""
+    a = stream(spark, sf).withWatermark("ts", "1 hour").select(F.col("event_id").alias("a"), F.col("user_id").alias("u"), F.col("ts").alias("at")).where("a % 2 = 0")
+    b = stream(spark, sf).withWatermark("ts", "1 hour").select(F.col("event_id").alias("b"), F.col("user_id").alias("v"), F.col("ts").alias("bt")).where("b % 2 = 1")
+    return finish(a.join(b, F.expr("u = v AND bt >= at AND bt <= at + INTERVAL 1 HOUR")), "append").select("a", "b")
+
+
+QUERIES = {f.__name__: f for f in (t_tumbling, t_sliding, t_session, t_dedup, t_stream_static, t_stream_stream, t_state_objects)}
 SQL = {
     "t_tumbling": "SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, count(*) AS n FROM events GROUP BY ALL",
+    "t_session": "SELECT user_id, min(ts) AS start, count(*) AS n FROM (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w >= INTERVAL 1 HOUR THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id))) GROUP BY user_id, s",
+    "t_stream_stream": "SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.user_id = y.user_id AND x.event_id % 2 = 0 AND y.event_id % 2 = 1 AND y.ts >= x.ts AND y.ts <= x.ts + INTERVAL 1 HOUR",
     "t_dedup": "SELECT DISTINCT user_id, event_type FROM events",
     "t_stream_static": "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1",
     "t_state_objects": "SELECT user_id, count(*) AS n_tok FROM events GROUP BY 1",
