@@ -28,6 +28,8 @@ from .tokenise import default_path, encoder
 END = 0
 #: ids in a shard file at most, but for a single longer document
 SHARD_IDS = 8_000_000
+#: words whose ids a worker keeps, about 200 bytes each
+CACHE = 1_200_000
 #: fixed values of the format: magic, keys per bucket of the hash, first mixing constants
 MAGIC = b"MVTOKENS"
 HEAD = struct.Struct("<8sIIQQQQ")
@@ -166,7 +168,7 @@ def write_token_files(docs: DataFrame, path: str, end: int = END, tokenizer: str
     vocab = tokenizer or default_path()
 
     def write(batches):
-        enc, part, seq = encoder(vocab), TaskContext.get().partitionId(), 0
+        enc, part, seq = encoder(vocab, CACHE), TaskContext.get().partitionId(), 0
         attempt = TaskContext.get().taskAttemptId()
         tail = np.array([end], enc.kind).tobytes()
         store, base = _store(path)
@@ -269,4 +271,4 @@ def fetch(manifest: DataFrame, keys: DataFrame) -> DataFrame:
 def encode_to_files(docs: DataFrame, end: int = END, tokenizer: str | None = None, path: str | None = None) -> DataFrame:
     """Write token files (in the shared folder unless a path is given) and read them back."""
     at = path or shared_path(docs.sparkSession, "tokens")
-    return read_token_files(write_token_files(docs, at if "://" in at or not at.startswith("file:") else at, end, tokenizer))
+    return read_token_files(write_token_files(docs, at, end, tokenizer))

@@ -141,6 +141,6 @@ class Encoder:
 
 
 @lru_cache(2)
-def encoder(path: str) -> Encoder:
-    """One encoder per worker process and vocabulary."""
-    return Encoder(path)
+def encoder(path: str, cache: int = CACHE) -> Encoder:
+    """One encoder per worker process, vocabulary and cache size."""
+    return Encoder(path, cache)
