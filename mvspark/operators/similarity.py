@@ -89,7 +89,7 @@ def linear_scan(queries: DataFrame, objs: DataFrame, k: int, gamma: int = 1, met
         for f in frames:
             out, ids = [], f["mv_id"].to_numpy()
             mats = [np.array(v.tolist(), float) for v in f["vecs"]]
-            if not mats:
+            if not mats or not block:
                 continue
             first = np.concatenate([[0], np.cumsum([len(m) for m in mats])[:-1]])
             wide = np.concatenate(mats)

@@ -143,3 +143,33 @@ def test_oracle(spark, sf, name):
     assert cols == sorted(want.columns)
     key = lambda r: tuple("" if x is None else f"{x:.9g}" if isinstance(x, float) else str(x) for x in r)
     assert sorted(map(key, got.select(cols).collect())) == sorted(map(key, want.select(", ".join(cols)).fetchall()))
+
+
+def test_graph_files_round_trip(spark, words, tmp_path):
+    _, _, o = words
+    cfg = IndexConfig(M=6, ef_construction=16, n_shards=2)
+    g = G.build_graph(o, cfg).cache()
+    G.save(g, cfg, f"file://{tmp_path}/index")
+    back, cfg2 = G.load(spark, f"file://{tmp_path}/index")
+    assert cfg2 == cfg
+    cols = ["shard", "layer", "mv_id", "top_layer", "nbrs", "weights", "entry"]
+    assert g.select(cols).exceptAll(back.select(cols)).count() == 0 and g.count() == back.count()
+
+
+def test_append_equals_one_build(words):
+    _, _, o = words
+    cfg, cols = IndexConfig(M=6, ef_construction=16), ["layer", "mv_id", "nbrs", "entry"]
+    mid = sorted(r.mv_id for r in o.select("mv_id").collect())[100]
+    old = o.where(F.col("mv_id") < mid)
+    grown = G.append(G.build_graph(old, cfg), old, o.where(F.col("mv_id") >= mid), cfg).select(cols)
+    assert G.build_graph(o, cfg).select(cols).exceptAll(grown).count() == 0
+    left = G.delete(G.build_graph(o, cfg), o.where("mv_id % 2 = 0").select("mv_id"))
+    assert {r.rule: r.violations for r in G.check_graph(left, 6).collect()} == dict.fromkeys(["degree", "self", "nesting", "endpoint", "entry"], 0)
+    assert left.where("mv_id % 2 = 0").count() == 0
+
+
+def test_sizes_are_checked(words):
+    t, q, o = words
+    with pytest.raises(ValueError):
+        S.query_block(q, limit=10)
+    assert S.linear_scan(q.limit(0), o, 5).count() == 0
