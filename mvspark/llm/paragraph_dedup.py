@@ -4,20 +4,23 @@ A paragraph is a line of at least ``SHINGLE`` words (A-Z lower-cased, split at w
 MinHash values over five-word shingles are tuned so that paragraphs of Jaccard similarity 0.8 collide
 with probability over 0.99. Equal paragraphs are one vertex. In each band's bucket, members meet
 each other when they are few, and else several representatives drawn anew for every band, so a large
-bucket costs a few pairs a member and its members connect through many independent
-representatives. Pairs are verified by exact Jaccard and clustered by components; in a cluster the
+bucket costs a few pairs a member. Pairs are verified by exact Jaccard and clustered by components.
+Large buckets whose members then still lie in different components go through a prefix filter: of two sets of
+similarity 0.8 the rarest shingles of one meet those of the other, so only paragraphs of different components
+that share one are verified, and no link within a bucket is lost. In a cluster the
 first paragraph (smallest doc_id, then place) stays and the others are removals. Passages set inside longer
 paragraphs are found by content-defined chunks (cut after words that a hash of length and end letters
 picks), compared exactly.
 
 Defined results: null and empty texts have no paragraphs; a document repeated under one doc_id does not
 repeat across documents; null ids are ignored; an empty table gives an empty result; other columns
-are ignored. In buckets over ``FEW`` members, two paragraphs whose only link is to each other (and
-to no drawn representative in any band) stay apart: the README says so.
+are ignored.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
@@ -28,6 +31,11 @@ from .common import components, text_of, written
 
 SHINGLE, SIMILAR = 5, 0.8
 FEW, DRAWN = 12, 4
+#: counters by which shingles are called rare or frequent (an order only, no result depends on it)
+SKETCH = 1 << 18
+#: words of 64 parities of a paragraph's shingles
+PARITY = 4
+_SIDE = ["key", "comp", "n", "at", "short", *(f"odd{i}" for i in range(PARITY))]
 #: paragraphs from which chunks are cut, chunk lengths kept, one cut in so many words
 LONG, CHUNK, CUT = 50, 8, 11
 #: keys at most that are broadcast to pick the lines to verify; more are joined by shuffle
@@ -136,8 +144,58 @@ def _shingles(line: bytes) -> set:
     return set(zip(*(w[i:] for i in range(SHINGLE))))
 
 
-def candidates(lines: DataFrame, few: int = FEW, drawn: int = DRAWN) -> DataFrame:
-    """Distinct pairs (a, b) of keys to verify, from ``lines`` (key, bands), one row a key."""
+def _hashes(line: bytes) -> np.ndarray:
+    from xxhash import xxh3_64_intdigest
+
+    return np.array([xxh3_64_intdigest(b" ".join(x)) for x in _shingles(line)], np.uint64)
+
+
+def _counts(batches):
+    total = np.zeros(SKETCH, np.int64)
+    for b in batches:
+        for line in b.column(0).to_pylist():
+            total += np.bincount((_hashes(line) % np.uint64(SKETCH)).astype(np.int64), minlength=SKETCH)
+    cell = np.flatnonzero(total)
+    yield pa.RecordBatch.from_arrays([pa.array(cell.astype(np.int32)), pa.array(total[cell])], names=["cell", "n"])
+
+
+def prefix_sizes(n: int, similar: float = SIMILAR) -> tuple[int, int]:
+    """How many of n ordered shingles must be looked at against sets as large or larger, and against smaller ones."""
+    return n - math.ceil(2 * similar / (1 + similar) * n - 1e-9) + 1, n - math.ceil(similar * n - 1e-9) + 1
+
+
+def parities(h: np.ndarray) -> np.ndarray:
+    """PARITY words whose bits count shingles modulo two; two sets' differ in no more bits than the sets in members."""
+    out = np.zeros(64 * PARITY, np.int64)
+    np.add.at(out, (h >> np.uint64(40)).astype(np.int64) % (64 * PARITY), 1)
+    return np.packbits((out & 1).astype(bool)).view(np.int64)
+
+
+def _prefixes(batches, count: np.ndarray):
+    for b in batches:
+        for lo in range(0, b.num_rows, 2000):
+            part = b.slice(lo, 2000)
+            shingle, key, comp, n, at, short, odd = [], [], [], [], [], [], []
+            for k, c, line in zip(*(part.column(i).to_pylist() for i in range(3))):
+                h = _hashes(line)
+                own, wide = prefix_sizes(len(h))
+                rare = np.lexsort((h, count[(h % np.uint64(SKETCH)).astype(np.int64)]))[:wide]
+                shingle.append(h[rare].view(np.int64))
+                key += [k] * wide
+                comp += [c] * wide
+                n += [len(h)] * wide
+                at += range(wide)
+                odd.append(np.repeat(parities(h)[None], wide, axis=0))
+                short += [True] * own + [False] * (wide - own)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.concatenate(shingle)), pa.array(key, pa.int64()), pa.array(comp, pa.int64()), pa.array(n, pa.int32()),
+                 pa.array(at, pa.int32()), pa.array(short, pa.bool_()), *(pa.array(np.ascontiguousarray(c)) for c in np.concatenate(odd).T)],
+                names=["shingle", *_SIDE],
+            )
+
+
+def candidates(lines: DataFrame, few: int = FEW, drawn: int = DRAWN) -> tuple[DataFrame, DataFrame]:
+    """Distinct pairs (a, b) of keys to verify, from ``lines`` (key, bands), one row a key; and the large buckets' rows."""
     rows = lines.select("key", F.posexplode("bands").alias("band", "value"))
     full = rows.groupBy("band", "value").agg(F.count("*").alias("n")).where("n > 1")
     met = written(rows.join(full, ["band", "value"]), "buckets")
@@ -151,7 +209,40 @@ def candidates(lines: DataFrame, few: int = FEW, drawn: int = DRAWN) -> DataFram
     large = crowd.join(reps, ["band", "value"])
     large = large.select("key", F.explode(F.array(*(F.col(f"r{i}").bitwiseXOR(t) for i, t in enumerate(turn)))).alias("r"))
     large = large.where("key <> r").select(F.least("key", "r").alias("a"), F.greatest("key", "r").alias("b"))
-    return small.unionByName(large).distinct()
+    return small.unionByName(large).distinct(), crowd
+
+
+def _sides(pairs: DataFrame, bodies: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+    """The verified of ``pairs`` of keys a and b, named by the columns ``a`` and ``b``."""
+    met = pairs.join(bodies.select(F.col("key").alias("a"), F.col("line").alias("x")), "a")
+    met = met.join(bodies.select(F.col("key").alias("b"), F.col("line").alias("y")), "b")
+    return met.select(F.col(a).alias("a"), F.col(b).alias("b"), "x", "y").mapInArrow(_verify, "a long, b long")
+
+
+def left_over(crowd: DataFrame, bodies: DataFrame, roots: DataFrame) -> DataFrame:
+    """Links (a, b) between the components ``roots`` of paragraphs that share a large bucket, all of them."""
+    of = crowd.join(roots.select(F.col("v").alias("key"), "root"), "key", "left").withColumn("comp", F.coalesce("root", "key"))
+    split = of.groupBy("band", "value").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high")
+    keys = written(of.join(split, ["band", "value"], "left_semi").select("key", "comp").distinct(), "open")
+    lines = written(keys.join(bodies, "key").select("key", "comp", "line"), "open-lines")
+    got = lines.select("line").mapInArrow(_counts, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas()  # SKETCH rows at most
+    count = np.zeros(SKETCH, np.int64)
+    count[got["cell"].to_numpy(np.int64)] = got["n"].to_numpy(np.int64)
+    schema = "shingle long, key long, comp long, n int, at int, short boolean, " + ", ".join(f"odd{i} long" for i in range(PARITY))
+    rows = written(lines.mapInArrow(lambda it: _prefixes(it, count), schema), "prefixes")
+    tally = rows.groupBy("shingle", "comp").agg(F.count("*").alias("rows"))
+    tally = tally.groupBy("shingle").agg(F.max_by("comp", F.struct("rows", "comp")).alias("main"), F.count("*").alias("comps"))
+    rows = rows.join(tally.where("comps > 1").select("shingle", "main"), "shingle")
+    x = rows.where("comp <> main").select("shingle", *(F.col(c).alias(f"{c}_x") for c in _SIDE))
+    y = rows.select("shingle", *(F.col(c).alias(f"{c}_y") for c in _SIDE))
+    both = (F.col("n_x") + F.col("n_y")) * F.lit(SIMILAR / (1 + SIMILAR)) - F.lit(1e-9)  # shingles in common, at least
+    first = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y")) >= both  # so for the first that they share
+    odd = sum((F.bit_count(F.col(f"odd{i}_x").bitwiseXOR(F.col(f"odd{i}_y"))) for i in range(PARITY)), F.lit(0))
+    fits = F.expr("comp_x <> comp_y and (short_x and n_x <= n_y or short_y and n_y <= n_x)")
+    met = x.join(y, "shingle").where(fits & first & (odd <= F.col("n_x") + F.col("n_y") - 2 * both))
+    end = F.sort_array(F.array(*(F.struct(F.col(f"key_{s}").alias("key"), F.col(f"comp_{s}").alias("comp")) for s in "xy"))).alias("e")
+    met = met.select(end).select(*(F.col("e")[i][f].alias(n) for i, f, n in ((0, "key", "a"), (1, "key", "b"), (0, "comp", "one"), (1, "comp", "two"))))
+    return _sides(written(met.distinct(), "left-pairs"), bodies, "one", "two")
 
 
 def repeated_passages(docs: DataFrame, recall: float = 0.99) -> DataFrame:
@@ -166,15 +257,17 @@ def repeated_passages(docs: DataFrame, recall: float = 0.99) -> DataFrame:
     )
     lines = units.where("place >= 0")
     distinct = written(lines.groupBy("key").agg(F.first("bands").alias("bands")), "paragraphs")
-    pairs = written(candidates(distinct), "pairs")
+    pairs, crowd = candidates(distinct)
+    pairs = written(pairs, "pairs")
     needed = written(pairs.select(F.col("a").alias("key")).union(pairs.select(F.col("b").alias("key"))).distinct(), "needed")
     pick = F.broadcast(needed) if needed.count() <= PICKED else needed
     every = docs.select(text_of(docs).alias("text")).mapInArrow(_lines, "key long, line binary")
     bodies = written(every.join(pick, "key", "left_semi").dropDuplicates(["key"]), "bodies")
-    sides = pairs.join(bodies.select(F.col("key").alias("a"), F.col("line").alias("x")), "a")
-    sides = sides.join(bodies.select(F.col("key").alias("b"), F.col("line").alias("y")), "b").select("a", "b", "x", "y")
-    edges = sides.mapInArrow(_verify, "a long, b long")
-    roots = components(edges, "passages")
+    roots = components(_sides(pairs, bodies), "passages")
+    more = components(left_over(crowd, bodies, roots), "left").select(F.col("v").alias("w"), F.col("root").alias("to"))
+    moved = roots.join(more, F.col("root") == F.col("w"), "left").select("v", F.coalesce("to", "root").alias("root"))
+    alone = more.select(F.col("w").alias("v"), F.col("to").alias("root")).join(roots, "v", "left_anti")
+    roots = moved.unionByName(alone)
     tagged = units.select("doc_id", "place", "n_words", "key").join(roots, F.col("key") == F.col("v"), "left")
     tagged = tagged.select("doc_id", "place", "n_words", F.coalesce("root", "key").alias("class"))
     tagged = written(tagged, "tagged")

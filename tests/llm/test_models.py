@@ -216,6 +216,32 @@ def test_passages(spark, edge, empty):
     assert paragraph_dedup.repeated_documents(edge).where("doc_id is null").count() == 0
 
 
+@pytest.mark.parametrize("joined", [0, 40])
+def test_large_buckets_lose_no_link(spark, joined):
+    r = random.Random(8)
+    word = lambda: "".join(r.choice("abcdefgh") for _ in range(4)).encode()
+    lines = set()
+    for _ in range(6):
+        base = [word() for _ in range(r.randint(12, 60))]
+        for _ in range(25):
+            w = list(base[: r.randint(len(base) * 3 // 4, len(base))])
+            for _ in range(r.randint(0, 2)):
+                w[r.randrange(len(w))] = word()
+            lines.add(b" ".join(w))
+    keys = {paragraph_dedup._key(x): paragraph_dedup._shingles(x) for x in sorted(lines)}
+    linked = lambda a, b: len(keys[a] & keys[b]) >= 0.8 * len(keys[a] | keys[b])
+    want = classes(keys, linked)
+    first = classes(sorted(keys)[:joined], linked)
+    crowd = spark.createDataFrame([(0, 0, k, len(keys)) for k in keys], "band int, value int, key long, n long")
+    bodies = spark.createDataFrame([(paragraph_dedup._key(x), x) for x in lines], "key long, line binary")
+    roots = spark.createDataFrame(list(first.items()), "v long, root long")
+    edges = [(e.a, e.b) for e in paragraph_dedup.left_over(crowd, bodies, roots).collect()] + list(first.items())
+    assert all(want[a] == want[b] for a, b in edges)
+    near = {frozenset(e) for e in edges}
+    assert classes(keys, lambda a, b: frozenset((a, b)) in near) == want
+    assert len(set(want.values())) > 6
+
+
 def test_passage_classes_against_brute_force(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet").limit(120).collect()
     lines = sorted({b" ".join(x.split()) for d in docs for x in d.text.encode().lower().split(b"\n") if len(x.split()) >= 5})
