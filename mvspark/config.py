@@ -31,6 +31,7 @@ class IndexConfig:
     edge_sim: str = "exact"  # or clustered
     trim: str = "one_sided"  # or mirror
     descend: str = "all"  # or best
+    select: str = "nearest"  # or diverse
     seed: int = 42
     n_shards: int = 1
 

@@ -84,6 +84,18 @@ class Shard:
                         heapq.heappop(best)
         return sorted(((v, -n) for v, n in best), key=lambda t: (-t[0], t[1]))
 
+    def _choose(self, found: list[tuple[float, int]]) -> list[tuple[float, int]]:
+        """The M nearest, or first those nearer to the new node than to a chosen one and then the nearest of the rest."""
+        m = self.cfg.M
+        if self.cfg.select == "nearest" or len(found) <= m:
+            return found[:m]
+        kept: list[tuple[float, int]] = []
+        for w, n in found:
+            if len(kept) < m and all(self._edge(n, o) < w for _, o in kept):
+                kept.append((w, n))
+        rest = [e for e in found if e not in kept]
+        return sorted(kept + rest[: m - len(kept)], key=lambda t: (-t[0], t[1]))
+
     def insert(self, node: int, vecs: np.ndarray, layer: int) -> None:
         cfg = self.cfg
         self.vecs[node], self.top[node] = vecs, layer
@@ -99,8 +111,9 @@ class Shard:
                 starts = [self.search_layer(score, at, starts, 1, known=known)[0][1]]
             for at in range(min(layer, high), -1, -1):
                 found = self.search_layer(score, at, starts, cfg.ef_construction, known=known)
-                self.near[at][node] = found[: cfg.M]
-                for w, n in found[: cfg.M]:
+                mine = self._choose(found)
+                self.near[at][node] = mine
+                for w, n in mine:
                     full = sorted([*self.near[at][n], (w, node)], key=lambda t: (-t[0], t[1]))
                     for _, gone in full[cfg.M :]:
                         if cfg.trim == "mirror":
@@ -148,6 +161,9 @@ def linked_nodes(q, vecs, w, gamma: int, lists: dict[int, list[tuple[float, int]
 
 
 def with_shards(objs: DataFrame, n: int) -> DataFrame:
+    """Hashed shards, unless the objects come with theirs."""
+    if "shard" in objs.columns:
+        return objs
     return objs.withColumn("shard", F.pmod(F.xxhash64("mv_id"), F.lit(n)).cast("int"))
 
 
@@ -179,8 +195,8 @@ def bulk_graph(objs: DataFrame, m: int, cells: DataFrame | None = None, gamma: i
     return scored.withColumn("r", F.row_number().over(w)).where(F.col("r") <= m).drop("r")
 
 
-def search_graph(queries: DataFrame, objs: DataFrame, graph: DataFrame, cfg: SearchConfig, index: IndexConfig, links: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
-    """(results, statistics): every shard answers, k rows a query and shard are merged."""
+def search_graph(queries: DataFrame, objs: DataFrame, graph: DataFrame, cfg: SearchConfig, index: IndexConfig, links: DataFrame | None = None, routes: dict | None = None) -> tuple[DataFrame, DataFrame]:
+    """(results, statistics): every shard, or those that ``routes`` names for a query, answers; k rows each are merged."""
     block = query_block(queries)
     nodes = with_shards(objs, index.n_shards).select("shard", "mv_id", "vecs")
     lists = F.array(*()).cast("array<struct<tok_ix:int,linked_mv:bigint,key:double>>")
@@ -205,14 +221,15 @@ def search_graph(queries: DataFrame, objs: DataFrame, graph: DataFrame, cfg: Sea
             for x in ls if ls is not None else ():
                 mine.setdefault(x["tok_ix"], []).append((x["key"], int(x["linked_mv"])))
             table[int(i)] = mine
-        out = []
+        own, out = int((n if len(n) else g)["shard"].iloc[0]), []
         for qid, q, w in block:
-            found, scored = s.search(q, w, cfg, table)
-            out += [(qid, i, v, scored) for v, i in found]
-        return pd.DataFrame(out, columns=["qid", "mv_id", "score", "scored"])
+            if routes is None or own in routes.get(qid, ()):
+                found, scored = s.search(q, w, cfg, table)
+                out += [(own, qid, i, v, scored) for v, i in found]
+        return pd.DataFrame(out, columns=["shard", "qid", "mv_id", "score", "scored"])
 
-    got = nodes.groupBy("shard").cogroup(graph.groupBy("shard")).applyInPandas(answer, "qid long, mv_id long, score double, scored long")
-    stats = got.groupBy("qid", F.spark_partition_id().alias("p")).agg(F.max("scored").alias("scored")).groupBy("qid").agg(F.sum("scored").alias("scored"))
+    got = nodes.groupBy("shard").cogroup(graph.groupBy("shard")).applyInPandas(answer, "shard int, qid long, mv_id long, score double, scored long")
+    stats = got.groupBy("qid", "shard").agg(F.max("scored").alias("scored")).groupBy("qid").agg(F.sum("scored").alias("scored"))
     return top_k(got, cfg.k), stats
 
 
@@ -288,6 +305,32 @@ def delete(graph: DataFrame, gone: DataFrame) -> DataFrame:
     )
 
 
+def delete_relinked(graph: DataFrame, objs: DataFrame, gone: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """As ``delete``, and every node that lost neighbours looks for new ones among those that its lost ones had."""
+    rows = with_shards(objs, cfg.n_shards).join(gone.select("mv_id", F.lit(True).alias("gone")).distinct(), "mv_id", "left")
+    rows = rows.select("shard", "mv_id", "vecs", F.coalesce("gone", F.lit(False)).alias("gone"))
+
+    def mend(n: pd.DataFrame, g: pd.DataFrame) -> pd.DataFrame:
+        s, lost = _restored(g, n, cfg), set(n.loc[n["gone"], "mv_id"].astype(int))
+        out, left = [], [i for i in s.top if i not in lost]
+        first = min(left, key=lambda i: (-s.top[i], i), default=None)
+        for at, layer in enumerate(s.near):
+            for i, e in layer.items():
+                if i in lost:
+                    continue
+                if any(x in lost for _, x in e):
+                    far = {y for _, x in e if x in lost for _, y in layer.get(x, [])}
+                    mine = {x for _, x in e}
+                    more = [(s._edge(i, y), y) for y in sorted(far - mine - lost - {i})]
+                    e = sorted([t for t in e if t[1] not in lost] + more, key=lambda t: (-t[0], t[1]))[: cfg.M]
+                out.append((int(g["shard"].iloc[0]), at, i, s.top[i], [x for _, x in e], [w for w, _ in e], i == first))
+        return pd.DataFrame(out, columns=["shard", "layer", "mv_id", "top_layer", "nbrs", "weights", "entry"])
+
+    return rows.groupBy("shard").cogroup(graph.groupBy("shard")).applyInPandas(
+        mend, "shard int, layer int, mv_id long, top_layer int, nbrs array<long>, weights array<double>, entry boolean"
+    )
+
+
 def save(graph: DataFrame, cfg: IndexConfig, path: str) -> None:
     """Files partitioned by shard and layer, and the settings beside them."""
     graph.write.partitionBy("shard", "layer").mode("overwrite").parquet(f"{path}/graph")

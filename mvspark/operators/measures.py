@@ -31,6 +31,14 @@ def at_budget(curve: DataFrame, ms: float) -> DataFrame:
     return curve.where(F.col("ms") <= ms).groupBy("method").agg(F.max("recall").alias("recall"))
 
 
+def speedup(curve: DataFrame, method: str, target: float = 0.9) -> DataFrame:
+    """(method, factor): time of each other method at the target recall over that of ``method``; null where it is not reached."""
+    t = at_target(curve, target)
+    own = t.where(F.col("method") == method).select(F.col("ms").alias("own"))
+    every = curve.select("method").distinct().where(F.col("method") != method).join(t, "method", "left")
+    return every.crossJoin(own).select("method", (F.col("ms") / F.col("own")).alias("factor"))  # one row on the right
+
+
 def growth(points: DataFrame) -> DataFrame:
     """Slope and fit of ms over log n."""
     return points.agg(F.regr_slope("ms", F.log("n")).alias("slope"), F.regr_r2("ms", F.log("n")).alias("r2"))

@@ -7,11 +7,13 @@ from pyspark.sql import functions as F
 
 from ..config import IndexConfig, SearchConfig
 from ..functions import kernel
+from ..functions import sql as FS
 from ..functions.vectors import cosine, dot, neg_l2
 from ..operators import baselines as B
 from ..operators import graph as G
 from ..operators import links as L
 from ..operators import measures as M
+from ..operators import routing as R
 from ..operators import similarity as S
 from ..sources import fixtures as X
 
@@ -445,7 +447,7 @@ def m1_recall(spark, sf):
     return M.recall(truth.where("mv_id % 3 <> 0"), truth, 10).withColumn("recall", F.round("recall", 6))
 
 
-@query("SELECT unnest(['a', 'b']) AS method, unnest([15.0, 7.0]) AS ms")
+@query("SELECT unnest(['a', 'b']) AS method, unnest([15.0, 7.0]::DOUBLE[]) AS ms")
 def m6_time_at_recall(spark, sf):
     c = spark.createDataFrame([("a", 0.8, 10.0), ("a", 1.0, 20.0), ("b", 0.95, 7.0), ("c", 0.5, 1.0)], "method string, recall double, ms double")
     return M.at_target(c, 0.9)
@@ -594,4 +596,82 @@ def r_filtered_search(spark, sf):
     return S.linear_scan(X.as_queries(t), S.objects(t), 10, where=F.col("mv_id") % 2 == 1)
 
 
+@query()
+def i06_diverse(spark, sf):
+    return G.build_graph(S.objects(tok(spark, sf)), IndexConfig(M=8, ef_construction=32, select="diverse"))
+
+
+@query("SELECT unnest(['degree', 'self', 'nesting', 'endpoint', 'entry']) AS rule, CAST(0 AS BIGINT) AS violations")
+def i13_delete_relinked(spark, sf):
+    o = S.objects(tok(spark, sf))
+    return G.check_graph(G.delete_relinked(G.build_graph(o, CFG), o, o.where("mv_id % 3 = 0").select("mv_id"), CFG), CFG.M)
+
+
+@query()
+def l11_routed(spark, sf):
+    """Each query visits two of four shards of like objects."""
+    t = tok(spark, sf)
+    o, cfg = S.objects(t), IndexConfig(M=8, ef_construction=32, n_shards=4)
+    centres = R.fit_centres(o, 4)
+    routed = R.route_objects(o, centres)
+    return R.search_routed(X.as_queries(t), routed, G.build_graph(routed, cfg), centres, SearchConfig(k=10, ef=32, probe_shards=2), cfg, L.build_links(t, 8))[0]
+
+
+@query(scored(1, "1") + " SELECT * FROM top WHERE rank <= 10")
+def l11_rounds_full(spark, sf):
+    """Search by rounds of joins, with a list as wide as the data, finds what the scan finds."""
+    t = tok(spark, sf)
+    o = S.objects(t)
+    g = G.build_graph(o, CFG)
+    edges = g.where("layer = 0").select(F.col("mv_id").alias("src"), F.explode("nbrs").alias("dst"))
+    return R.search_rounds(X.as_queries(t), o, edges, 10, 5000, g.where("entry").select("mv_id"), L.build_links(t, 8))
+
+
+@query("SELECT unnest(['b', 'c', 'd']) AS method, unnest([0.5, 3.0, NULL]::DOUBLE[]) AS factor")
+def m7_speedup(spark, sf):
+    rows = [("a", 0.8, 10.0), ("a", 1.0, 18.0), ("b", 0.95, 7.0), ("c", 0.91, 42.0), ("d", 0.5, 1.0)]
+    return M.speedup(spark.createDataFrame(rows, "method string, recall double, ms double"), "a")
+
+
+@query(TOK + ", a AS (SELECT qid, q_ix, mv_id, max(s) AS s FROM sc GROUP BY ALL) SELECT qid, mv_id, sum(s) AS score FROM a GROUP BY ALL")
+def f_sql_mv_sim(spark, sf):
+    """The similarity as a SQL function, of every query and object."""
+    FS.register(spark)
+    S.objects(tok(spark, sf)).createOrReplaceTempView("mv_objects")
+    return spark.sql("SELECT q.mv_id AS qid, o.mv_id, mv_sim(q.vecs, o.vecs, 1) AS score FROM mv_objects q JOIN mv_objects o ON q.mv_id % 5 = 0")
+
+
+@query(NEAR + " SELECT mv_id, CAST(tok_ix AS INTEGER) AS tok_ix, s FROM nn WHERE qid = 0 AND q_ix = 0 AND r <= 2")
+def f_sql_gamma_nearest(spark, sf):
+    """The nearest tokens in each object of one query token, by a table function."""
+    FS.register(spark)
+    S.objects(tok(spark, sf)).createOrReplaceTempView("mv_objects")
+    return spark.sql("SELECT o.mv_id, n.tok_ix, n.s FROM mv_objects o, (SELECT vecs[0] AS t FROM mv_objects WHERE mv_id = 0) q, LATERAL gamma_nearest(q.t, o.vecs, 2) n")
+
+
+@query("SELECT l_orderkey AS mv_id, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1 HAVING count(*) >= 2")
+def f6_orders(spark, sf):
+    return X.from_orders(spark, sf).groupBy("mv_id").agg(F.count("*").alias("n"))
+
+
+@query()
+def f5_pages(spark, sf):
+    return X.from_pages(spark, sf)
+
+
+@query()
+def w02_orders(spark, sf):
+    """Recall and objects scored a query as the orders searched double."""
+    t = X.from_orders(spark, sf).persist()
+    high, out = t.agg(F.max("mv_id")).first()[0] or 0, None
+    q = X.as_queries(t, 1000).persist()
+    for part in (8, 4, 2):
+        o, cfg = S.objects(t.where(F.col("mv_id") <= high // part)).persist(), IndexConfig(M=8, ef_construction=32, n_shards=8)
+        r, st = G.search_graph(q, o, G.build_graph(o, cfg), SearchConfig(k=10, ef=32, linked=False), cfg)
+        rec = M.recall_by_score(r, S.linear_scan(q, o, 10), 10).agg(F.avg("recall").alias("recall"))
+        one = o.agg(F.count("*").alias("n")).crossJoin(st.agg(F.avg("scored").alias("scored"))).crossJoin(rec)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 QUERIES["w13_overall"] = _workload(efs=(32,), gammas=(1, 2))

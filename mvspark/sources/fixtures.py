@@ -33,3 +33,35 @@ def from_documents(spark: SparkSession, sf_dir: str, n_words: int = 32, d: int =
 def as_queries(tokens: DataFrame, every: int = 5) -> DataFrame:
     """Every so-manieth object as a query."""
     return tokens.where(F.pmod("mv_id", F.lit(every)) == 0).select(F.col("mv_id").alias("qid"), F.col("tok_ix").alias("q_ix"), "vec")
+
+
+def from_orders(spark: SparkSession, sf_dir: str, d: int = 128) -> DataFrame:
+    """Tokens of orders of two lines or more: a line is the sum of the vectors of its five attribute values."""
+    p = read(spark, sf_dir, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand", "p_type")
+    li = read(spark, sf_dir, "lineitem").join(p, "l_partkey")
+    feats = {
+        "brand": F.col("p_brand"), "type": F.col("p_type"), "quantity": F.floor(F.col("l_quantity") / 10).cast("string"),
+        "month": F.date_format("l_shipdate", "yyyy-MM"), "flag": F.col("l_returnflag"),
+    }
+    # (l_orderkey, l_linenumber) is not unique, so the place comes from an order over all columns
+    w = Window.partitionBy("l_orderkey").orderBy(*sorted(li.columns))
+    rows = li.select(F.col("l_orderkey").alias("mv_id"), (F.row_number().over(w) - 1).alias("tok_ix"), *(F.concat(F.lit(f"{k}="), v).alias(k) for k, v in feats.items()))
+    rows = rows.withColumn("n", F.count("*").over(Window.partitionBy("mv_id"))).where("n >= 2").drop("n")
+    for i, k in enumerate(feats):
+        vec = rows.select(k).distinct().withColumn("one", sign_vector(F.col(k), d))
+        total = F.col("one") if not i else F.zip_with("vec", "one", lambda x, y: x + y)
+        rows = rows.join(vec, k).withColumn("vec", total).drop("one")
+    return rows.select("mv_id", "tok_ix", "vec")
+
+
+def from_pages(spark: SparkSession, sf_dir: str, d: int = 128) -> DataFrame:
+    """Tokens of pages: a title, heading, paragraph or list item is the sum of its words' vectors."""
+    html = F.regexp_extract_all("html", F.lit(r"(?is)<(?:title|h1|p|li)\b[^>]*>(.*?)</(?:title|h1|p|li)>"), 1)
+    b = read(spark, sf_dir, "pages").select(F.col("page_id").alias("mv_id"), F.posexplode(html).alias("tok_ix", "block"))
+    bare = F.lower(F.regexp_replace("block", "<[^>]*>", " "))
+    words = b.select("mv_id", "tok_ix", F.explode(F.split(bare, r"\s+")).alias("word")).where("word <> ''").groupBy("mv_id", "tok_ix", "word").agg(F.count("*").alias("n"))
+    vec = words.select("word").distinct().withColumn("vec", sign_vector(F.col("word"), d))
+    parts = words.join(vec, "word").select("mv_id", "tok_ix", "n", F.posexplode("vec").alias("at", "x"))
+    sums = parts.groupBy("mv_id", "tok_ix", "at").agg(F.sum(F.col("n") * F.col("x")).alias("x"))
+    t = sums.groupBy("mv_id", "tok_ix").agg(F.array_sort(F.collect_list(F.struct("at", "x")))["x"].alias("vec"))
+    return t.withColumn("k", F.count("*").over(Window.partitionBy("mv_id"))).where("k >= 2").drop("k")

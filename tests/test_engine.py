@@ -11,9 +11,11 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry
 from mvspark.config import IndexConfig, SearchConfig, SimConfig
 from mvspark.functions import kernel
+from mvspark.functions import sql as FS
 from mvspark.operators import graph as G
 from mvspark.operators import links as L
 from mvspark.operators import measures as M
+from mvspark.operators import routing as R
 from mvspark.operators import similarity as S
 from mvspark.plans import catalogue
 from mvspark.sources import fixtures as X
@@ -173,3 +175,70 @@ def test_sizes_are_checked(words):
     with pytest.raises(ValueError):
         S.query_block(q, limit=10)
     assert S.linear_scan(q.limit(0), o, 5).count() == 0
+
+
+def _small(spark, n=60, c=4, d=16):
+    rows = [(i, j, v.tolist()) for i in range(n) for j, v in enumerate(unit(c, d))]
+    return spark.createDataFrame(rows, "mv_id long, tok_ix int, vec array<double>")
+
+
+def test_routed_search_of_all_shards_is_the_scan(spark):
+    t = _small(spark).persist()
+    q, o, cfg = X.as_queries(t, 6), S.objects(t).persist(), IndexConfig(M=8, ef_construction=32, n_shards=3)
+    centres = R.fit_centres(o, 3)
+    routed = R.route_objects(o, centres).persist()
+    g, truth = G.build_graph(routed, cfg), S.linear_scan(q, o, 5)
+    rows = lambda df: {(r.qid, r["rank"], r.mv_id) for r in df.collect()}
+    full, stats = R.search_routed(q, routed, g, centres, SearchConfig(k=5, ef=60, linked=False), cfg)
+    assert rows(full) == rows(truth)
+    some, less = R.search_routed(q, routed, g, centres, SearchConfig(k=5, ef=60, linked=False, probe_shards=1), cfg)
+    assert some.count() <= full.count()
+    assert sum(r.scored for r in less.collect()) < sum(r.scored for r in stats.collect()) == 60 * 10
+    assert R.fit_centres(o.limit(0), 3).size == 0
+
+
+def test_search_by_rounds(spark):
+    t = _small(spark).persist()
+    q, o = X.as_queries(t, 6), S.objects(t).persist()
+    ring = spark.createDataFrame([(i, (i + s) % 60) for i in range(60) for s in (1, 7, 53)], "src long, dst long")
+    start = spark.createDataFrame([(0,)], "mv_id long")
+    rows = lambda df: [(r.qid, r["rank"], r.mv_id) for r in df.orderBy("qid", "rank").collect()]
+    truth = S.linear_scan(q, o, 5)
+    assert rows(R.search_rounds(q, o, ring, 5, 60, start)) == rows(truth)
+    narrow = R.search_rounds(q, o, ring, 5, 5, start)
+    assert M.recall(narrow, truth, 5).agg(F.avg("recall")).first()[0] <= 1
+    links = spark.createDataFrame([(i, j) for i in range(60) for j in range(60) if i != j], "mv_id long, linked_mv long")
+    assert rows(R.search_rounds(q, o, ring, 5, 5, start, links)) == rows(truth)
+    assert R.search_rounds(q.limit(0), o, ring, 5, 5, start).count() == 0
+    with pytest.raises(ValueError):
+        R.search_rounds(q, o, ring, 5, 4, start)
+
+
+def test_diverse_choice_and_relinking(spark):
+    s = G.Shard(IndexConfig(M=2, select="diverse"))
+    e = np.eye(4)
+    s.vecs = {1: e[:2], 2: e[:2], 3: e[1:3]}
+    assert [n for _, n in s._choose([(0.9, 1), (0.8, 2), (0.6, 3)])] == [1, 3]
+    assert [n for _, n in s._choose([(0.9, 1), (0.8, 2)])] == [1, 2]
+    o, cfg = S.objects(_small(spark)).persist(), IndexConfig(M=4, ef_construction=16)
+    g, gone = G.build_graph(o, cfg).persist(), o.where("mv_id % 3 = 0").select("mv_id")
+    plain, mended = G.delete(g, gone), G.delete_relinked(g, o, gone, cfg).persist()
+    edges = lambda df: df.agg(F.sum(F.size("nbrs"))).first()[0]
+    assert edges(plain) < edges(mended) <= edges(g)
+    assert G.check_graph(mended, 4).where("violations > 0").count() == 0
+    assert G.delete_relinked(g, o, o.select("mv_id"), cfg).count() == 0
+
+
+def test_sql_functions(spark):
+    FS.register(spark)
+    one = "array(array(1D, 0D), array(0D, 1D))"
+    r = spark.sql(f"SELECT mv_sim({one}, {one}, 2) AS a, edge_weight({one}, {one}) AS b, vec_dot(array(1D, 2D), array(3D, 4D)) AS c, vec_l2(array(0D, 0D), array(3D, 4D)) AS d, mv_sim(NULL, {one}, 1) AS e").first()
+    assert tuple(r) == (1.0, 1.0, 11.0, 5.0, None)
+    got = spark.sql(f"SELECT * FROM gamma_nearest(array(0D, 1D), {one}, 5)").collect()
+    assert [tuple(x) for x in got] == [(1, 1.0), (0, 0.0)]
+
+
+def test_datasets_of_orders_and_pages(spark, sf):
+    for t in (X.from_orders(spark, sf), X.from_pages(spark, sf)):
+        r = t.selectExpr("count(*) n", "count(distinct mv_id, tok_ix) k", "min(size(vec)) lo", "max(size(vec)) hi", "count_if(vec is null) none").first()
+        assert r.n == r.k > 0 and (r.lo, r.hi, r.none) == (128, 128, 0)
