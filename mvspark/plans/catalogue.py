@@ -88,7 +88,7 @@ def k5_gamma_nn(spark, sf):
     return S.gamma_nn(scores(spark, sf), 2)
 
 
-@query("SELECT 1.8 AS score")
+@query("SELECT 1.8::DOUBLE AS score")
 def k6_example1(spark, sf):
     q, v, w = X_EXAMPLE1
     return spark.createDataFrame([(round(kernel.mv_sim(q, v, weights=w), 9),)], "score double")
@@ -124,10 +124,10 @@ def k6d_general(spark, sf):
     return S.top_k(S.unified(s, 2, weights=w), 10)
 
 
-@query(scored(12, "count(*)") + " SELECT * FROM top WHERE rank <= 10")
+@query(scored(12, "count(*)") + " SELECT qid, rank, mv_id, round(score, 6) AS score FROM top WHERE rank <= 10")
 def k6e_short(spark, sf):
     t = tok(spark, sf)
-    return S.linear_scan(X.as_queries(t), S.objects(t), 10, 12, short="found")
+    return S.linear_scan(X.as_queries(t), S.objects(t), 10, 12, short="found").withColumn("score", F.round("score", 6))
 
 
 _W = r"""WITH w AS (SELECT doc_id, unnest(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')[1:8]) AS word FROM documents WHERE len(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')) >= 2)"""

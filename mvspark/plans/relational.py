@@ -26,7 +26,7 @@ BOTH: dict[str, tuple[str, str | None]] = {
     "r_except": ("SELECT doc_id FROM documents EXCEPT SELECT doc_id FROM labels", None),
     "r_string": ("SELECT doc_id, length(text) AS n, substring(lower(text), 1, 5) AS head, md5(text) AS h FROM documents WHERE text LIKE '%the%'", None),
     "r_date": ("SELECT year(o_orderdate) AS y, month(o_orderdate) AS m, count(*) AS n FROM orders GROUP BY year(o_orderdate), month(o_orderdate)", None),
-    "r_math": ("SELECT p_partkey, round(sqrt(p_retailprice), 6) AS a, round(ln(p_retailprice), 6) AS b, floor(p_retailprice / 7) AS c FROM part", None),
+    "r_math": ("SELECT p_partkey, round(sqrt(p_retailprice), 6) AS a, round(ln(p_retailprice), 6) AS b, CAST(floor(p_retailprice / 7) AS BIGINT) AS c FROM part", None),
     "r_subquery": ("SELECT doc_id FROM documents d WHERE n_chars > (SELECT avg(n_chars) FROM documents e WHERE e.lang = d.lang)", None),
     "r_cte": ("WITH a AS (SELECT o_custkey, count(*) AS n FROM orders GROUP BY o_custkey), b AS (SELECT max(n) AS m FROM a) SELECT o_custkey, n FROM a, b WHERE n = m", None),
     "r_recursive": ("WITH RECURSIVE t(n) AS (SELECT 1 UNION ALL SELECT n + 1 FROM t WHERE n < 10) SELECT n FROM t", None),
