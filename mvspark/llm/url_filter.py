@@ -3,7 +3,8 @@
 Segments that look like numbers, dates or hashes become classes; what is left is aggregated to
 distinct (host, path of classes) with its pages and rule labels, far fewer rows than pages. Level by
 level, segments with little support become wildcards and siblings whose pages below look alike
-(same shapes of next segment) with the same share of blocked pages merge into one branch. A
+(same shapes of next segment) merge into one branch where their share of blocked pages does not differ
+from that of all such siblings by a test of proportions; those that differ merge by bins of the share. A
 template's share of pages that rules block is smoothed towards its host's, that towards all
 pages'; templates whose share reaches ``REJECT`` are blocked. Unlabelled pages count as not blocked.
 
@@ -22,6 +23,8 @@ from .common import written
 #: (verdict, host, path) of the explicit rules
 RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/"))
 DEPTH, SUPPORT, SMOOTH, REJECT, BINS = 5, 8, 10.0, 0.5, 5
+#: standard errors from the siblings' common share up to which a branch counts as like them
+ALIKE = 1.96
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -67,7 +70,11 @@ def templates(pages: DataFrame, blocked: Column, depth: int = DEPTH, support: in
             F.sum("n").alias("n"), F.sum("bad").alias("bad"), F.array_join(F.array_sort(F.collect_set(shape_below)), "|").alias("below")
         )
         kids = kids.withColumn("name", F.when((F.col("n") < support) & ~F.col("seg").startswith("{"), "*").otherwise(F.col("seg")))
-        rate = F.floor((F.col("bad") + 0.5) / (F.col("n") + 1) * BINS)
+        named = kids.where("name <> '*'").groupBy("host", "template", "below")
+        pool = named.agg(((F.sum("bad") + 0.5) / (F.sum("n") + 1)).alias("common"))
+        kids = kids.join(pool, ["host", "template", "below"], "left")
+        off = F.abs(F.col("bad") - F.col("n") * F.col("common")) / F.sqrt(F.col("n") * F.col("common") * (1 - F.col("common")))
+        rate = F.when(off <= ALIKE, F.lit(-1)).otherwise(F.floor((F.col("bad") + 0.5) / (F.col("n") + 1) * BINS))
         alike = kids.where("name <> '*'").groupBy("host", "template", "below", rate.alias("rate")).agg(
             F.min("name").alias("first"), F.count("*").alias("k")
         )

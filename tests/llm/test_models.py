@@ -114,6 +114,15 @@ def test_urls(spark):
     assert url_filter.judge(df.limit(0)).count() == 0
 
 
+def test_like_branches_merge(spark):
+    rows = [("h", f"/{s}/x{i}", i < bad) for s, n, bad in (("a", 10, 1), ("b", 10, 3), ("d", 900, 90), ("c", 10, 10)) for i in range(n)]
+    pages = spark.createDataFrame(rows, "host string, path string, bad boolean")
+    tree = url_filter.templates(pages, F.col("bad")).select(F.get("shape", 0).alias("s"), "template", "share").distinct().collect()
+    branch = {r.s: r.template.split("/")[1] for r in tree}
+    assert branch["a"] == branch["b"] == branch["d"] == "~a" and branch["c"] == "c"
+    assert all((r.share >= url_filter.REJECT) == (r.s == "c") for r in tree)
+
+
 # --- language model ---
 
 
