@@ -1,17 +1,25 @@
-"""Language-model scores by online logistic mixing of hashed-context bit predictors.
-
-A text is its words in order (A-Z lower-cased) and one end. Every byte of a word, and the space after
-it, is a walk down a Huffman tree of the training bytes; every step is one bit, predicted from counts in
-hashed tables for several contexts (last byte, last two, last four, all of the word so far). Counts
-come from all distinct training words through one distributed sum over slots. The predictions are mixed
-in the logistic domain with weights chosen by how often the longer contexts were seen; weights are
-learnt online, block after block, within every partition of the word table, and averaged; each training
-word is taken out of its own counts first. A last table refines the mixed probability from what happened
-in training. This gives every possible word a probability; for each of a few classes of training
-documents (the commonest values of ``lang``, if there is such a column) it is joined with that class's
-counts by absolute discounting, and a text's probability is the mixture over the classes, so that no
-class has to be known when scoring. No context crosses a word: each distinct word is scored once and texts
-add up words, frequent ones (a list of fixed size) inside the scan, the rest through one join.
+"""Language-model scores by online logistic mixing of hashed-context bit predictors over whole texts.
+
+A text is its words in order (A-Z lower-cased) and one end. Words seen at least twice in training, up to ``LISTED``
+of the most frequent, the end, and an escape for all others are the leaves of a Huffman tree; every token is
+a walk down it, and every step one bit. Three predictors know a bit: its node alone (from the words' counts); the
+last word and the node (counts in a hashed table); and the last two words, whose hashed entry names the
+word that most often followed, as long as the walk so far agrees with it. They are mixed in the
+logistic domain, with weights chosen by how often the contexts were seen and how deep the walk is. Weights, and a
+last table that refines the mixed probability by its level, are learnt online over all training texts, each bit being
+taken out of its own counts first, and go on learning while a text is scored: after every ``SPAN`` words they
+move by what the text has shown so far. Every text starts from the same state, so a score depends on the
+text and the training texts alone. The bits of a text and its bytes give bits per byte.
+
+A word after an escape is, if it was seen in training, one of the rare words, by absolute discounting of
+their counts (the discount from how many were seen once and twice); else it is spelled: each byte, and the
+space after the word, is a walk down a Huffman tree of bytes, predicted from up to five bytes before it and from the last
+very frequent word of the text (which tells the language), mixed and learnt the same way. As words
+seen once are escapes in training, the model knows when new words come.
+
+Training gathers dense chunks of the tables (their size follows the number of training words up to a
+bound) from as many tasks as the cluster runs at once. Counts are exact: listed words are looked up in the scan,
+the rest meet the table of all counts by one join.
 
 Defined results: null and wordless texts are one end token; null ids hash as the empty text does;
 repeated rows are scored one by one; without training documents every count is 0; an empty table
@@ -22,6 +30,7 @@ from __future__ import annotations
 
 import heapq
 import math
+import zlib
 from collections import Counter
 
 import numpy as np
@@ -34,16 +43,29 @@ from pyspark.sql import functions as F
 from .common import text_of, written
 
 END = b"\n"
-#: slots of each context's table, and how many last bytes the longest context takes
-SLOTS, LONGEST = (1 << 16, 1 << 18, 1 << 18, 1 << 20), 16
-#: frequent words scored inside the scan; distinct words a worker counts before it hands them on
-FREQUENT, HELD = 65_536, 300_000
-GATES_LONG, GATES_MID, LEVELS, DEPTHS = 14, 4, 33, 24
-RATE, STEP = 0.5, 8192
-#: classes at most, and what is taken off each count for unseen words
-CLASSES, DISCOUNT = 6, 0.7
-
-_BATCH = 20_000
+#: words in the list at most; distinct words a worker counts before it hands them on; frequent words that tell the language
+LISTED, HELD, TOPICS = 262_144, 300_000, 64
+#: slots of each table: two for each training token, within these powers of two
+LEAST, MOST = 12, 22
+#: words after which a text's own weights move, and how fast; words in a batch of texts
+SPAN, FAST, TOKENS = 64, 0.02, 40_000
+#: levels of the refined probability, and how many bits its learnt value weighs against the text's own
+STEPS, FIRM = 33, 200.0
+#: gates: how often the last word and node were seen, state of the followed word, depth
+SEEN, FOLLOWED, DEEP = 7, 7, 4
+GATES = SEEN * FOLLOWED * DEEP
+#: contexts of a spelled byte: (bytes before it, with the topic or without), power of two of each one's slots, and gates
+SPELLED, SPELL_POWER = ((1, True), (2, True), (3, True), (4, True), (5, False)), 20
+SPELL_GATES = 8 * 6
+#: bits between two moves of the learnt weights, their rate and what steadies them
+STEP, RATE, STEADY = 32_768, 0.3, 20.0
+#: entries of a chunk of counts on its way to the driver, and the unit of sums that must not depend on their order
+CHUNK, POINT = 1 << 13, float(1 << 20)
+#: bits of a leaf's number in an entry; the bits above check the context
+LEAF = 19
+
+_MIX = np.uint64(0x9E3779B97F4A7C15)
+_NODE = np.uint64(0xD1B54A32D192ED03)
 
 
 def words(text: str | None) -> list[bytes]:
@@ -54,332 +76,599 @@ def held_out(doc_id: Column) -> Column:
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % 5 == 1
 
 
-class Code:
-    """Huffman code of bytes: for each byte its inner nodes and bits on the way from the root."""
+# --- trees and contexts ---
+
+
+def huffman(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(parent, side) of a Huffman tree's nodes: leaves 0..n-1, then inner nodes, the root last. Needs two leaves."""
+    heap = [(max(int(c), 1), i) for i, c in enumerate(counts)]
+    heapq.heapify(heap)
+    n = len(heap)
+    parent, side = np.zeros(2 * n - 1, np.int32), np.zeros(2 * n - 1, np.int8)
+    for k in range(n, 2 * n - 1):
+        a = heapq.heappop(heap)
+        b = heap[0]
+        parent[a[1]] = parent[b[1]] = k
+        side[b[1]] = 1
+        heapq.heapreplace(heap, (a[0] + b[0], k))
+    return parent, side
+
+
+class Tree:
+    """Every leaf's inner nodes and bits from the root, and each inner node's log odds from the leaves' counts."""
 
     def __init__(self, counts: np.ndarray):
-        heap = [(int(c) + 1, s, s) for s, c in enumerate(counts)]
-        heapq.heapify(heap)
-        up: dict[int, tuple[int, int]] = {}
-        new = 256
-        while len(heap) > 1:
-            a, b = heapq.heappop(heap), heapq.heappop(heap)
-            up[a[2]], up[b[2]] = (new, 0), (new, 1)
-            heapq.heappush(heap, (a[0] + b[0], new, new))
-            new += 1
-        paths = []
-        for s in range(256):
-            p, v = [], s
-            while v in up:
-                v, bit = up[v]
-                p.append((v - 256, bit))
-            paths.append(p[::-1])
-        self.length = np.array([len(p) for p in paths])
-        self.node = np.zeros((256, self.length.max()), np.int64)
-        self.bit = np.zeros((256, self.length.max()), np.int8)
-        for s, p in enumerate(paths):
-            self.node[s, : len(p)] = [n for n, _ in p]
-            self.bit[s, : len(p)] = [b for _, b in p]
-
-
-def walk(batch: list[bytes], code: Code) -> tuple[np.ndarray, ...]:
-    """(slots[context, bit], bits, depth, first bit of each word) of words as they are coded."""
-    parts = [w if w == END else w + b" " for w in batch]
-    flat = np.frombuffer(b"".join(parts), np.uint8)
-    sizes = np.fromiter(map(len, parts), np.int64, len(parts))
-    first = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-    pos = np.arange(len(flat)) - np.repeat(first, sizes)
-    h = np.minimum(pos, 3).astype(np.uint64)
-    hashes, wide = [], np.minimum(pos, LONGEST).astype(np.uint64) + np.uint64(77)
-    mul = np.uint64(0x9E3779B97F4A7C15)
+        n = len(counts)
+        parent, side = huffman(counts)
+        root, at = 2 * n - 2, np.arange(n)
+        self.length = np.zeros(n, np.int64)
+        climbs = []
+        while (at != root).any():
+            go = at != root
+            climbs.append((np.where(go, parent[at] - n, -1), side[at]))
+            self.length += go
+            at = np.where(go, parent[at], root)
+        self.offset = np.cumsum(self.length) - self.length
+        self.node, self.bit = np.zeros(self.length.sum(), np.int32), np.zeros(self.length.sum(), np.int8)
+        for up, (node, bit) in enumerate(climbs):
+            on = np.flatnonzero(node >= 0)
+            place = self.offset[on] + self.length[on] - 1 - up
+            self.node[place], self.bit[place] = node[on], bit[on]
+        mass = np.repeat(np.maximum(counts, 0).astype(np.float64), self.length)
+        ones, both = np.bincount(self.node, mass * self.bit, n - 1), np.bincount(self.node, mass, n - 1)
+        self.odds = np.log((ones + 0.4) / (both - ones + 0.4)).astype(np.float32)
+
+    def walk(self, leaf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(which leaf, depth, node, bit) of every step to the given leaves."""
+        size = self.length[leaf]
+        begin = np.cumsum(size) - size
+        owner = np.repeat(np.arange(len(leaf)), size)
+        depth = np.arange(len(owner)) - begin[owner]
+        at = self.offset[leaf][owner] + depth
+        return owner, depth, self.node[at], self.bit[at]
+
+
+def context_names(ids: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the word before each token and of the two before it, within its text; ``first`` marks where texts start."""
+    with np.errstate(over="ignore"):
+        one = np.concatenate([[0], ids[:-1]]).astype(np.uint64) + np.uint64(1)
+        one[first] = 0
+        two = np.concatenate([[0], one[:-1]]).astype(np.uint64) + np.uint64(1)
+        two[first] = 0
+        a = (one + np.uint64(1)) * _MIX
+        a ^= a >> np.uint64(29)
+        b = (a ^ (two * np.uint64(0xBF58476D1CE4E5B9))) * _MIX
+        b ^= b >> np.uint64(31)
+    return a, b * _MIX
+
+
+def slots_of(names: np.ndarray, node: np.ndarray, power: int) -> np.ndarray:
     with np.errstate(over="ignore"):
-        for k in range(1, LONGEST + 1):
-            inside = np.flatnonzero(pos >= k)
-            if k <= 4:
-                h = h * mul
+        return (((names + node.astype(np.uint64) * _NODE) * _MIX) >> np.uint64(64 - power)).astype(np.int32)
+
+
+def followed(names: np.ndarray, power: int) -> tuple[np.ndarray, np.ndarray]:
+    """(slot, check) of a context of two words."""
+    return (names >> np.uint64(64 - power)).astype(np.int64), ((names >> np.uint64(8)) & np.uint64((1 << 31 - LEAF) - 1)).astype(np.int64)
+
+
+_LOG = np.log(np.arange(1 << 16) + 0.4).astype(np.float32)
+_BITS = np.minimum(np.ceil(np.log2(np.arange(1 << 16) + 1)), 15).astype(np.int8)
+
+
+def counted(table: np.ndarray, slot: np.ndarray, bit: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+    """(log odds, times seen in bits) of slots; ``bit`` is taken out of its own counts."""
+    both = table[slot]  # zeros in the low half, ones in the high half
+    n0, n1 = (both & np.uint32(0xFFFF)).astype(np.int32), (both >> np.uint32(16)).astype(np.int32)
+    if bit is not None:
+        n0, n1 = np.maximum(n0 - (bit == 0), 0), np.maximum(n1 - (bit == 1), 0)
+    return _LOG[n1] - _LOG[n0], _BITS[np.minimum(n0 + n1, 65535)].astype(np.int64)
+
+
+def logit(x: list[np.ndarray], gate: np.ndarray, w: np.ndarray) -> np.ndarray:
+    return np.clip(sum(w[gate, k] * x[k] for k in range(len(x))), -14, 14)
+
+
+def level_of(s: np.ndarray) -> np.ndarray:
+    return np.clip(np.round((s + 8) * (STEPS - 1) / 16), 0, STEPS - 1).astype(np.int64)
+
+
+class Learner:
+    """Weights by gate, learnt online with the curvature that each block of bits shows, and the refining table."""
+
+    def __init__(self, start: np.ndarray):
+        self.w, self.mass = start.astype(np.float64).copy(), np.zeros(len(start), np.int64)
+        self.hit, self.all = np.zeros(STEPS, np.int64), np.zeros(STEPS, np.int64)
+
+    def learn(self, x: list[np.ndarray], gate: np.ndarray, bit: np.ndarray) -> None:
+        n, k = self.w.shape
+        for lo in range(0, len(bit), STEP):
+            part = slice(lo, lo + STEP)
+            z, g, y = [c[part].astype(np.float64) for c in x], gate[part], bit[part]
+            s = logit(z, g, self.w)
+            p = 1 / (1 + np.exp(-s))
+            err, v = y - p, p * (1 - p)
+            slope = np.stack([np.bincount(g, err * c, n) for c in z], 1)
+            bend = np.empty((n, k, k))
+            for a in range(k):
+                for b in range(a, k):
+                    bend[:, a, b] = bend[:, b, a] = np.bincount(g, v * z[a] * z[b], n)
+            self.w += RATE * np.linalg.solve(bend + np.eye(k) * STEADY, slope[:, :, None])[:, :, 0]
+            self.mass += np.bincount(g, minlength=n)
+            level = level_of(s)
+            self.all += np.bincount(level, minlength=STEPS)
+            self.hit += np.bincount(level, y, STEPS).astype(np.int64)
+
+    def rows(self, first: int) -> pd.DataFrame:
+        """(i, w, m): weights by how many bits their gate had, then the refining table, in whole numbers."""
+        m = np.repeat(np.minimum(self.mass, 1 << 20), self.w.shape[1])
+        w = np.round(np.round(self.w.ravel() * POINT) * m / 256).astype(np.int64)
+        i = first + np.arange(len(w) + STEPS)
+        return pd.DataFrame({"i": i.astype(np.int32), "w": np.concatenate([w, self.hit]), "m": np.concatenate([m, self.all])})
+
+
+def averaged(sums: dict[int, tuple[int, int]], first: int, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(weights, refined) from the sums of all partitions' rows; a gate that none had stays as it started."""
+    w = start.astype(np.float64).ravel().copy()
+    for k in range(len(w)):
+        total, m = sums.get(first + k, (0, 0))
+        if m:
+            w[k] = total / m * 256 / POINT
+    level = 1 / (1 + np.exp(-(np.arange(STEPS) * 16 / (STEPS - 1) - 8)))
+    refined = np.array([(sums.get(first + len(w) + i, (0, 0))[0] + 4 * p) / (sums.get(first + len(w) + i, (0, 0))[1] + 4) for i, p in enumerate(level)])
+    return w.reshape(start.shape).astype(np.float32), refined
+
+
+def start_weights() -> np.ndarray:
+    """Before training: contexts that were never seen count nothing."""
+    w = np.zeros((SEEN, FOLLOWED, DEEP, 3), np.float32)
+    w[..., 0], w[0, ..., 0] = 0.5, 1.0
+    w[1:, ..., 1] = 0.5
+    w[:, 1:, :, 2] = 0.5
+    return w.reshape(GATES, 3)
+
+
+# --- reading texts ---
+
+
+def read_tokens(texts: list[list[bytes]], at: dict[bytes, int]) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
+    """(leaf, id, where texts start) of every token and end, and the words that are not listed, in order."""
+    end, escape = len(at), len(at) + 1
+    leaf: list[int] = []
+    first: list[int] = []
+    odd: list[bytes] = []
+    get = at.get
+    for w in texts:
+        first.append(len(leaf))
+        got = [get(x, escape) for x in w]
+        if escape in got:
+            odd += [x for x, i in zip(w, got) if i == escape]
+        leaf += got
+        leaf.append(end)
+    kind = np.array(leaf, np.int64)
+    ids = kind.copy()  # a word that is not listed is still a context of its own
+    ids[kind == escape] = np.fromiter(map(zlib.crc32, odd), np.int64, len(odd)) + escape
+    return kind, ids, np.array(first, np.int64), odd
+
+
+def topics(leaf: np.ndarray, first: np.ndarray, escape: int) -> np.ndarray:
+    """For every word that is not listed, the last of the ``TOPICS`` most frequent words before it in its text, else 0."""
+    at = np.arange(len(leaf))
+    last = np.where((leaf < TOPICS) & (leaf < escape - 1), at, -1)
+    last = np.maximum.accumulate(last)
+    start = np.zeros(len(leaf), np.int64)
+    start[first] = first
+    start = np.maximum.accumulate(start)
+    here = np.flatnonzero(leaf == escape)
+    return np.where(last[here] >= start[here], leaf[last[here]] + 1, 0)
+
+
+class Spelling:
+    """The bits of words spelled with the space after them: node, bit, gate and slots under every context."""
+
+    def __init__(self, tree: Tree, batch: list[bytes], topic: np.ndarray):
+        flat = np.frombuffer(b" ".join(batch) + b" ", np.uint8) if batch else np.zeros(0, np.uint8)
+        sizes = np.fromiter(map(len, batch), np.int64, len(batch)) + 1
+        first = np.cumsum(sizes) - sizes
+        self.word = np.repeat(np.arange(len(batch)), sizes)
+        pos, about = np.arange(len(flat)) - first[self.word], topic[self.word].astype(np.uint64)
+        self.byte, _, self.node, self.bit = tree.walk(flat.astype(np.int64))
+        longest, h, before = max(n for n, _ in SPELLED), np.zeros(len(flat), np.uint64), []
+        with np.errstate(over="ignore"):
+            for k in range(1, longest + 1):
+                inside = np.flatnonzero(pos >= k)
+                h = h * _MIX
                 h[inside] += flat[inside - k] + np.uint64(1)
-                if k in (1, 2, 4):
-                    hashes.append(h ^ (h >> np.uint64(29)))
-            wide[inside] = (wide[inside] ^ (flat[inside - k] + np.uint64(1))) * mul
-            wide[inside] ^= wide[inside] >> np.uint64(31)
-        hashes.append(wide)
-        steps = code.length[flat]
-        at = np.repeat(np.arange(len(flat)), steps)
-        begin = np.concatenate([[0], np.cumsum(steps)])
-        depth = np.arange(len(at)) - begin[at]
-        sym = flat[at]
-        node, bit = code.node[sym, depth].astype(np.uint64), code.bit[sym, depth]
-        slots, base = np.empty((len(SLOTS), len(at)), np.int32), 0
-        for k, (x, n) in enumerate(zip(hashes, SLOTS)):
-            z = (x[at] + node * np.uint64(0xD1B54A32D192ED03)) * mul
-            slots[k] = ((z >> np.uint64(40)) & np.uint64(n - 1)).astype(np.int64) + base
-            base += n
-    return slots, bit, np.minimum(depth, DEPTHS - 1), begin[first]
-
-
-def inputs(zeros: np.ndarray, ones: np.ndarray, slots: np.ndarray, own: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
-    """Mixer inputs [context + 1, bit] and gates; ``own`` takes one occurrence of that bit out of the counts."""
-    n0, n1 = zeros[slots], ones[slots]
-    if own is not None:
-        n0, n1 = np.maximum(n0 - (own == 0), 0), np.maximum(n1 - (own == 1), 0)
-    x = np.empty((len(SLOTS) + 1, slots.shape[1]), np.float32)
-    x[:-1] = np.log((n1 + 0.3) / (n0 + 0.3))
-    np.clip(x, -12, 12, out=x)
-    x[-1] = 0.3
-    seen = np.log2(n0[2:] + n1[2:] + 1).astype(np.int64)
-    gate = np.minimum(seen[1], GATES_LONG - 1) * GATES_MID + np.minimum(seen[0] // 3, GATES_MID - 1)
-    return x, gate
-
-
-def mixed(x: np.ndarray, gate: np.ndarray, weights: np.ndarray) -> np.ndarray:
-    return np.clip(np.einsum("ki,ki->i", x, weights[gate].T), -14, 14)
-
-
-def refine_cell(s: np.ndarray, depth: np.ndarray) -> np.ndarray:
-    return depth * LEVELS + np.clip(np.round((s + 8) * (LEVELS - 1) / 16), 0, LEVELS - 1).astype(np.int64)
-
-
-class Mixer:
-    def __init__(self, code: Code, zeros: np.ndarray, ones: np.ndarray, weights: np.ndarray, refined: np.ndarray):
-        self.code, self.zeros, self.ones, self.weights, self.refined = code, zeros, ones, weights, refined
-
-    def log10(self, batch: list[bytes]) -> np.ndarray:
-        """log10 probability of each word with the space after it, or of the end."""
-        out = []
-        for i in range(0, len(batch), _BATCH):
-            slots, bit, depth, begin = walk(batch[i : i + _BATCH], self.code)
-            x, gate = inputs(self.zeros, self.ones, slots, None)
-            s = mixed(x, gate, self.weights)
-            p = (1 / (1 + np.exp(-s)) + self.refined[refine_cell(s, depth)]) / 2
-            out.append(np.add.reduceat(np.log10(np.where(bit == 1, p, 1 - p)), begin))
-        return np.concatenate(out) if out else np.zeros(0)
-
-
-def _flush(counts: list[Counter]) -> pa.RecordBatch:
-    w, k, c = [], [], []
-    for i, one in enumerate(counts):
-        w += one.keys()
-        c += one.values()
-        k += [i] * len(one)
-    return pa.RecordBatch.from_arrays([pa.array(w, pa.binary()), pa.array(k, pa.int32()), pa.array(c, pa.int64())], names=["word", "kind", "c"])
-
-
-def classes(docs: DataFrame) -> list[str]:
-    """The commonest languages of training documents; texts of none of them count with the first."""
-    if "lang" not in docs.columns:
-        return []
-    out = docs.where(~held_out(docs["doc_id"]) & docs["lang"].isNotNull()).groupBy(docs["lang"].cast("string").alias("l")).count()
-    return [r.l for r in out.orderBy(F.desc("count"), "l").limit(CLASSES).collect()]
-
-
-def word_counts(docs: DataFrame, names: list[str]) -> DataFrame:
-    """(word, c, n0, n1, ...): training counts of every distinct word of all documents and of the end, and by class."""
-    k = max(1, len(names))
+                h ^= h >> np.uint64(29)
+                before.append(h)
+            names = [(before[n - 1] ^ ((about + np.uint64(1)) * np.uint64(0x94D049BB133111EB) if with_topic else np.uint64(n))) * _MIX for n, with_topic in SPELLED]
+        self.slots = [slots_of(x[self.byte], self.node, SPELL_POWER) for x in names]
+
+    def inputs(self, tables: list[np.ndarray], own: bool) -> tuple[list[np.ndarray], np.ndarray]:
+        got = [counted(t, s, self.bit if own else None) for t, s in zip(tables, self.slots)]
+        return [x for x, _ in got], np.minimum(got[1][1] // 2, 7) * 6 + np.minimum(got[-2][1] // 2, 5)
+
+
+class Steps:
+    """The bits of a run of tokens under the word predictors."""
+
+    def __init__(self, tree: Tree, leaf: np.ndarray, ids: np.ndarray, first: np.ndarray, power: int):
+        self.tree, self.leaf = tree, leaf
+        self.token, self.depth, self.node, self.bit = tree.walk(leaf)
+        one, self.two = context_names(ids, first)
+        self.slots = slots_of(one[self.token], self.node, power)
+
+    def inputs(self, table: np.ndarray, entries: np.ndarray, power: int, own: bool) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+        """Mixer inputs (node, last word, followed word), the gate of each bit, and the state of the followed word."""
+        x, seen = counted(table, self.slots, self.bit if own else None)
+        slot, check = followed(self.two, power)
+        named, times, misses = entries["value"][slot].astype(np.int64), entries["n"][slot].astype(np.int64), entries["miss"][slot].astype(np.int64)
+        guess, same = named & ((1 << LEAF) - 1), (named >> LEAF) == check
+        if own:
+            times, misses = times - (guess == self.leaf), misses - (guess != self.leaf)
+        live = same & (times > 0) & (guess < len(self.tree.length))
+        guess = np.where(live, guess, 0)
+        state = np.where(live, 1 + np.minimum(times - 1, 2) * 2 + (misses > 0), 0)
+        reach = np.minimum(self.depth, (self.tree.length[guess] - 1)[self.token])
+        at = self.tree.offset[guess][self.token] + reach
+        agrees = live[self.token] & (self.tree.node[at] == self.node)
+        y = np.where(agrees, self.tree.bit[at] * np.float32(2) - 1, 0).astype(np.float32)
+        state = np.where(agrees, state[self.token], 0)
+        gate = (np.minimum(seen, SEEN - 1) * FOLLOWED + state) * DEEP + np.minimum(self.depth // 2, DEEP - 1)
+        return [self.tree.odds[self.node], x, y], gate, state
+
+
+ENTRY = np.dtype([("value", "<u4"), ("n", "<u2"), ("miss", "<u2")])
+
+
+class Followers:
+    """For every slot the context of two words seen most in one place, the word that followed it, and how often others did."""
+
+    def __init__(self, power: int):
+        self.power = power
+        self.value, self.n, self.miss = (np.zeros(1 << power, np.int64) for _ in range(3))
+
+    def add(self, names: np.ndarray, leaf: np.ndarray) -> None:
+        slot, check = followed(names, self.power)
+        pair, n = np.unique(slot << 32 | check << LEAF | leaf, return_counts=True)
+        slot, value = pair >> 32, pair & ((1 << 32) - 1)
+        held = self.value[slot]
+        same = (held == value) & (self.n[slot] > 0)
+        self.n[slot[same]] += n[same]
+        miss = ~same & (held >> LEAF == value >> LEAF) & (self.n[slot] > 0)
+        np.add.at(self.miss, slot[miss], n[miss])
+        rest = ~same
+        slot, value, n = slot[rest], value[rest], n[rest]
+        order = np.lexsort((value, -n, slot))
+        slot, value, n = slot[order], value[order], n[order]
+        lead = np.flatnonzero(np.concatenate([[True], slot[1:] != slot[:-1]])) if len(slot) else np.zeros(0, np.int64)
+        slot, value, n = slot[lead], value[lead], n[lead]
+        wins = n > self.n[slot]
+        slot = slot[wins]
+        self.value[slot], self.n[slot], self.miss[slot] = value[wins], n[wins], 0
+
+    def entries(self) -> np.ndarray:
+        out = np.zeros(len(self.value), ENTRY)
+        out["value"], out["n"], out["miss"] = self.value, np.minimum(self.n, 65535), np.minimum(self.miss, 65535)
+        return out
+
+
+def merged(parts: list[np.ndarray]) -> np.ndarray:
+    """Entries of one chunk from several tasks: equal ones add up, and of different ones the most frequent stays."""
+    rows = np.concatenate(parts)
+    place = np.tile(np.arange(len(parts[0])), len(parts))
+    some = np.flatnonzero(rows["n"])
+    key, back = np.unique(place[some].astype(np.int64) << 32 | rows["value"][some], return_inverse=True)
+    n, miss = (np.bincount(back, rows[c][some], len(key)).astype(np.int64) for c in ("n", "miss"))
+    slot = key >> 32
+    order = np.lexsort((key, -n, slot))
+    lead = order[np.flatnonzero(np.concatenate([[True], np.diff(slot[order]) > 0]))] if len(order) else order
+    out = np.zeros(len(parts[0]), ENTRY)
+    out["value"][slot[lead]], out["n"][slot[lead]], out["miss"][slot[lead]] = key[lead] & ((1 << 32) - 1), np.minimum(n[lead], 65535), np.minimum(miss[lead], 65535)
+    return out
+
+
+class Words:
+    """The trained model: ``names`` are the listed words in order of ``counts``; the end and the escape come after them."""
+
+    def __init__(self, names, counts, letters, table, entries, spelled, weights, refined, spell_weights, spell_refined):
+        self.state = (names, counts, letters, table, entries, spelled, weights, refined, spell_weights, spell_refined)
+        self._ready()
+
+    def __getstate__(self):
+        return self.state
+
+    def __setstate__(self, state):
+        self.state = state
+        self._ready()
+
+    def _ready(self):
+        self.names, self.counts, letters, self.table, self.entries, self.spelled, self.weights, self.refined, self.spell_weights, self.spell_refined = self.state
+        self.tree, self.letters = Tree(self.counts), Tree(letters)
+        self.at = {w: i for i, w in enumerate(self.names)}
+        self.escape, self.power = len(self.names) + 1, int(math.log2(len(self.table)))
+
+    def spell(self, batch: list[bytes], topic: np.ndarray) -> np.ndarray:
+        """log10 probability of each word's bytes and the space after it."""
+        out = np.zeros(len(batch))
+        for lo in range(0, len(batch), TOKENS // 2):
+            s = Spelling(self.letters, batch[lo : lo + TOKENS // 2], topic[lo : lo + TOKENS // 2])
+            x, gate = s.inputs(self.spelled, False)
+            z = logit(x, gate, self.spell_weights)
+            p = np.clip((1 / (1 + np.exp(-z)) + self.spell_refined[level_of(z)]) / 2, 1e-6, 1 - 1e-6)
+            word = s.word[s.byte]
+            out[lo : lo + TOKENS // 2] = np.bincount(word, np.log10(np.where(s.bit == 1, p, 1 - p)), len(s.word) and int(s.word[-1]) + 1)
+        return out
+
+    def score(self, texts: list[list[bytes]], span: int = SPAN) -> tuple[np.ndarray, np.ndarray, list[bytes], np.ndarray]:
+        """(log10 probability of each text but for what follows escapes; text, word and spelling of every word that is not listed)."""
+        n = len(texts)
+        leaf, ids, first, odd = read_tokens(texts, self.at)
+        place = np.repeat(np.arange(n), np.diff(np.append(first, len(leaf))))
+        steps = Steps(self.tree, leaf, ids, first, self.power)
+        x, gate, state = steps.inputs(self.table, self.entries, self.power, False)
+        order = np.argsort(-np.bincount(place, minlength=n), kind="stable")  # longest first, so that texts still going are a prefix
+        rank = np.empty(n, np.int64)
+        rank[order] = np.arange(n)
+        block, text = ((np.arange(len(leaf)) - first[place]) // span)[steps.token], rank[place][steps.token]
+        by = np.argsort(block.astype(np.int32), kind="stable")
+        edges = np.searchsorted(block[by], np.arange(int(block.max(initial=0)) + 2))
+        own = np.zeros((n * FOLLOWED, 3))
+        hit, all_ = np.tile(self.refined * FIRM, n), np.full(n * STEPS, FIRM)
+        out = np.zeros(n)
+        for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist()):
+            pick = by[lo:hi]
+            who, y, z, g = text[pick], steps.bit[pick], [c[pick] for c in x], gate[pick]
+            mine = who * FOLLOWED + state[pick]
+            s = np.clip(logit(z, g, self.weights) + sum(own[mine, k] * z[k] for k in range(3)), -14, 14)
+            cell = who * STEPS + level_of(s)
+            p = 1 / (1 + np.exp(-s))
+            q = np.clip((p + hit[cell] / all_[cell]) / 2, 1e-6, 1 - 1e-6)
+            m = int(who.max()) + 1 if len(who) else 0
+            out[:m] += np.bincount(who, np.log10(np.where(y == 1, q, 1 - q)), m)
+            if hi < len(by):  # what this block showed moves the next
+                have, err = np.bincount(mine, minlength=m * FOLLOWED), y - p
+                for k in range(3):
+                    own[: m * FOLLOWED, k] += FAST * np.bincount(mine, err * z[k], m * FOLLOWED) / (1 + have / 256)
+                hit[: m * STEPS] += np.bincount(cell, y, m * STEPS)
+                all_[: m * STEPS] += np.bincount(cell, minlength=m * STEPS)
+        return out[rank], place[leaf == self.escape], odd, self.spell(odd, topics(leaf, first, self.escape))
+
+
+def token_batches(batches):
+    """Training texts as lists of words, about TOKENS tokens at a time."""
+    held, n = [], 0
+    for b in batches:
+        for t in b.column(0).to_pylist():
+            w = words(t)
+            held.append(w)
+            n += len(w) + 1
+            if n >= TOKENS:
+                yield held
+                held, n = [], 0
+    if held:
+        yield held
+
+
+# --- training ---
+
+
+def _flush(counts: Counter) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "c"])
+
+
+def word_counts(docs: DataFrame) -> DataFrame:
+    """(word, c): training counts of every distinct word of all documents and of the end."""
 
     def run(batches):
-        total = [Counter() for _ in range(k)]
+        total: Counter = Counter()
         for b in batches:
-            for out, kind, t in zip(*(b.column(i).to_pylist() for i in range(3))):
-                w, mine = words(t), total[kind]
+            for out, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                w = words(t)
                 if out:
                     for x in w:
-                        mine.setdefault(x, 0)
+                        total.setdefault(x, 0)
                 else:
-                    mine.update(w)
-                    mine[END] += 1
-                if sum(map(len, total)) > HELD:
+                    total.update(w)
+                    total[END] += 1
+                if len(total) > HELD:
                     yield _flush(total)
-                    total = [Counter() for _ in range(k)]
+                    total = Counter()
         yield _flush(total)
 
-    kind = F.lit(0)
-    for i, n in enumerate(names):
-        kind = F.when(docs["lang"].cast("string") == n, i).otherwise(kind)
-    rows = docs.select(held_out(docs["doc_id"]).alias("out"), kind.alias("kind"), text_of(docs).alias("text"))
-    rows = rows.mapInArrow(run, "word binary, kind int, c long")
-    by = [F.sum(F.when(F.col("kind") == i, F.col("c")).otherwise(0)).alias(f"n{i}") for i in range(k)]
-    return written(rows.groupBy("word").agg(F.sum("c").alias("c"), *by), "words")
-
-
-def train(table: DataFrame) -> Mixer:
-    """Fit on all words of the table with a count, each once: counts of words come in later."""
-    seen = table.where("c > 0").select("word", F.lit(1).cast("long").alias("c"))
-
-    def histogram(frames):
+    rows = docs.select(held_out(docs["doc_id"]).alias("out"), text_of(docs).alias("text"))
+    return written(rows.mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c")), "words")
+
+
+def _chunks(total: np.ndarray, first: int = 0) -> pa.RecordBatch:
+    """The chunks of a task's table that are not all zero."""
+    n = -(-len(total) // CHUNK)
+    full = np.zeros(n * CHUNK, total.dtype)
+    full[: len(total)] = total
+    full = full.reshape(n, CHUNK)
+    some = [i for i in range(n) if full[i].tobytes().strip(b"\0")]
+    return pa.RecordBatch.from_arrays([pa.array([first + i for i in some], pa.int64()), pa.array([full[i].tobytes() for i in some], pa.binary())], names=["chunk", "n"])
+
+
+def packed(total: np.ndarray) -> np.ndarray:
+    """Counts of zeros and ones, side by side, as one number a slot; counts stay at the largest a half holds."""
+    both = np.minimum(total, 65535).astype(np.uint32).reshape(-1, 2)
+    return np.ascontiguousarray(both[:, 0] | both[:, 1] << np.uint32(16))
+
+
+def _gathered(rows: DataFrame, power: int) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+    """(table, entries, spelling tables) of all tasks: equal chunks meet, and reach the driver once."""
+    size, letter = 1 << power, 1 << SPELL_POWER
+    words_to = -(-2 * size // CHUNK)
+    entries_to = words_to + -(-size // CHUNK)
+
+    def add(f: pd.DataFrame) -> pd.DataFrame:
+        chunk = int(f["chunk"].iloc[0])
+        if words_to <= chunk < entries_to:
+            out = merged([np.frombuffer(raw, ENTRY) for raw in f["n"]]).tobytes()
+        else:
+            total = np.zeros(CHUNK, np.int64)
+            for raw in f["n"]:
+                total += np.frombuffer(raw, "<u2")
+            out = np.minimum(total, 65535).astype("<u2").tobytes()
+        return pd.DataFrame({"chunk": [chunk], "n": [out]})
+
+    counts = np.zeros((words_to * CHUNK,), "<u2")
+    entries = np.zeros((entries_to - words_to) * CHUNK, ENTRY)
+    letters = np.zeros(2 * letter * len(SPELLED), "<u2")
+    for chunk, raw in rows.groupBy("chunk").applyInPandas(add, "chunk long, n binary").toLocalIterator():  # as many as the tables have, whatever the input
+        kind, base, into = ("<u2", 0, counts) if chunk < words_to else (ENTRY, words_to, entries) if chunk < entries_to else ("<u2", entries_to, letters)
+        into[(chunk - base) * CHUNK : (chunk - base + 1) * CHUNK] = np.frombuffer(raw, kind)
+    return packed(counts[: 2 * size]), entries[:size], [packed(x) for x in letters.reshape(len(SPELLED), -1)]
+
+
+def train(docs: DataFrame, table: DataFrame, tokens: int, end_count: int, listed: int = LISTED) -> Words:
+    """The model of all training texts, from their counts in ``table``."""
+    top = table.where((F.col("c") >= 2) & (F.col("word") != F.lit(END))).orderBy(F.desc("c"), "word").limit(listed).collect()
+    names, counts = [bytes(r.word) for r in top], [r.c for r in top]
+    # a training word of the least listed count would not be listed but for its own occurrence
+    least = counts[-1] if counts else 0
+    escapes = tokens - end_count - sum(counts) + sum(c for c in counts if c == least)
+    counts = np.array([*counts, end_count, max(1, escapes)], np.int64)
+    power = min(MOST, max(LEAST, math.ceil(math.log2(2 * max(tokens, 1)))))
+    spark, size = docs.sparkSession, 1 << power
+
+    def histogram(batches):
         n = np.zeros(256, np.int64)
-        for f in frames:
-            for w, c in zip(f["word"], f["c"]):
-                n[np.frombuffer(w if w == END else w + b" ", np.uint8)] += c  # a byte counts once a word: only code lengths depend on it
-        yield pd.DataFrame({"s": np.arange(256), "n": n})
-
-    counts = np.zeros(256, np.int64)
-    for s, n in seen.mapInPandas(histogram, "s int, n long").groupBy("s").agg(F.sum("n")).collect():
-        counts[s] = n
-    code = Code(counts)
-
-    def gather(frames):
-        total = np.zeros((2, sum(SLOTS)))
-        for f in frames:
-            for i in range(0, len(f), 2 * _BATCH):
-                some = f.iloc[i : i + 2 * _BATCH]
-                slots, bit, _, begin = walk(some["word"].tolist(), code)
-                heavy = np.repeat(some["c"].to_numpy(), np.diff(np.append(begin, len(bit))))
-                for side in (0, 1):
-                    mine = bit == side
-                    total[side] += np.bincount(slots[:, mine].ravel(), np.tile(heavy[mine], len(SLOTS)), minlength=sum(SLOTS))
-        for side in (0, 1):
-            at = np.flatnonzero(total[side])
-            yield pd.DataFrame({"slot": at * 2 + side, "n": total[side][at].astype(np.int64)})
-
-    width = 1 << 13
-
-    def dense(f):
-        out = np.zeros(width, "<f4")
-        out[f["slot"].to_numpy() % width] = f["n"].to_numpy()
-        return pd.DataFrame({"chunk": f["chunk"].iloc[:1], "n": [out.tobytes()]})
-
-    slots_ = seen.mapInPandas(gather, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n"))
-    chunks = slots_.withColumn("chunk", F.floor(F.col("slot") / width)).groupBy("chunk").applyInPandas(dense, "chunk long, n binary")
-    flat = np.zeros(2 * sum(SLOTS), np.float32)
-    for chunk, raw in chunks.toLocalIterator():  # 2 x slots numbers whatever the input
-        flat[chunk * width : (chunk + 1) * width] = np.frombuffer(raw, "<f4")
-    zeros, ones = np.ascontiguousarray(flat[0::2]), np.ascontiguousarray(flat[1::2])
-    gates = GATES_LONG * GATES_MID
-    start = np.full((gates, len(SLOTS) + 1), 0.3, np.float32)
-
-    def learn(frames):
-        w, mass = start.copy(), np.zeros(gates)
-        for f in frames:
-            for i in range(0, len(f), _BATCH):
-                some = f.iloc[i : i + _BATCH]
-                slots, bit, _, begin = walk(some["word"].tolist(), code)
-                c = np.repeat(some["c"].to_numpy(), np.diff(np.append(begin, len(bit)))).astype(np.float64)
-                x, gate = inputs(zeros, ones, slots, bit)
-                for lo in range(0, len(bit), STEP):
-                    g, y, v, z = gate[lo : lo + STEP], bit[lo : lo + STEP], np.sqrt(c[lo : lo + STEP]), x[:, lo : lo + STEP]
-                    err = (y - 1 / (1 + np.exp(-mixed(z, g, w)))) * v
-                    have = np.bincount(g, v, gates)
-                    for k in range(len(w[0])):
-                        w[:, k] += RATE * np.bincount(g, err * z[k], gates) / (have * 4 + 40)
-                    mass += have
-        yield pd.DataFrame({"i": np.arange(w.size), "w": (w * mass[:, None]).ravel(), "m": np.repeat(mass, w.shape[1])})
-
-    weights = start.copy()
-    for i, w, m in seen.mapInPandas(learn, "i int, w double, m double").groupBy("i").agg(F.sum("w"), F.sum("m")).collect():
-        if m:
-            weights.ravel()[i] = w / m
-
-    def outcomes(frames):
-        n, hit = np.zeros(DEPTHS * LEVELS), np.zeros(DEPTHS * LEVELS)
-        for f in frames:
-            for i in range(0, len(f), _BATCH):
-                some = f.iloc[i : i + _BATCH]
-                slots, bit, depth, begin = walk(some["word"].tolist(), code)
-                c = np.repeat(some["c"].to_numpy(), np.diff(np.append(begin, len(bit)))).astype(np.float64)
-                x, gate = inputs(zeros, ones, slots, bit)
-                cell = refine_cell(mixed(x, gate, weights), depth)
-                n += np.bincount(cell, c, len(n))
-                hit += np.bincount(cell, c * bit, len(n))
-        yield pd.DataFrame({"i": np.arange(len(n)), "n": n, "hit": hit})
-
-    level = 1 / (1 + np.exp(-(np.arange(LEVELS) * 16 / (LEVELS - 1) - 8)))
-    refined = np.tile(level, DEPTHS)
-    for i, n, hit in seen.mapInPandas(outcomes, "i int, n double, hit double").groupBy("i").agg(F.sum("n"), F.sum("hit")).collect():
-        refined[i] = (hit + 4 * level[i % LEVELS]) / (n + 4)
-    return Mixer(code, zeros, ones, weights, refined)
-
-
-def scores(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
+        for b in batches:
+            n += np.bincount(np.frombuffer(b" ".join(b.column(0).to_pylist()) + b" ", np.uint8), minlength=256)
+        yield pa.RecordBatch.from_arrays([pa.array(range(256), pa.int32()), pa.array(n)], names=["s", "n"])
+
+    letters = np.zeros(256, np.int64)
+    for s, n in table.where("c = 1").select("word").mapInArrow(histogram, "s int, n long").groupBy("s").agg(F.sum("n")).collect():
+        letters[s] = n
+    kit = spark.sparkContext.broadcast((names, counts, letters))  # at most LISTED words
+    texts = docs.where(~held_out(docs["doc_id"])).select(text_of(docs).alias("text"))
+    texts = texts.coalesce(max(2, spark.sparkContext.defaultParallelism))  # each task hands on whole tables
+
+    def opened():
+        names, counts, letters = kit.value
+        return Tree(counts), Tree(letters), {w: i for i, w in enumerate(names)}
+
+    def gather(batches):
+        tree, spelling, at = opened()
+        total, letter = np.zeros(2 * size, np.int64), [np.zeros(2 << SPELL_POWER, np.int64) for _ in SPELLED]
+        follow, wait, n = Followers(power), [[] for _ in range(1 + len(SPELLED))], 0
+
+        def settle():
+            for into, some in zip([total, *letter], wait):
+                if some:
+                    into += np.bincount(np.concatenate(some), minlength=len(into))
+                    some.clear()
+
+        for some in token_batches(batches):
+            leaf, ids, first, odd = read_tokens(some, at)
+            steps = Steps(tree, leaf, ids, first, power)
+            follow.add(steps.two, leaf)
+            s = Spelling(spelling, odd, topics(leaf, first, len(at) + 1))
+            for x, slot, bit in zip(wait, [steps.slots, *s.slots], [steps.bit] + [s.bit] * len(SPELLED)):
+                x.append(slot * 2 + bit)
+            n += len(steps.bit) + len(s.bit)
+            if n > 3_000_000:
+                settle()
+                n = 0
+        settle()
+        yield _chunks(np.minimum(total, 65535).astype("<u2"))
+        first = -(-2 * size // CHUNK)
+        yield _chunks(follow.entries(), first)
+        first += -(-size // CHUNK)
+        yield _chunks(np.minimum(np.concatenate(letter), 65535).astype("<u2"), first)
+
+    found, entries, spelled = _gathered(texts.mapInArrow(gather, "chunk long, n binary"), power)
+    held = spark.sparkContext.broadcast((found, entries, spelled))  # at most 3 x 2^MOST and 5 x 2^SPELL_POWER numbers
+    start, start_spell = start_weights(), np.full((SPELL_GATES, len(SPELLED)), 1.2 / len(SPELLED), np.float32)
+
+    def learn(batches):
+        tree, spelling, at = opened()
+        by_word, by_letter = Learner(start), Learner(start_spell)
+        for some in token_batches(batches):
+            leaf, ids, first, odd = read_tokens(some, at)
+            steps = Steps(tree, leaf, ids, first, power)
+            x, gate, _ = steps.inputs(held.value[0], held.value[1], power, True)
+            by_word.learn(x, gate, steps.bit)
+            if odd:
+                s = Spelling(spelling, odd, topics(leaf, first, len(at) + 1))
+                by_letter.learn(*s.inputs(held.value[2], True), s.bit)
+        out = pd.concat([by_word.rows(0), by_letter.rows(start.size + STEPS)])
+        yield pa.RecordBatch.from_pandas(out, preserve_index=False)
+
+    rows = texts.mapInArrow(learn, "i int, w long, m long").groupBy("i").agg(F.sum("w"), F.sum("m")).collect()  # a row a weight
+    sums = {i: (w, m) for i, w, m in rows}
+    weights, refined = averaged(sums, 0, start)
+    return Words(names, counts, letters, found, entries, spelled, weights, refined, *averaged(sums, start.size + STEPS, start_spell))
+
+
+def scores(docs: DataFrame, listed: int = LISTED) -> DataFrame:
     """One row per row of ``docs``: counts, the unigram base score and the model's log10 probability."""
-    names = classes(docs)
-    k = max(1, len(names))
-    table = word_counts(docs, names)
-    per = [f(f"n{i}") for i in range(k) for f in (F.sum, lambda c: F.count(F.when(F.col(c) > 0, 1)))]
-    ends = [F.max(F.when(F.col("word") == F.lit(END), F.col(c))) for c in ["c", *(f"n{i}" for i in range(k))]]
-    n, v, *rest = (x or 0 for x in table.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1)), *per, *ends).first())
-    tokens_of, types_of, (end_c, *end_n) = rest[0 : 2 * k : 2], rest[1 : 2 * k : 2], rest[2 * k :]
-    model = train(table)
+    table = word_counts(docs)
+    once, twice = (F.count(F.when(F.col("c") == k, 1)) for k in (1, 2))
+    is_end = F.col("word") == F.lit(END)
+    n, v, end_c, n1, n2 = (x or 0 for x in table.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1)), F.max(F.when(is_end, F.col("c"))), once, twice).first())
+    model = train(docs, table, n, end_c, listed)
+    held = docs.sparkSession.sparkContext.broadcast(model)
     floor = n + 0.5 * (v + 1)
-
-    def by_class(counts, lp):
-        """log10 of the class's discounted share plus the model's; sums of logs, as long words lie below what a double holds."""
-        with np.errstate(divide="ignore"):
-            return [
-                np.logaddexp(np.log(np.maximum(c - DISCOUNT, 0) / m), lp * math.log(10) + math.log(DISCOUNT * t / m)) / math.log(10) if m else lp
-                for c, m, t in zip(counts, tokens_of, types_of)
-            ]
-
-    def score(frames):
-        for f in frames:
-            lp = model.log10(f["word"].tolist())
-            out = by_class([f[f"n{i}"].to_numpy() for i in range(k)], lp)
-            cols = {f"l{i}": x for i, x in enumerate(out)}
-            yield pd.DataFrame({"word": f["word"], "c": f["c"], **cols})
-
-    ls = [f"l{i}" for i in range(k)]
-    scored = written(table.mapInPandas(score, "word binary, c long, " + ", ".join(f"{x} double" for x in ls)), "scored")
-    common = scored.orderBy(F.desc("c"), "word").limit(frequent).collect()
-    common = [r for r in common if bytes(r.word) != END]
-    listed = {bytes(r.word): i for i, r in enumerate(common)}
-    base_of = np.log10((np.array([r.c for r in common], float) + 0.5) / floor)
-    known_of = np.array([r.c > 0 for r in common], np.int64)
-    ls_of = np.array([[r[x] for x in ls] for r in common], float).reshape(-1, k)
-    end_lp = model.log10([END])
-    end_base, end_ls = math.log10((end_c + 0.5) / floor), [float(x[0]) for x in by_class([np.array([c]) for c in end_n], end_lp)]
+    base_end = math.log10((end_c + 0.5) / floor)
+    off = (n1 + 0.5) / (n1 + 2 * n2 + 1)  # taken off the count of every rare word, for the new ones
+    rare_tokens, rare_types = n - int(model.counts[:-1].sum()), v - len(model.names) - (end_c > 0)
+    new = math.log10(off * rare_types / rare_tokens) if rare_tokens else 0.0
 
     def texts(batches):
+        model = held.value
+        base = np.log10((model.counts[:-2] + 0.5) / floor)
         part, row = TaskContext.get().partitionId() << 40, 0
-        fixed = ("doc_id", "held_out", "n_tokens", "bytes", "known", "base", *(f"s{i}" for i in range(k)))
-        kinds = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), *[pa.float64()] * k)
+        kinds = {"rid": pa.int64(), "word": pa.binary(), "tf": pa.int64(), "spelled": pa.float64(), "doc_id": pa.int64(), "held_out": pa.bool_(),
+                 "n_tokens": pa.int64(), "bytes": pa.int64(), "known": pa.int64(), "base": pa.float64(), "score": pa.float64()}
+
+        def flush(heads, docs_):
+            nonlocal row
+            total, whose, odd, spelled = model.score(docs_)
+            tally: dict = {}
+            for k, w, s in zip(whose.tolist(), odd, spelled.tolist()):
+                c, t = tally.get((k, w), (0, 0.0))
+                tally[k, w] = c + 1, t + s
+            ids = [part + row + k for k in range(len(docs_))]
+            row += len(docs_)
+            n_odd = np.bincount(whose, minlength=len(docs_)).tolist()
+            whole = []
+            for (doc, is_out), w, s, k, this in zip(heads, docs_, total.tolist(), n_odd, ids):
+                in_list = [i for i in map(model.at.get, w) if i is not None] if k else [model.at[x] for x in w]
+                whole.append((doc, is_out, len(w) + 1, sum(map(len, w)) + len(w) + 1, len(in_list) + int(end_c > 0), float(base[in_list].sum() if in_list else 0) + base_end, s))
+            gap = [None] * len(tally)
+            # no word starts with a space, so the row of the text itself meets none
+            cols = [[ids[k] for k, _ in tally] + ids, [w for _, w in tally] + [b" " + i.to_bytes(8, "big") for i in ids],
+                    [c for c, _ in tally.values()] + [0] * len(ids), [t for _, t in tally.values()] + [None] * len(ids)]
+            cols += [gap + [x[i] for x in whole] for i in range(7)]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds.values())], names=list(kinds))
+
+        heads, docs_, size = [], [], 0
         for b in batches:
-            for at in range(0, b.num_rows, 500):
-                some = b.slice(at, 500)
-                rid, word, tf, heads = [], [], [], []
-                whole = []
-                for doc, out, t in zip(*(some.column(i).to_pylist() for i in range(3))):
-                    w = words(t)
-                    this, row = part + row, row + 1
-                    at_, n_ = [], []
-                    for x, c in Counter(w).items():
-                        if (e := listed.get(x)) is not None:
-                            at_.append(e)
-                            n_.append(c)
-                        else:
-                            word.append(x)
-                            rid.append(this)
-                            tf.append(c)
-                    e, m = np.array(at_, np.int64), np.array(n_, np.int64)
-                    sums = m @ ls_of[e] if len(e) else np.zeros(k)
-                    whole.append((doc, out, len(w) + 1, sum(map(len, w)) + len(w) + 1, int(m @ known_of[e]) + int(end_c > 0),
-                                  float(m @ base_of[e]) + end_base, *(float(x) + y for x, y in zip(sums, end_ls))))
-                    heads.append(this)
-                gap = [None] * len(word)
-                # no word starts with a space, so the row of the text itself meets none
-                cols = [pa.array(rid + heads, pa.int64()), pa.array(word + [b" " + h.to_bytes(8, "big") for h in heads], pa.binary()), pa.array(tf + [0] * len(heads), pa.int64())]
-                cols += [pa.array(gap + [x[i] for x in whole], kinds[i]) for i in range(len(fixed))]
-                yield pa.RecordBatch.from_arrays(cols, names=["rid", "word", "tf", *fixed])
+            for doc, is_out, t in zip(*(b.column(i).to_pylist() for i in range(3))):
+                w = words(t)
+                heads.append((doc, is_out))
+                docs_.append(w)
+                size += len(w) + 1
+                if size >= TOKENS:
+                    yield flush(heads, docs_)
+                    heads, docs_, size = [], [], 0
+        if heads:
+            yield flush(heads, docs_)
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), held_out(docs["doc_id"]).alias("held_out"), text_of(docs).alias("text"))
-    schema = "rid long, word binary, tf long, doc_id long, held_out boolean, n_tokens long, bytes long, known long, base double, "
-    rows = rows.mapInArrow(texts, schema + ", ".join(f"s{i} double" for i in range(k)))
-    met = rows.join(scored, "word", "left")
-    tf, zero = F.col("tf"), F.lit(0.0)
-    one = met.select(
-        "rid", "doc_id", "held_out", "n_tokens", "bytes",
-        (F.coalesce("known", F.lit(0)) + F.when(F.col("c") > 0, tf).otherwise(0)).alias("known"),
-        (F.coalesce("base", zero) + F.coalesce(tf * F.log10((F.col("c") + 0.5) / floor), zero)).alias("base"),
-        *((F.coalesce(f"s{i}", zero) + F.coalesce(tf * F.col(f"l{i}"), zero)).alias(f"s{i}") for i in range(k)),
-    )
-    out = one.groupBy("rid").agg(
+    schema = "rid long, word binary, tf long, spelled double, doc_id long, held_out boolean, n_tokens long, bytes long, known long, base double, score double"
+    met = rows.mapInArrow(texts, schema).join(table, "word", "left")
+    tf, zero, seen = F.col("tf"), F.lit(0.0), F.col("c") > 0
+    after = F.when(seen, tf * F.log10((F.col("c") - off) / rare_tokens)).otherwise(F.col("spelled") + tf * new) if rare_tokens else F.col("spelled")
+    out = met.groupBy("rid").agg(
         F.max("doc_id").alias("doc_id"), F.max("held_out").alias("held_out"), F.max("n_tokens").alias("n_tokens"),
-        F.sum("known").cast("long").alias("n_known"), F.sum("base").alias("base_score"), F.max("bytes").alias("bytes"),
-        *(F.sum(f"s{i}").alias(f"s{i}") for i in range(k)),
+        F.sum(F.coalesce("known", F.lit(0)) + F.when(seen, tf).otherwise(0)).cast("long").alias("n_known"),
+        F.sum(F.coalesce("base", zero) + F.coalesce(tf * F.log10((F.col("c") + 0.5) / floor), zero)).alias("base_score"),
+        F.max("bytes").alias("bytes"), F.sum(F.coalesce("score", zero) + F.coalesce(after, zero)).alias("score"),
     )
-    prior = [(c + 1) / (sum(end_n) + k) for c in end_n]
-    logs = [F.col(f"s{i}") + math.log10(p) for i, p in enumerate(prior)]
-    top = F.greatest(*logs) if k > 1 else logs[0]
-    total = sum((F.pow(F.lit(10.0), x - top) for x in logs), F.lit(0.0))
-    out = out.withColumn("score", top + F.log10(total))
     return out.select(
         "doc_id", "held_out", "n_tokens", "n_known", F.lit(int(n)).cast("long").alias("train_tokens"), "base_score", "score",
         (-F.col("score") * math.log2(10) / F.col("bytes")).alias("bits_per_byte"),

@@ -136,31 +136,135 @@ def test_lm_base_and_whole(edge, edge_rows, empty):
         if not out(i):
             c.update([*w(t), lm_score.END])
     n, v = sum(c.values()), len(c)
-    for frequent in (0, 10, 10**5):
-        got = lm_score.scores(edge, frequent).collect()
+    for listed in (0, 10, 10**5):
+        got = lm_score.scores(edge, listed).collect()
         mine = Counter((r.doc_id, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 6)) for r in got)
         assert mine == Counter(
             (i, out(i), len(w(t)) + 1, sum(c[x] > 0 for x in [*w(t), lm_score.END]), n,
              round(sum(math.log10((c[x] + 0.5) / (n + 0.5 * (v + 1))) for x in [*w(t), lm_score.END]), 6)) for i, t in edge_rows
         )
-        totals = sorted(r.score for r in got)
-        assert all(math.isfinite(s) and s < 0 for s in totals)
-        assert frequent == 0 or totals == pytest.approx(last, rel=1e-9)
-        last = totals
+        assert all(math.isfinite(r.score) and r.score < 0 for r in got)
+    again = Counter((r.doc_id, r.score) for r in lm_score.scores(edge, 10**5).collect())
+    assert again == Counter((r.doc_id, r.score) for r in got)
     assert lm_score.scores(empty).count() == 0
-
-
-def test_lm_is_a_distribution(spark):
-    t = spark.createDataFrame([(w.encode(), 3) for w in "the then that abc xyz q of".split()], "word binary, c long")
-    m = lm_score.train(t)
-    some = [lm_score.END] + [bytes([a]) for a in range(256) if a not in b" \n"] + [bytes([a, b]) for a in range(97, 123) for b in range(97, 123)]
-    p = 10 ** m.log10(some)
-    assert p.sum() <= 1 + 1e-6 and m.log10([b"the"])[0] > m.log10([b"tqe"])[0]
-
-
-@pytest.mark.skipif(not os.path.exists(SF1), reason="needs the tables")
-def test_lm_beats_unigrams_on_held_out_texts(spark):
-    r = lm_score.scores(spark.read.parquet(f"{SF1}/documents.parquet")).where("held_out").agg(F.sum("score"), F.sum("base_score")).first()
+    assert lm_score.scores(edge.where(lm_score.held_out(edge["doc_id"]))).where("train_tokens = 0 and n_known = 0 and score < 0").count() > 0
+
+
+@pytest.fixture(scope="module")
+def lm(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    table = lm_score.word_counts(docs)
+    n, end = table.agg(F.sum("c"), F.max(F.when(F.col("word") == F.lit(lm_score.END), F.col("c")))).first()
+    texts = [lm_score.words(r.text) for r in docs.orderBy("doc_id").limit(60).collect()]
+    return lm_score.train(docs, table, n, end, 3000), [t for t in texts if t]
+
+
+def test_lm_words_are_a_distribution(lm):
+    model, texts = lm
+    for t in texts[:4]:
+        leaf, ids, first, _ = lm_score.read_tokens([t[:6]], model.at)
+        k, n = len(leaf) - 1, len(model.counts)
+        leaves, names = np.tile(leaf, (n, 1)), np.tile(ids, (n, 1))
+        leaves[:, k] = names[:, k] = np.arange(n)
+        steps = lm_score.Steps(model.tree, leaves.ravel(), names.ravel(), np.arange(n) * (k + 1), model.power)
+        x, gate, _ = steps.inputs(model.table, model.entries, model.power, False)
+        z = lm_score.logit(x, gate, model.weights)
+        p = (1 / (1 + np.exp(-z)) + model.refined[lm_score.level_of(z)]) / 2
+        mine = steps.token % (k + 1) == k
+        logs = np.bincount(steps.token[mine] // (k + 1), np.log(np.where(steps.bit == 1, p, 1 - p))[mine], n)
+        assert np.exp(logs).sum() == pytest.approx(1, abs=1e-6)
+
+
+def test_lm_spelling_is_a_distribution(lm):
+    model, _ = lm
+    some = [bytes([a]) for a in range(256) if a not in b" \n\t\r\x0b\x0c"] + [bytes([a, b]) for a in range(97, 123) for b in range(97, 123)]
+    p = 10 ** model.spell(some, np.zeros(len(some), np.int64))
+    assert 0 < p.sum() <= 1 + 1e-6
+
+
+def plain_score(model, text, span):
+    """The words' part of one text, bit by bit."""
+    leaf, ids, first, _ = lm_score.read_tokens([text], model.at)
+    one, two = lm_score.context_names(ids, first)
+    own, hit, seen = np.zeros((lm_score.FOLLOWED, 3)), model.refined * lm_score.FIRM, np.full(lm_score.STEPS, lm_score.FIRM)
+    total, wait = 0.0, []
+    for k, to in enumerate(leaf.tolist()):
+        if k % span == 0 and k:
+            n, slope = Counter(), np.zeros((lm_score.FOLLOWED, 3))
+            for state, x, err, cell, bit in wait:
+                n[state] += 1
+                slope[state] += err * x
+                hit[cell] += bit
+                seen[cell] += 1
+            for state in n:
+                own[state] += lm_score.FAST * slope[state] / (1 + n[state] / 256)
+            wait = []
+        slot, check = lm_score.followed(two[k : k + 1], model.power)
+        e = model.entries[slot[0]]
+        named, times, miss = int(e["value"]), int(e["n"]), int(e["miss"])
+        guess = named & ((1 << lm_score.LEAF) - 1)
+        live = times > 0 and named >> lm_score.LEAF == check[0] and guess < len(model.counts)
+        path = lambda f: list(zip(*(c[model.tree.offset[f] : model.tree.offset[f] + model.tree.length[f]].tolist() for c in (model.tree.node, model.tree.bit))))
+        follow = path(guess) if live else []
+        for depth, (node, bit) in enumerate(path(to)):
+            both = int(model.table[lm_score.slots_of(one[k : k + 1], np.array([node]), model.power)[0]])
+            n0, n1 = both & 0xFFFF, both >> 16
+            agrees = depth < len(follow) and follow[depth][0] == node or live and depth >= len(follow) and follow[-1][0] == node
+            at = min(depth, len(follow) - 1)
+            x = np.array([model.tree.odds[node], math.log((n1 + 0.4) / (n0 + 0.4)), (2 * follow[at][1] - 1) if agrees else 0])
+            state = 1 + min(times - 1, 2) * 2 + (miss > 0) if agrees else 0
+            seen1 = min(math.ceil(math.log2(min(n0 + n1, 65535) + 1)), lm_score.SEEN - 1)
+            gate = (seen1 * lm_score.FOLLOWED + state) * lm_score.DEEP + min(depth // 2, lm_score.DEEP - 1)
+            s = max(-14, min(14, float(x @ model.weights[gate]) + float(x @ own[state])))
+            cell = int(np.clip(round((s + 8) * (lm_score.STEPS - 1) / 16), 0, lm_score.STEPS - 1))
+            p = 1 / (1 + math.exp(-s))
+            q = min(max((p + hit[cell] / seen[cell]) / 2, 1e-6), 1 - 1e-6)
+            total += math.log10(q if bit else 1 - q)
+            wait.append((state, x, bit - p, cell, bit))
+    return total
+
+
+def test_lm_scores_bit_by_bit(lm):
+    model, texts = lm
+    some = sorted(texts, key=len)[:25]
+    got = model.score(some, span=8)[0]
+    assert got == pytest.approx([plain_score(model, t, 8) for t in some], rel=1e-4)
+    alone = [model.score([t], span=8)[0][0] for t in some]
+    assert got == pytest.approx(alone, rel=1e-9)  # a text's score does not depend on what it is scored with
+
+
+def test_lm_order_of_words_counts(lm):
+    model, texts = lm
+    r = random.Random(3)
+    long = [t for t in texts if len(t) > 100][:8]
+    mixed = [r.sample(t, len(t)) for t in long]
+    assert model.score(long)[0].sum() > model.score(mixed)[0].sum() * 0.9
+
+
+def test_followers_keep_the_most_frequent():
+    r = np.random.default_rng(1)
+    names, leaf = r.integers(0, 1 << 63, 40, dtype=np.uint64)[r.integers(0, 40, 500)], r.integers(0, 3, 500)
+    f = lm_score.Followers(14)
+    f.add(names, leaf)
+    got = f.entries()
+    for x in set(names.tolist()):
+        n = Counter(leaf[names == x].tolist())
+        slot, check = lm_score.followed(np.array([x], np.uint64), 14)
+        e = got[slot[0]]
+        top = max(n.values())
+        assert e["n"] == top and int(e["value"]) & 3 == min(k for k, c in n.items() if c == top) and int(e["value"]) >> lm_score.LEAF == check[0]
+    half = [lm_score.Followers(14) for _ in range(2)]
+    for h, part in zip(half, (slice(0, 250), slice(250, 500))):
+        h.add(names[part], leaf[part])
+    one, other = (lm_score.merged([h.entries() for h in order]) for order in (half, half[::-1]))
+    assert (one == other).all()
+
+
+@pytest.mark.parametrize("where", ["/root/testdata/sf0.01", SF1])
+def test_lm_beats_unigrams_on_held_out_texts(spark, where):
+    if not os.path.exists(where):
+        pytest.skip("needs the tables")
+    r = lm_score.scores(spark.read.parquet(f"{where}/documents.parquet")).where("held_out").agg(F.sum("score"), F.sum("base_score")).first()
     assert r[0] > r[1]
 
 
