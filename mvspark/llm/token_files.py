@@ -3,7 +3,7 @@
 A shard file is: magic, version and sizes; the keys and first ids of its records; a minimal
 perfect hash of its distinct keys (a displacement per bucket, then per slot a 32-bit fingerprint
 and the record it names); the raw ids, 2 or 4 bytes each. A key costs one hash, one displacement, one
-slot and one range of the payload, however large the shard. Fingerprints turn away keys that
+slot and one range of the payload, however large the shard, read by position. Fingerprints turn away keys that
 are not there; the stored key settles the rest. A manifest table names the files in key order.
 
 Defined results: null or empty text is its end id alone; a null doc_id sorts last and is read in
@@ -124,42 +124,70 @@ def _store(path: str):
 
 
 class Shard:
-    """A shard file opened for keyed or sequential reading; the payload is read by range."""
+    """A shard file opened for keyed or sequential reading.
+
+    Opening reads the head alone. ``get`` then reads one displacement, one slot, one key, two offsets and one range
+    of the payload, whatever the shard holds; ``find`` on many keys and ``records`` read whole columns once.
+    """
 
     def __init__(self, path: str):
         store, at = _store(path)
-        self.file = store.open_input_file(at)
-        magic, version, self.width, n, known, buckets, self.n_tokens = HEAD.unpack(self.file.read_at(HEAD.size, 0))
+        self.file, self.reads = store.open_input_file(at), 0
+        magic, version, self.width, self.n, self.known, self.buckets, self.n_tokens = HEAD.unpack(self._read(HEAD.size, 0))
         if magic != MAGIC or version != 1:
             raise ValueError(f"{path} is no token file")
-        at = HEAD.size
-
-        def take(kind: str, count: int) -> np.ndarray:
-            nonlocal at
-            out = np.frombuffer(self.file.read_at(np.dtype(kind).itemsize * count, at), kind)
-            at += out.nbytes
-            return out
-
-        self.null, self.keys, self.offsets = take("u1", n), take("<i8", n), take("<u8", n + 1)
-        self.index = PerfectHash(take("<i8", buckets).astype(np.int64), known)
-        self.prints, self.record, self.body = take("<u4", known), take("<u4", known), at
+        sizes = {"null": ("u1", self.n), "keys": ("<i8", self.n), "offsets": ("<u8", self.n + 1), "shift": ("<i8", self.buckets),
+                 "prints": ("<u4", self.known), "record": ("<u4", self.known)}
+        self.place, at = {}, HEAD.size
+        for name, (kind, count) in sizes.items():
+            self.place[name] = (np.dtype(kind), at, count)
+            at += np.dtype(kind).itemsize * count
+        self.body = at
+        self.whole: dict[str, np.ndarray] = {}
+
+    def _read(self, n: int, at: int) -> bytes:
+        self.reads += n
+        return self.file.read_at(n, at)
+
+    def some(self, name: str, at: int, n: int = 1) -> np.ndarray:
+        """``n`` values of a column from place ``at``."""
+        if name in self.whole:
+            return self.whole[name][at : at + n]
+        kind, base, _ = self.place[name]
+        return np.frombuffer(self._read(kind.itemsize * n, base + kind.itemsize * at), kind)
+
+    def column(self, name: str) -> np.ndarray:
+        if name not in self.whole:
+            self.whole[name] = self.some(name, 0, self.place[name][2])
+        return self.whole[name]
 
     def find(self, keys) -> np.ndarray:
-        """Record numbers of keys, -1 where absent."""
+        """Record numbers of many keys, -1 where absent."""
         keys = np.asarray(keys, "<i8").view(np.uint64)
-        if not self.index.n:
+        if not self.known:
             return np.full(len(keys), -1, np.int64)
-        at = self.index.slots(keys)
-        r = self.record[at].astype(np.int64)
-        return np.where((self.prints[at] == fingerprints(keys)) & (self.keys[r].view(np.uint64) == keys), r, -1)
+        at = PerfectHash(self.column("shift").astype(np.int64), self.known).slots(keys)
+        r = self.column("record")[at].astype(np.int64)
+        return np.where((self.column("prints")[at] == fingerprints(keys)) & (self.column("keys")[r].view(np.uint64) == keys), r, -1)
+
+    def locate(self, key: int) -> int:
+        """Record number of one key, -1 where absent, by a fixed number of small reads."""
+        if not self.known:
+            return -1
+        one = np.array([key], "<i8").view(np.uint64)
+        d = int(self.some("shift", int(mix(one, 0)[0] % np.uint64(self.buckets)))[0])
+        slot = -d - 1 if d < 0 else int(mix(one, d)[0] % np.uint64(self.known))
+        if self.some("prints", slot)[0] != fingerprints(one)[0]:
+            return -1
+        r = int(self.some("record", slot)[0])
+        return r if int(self.some("keys", r)[0]) == key else -1
 
     def ids(self, record: int) -> np.ndarray:
-        lo, hi = int(self.offsets[record]), int(self.offsets[record + 1])
-        raw = self.file.read_at((hi - lo) * self.width, self.body + lo * self.width)
-        return np.frombuffer(raw, f"<u{self.width}")
+        lo, hi = (int(x) for x in self.some("offsets", record, 2))
+        return np.frombuffer(self._read((hi - lo) * self.width, self.body + lo * self.width), f"<u{self.width}")
 
     def get(self, key: int) -> np.ndarray | None:
-        r = int(self.find([key])[0])
+        r = self.locate(key)
         return None if r < 0 else self.ids(r)
 
 
@@ -227,19 +255,19 @@ def read_token_files(manifest: DataFrame) -> DataFrame:
         for batch in batches:
             for path, before in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 shard = Shard(path)
-                live = np.flatnonzero(shard.null == 0)
-                found = shard.find(shard.keys[live])
-                if (found < 0).any() or (shard.keys[found] != shard.keys[live]).any():
+                null, keys = shard.column("null"), shard.column("keys")
+                live = np.flatnonzero(null == 0)
+                found = shard.find(keys[live])
+                if (found < 0).any() or (keys[found] != keys[live]).any():
                     raise ValueError(f"the index of {path} misses keys")
-                n = len(shard.keys)
-                for lo in range(0, n, 2000):
-                    hi = min(n, lo + 2000)
-                    a = shard.offsets.astype(np.int64)
+                a = shard.column("offsets").astype(np.int64)
+                for lo in range(0, shard.n, 2000):
+                    hi = min(shard.n, lo + 2000)
                     raw = shard.file.read_at(int(a[hi] - a[lo]) * shard.width, shard.body + int(a[lo]) * shard.width)
                     wide = np.frombuffer(raw, f"<u{shard.width}").astype("<u4")
                     crc = [zlib.crc32(wide[x:y]) for x, y in zip((a[lo:hi] - a[lo]).tolist(), (a[lo + 1 : hi + 1] - a[lo]).tolist())]
                     yield pa.RecordBatch.from_arrays([
-                        pa.array(shard.keys[lo:hi], pa.int64(), mask=shard.null[lo:hi] != 0), pa.array(before + a[lo:hi]),
+                        pa.array(keys[lo:hi], pa.int64(), mask=null[lo:hi] != 0), pa.array(before + a[lo:hi]),
                         pa.array(np.diff(a[lo : hi + 1])), pa.array(crc, pa.int64())], schema=kind)
 
     dealt = with_starts(manifest).select("path", "before").repartition(min(files, 20_000), "path")
@@ -247,25 +275,51 @@ def read_token_files(manifest: DataFrame) -> DataFrame:
 
 
 def fetch(manifest: DataFrame, keys: DataFrame) -> DataFrame:
-    """Ids by key: (doc_id, ids array) for the doc_ids of ``keys`` that are in the files, through the index."""
-    spans = manifest.where("low is not null").select("path", "low", "high")
-    asked = keys.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct()
-
-    def get(key, frames):
-        import pandas as pd
+    """Ids by key: (doc_id, ids array) for the doc_ids of ``keys`` that are in the files, through the index.
+
+    A key finds its partitions in the list of their spans (as many as the writing shuffle had, whatever the
+    input), meets their files by an equi-join and is then looked up in one file. A lookup reads a few small
+    ranges; only where a task has many keys of one file does it read the index columns once.
+    """
+    spans = manifest.where("low is not null").select("path", "part", "low", "high")
+    parts = spans.groupBy("part").agg(F.min("low").alias("low"), F.max("high").alias("high")).orderBy("low").collect()
+    lows, highs = (np.array([r[c] for r in parts], np.int64) for c in ("low", "high"))
+    names = np.array([r.part for r in parts], np.int64)
+    reach = np.maximum.accumulate(highs) if len(highs) else highs  # spans touch where one doc_id is in two partitions
+
+    def route(batches):
+        for b in batches:
+            k = b.column(0).to_numpy()
+            first, end = np.searchsorted(reach, k, side="left"), np.searchsorted(lows, k, side="right")
+            n = np.maximum(end - first, 0)
+            at = np.repeat(first, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(k, n)), pa.array(names[at].astype(np.int32))], names=["doc_id", "part"])
 
-        shard = Shard(key[0])
-        for f in frames:
-            rec = shard.find(f["doc_id"].to_numpy())
-            yield pd.DataFrame({"doc_id": f["doc_id"][rec >= 0], "ids": [shard.ids(int(r)).astype(np.int64) for r in rec if r >= 0]})
-
-    def whole(key, frame):
-        import pandas as pd
-
-        return pd.concat(list(get(key, [frame])))
-
-    hit = asked.join(spans, F.col("doc_id").between(F.col("low"), F.col("high")))
-    return hit.select("path", "doc_id").groupBy("path").applyInPandas(whole, "doc_id long, ids array<long>")
+    asked = keys.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct()
+    hit = asked.mapInArrow(route, "doc_id long, part int").join(spans, "part").where(F.col("doc_id").between(F.col("low"), F.col("high")))
+
+    def get(batches):
+        shard, path = None, None
+        for b in batches:
+            docs, found = [], []
+            column = b.column(0).to_pylist()
+            for i, k in enumerate(b.column(1).to_pylist()):
+                if column[i] != path:
+                    path = column[i]
+                    shard = Shard(path)
+                    many = column[i:].count(path)
+                    if many * 64 > shard.known:  # cheaper to read the columns once
+                        for name in ("shift", "prints", "record", "keys", "offsets"):
+                            shard.column(name)
+                ids = shard.get(k)
+                if ids is not None:
+                    docs.append(k)
+                    found.append(ids.astype(np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(docs, pa.int64()), pa.array(found, pa.list_(pa.int64()))], names=["doc_id", "ids"])
+
+    dealt = hit.select("path", "doc_id").repartition("path").sortWithinPartitions("path", "doc_id")
+    out = dealt.mapInArrow(get, "doc_id long, ids array<long>")
+    return out.dropDuplicates(["doc_id"])  # rows with one doc_id may lie in two files
 
 
 def encode_to_files(docs: DataFrame, end: int = END, tokenizer: str | None = None, path: str | None = None) -> DataFrame:
