@@ -38,10 +38,11 @@ def shared_path(spark: SparkSession, label: str) -> str:
     return path
 
 
-def written(df: DataFrame, label: str, codec: str = "zstd") -> DataFrame:
+def written(df: DataFrame, label: str, codec: str = "zstd", by: str | None = None) -> DataFrame:
     """Write a table to the shared folder and read it again: cuts lineage, survives lost executors."""
     spark, path = df.sparkSession, shared_path(df.sparkSession, label)
-    df.write.option("compression", codec).parquet(path)
+    to = df.write.option("compression", codec)
+    (to.partitionBy(by) if by else to).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

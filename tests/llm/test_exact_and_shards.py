@@ -83,6 +83,41 @@ def test_resharding(edge, edge_rows):
         slots[r.shard].append(r.slot)
     assert all(sorted(s) == list(range(len(s))) for s in slots.values())
     assert max(load.values()) - total / 4 <= 60_001
+    assert all(r.moved == (r.shard != r.old_shard) for r in got)
+
+
+def test_rewrite_touches_affected_shards_only(spark, tmp_path):
+    text = lambda i: "x" * (i * 7 % 90)
+    rows = [(i, text(i), i % 4, "a", 9) for i in range(800)] + [(5, text(5), 1, "a", 9)] * 3 + [(None, None, 1, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, old int, own string, shard int")
+    lay = sharding.layout(docs, F.when(docs["old"] < 2, 1).otherwise(docs["old"])).persist()
+    supply = Counter()
+    for r in lay.collect():
+        supply[r.old_shard] += r["size"]
+    # capacities that shards 2 and 3 fill exactly stay as they are
+    place = sharding.place(lay, 4, 8).persist()
+    out, touched = sharding.rewrite(lay, place, f"file://{tmp_path}/new")
+    got = out.collect()
+    assert Counter(tuple(r.row) for r in got) == Counter(rows)
+    files = {int(p.name[6:]) for p in (tmp_path / "new").glob("shard=*")}
+    assert files == {r.shard for r in got} <= set(touched) | {r.shard for r in got}
+    moved = sum(len(r.row.text or "") + 1 for r in got if r.shard != r.old_shard)
+    total = sum(supply.values())
+    demand = [total * (j + 1) // 8 - total * j // 8 for j in range(8)]
+    fewest = total - sum(min(supply[j], demand[j]) for j in range(8))  # what any plan with these capacities must move
+    assert abs(moved - fewest) <= 8 * 91
+    slots = defaultdict(list)
+    for r in got:
+        slots[r.shard].append(r.slot)
+    assert all(sorted(x) == list(range(len(x))) for x in slots.values())
+
+
+def test_untouched_shards_keep_their_files(spark, tmp_path):
+    docs = spark.createDataFrame([(i, "abc", i % 2) for i in range(64)], "doc_id long, text string, old int")
+    lay = sharding.layout(docs, docs["old"], blocks=4)
+    same = sharding.place(lay, 2, 2)
+    out, touched = sharding.rewrite(lay, same, f"file://{tmp_path}/new")
+    assert touched == [] and out.count() == 64 and out.where("shard <> old_shard").count() == 0
 
 
 def test_flow_is_cheapest():
