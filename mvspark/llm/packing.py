@@ -4,8 +4,9 @@ Texts are encoded once and cut into pieces, kept in a written table. The plan ne
 pieces there are of each length, at most ``size`` numbers whatever the input: best fit by falling length
 gives a first packing, held as groups (pattern of lengths, how many bins). Local search then
 works on the underfull bins: it moves a piece, exchanges one for one or two for one (either way)
-whenever that raises the sum of squared fills, so the emptiest bins drain until they vanish. Pieces
-find their places by their rank within their length.
+whenever that raises the sum of squared fills, so the emptiest bins drain until they vanish. It ends where
+bins cannot be fewer or no two bins hold an exchange: each pair of patterns is looked at once while both
+exist. Pieces find their places by their rank within their length.
 
 Defined results: null or empty text is its end id alone; an empty table gives an empty result;
 repeated rows are packed as often as they occur; a null doc_id stays null; other columns are
@@ -15,6 +16,7 @@ ignored.
 from __future__ import annotations
 
 import zlib
+from bisect import bisect_left, insort
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -29,8 +31,6 @@ from .tokenise import default_path, encoder
 
 SIZE = 1024
 END = 2
-#: how many exchanges the local search tries to find at most, and how many donors it looks at for one
-EFFORT, DONORS = 4000, 40
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, ids binary, part int, nth long"
 _KIND = pa.schema([
@@ -124,35 +124,50 @@ def _without(p: tuple, gone: tuple, new: tuple) -> tuple:
     return tuple(sorted((*left, *new), reverse=True))
 
 
-def improve(bins: Counter, size: int = SIZE, effort: int = EFFORT, donors: int = DONORS) -> Counter:
-    """Local search by exchanges that raise the sum of squared fills, until bins cannot be fewer or none helps."""
-    bins, fewest = Counter(bins), -(-sum(sum(p) * k for p, k in bins.items()) // size)
-    for _ in range(effort):
-        if bins.total() <= fewest:
+def _best(give: tuple, takes: list[tuple[int, tuple]], size: int):
+    """(gain, pieces that leave give, pattern that takes, pieces that leave it) of the best exchange, or None."""
+    full, best = sum(give), None
+    for fill, take in takes:
+        for gone, back, grow in _exchanges(give, take, size - fill):
+            gain = (fill + grow) ** 2 + (full - grow) ** 2 - fill**2 - full**2
+            if gain > 0 and (best is None or gain > best[0]):
+                best = (gain, gone, take, back)
+        if best and best[0] >= 2 * (size - 1 - full):
             break
-        under = sorted((sum(p), p) for p in bins if sum(p) < size)
-        best = None
-        for full, give in under[:donors]:
-            for fill, take in reversed(under):
-                if fill < full or (take == give and bins[give] < 2):
-                    continue
-                for gone, back, grow in _exchanges(give, take, size - fill):
-                    gain = (fill + grow) ** 2 + (full - grow) ** 2 - fill**2 - full**2
-                    if gain > 0 and (best is None or gain > best[0]):
-                        best = (gain, give, take, gone, back)
-                if best and best[0] >= 2 * (size - 1 - full):
-                    break
-            if best:
+    return best
+
+
+def improve(bins: Counter, size: int = SIZE) -> Counter:
+    """Local search by exchanges that raise the sum of squared fills, until bins cannot be fewer or no exchange is left."""
+    bins, fewest = Counter(bins), -(-sum(sum(p) * k for p, k in bins.items()) // size)
+    under = sorted((sum(p), p) for p in bins if sum(p) < size)
+    born, clock, done = {p: 0 for _, p in under}, 0, {}
+    while bins.total() > fewest:
+        for full, give in under:  # emptiest first; a donor looks only at patterns that came up since it last found nothing
+            last = done.get(give, -1)
+            alone = bins[give] < 2
+            takes = [(f, p) for f, p in reversed(under[bisect_left(under, (full, ())) :]) if born[p] > last and not (alone and p == give)]
+            if found := _best(give, takes, size):
                 break
-        if not best:
+            done[give] = clock
+        else:
             break
-        _, give, take, gone, back = best
+        _, gone, take, back = found
         k = bins[give] // 2 if give == take else min(bins[give], bins[take])
+        clock += 1
         for old, new in ((give, _without(give, gone, back)), (take, _without(take, back, gone))):
             bins[old] -= k
             if not bins[old]:
                 del bins[old]
+                del under[bisect_left(under, (sum(old), old))]
+                del born[old]
+                done.pop(old, None)
             if new:
+                if new not in bins and sum(new) < size:
+                    insort(under, (sum(new), new))
+                    born[new] = clock
+                elif bins.get(new) == 1 and sum(new) < size:
+                    born[new] = clock  # two of a kind may exchange with each other
                 bins[new] += k
     return bins
 
@@ -192,7 +207,8 @@ def pack(docs: DataFrame, size: int = SIZE, end: int = END, tokenizer: str | Non
                                 "piece": f["piece"], "start": f["start"], "ids_crc32": f["ids_crc32"],
                                 "sequence_id": seq, "offset": off})
 
-    small = cut.drop("ids").join(counts.drop("n"), ["part", "length"])
+    # parts x lengths rows grow with the input, so the two meet by a shuffle of the thin columns and never by broadcast
+    small = cut.drop("ids").join(counts.drop("n").hint("merge"), ["part", "length"])
     out = small.mapInPandas(
         place, "part int, length long, nth long, doc_id long, piece int, start long, ids_crc32 long, sequence_id long, offset long"
     )

@@ -5,7 +5,8 @@ kind of tokenizer; so does a comma or full stop after a letter or digit, and a l
 its own. Merges never cross pre-tokens, so a text's ids are the concatenation of its parts' ids,
 which are kept in a bounded cache; unseen parts are encoded by the tokenizers library many at a time
 and cut apart by the known byte length of every id. Texts with runs of white space or unusual
-punctuation are cut at safe spaces only.
+punctuation are cut at safe spaces only. Texts that hold the string of an added token (which the library turns
+into that token's id) are encoded whole.
 """
 
 from __future__ import annotations
@@ -51,7 +52,6 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tk = Tokenizer.from_file(path)
-        self.tk.encode_special_tokens = True  # their strings in a text are ordinary text
         vocab = self.tk.get_vocab()
         self.width = 2 if max(vocab.values()) < 1 << 16 else 4
         self.kind = np.dtype(f"<u{self.width}")
@@ -61,6 +61,8 @@ class Encoder:
         pre = (json.loads(self.tk.to_str()).get("pre_tokenizer") or {})
         self.regular = pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True)
         self.regular = self.regular and not json.loads(self.tk.to_str()).get("normalizer")
+        added = [t["content"] for t in json.loads(self.tk.to_str()).get("added_tokens") or []]
+        self.added = re.compile("|".join(map(re.escape, added))) if added else None
         self.known: dict[str, bytes] = {}
         self.cache = cache
 
@@ -102,6 +104,15 @@ class Encoder:
                 gc.enable()
 
     def _ids(self, texts: list[str]) -> list[bytes]:
+        if self.added:
+            special = [i for i, t in enumerate(texts) if self.added.search(t)]
+            if special:
+                whole = dict(zip(special, self._whole([texts[i] for i in special])))
+                rest = iter(self._plain([t for i, t in enumerate(texts) if i not in whole]))
+                return [whole[i] if i in whole else next(rest) for i in range(len(texts))]
+        return self._plain(texts)
+
+    def _plain(self, texts: list[str]) -> list[bytes]:
         split, new = [], set()
         for t in texts:
             if odd(t):
