@@ -6,9 +6,9 @@ a walk down it, and every step one bit. Three predictors know a bit: its node al
 last word and the node (counts in a hashed table); and the last two words, whose hashed entry names the
 word that most often followed, as long as the walk so far agrees with it. They are mixed in the
 logistic domain, with weights chosen by how often the contexts were seen and how deep the walk is. Weights, and a
-last table that refines the mixed probability by its level, are learnt online over all training texts, each bit being
-taken out of its own counts first, and go on learning while a text is scored: after every ``SPAN`` words they
-move by what the text has shown so far. Every text starts from the same state, so a score depends on the
+last table that refines the mixed probability by its level, are learnt online in the same pass that gathers the counts:
+whenever a task settles what it has counted, it predicts the texts that come next and learns from them. They go on
+learning while a text is scored: after every ``SPAN`` words they move by what the text has shown so far. Every text starts from the same state, so a score depends on the
 text and the training texts alone. The bits of a text and its bytes give bits per byte.
 
 A word after an escape is, if it was seen in training, one of the rare words, by absolute discounting of
@@ -59,6 +59,8 @@ SPELLED, SPELL_POWER = ((1, True), (2, True), (3, True), (4, True), (5, False)),
 SPELL_GATES = 8 * 6
 #: bits between two moves of the learnt weights, their rate and what steadies them
 STEP, RATE, STEADY = 32_768, 0.3, 20.0
+#: bits a task counts before it settles them and learns from the texts that come next: a share of those so far, within bounds
+SHARE, SOONEST, LATEST = 0.25, 200_000, 6_000_000
 #: entries of a chunk of counts on its way to the driver, and the unit of sums that must not depend on their order
 CHUNK, POINT = 1 << 13, float(1 << 20)
 #: bits of a leaf's number in an entry; the bits above check the context
@@ -116,16 +118,16 @@ class Tree:
             self.node[place], self.bit[place] = node[on], bit[on]
         mass = np.repeat(np.maximum(counts, 0).astype(np.float64), self.length)
         ones, both = np.bincount(self.node, mass * self.bit, n - 1), np.bincount(self.node, mass, n - 1)
-        self.odds = np.log((ones + 0.4) / (both - ones + 0.4)).astype(np.float32)
+        self.odds = np.log((ones + 0.4) / (both - ones + 0.4)).astype(np.float32)[self.node]
+        with np.errstate(over="ignore"):
+            self.salt = self.node.astype(np.uint64) * _NODE
 
-    def walk(self, leaf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(which leaf, depth, node, bit) of every step to the given leaves."""
+    def walk(self, leaf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(steps to each leaf, depth and place in ``node`` and ``bit`` of every step)."""
         size = self.length[leaf]
         begin = np.cumsum(size) - size
-        owner = np.repeat(np.arange(len(leaf)), size)
-        depth = np.arange(len(owner)) - begin[owner]
-        at = self.offset[leaf][owner] + depth
-        return owner, depth, self.node[at], self.bit[at]
+        every = np.arange(int(size.sum()), dtype=np.int32)
+        return size, every - np.repeat(begin.astype(np.int32), size), every + np.repeat((self.offset[leaf] - begin).astype(np.int32), size)
 
 
 def context_names(ids: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -142,9 +144,12 @@ def context_names(ids: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.nd
     return a, b * _MIX
 
 
-def slots_of(names: np.ndarray, node: np.ndarray, power: int) -> np.ndarray:
+def slots_of(names: np.ndarray, salt: np.ndarray, power: int) -> np.ndarray:
     with np.errstate(over="ignore"):
-        return (((names + node.astype(np.uint64) * _NODE) * _MIX) >> np.uint64(64 - power)).astype(np.int32)
+        h = names + salt
+        h *= _MIX
+    h >>= np.uint64(64 - power)
+    return h.astype(np.int32)
 
 
 def followed(names: np.ndarray, power: int) -> tuple[np.ndarray, np.ndarray]:
@@ -156,21 +161,47 @@ _LOG = np.log(np.arange(1 << 16) + 0.4).astype(np.float32)
 _BITS = np.minimum(np.ceil(np.log2(np.arange(1 << 16) + 1)), 15).astype(np.int8)
 
 
-def counted(table: np.ndarray, slot: np.ndarray, bit: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
-    """(log odds, times seen in bits) of slots; ``bit`` is taken out of its own counts."""
-    both = table[slot]  # zeros in the low half, ones in the high half
-    n0, n1 = (both & np.uint32(0xFFFF)).astype(np.int32), (both >> np.uint32(16)).astype(np.int32)
-    if bit is not None:
-        n0, n1 = np.maximum(n0 - (bit == 0), 0), np.maximum(n1 - (bit == 1), 0)
-    return _LOG[n1] - _LOG[n0], _BITS[np.minimum(n0 + n1, 65535)].astype(np.int64)
+class Counts:
+    """Zeros and ones of a table's slots while a task gathers them."""
+
+    def __init__(self, power: int):
+        self.n, self.wait = np.zeros(2 << power, np.int32), []
+
+    def add(self, slot: np.ndarray, bit: np.ndarray) -> None:
+        self.wait.append(slot * 2 + bit)
+
+    def settle(self) -> None:
+        if self.wait:
+            self.n += np.bincount(np.concatenate(self.wait), minlength=len(self.n)).astype(np.int32)
+            self.wait = []
+
+    def look(self, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        n0, n1 = (np.minimum(self.n[2 * slot + k], 65535) for k in (0, 1))
+        return _LOG[n1] - _LOG[n0], _BITS[np.minimum(n0 + n1, 65535)]
+
+
+class Ready:
+    """A finished table: log odds of every slot in steps of 1/2048, and how often it was seen in bits, in one number."""
+
+    def __init__(self, packed: np.ndarray):
+        n0, n1 = (packed & np.uint32(0xFFFF)).astype(np.int32), (packed >> np.uint32(16)).astype(np.int32)
+        odds = np.round((_LOG[n1] - _LOG[n0]) * 2048).astype(np.int32)
+        self.both = (odds << 8) | _BITS[np.minimum(n0 + n1, 65535)]
+
+    def look(self, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        both = self.both[slot]
+        return (both >> 8).astype(np.float32) * np.float32(1 / 2048), both & 0xFF
 
 
 def logit(x: list[np.ndarray], gate: np.ndarray, w: np.ndarray) -> np.ndarray:
-    return np.clip(sum(w[gate, k] * x[k] for k in range(len(x))), -14, 14)
+    s = w[:, 0][gate] * x[0]
+    for k in range(1, len(x)):
+        s += w[:, k][gate] * x[k]
+    return np.clip(s, -14, 14, out=s)
 
 
 def level_of(s: np.ndarray) -> np.ndarray:
-    return np.clip(np.round((s + 8) * (STEPS - 1) / 16), 0, STEPS - 1).astype(np.int64)
+    return np.clip(s * ((STEPS - 1) / 16) + ((STEPS - 1) / 2 + 0.5), 0, STEPS - 1).astype(np.int32)
 
 
 class Learner:
@@ -272,7 +303,8 @@ class Spelling:
         first = np.cumsum(sizes) - sizes
         self.word = np.repeat(np.arange(len(batch)), sizes)
         pos, about = np.arange(len(flat)) - first[self.word], topic[self.word].astype(np.uint64)
-        self.byte, _, self.node, self.bit = tree.walk(flat.astype(np.int64))
+        self.steps, _, at = tree.walk(flat)
+        self.bit, salt = tree.bit[at], tree.salt[at]
         longest, h, before = max(n for n, _ in SPELLED), np.zeros(len(flat), np.uint64), []
         with np.errstate(over="ignore"):
             for k in range(1, longest + 1):
@@ -282,11 +314,11 @@ class Spelling:
                 h ^= h >> np.uint64(29)
                 before.append(h)
             names = [(before[n - 1] ^ ((about + np.uint64(1)) * np.uint64(0x94D049BB133111EB) if with_topic else np.uint64(n))) * _MIX for n, with_topic in SPELLED]
-        self.slots = [slots_of(x[self.byte], self.node, SPELL_POWER) for x in names]
+        self.slots = [slots_of(np.repeat(x, self.steps), salt, SPELL_POWER) for x in names]
 
-    def inputs(self, tables: list[np.ndarray], own: bool) -> tuple[list[np.ndarray], np.ndarray]:
-        got = [counted(t, s, self.bit if own else None) for t, s in zip(tables, self.slots)]
-        return [x for x, _ in got], np.minimum(got[1][1] // 2, 7) * 6 + np.minimum(got[-2][1] // 2, 5)
+    def inputs(self, tables: list) -> tuple[list[np.ndarray], np.ndarray]:
+        got = [t.look(s) for t, s in zip(tables, self.slots)]
+        return [x for x, _ in got], np.minimum(got[1][1] >> 1, 7).astype(np.int32) * 6 + np.minimum(got[-2][1] >> 1, 5)
 
 
 class Steps:
@@ -294,28 +326,30 @@ class Steps:
 
     def __init__(self, tree: Tree, leaf: np.ndarray, ids: np.ndarray, first: np.ndarray, power: int):
         self.tree, self.leaf = tree, leaf
-        self.token, self.depth, self.node, self.bit = tree.walk(leaf)
+        self.size, self.depth, self.at = tree.walk(leaf)
+        self.bit = tree.bit[self.at]
         one, self.two = context_names(ids, first)
-        self.slots = slots_of(one[self.token], self.node, power)
+        self.slots = slots_of(np.repeat(one, self.size), tree.salt[self.at], power)
 
-    def inputs(self, table: np.ndarray, entries: np.ndarray, power: int, own: bool) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+    def inputs(self, table, entries, power: int) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
         """Mixer inputs (node, last word, followed word), the gate of each bit, and the state of the followed word."""
-        x, seen = counted(table, self.slots, self.bit if own else None)
+        tree = self.tree
+        x, seen = table.look(self.slots)
         slot, check = followed(self.two, power)
-        named, times, misses = entries["value"][slot].astype(np.int64), entries["n"][slot].astype(np.int64), entries["miss"][slot].astype(np.int64)
-        guess, same = named & ((1 << LEAF) - 1), (named >> LEAF) == check
-        if own:
-            times, misses = times - (guess == self.leaf), misses - (guess != self.leaf)
-        live = same & (times > 0) & (guess < len(self.tree.length))
-        guess = np.where(live, guess, 0)
-        state = np.where(live, 1 + np.minimum(times - 1, 2) * 2 + (misses > 0), 0)
-        reach = np.minimum(self.depth, (self.tree.length[guess] - 1)[self.token])
-        at = self.tree.offset[guess][self.token] + reach
-        agrees = live[self.token] & (self.tree.node[at] == self.node)
-        y = np.where(agrees, self.tree.bit[at] * np.float32(2) - 1, 0).astype(np.float32)
-        state = np.where(agrees, state[self.token], 0)
-        gate = (np.minimum(seen, SEEN - 1) * FOLLOWED + state) * DEEP + np.minimum(self.depth // 2, DEEP - 1)
-        return [self.tree.odds[self.node], x, y], gate, state
+        named, times, misses = (entries[c][slot].astype(np.int64) for c in ("value", "n", "miss"))
+        guess = named & ((1 << LEAF) - 1)
+        live = (named >> LEAF == check) & (times > 0) & (guess < len(tree.length))
+        y, state = np.zeros(len(self.bit), np.float32), np.zeros(len(self.bit), np.int32)
+        on = np.flatnonzero(np.repeat(live, self.size))
+        if len(on):
+            token = np.repeat(np.flatnonzero(live), self.size[live])
+            to = tree.offset[guess[token]] + np.minimum(self.depth[on], tree.length[guess[token]] - 1)
+            agrees = tree.node[to] == tree.node[self.at[on]]
+            on, to, token = on[agrees], to[agrees], token[agrees]
+            y[on] = tree.bit[to] * np.float32(2) - 1
+            state[on] = (1 + np.minimum(times - 1, 2) * 2 + (misses > 0))[token]
+        gate = (np.minimum(seen, SEEN - 1).astype(np.int32) * FOLLOWED + state) * DEEP + np.minimum(self.depth >> 1, DEEP - 1)
+        return [tree.odds[self.at], x, y], gate, state
 
 
 ENTRY = np.dtype([("value", "<u4"), ("n", "<u2"), ("miss", "<u2")])
@@ -328,6 +362,9 @@ class Followers:
         self.power = power
         self.value, self.n, self.miss = (np.zeros(1 << power, np.int64) for _ in range(3))
 
+    def __getitem__(self, column: str) -> np.ndarray:
+        return {"value": self.value, "n": self.n, "miss": self.miss}[column]
+
     def add(self, names: np.ndarray, leaf: np.ndarray) -> None:
         slot, check = followed(names, self.power)
         pair, n = np.unique(slot << 32 | check << LEAF | leaf, return_counts=True)
@@ -383,56 +420,73 @@ class Words:
         self._ready()
 
     def _ready(self):
-        self.names, self.counts, letters, self.table, self.entries, self.spelled, self.weights, self.refined, self.spell_weights, self.spell_refined = self.state
-        self.tree, self.letters = Tree(self.counts), Tree(letters)
+        self.names, self.counts, letters, table, self.entries, spelled, self.weights, self.refined, self.spell_weights, self.spell_refined = self.state
+        self.tree, self.letters, self.table, self.spelled = Tree(self.counts), Tree(letters), Ready(table), [Ready(t) for t in spelled]
         self.at = {w: i for i, w in enumerate(self.names)}
-        self.escape, self.power = len(self.names) + 1, int(math.log2(len(self.table)))
+        self.escape, self.power = len(self.names) + 1, int(math.log2(len(table)))
 
     def spell(self, batch: list[bytes], topic: np.ndarray) -> np.ndarray:
         """log10 probability of each word's bytes and the space after it."""
         out = np.zeros(len(batch))
         for lo in range(0, len(batch), TOKENS // 2):
             s = Spelling(self.letters, batch[lo : lo + TOKENS // 2], topic[lo : lo + TOKENS // 2])
-            x, gate = s.inputs(self.spelled, False)
-            z = logit(x, gate, self.spell_weights)
+            z = logit(*s.inputs(self.spelled), self.spell_weights)
             p = np.clip((1 / (1 + np.exp(-z)) + self.spell_refined[level_of(z)]) / 2, 1e-6, 1 - 1e-6)
-            word = s.word[s.byte]
-            out[lo : lo + TOKENS // 2] = np.bincount(word, np.log10(np.where(s.bit == 1, p, 1 - p)), len(s.word) and int(s.word[-1]) + 1)
+            out[lo : lo + TOKENS // 2] = np.bincount(np.repeat(s.word, s.steps), np.log10(np.where(s.bit == 1, p, 1 - p)), len(out[lo : lo + TOKENS // 2]))
         return out
 
-    def score(self, texts: list[list[bytes]], span: int = SPAN) -> tuple[np.ndarray, np.ndarray, list[bytes], np.ndarray]:
-        """(log10 probability of each text but for what follows escapes; text, word and spelling of every word that is not listed)."""
+    def score(self, texts: list[list[bytes]], span: int = SPAN, spell: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, list[bytes], np.ndarray]:
+        """(log10 probability of each text but for what follows escapes; text, word and spelling of every word that is not listed).
+
+        Only texts marked in ``spell`` (all, if not given) can hold new words; the others' spellings are zero.
+        """
         n = len(texts)
         leaf, ids, first, odd = read_tokens(texts, self.at)
-        place = np.repeat(np.arange(n), np.diff(np.append(first, len(leaf))))
+        lengths = np.diff(np.append(first, len(leaf)))
+        place = np.repeat(np.arange(n, dtype=np.int32), lengths)
         steps = Steps(self.tree, leaf, ids, first, self.power)
-        x, gate, state = steps.inputs(self.table, self.entries, self.power, False)
-        order = np.argsort(-np.bincount(place, minlength=n), kind="stable")  # longest first, so that texts still going are a prefix
-        rank = np.empty(n, np.int64)
+        x, gate, state = steps.inputs(self.table, self.entries, self.power)
+        order = np.argsort(-lengths, kind="stable")  # longest first, so that texts still going are a prefix
+        rank = np.empty(n, np.int32)
         rank[order] = np.arange(n)
-        block, text = ((np.arange(len(leaf)) - first[place]) // span)[steps.token], rank[place][steps.token]
-        by = np.argsort(block.astype(np.int32), kind="stable")
-        edges = np.searchsorted(block[by], np.arange(int(block.max(initial=0)) + 2))
-        own = np.zeros((n * FOLLOWED, 3))
+        block = (np.arange(len(leaf)) - first[place]) // span
+        text = np.repeat(rank[place], steps.size)
+        last = int(block.max(initial=0))
+        by = np.argsort(np.repeat(block.astype(np.uint16 if last < 65536 else np.int64), steps.size), kind="stable") if last else np.arange(len(text))
+        edges = np.concatenate([[0], np.cumsum(np.bincount(block, steps.size, last + 1).astype(np.int64))])
+        s_all = logit(x, gate, self.weights)
+        own = np.zeros((3, n * FOLLOWED), np.float32)
         hit, all_ = np.tile(self.refined * FIRM, n), np.full(n * STEPS, FIRM)
         out = np.zeros(n)
-        for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist()):
-            pick = by[lo:hi]
-            who, y, z, g = text[pick], steps.bit[pick], [c[pick] for c in x], gate[pick]
-            mine = who * FOLLOWED + state[pick]
-            s = np.clip(logit(z, g, self.weights) + sum(own[mine, k] * z[k] for k in range(3)), -14, 14)
+        for k, (lo, hi) in enumerate(zip(edges[:-1].tolist(), edges[1:].tolist())):
+            pick = by[lo:hi] if last else slice(None)
+            who, y, s = text[pick], steps.bit[pick], s_all[pick]
+            if k:
+                mine = who * FOLLOWED + state[pick]
+                s = np.clip(s + sum(own[j][mine] * x[j][pick] for j in range(3)), -14, 14)
             cell = who * STEPS + level_of(s)
             p = 1 / (1 + np.exp(-s))
             q = np.clip((p + hit[cell] / all_[cell]) / 2, 1e-6, 1 - 1e-6)
             m = int(who.max()) + 1 if len(who) else 0
-            out[:m] += np.bincount(who, np.log10(np.where(y == 1, q, 1 - q)), m)
-            if hi < len(by):  # what this block showed moves the next
+            out[:m] += np.bincount(who, np.log10(np.where(y, q, 1 - q)), m)
+            if k < last:  # what this block showed moves the next, of the texts that go on
+                on = np.flatnonzero(who < int((lengths > (k + 1) * span).sum()))
+                if len(on) < len(who):
+                    who, y, p, cell = who[on], y[on], p[on], cell[on]
+                    pick = pick[on]
+                m = int(who.max()) + 1
+                mine = who * FOLLOWED + state[pick]
                 have, err = np.bincount(mine, minlength=m * FOLLOWED), y - p
-                for k in range(3):
-                    own[: m * FOLLOWED, k] += FAST * np.bincount(mine, err * z[k], m * FOLLOWED) / (1 + have / 256)
+                for j in range(3):
+                    own[j, : m * FOLLOWED] += (FAST * np.bincount(mine, err * x[j][pick], m * FOLLOWED) / (1 + have / 256)).astype(np.float32)
                 hit[: m * STEPS] += np.bincount(cell, y, m * STEPS)
                 all_[: m * STEPS] += np.bincount(cell, minlength=m * STEPS)
-        return out[rank], place[leaf == self.escape], odd, self.spell(odd, topics(leaf, first, self.escape))
+        whose = place[leaf == self.escape]
+        spelled = np.zeros(len(odd))
+        can = np.flatnonzero(spell[whose]) if spell is not None else np.arange(len(odd))
+        if len(can):
+            spelled[can] = self.spell([odd[i] for i in can.tolist()], topics(leaf, first, self.escape)[can])
+        return out[rank], whose, odd, spelled
 
 
 def token_batches(batches):
@@ -524,8 +578,8 @@ def _gathered(rows: DataFrame, power: int) -> tuple[np.ndarray, np.ndarray, list
 
 def train(docs: DataFrame, table: DataFrame, tokens: int, end_count: int, listed: int = LISTED) -> Words:
     """The model of all training texts, from their counts in ``table``."""
-    top = table.where((F.col("c") >= 2) & (F.col("word") != F.lit(END))).orderBy(F.desc("c"), "word").limit(listed).collect()
-    names, counts = [bytes(r.word) for r in top], [r.c for r in top]
+    top = table.where((F.col("c") >= 2) & (F.col("word") != F.lit(END))).orderBy(F.desc("c"), "word").limit(listed).select("word", "c").toArrow()
+    names, counts = top.column("word").to_pylist(), top.column("c").to_pylist()
     # a training word of the least listed count would not be listed but for its own occurrence
     least = counts[-1] if counts else 0
     escapes = tokens - end_count - sum(counts) + sum(c for c in counts if c == least)
@@ -546,59 +600,51 @@ def train(docs: DataFrame, table: DataFrame, tokens: int, end_count: int, listed
     texts = docs.where(~held_out(docs["doc_id"])).select(text_of(docs).alias("text"))
     texts = texts.coalesce(max(2, spark.sparkContext.defaultParallelism))  # each task hands on whole tables
 
-    def opened():
-        names, counts, letters = kit.value
-        return Tree(counts), Tree(letters), {w: i for i, w in enumerate(names)}
+    start, start_spell = start_weights(), np.full((SPELL_GATES, len(SPELLED)), 1.2 / len(SPELLED), np.float32)
 
     def gather(batches):
-        tree, spelling, at = opened()
-        total, letter = np.zeros(2 * size, np.int64), [np.zeros(2 << SPELL_POWER, np.int64) for _ in SPELLED]
-        follow, wait, n = Followers(power), [[] for _ in range(1 + len(SPELLED))], 0
-
-        def settle():
-            for into, some in zip([total, *letter], wait):
-                if some:
-                    into += np.bincount(np.concatenate(some), minlength=len(into))
-                    some.clear()
-
+        names, counts, letters = kit.value
+        tree, spelling, at = Tree(counts), Tree(letters), {w: i for i, w in enumerate(names)}
+        follow, total, letter = Followers(power), Counts(power), [Counts(SPELL_POWER) for _ in SPELLED]
+        by_word, by_letter = Learner(start), Learner(start_spell)
+        bits, pending, learning = 0, 0, False
         for some in token_batches(batches):
             leaf, ids, first, odd = read_tokens(some, at)
             steps = Steps(tree, leaf, ids, first, power)
-            follow.add(steps.two, leaf)
             s = Spelling(spelling, odd, topics(leaf, first, len(at) + 1))
-            for x, slot, bit in zip(wait, [steps.slots, *s.slots], [steps.bit] + [s.bit] * len(SPELLED)):
-                x.append(slot * 2 + bit)
-            n += len(steps.bit) + len(s.bit)
-            if n > 3_000_000:
-                settle()
-                n = 0
-        settle()
-        yield _chunks(np.minimum(total, 65535).astype("<u2"))
+            if learning:
+                x, gate, _ = steps.inputs(total, follow, power)
+                by_word.learn(x, gate, steps.bit)
+                by_letter.learn(*s.inputs(letter), s.bit)
+                learning = False
+            follow.add(steps.two, leaf)
+            total.add(steps.slots, steps.bit)
+            for table, slot in zip(letter, s.slots):
+                table.add(slot, s.bit)
+            pending += len(steps.bit) + len(s.bit)
+            if pending >= min(max(SHARE * bits, SOONEST), LATEST):
+                for table in (total, *letter):
+                    table.settle()
+                bits, pending, learning = bits + pending, 0, True
+        for table in (total, *letter):
+            table.settle()
+        short = lambda t: np.minimum(t.n, 65535).astype("<u2")
+        yield _chunks(short(total))
         first = -(-2 * size // CHUNK)
         yield _chunks(follow.entries(), first)
         first += -(-size // CHUNK)
-        yield _chunks(np.minimum(np.concatenate(letter), 65535).astype("<u2"), first)
-
-    found, entries, spelled = _gathered(texts.mapInArrow(gather, "chunk long, n binary"), power)
-    held = spark.sparkContext.broadcast((found, entries, spelled))  # at most 3 x 2^MOST and 5 x 2^SPELL_POWER numbers
-    start, start_spell = start_weights(), np.full((SPELL_GATES, len(SPELLED)), 1.2 / len(SPELLED), np.float32)
-
-    def learn(batches):
-        tree, spelling, at = opened()
-        by_word, by_letter = Learner(start), Learner(start_spell)
-        for some in token_batches(batches):
-            leaf, ids, first, odd = read_tokens(some, at)
-            steps = Steps(tree, leaf, ids, first, power)
-            x, gate, _ = steps.inputs(held.value[0], held.value[1], power, True)
-            by_word.learn(x, gate, steps.bit)
-            if odd:
-                s = Spelling(spelling, odd, topics(leaf, first, len(at) + 1))
-                by_letter.learn(*s.inputs(held.value[2], True), s.bit)
-        out = pd.concat([by_word.rows(0), by_letter.rows(start.size + STEPS)])
-        yield pa.RecordBatch.from_pandas(out, preserve_index=False)
-
-    rows = texts.mapInArrow(learn, "i int, w long, m long").groupBy("i").agg(F.sum("w"), F.sum("m")).collect()  # a row a weight
-    sums = {i: (w, m) for i, w, m in rows}
+        yield _chunks(np.concatenate([short(t) for t in letter]), first)
+        learnt = pd.concat([by_word.rows(0), by_letter.rows(start.size + STEPS)])
+        yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int64()), pa.array([learnt.to_numpy(np.int64).tobytes()], pa.binary())], names=["chunk", "n"])
+
+    rows = written(texts.mapInArrow(gather, "chunk long, n binary"), "gathered")
+    sums: dict[int, tuple[int, int]] = {}
+    for (raw,) in rows.where("chunk < 0").select("n").collect():  # a row a task
+        for i, w, m in np.frombuffer(raw, np.int64).reshape(-1, 3).tolist():
+            a, b = sums.get(i, (0, 0))
+            sums[i] = a + w, b + m
+    found, entries, spelled = _gathered(rows.where("chunk >= 0"), power)
+    kit.destroy()
     weights, refined = averaged(sums, 0, start)
     return Words(names, counts, letters, found, entries, spelled, weights, refined, *averaged(sums, start.size + STEPS, start_spell))
 
@@ -626,7 +672,8 @@ def scores(docs: DataFrame, listed: int = LISTED) -> DataFrame:
 
         def flush(heads, docs_):
             nonlocal row
-            total, whose, odd, spelled = model.score(docs_)
+            # every word of a training text is known, so only the others' are spelled
+            total, whose, odd, spelled = model.score(docs_, spell=np.array([is_out for _, is_out in heads], bool))
             tally: dict = {}
             for k, w, s in zip(whose.tolist(), odd, spelled.tolist()):
                 c, t = tally.get((k, w), (0, 0.0))

@@ -167,11 +167,12 @@ def test_lm_words_are_a_distribution(lm):
         leaves, names = np.tile(leaf, (n, 1)), np.tile(ids, (n, 1))
         leaves[:, k] = names[:, k] = np.arange(n)
         steps = lm_score.Steps(model.tree, leaves.ravel(), names.ravel(), np.arange(n) * (k + 1), model.power)
-        x, gate, _ = steps.inputs(model.table, model.entries, model.power, False)
+        x, gate, _ = steps.inputs(model.table, model.entries, model.power)
         z = lm_score.logit(x, gate, model.weights)
         p = (1 / (1 + np.exp(-z)) + model.refined[lm_score.level_of(z)]) / 2
-        mine = steps.token % (k + 1) == k
-        logs = np.bincount(steps.token[mine] // (k + 1), np.log(np.where(steps.bit == 1, p, 1 - p))[mine], n)
+        token = np.repeat(np.arange(len(steps.size)), steps.size)
+        mine = token % (k + 1) == k
+        logs = np.bincount(token[mine] // (k + 1), np.log(np.where(steps.bit == 1, p, 1 - p))[mine], n)
         assert np.exp(logs).sum() == pytest.approx(1, abs=1e-6)
 
 
@@ -207,16 +208,15 @@ def plain_score(model, text, span):
         path = lambda f: list(zip(*(c[model.tree.offset[f] : model.tree.offset[f] + model.tree.length[f]].tolist() for c in (model.tree.node, model.tree.bit))))
         follow = path(guess) if live else []
         for depth, (node, bit) in enumerate(path(to)):
-            both = int(model.table[lm_score.slots_of(one[k : k + 1], np.array([node]), model.power)[0]])
-            n0, n1 = both & 0xFFFF, both >> 16
+            place = model.tree.offset[to] + depth
+            odds, seen1 = (float(v[0]) for v in model.table.look(lm_score.slots_of(one[k : k + 1], model.tree.salt[place : place + 1], model.power)))
             agrees = depth < len(follow) and follow[depth][0] == node or live and depth >= len(follow) and follow[-1][0] == node
             at = min(depth, len(follow) - 1)
-            x = np.array([model.tree.odds[node], math.log((n1 + 0.4) / (n0 + 0.4)), (2 * follow[at][1] - 1) if agrees else 0])
+            x = np.array([model.tree.odds[place], odds, (2 * follow[at][1] - 1) if agrees else 0])
             state = 1 + min(times - 1, 2) * 2 + (miss > 0) if agrees else 0
-            seen1 = min(math.ceil(math.log2(min(n0 + n1, 65535) + 1)), lm_score.SEEN - 1)
-            gate = (seen1 * lm_score.FOLLOWED + state) * lm_score.DEEP + min(depth // 2, lm_score.DEEP - 1)
+            gate = (min(int(seen1), lm_score.SEEN - 1) * lm_score.FOLLOWED + state) * lm_score.DEEP + min(depth // 2, lm_score.DEEP - 1)
             s = max(-14, min(14, float(x @ model.weights[gate]) + float(x @ own[state])))
-            cell = int(np.clip(round((s + 8) * (lm_score.STEPS - 1) / 16), 0, lm_score.STEPS - 1))
+            cell = int(np.clip(s * (lm_score.STEPS - 1) / 16 + (lm_score.STEPS - 1) / 2 + 0.5, 0, lm_score.STEPS - 1))
             p = 1 / (1 + math.exp(-s))
             q = min(max((p + hit[cell] / seen[cell]) / 2, 1e-6), 1 - 1e-6)
             total += math.log10(q if bit else 1 - q)
@@ -241,6 +241,17 @@ def test_lm_order_of_words_counts(lm):
     assert model.score(long)[0].sum() > model.score(mixed)[0].sum() * 0.9
 
 
+def test_lm_counts_of_a_pass_and_of_the_model_agree():
+    r = np.random.default_rng(2)
+    t = lm_score.Counts(10)
+    for _ in range(5):
+        t.add(r.integers(0, 1 << 10, 3000).astype(np.int32), r.integers(0, 2, 3000))
+    t.settle()
+    at = np.arange(1 << 10)
+    (x, seen), (y, again) = t.look(at), lm_score.Ready(lm_score.packed(t.n)).look(at)
+    assert np.abs(x - y).max() < 1 / 2048 and (seen == again).all() and t.n.sum() == 15_000
+
+
 def test_followers_keep_the_most_frequent():
     r = np.random.default_rng(1)
     names, leaf = r.integers(0, 1 << 63, 40, dtype=np.uint64)[r.integers(0, 40, 500)], r.integers(0, 3, 500)
