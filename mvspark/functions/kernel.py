@@ -1,4 +1,4 @@
-"""Numpy kernels over one query and one object, as rows of token vectors."""
+"""Numpy kernels over one query and one object, or one object and many, as rows of token vectors."""
 
 from __future__ import annotations
 
@@ -7,15 +7,40 @@ import math
 import numpy as np
 
 
-def similarities(q: np.ndarray, v: np.ndarray, metric: str = "ip") -> np.ndarray:
-    if metric == "ip":
-        return q @ v.T
-    if metric == "cosine":
-        unit = lambda x: x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
-        return unit(q) @ unit(v).T
+def _cosine(q: np.ndarray, v: np.ndarray) -> np.ndarray:
+    unit = lambda x: x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300)
+    return unit(q) @ unit(v).T
+
+
+def _neg_l2(q: np.ndarray, v: np.ndarray) -> np.ndarray:
     return -np.sqrt(np.maximum((q**2).sum(1)[:, None] + (v**2).sum(1)[None] - 2 * q @ v.T, 0))
 
 
+#: name -> function of two matrices of rows, higher is better
+METRICS = {"ip": lambda q, v: q @ v.T, "cosine": _cosine, "l2": _neg_l2}
+
+
+def register_metric(name: str, function) -> None:
+    """A metric of one's own: ``function(q, v)`` gives the matrix of similarities of rows, higher is better."""
+    got = np.asarray(function(np.eye(2), np.eye(2)))
+    if got.shape != (2, 2):
+        raise ValueError("a metric gives one similarity for every pair of rows")
+    METRICS[name] = function
+
+
+def metric_of(metric):
+    """The function of a metric's name, or the function itself (which travels to workers with the task)."""
+    if callable(metric):
+        return metric
+    if metric not in METRICS:
+        raise ValueError(f"unknown metric {metric!r}; known: {', '.join(sorted(METRICS))}")
+    return METRICS[metric]
+
+
+def similarities(q: np.ndarray, v: np.ndarray, metric="ip") -> np.ndarray:
+    return metric_of(metric)(q, v)
+
+
 def top_sums(s: np.ndarray, gamma: int, short: str = "literal") -> np.ndarray:
     """Mean of the gamma best of each row; rows shorter than gamma divide by gamma or by what is found."""
     g = min(gamma, s.shape[1])
@@ -47,7 +72,9 @@ def edge_weight(u, v, gamma=1, edge_fn="fused", beta=None, groups=None) -> float
     else:
         s = u @ v.T
         a, b = top_sums(s, gamma).sum(), top_sums(s.T, gamma).sum()
-    return float({"fused": (a / len(u) + b / len(v)) / 2, "raw": a, "one_sided": a / len(u), "sum": a + b}[edge_fn])
+    if edge_fn not in EDGES:
+        raise ValueError(f"unknown edge function {edge_fn!r}")
+    return float(EDGES[edge_fn](a, b, len(u), len(v)))
 
 
 def cluster_tokens(x: np.ndarray, n: int | None = None, rounds: int = 5) -> np.ndarray:
@@ -80,6 +107,109 @@ def clustered_sim(q, d, gamma=1, weights=None, beta=None, groups=None, rounds=5)
     return float(total)
 
 
+def spans(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """All places of the given spans, one after the other."""
+    return np.repeat(start - (np.cumsum(size) - size), size) + np.arange(size.sum())
+
+
+class Block:
+    """Many objects as one matrix: ``x`` has all tokens, object i has rows ``start[i]`` to ``start[i] + size[i] - 1``.
+
+    ``dots`` counts products of two token vectors, the unit of work of every score.
+    """
+
+    def __init__(self, x: np.ndarray, size: np.ndarray):
+        self.x, self.size = np.ascontiguousarray(x), np.asarray(size, np.int64)
+        self.start = np.cumsum(self.size) - self.size
+        self.dots = 0
+        self.groups: dict[int, np.ndarray] = {}
+
+    def of(self, i: int) -> np.ndarray:
+        return self.x[self.start[i] : self.start[i] + self.size[i]]
+
+    def clusters(self, i: int) -> np.ndarray:
+        """Groups of an object's tokens, made once."""
+        if i not in self.groups:
+            self.groups[i] = cluster_tokens(self.of(i))
+        return self.groups[i]
+
+    def _best(self, s: np.ndarray, first: np.ndarray, size: np.ndarray, gamma: int, short: str = "literal") -> np.ndarray:
+        """Of every row and object of a matrix, the mean of the gamma best."""
+        if gamma == 1:
+            return np.maximum.reduceat(s, first, axis=1)
+        out = np.empty((len(s), len(first)))
+        for k, (a, n) in enumerate(zip(first.tolist(), size.tolist())):
+            out[:, k] = top_sums(s[:, a : a + n], gamma, short)
+        return out
+
+    def scores(self, q: np.ndarray, some: np.ndarray, gamma: int = 1, w: np.ndarray | None = None, metric="ip", short: str = "literal") -> np.ndarray:
+        """The unified similarity of a query to each of ``some`` objects, by one product."""
+        some = np.asarray(some, np.int64)
+        size = self.size[some]
+        s = similarities(q, self.x[spans(self.start[some], size)], metric)
+        self.dots += s.size
+        best = self._best(s, np.cumsum(size) - size, size, gamma, short)
+        return best.sum(0) if w is None else w @ best
+
+    def clustered_scores(self, q: np.ndarray, groups: np.ndarray, some: np.ndarray, gamma: int = 1, w: np.ndarray | None = None, beta: int | None = None) -> np.ndarray:
+        """As ``scores``, but each group of query tokens looks only at the object's tokens nearest to the group's centre."""
+        some = np.asarray(some, np.int64)
+        out = np.empty(len(some))
+        named, own = np.unique(groups, return_inverse=True)
+        centres = np.stack([q[groups == g].sum(0) for g in named])
+        for n in np.unique(self.size[some]):  # objects of one size form a cube
+            at = np.flatnonzero(self.size[some] == n)
+            rows = self.start[some[at]][:, None] + np.arange(n)
+            b = min(n, beta or max(gamma, math.ceil(math.sqrt(n))))
+            near = np.einsum("gd,otd->ogt", centres, self.x[rows], optimize=True)
+            self.dots += near.size
+            pick = np.argsort(-near, axis=2, kind="stable")[:, :, :b]  # objects x groups x beta
+            tokens = np.take_along_axis(rows[:, None], pick, axis=2)
+            got = np.einsum("qd,oqbd->oqb", q, self.x[tokens][:, own], optimize=True)
+            self.dots += got.size
+            g = min(gamma, b)
+            best = got.max(2) if g == 1 else np.partition(got, b - g, axis=2)[:, :, b - g :].sum(2)
+            out[at] = (best / gamma) @ (np.ones(len(q)) if w is None else w)
+        return out
+
+    def edges(self, i: int, some: np.ndarray, gamma: int = 1, kind: str = "fused", clustered: bool = False, beta: int | None = None) -> np.ndarray:
+        """Edge weights of object i and each of ``some``; both directions of the exact form come from one product."""
+        some = np.asarray(some, np.int64)
+        u, size = self.of(i), self.size[some]
+        if clustered:
+            a = self.clustered_scores(u, self.clusters(i), some, gamma, beta=beta)
+            b = np.array([self._toward(j, u, gamma, beta) for j in some.tolist()])
+        else:
+            s = u @ self.x[spans(self.start[some], size)].T
+            self.dots += s.size
+            first = np.cumsum(size) - size
+            a = self._best(s, first, size, gamma).sum(0)
+            b = np.add.reduceat(s.max(0), first) if gamma == 1 else np.add.reduceat(top_sums(s.T, gamma), first)
+        if kind not in EDGES:
+            raise ValueError(f"unknown edge function {kind!r}")
+        return EDGES[kind](a, b, len(u), size)
+
+    def _toward(self, j: int, u: np.ndarray, gamma: int, beta: int | None) -> float:
+        """Clustered similarity of object j to the tokens ``u``."""
+        v, g = self.of(j), self.clusters(j)
+        named, own = np.unique(g, return_inverse=True)
+        b = min(len(u), beta or max(gamma, math.ceil(math.sqrt(len(u)))))
+        near = np.stack([v[g == k].sum(0) for k in named]) @ u.T
+        pick = np.argsort(-near, axis=1, kind="stable")[:, :b]
+        got = np.einsum("td,tbd->tb", v, u[pick[own]], optimize=True)
+        self.dots += near.size + got.size
+        return float(top_sums(got, gamma).sum())
+
+
+#: edge functions of both directed sums and both sizes; all but the first are the controls
+EDGES = {
+    "fused": lambda a, b, n, m: (a / n + b / m) / 2,
+    "raw": lambda a, b, n, m: a,
+    "one_sided": lambda a, b, n, m: a / n,
+    "sum": lambda a, b, n, m: a + b,
+}
+
+
 def contribution(q, v, gamma=1, weights=None) -> np.ndarray:
     """What each token of v adds to gamma times the similarity."""
     s = np.asarray(q, float) @ np.asarray(v, float).T

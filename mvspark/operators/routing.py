@@ -11,41 +11,9 @@ from ..config import IndexConfig, SearchConfig
 from ..functions import kernel
 from ..sources.shared import cut
 from .graph import search_graph
+from .shards import fit_centres, route_objects  # noqa: F401
 from .similarity import query_block, top_k
 
-#: objects at most from which the centres are fitted, the least by a hash of their ids
-SAMPLE = 20_000
-
-
-def pooled(vecs: np.ndarray) -> np.ndarray:
-    m = vecs.mean(0)
-    return m / max(np.linalg.norm(m), 1e-300)
-
-
-def fit_centres(objs: DataFrame, n: int, rounds: int = 10, sample: int = SAMPLE) -> np.ndarray:
-    """n centres of mean token vectors, from a bounded sample; every object is routed by them later."""
-    some = objs.orderBy(F.xxhash64("mv_id"), "mv_id").limit(sample).select("vecs").collect()
-    if not some:
-        return np.zeros((0, 0))
-    x = np.array([pooled(np.array(r.vecs, float)) for r in some])
-    c = x[np.linspace(0, len(x) - 1, min(n, len(x))).astype(int)]
-    for _ in range(rounds):
-        own = (x @ c.T).argmax(1)
-        c = np.array([pooled(x[own == i]) if (own == i).any() else c[i] for i in range(len(c))])
-    return c
-
-
-def route_objects(objs: DataFrame, centres: np.ndarray) -> DataFrame:
-    """``objs`` with the shard of its nearest centre; graphs built from it keep that shard."""
-
-    def run(frames):
-        for f in frames:
-            f["shard"] = np.array([(centres @ pooled(np.array(v.tolist(), float))).argmax() for v in f["vecs"]], np.int32)
-            yield f
-
-    return objs.select("mv_id", "n_tok", "vecs").mapInPandas(run, "mv_id long, n_tok int, vecs array<array<double>>, shard int")
-
-
 def search_routed(
     queries: DataFrame, routed: DataFrame, graph: DataFrame, centres: np.ndarray, cfg: SearchConfig, index: IndexConfig, links: DataFrame | None = None
 ) -> tuple[DataFrame, DataFrame]:

@@ -7,17 +7,28 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..config import SimConfig
 from ..functions import kernel
+from ..functions.vectors import norm
+from .shards import rows_of
 
 #: query values that may be held by every task (32 M doubles); more are scored in blocks
 QUERY_VALUES = 32_000_000
 
 
-def objects(tokens: DataFrame, min_tokens: int = 2) -> DataFrame:
-    """Nested form (mv_id, n_tok, vecs), objects below ``min_tokens`` dropped."""
+def normalised(tokens: DataFrame) -> DataFrame:
+    """Tokens of unit length; zero vectors stay as they are."""
+    size = norm(F.col("vec"))
+    return tokens.withColumn("vec", F.when(size > 0, F.transform("vec", lambda x: x / size)).otherwise(F.col("vec")))
+
+
+def objects(tokens: DataFrame, min_tokens: int = 2, unit: bool = False) -> DataFrame:
+    """Nested form (mv_id, n_tok, vecs), objects below ``min_tokens`` dropped; ``unit`` normalises every token."""
+    tokens = normalised(tokens) if unit else tokens
     nested = tokens.groupBy("mv_id").agg(F.array_sort(F.collect_list(F.struct("tok_ix", "vec"))).alias("t"))
     return nested.select("mv_id", F.size("t").alias("n_tok"), F.col("t.vec").alias("vecs")).where(F.col("n_tok") >= min_tokens)
 
@@ -80,49 +91,112 @@ def top_k(scores: DataFrame, k: int) -> DataFrame:
     return scores.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("qid", "rank", "mv_id", "score")
 
 
-def linear_scan(queries: DataFrame, objs: DataFrame, k: int, gamma: int = 1, metric: str = "ip", short: str = "literal", where: Column | None = None, mode: str = "exact") -> DataFrame:
+def linear_scan(
+    queries: DataFrame, objs: DataFrame, k: int, gamma: int = 1, metric="ip", short: str = "literal", where: Column | None = None, mode: str = "exact",
+    beta: int | None = None,
+) -> DataFrame:
     """Exact top-k (ground truth): every object scored where it lies, k rows a batch and query go on."""
+    sim = SimConfig(metric=metric, gamma=gamma, short=short, mode=mode, beta=beta)
     block = query_block(queries)
     groups = {qid: kernel.cluster_tokens(q) for qid, q, _ in block} if mode == "clustered" else {}
+    metric = kernel.metric_of(sim.metric)
 
-    def run(frames):
-        for f in frames:
-            out, ids = [], f["mv_id"].to_numpy()
-            mats = [np.array(v.tolist(), float) for v in f["vecs"]]
-            if not mats or not block:
+    def run(batches):
+        for b in batches:
+            ids = b.column(0).to_numpy()
+            if not len(ids) or not block:
                 continue
-            first = np.concatenate([[0], np.cumsum([len(m) for m in mats])[:-1]])
-            wide = np.concatenate(mats)
+            objects_, every, out = kernel.Block(*rows_of(b.column(1))), np.arange(len(ids)), []
             for qid, q, w in block:
                 if mode == "clustered":
-                    s = np.array([kernel.clustered_sim(q, m, gamma, w, groups=groups[qid]) for m in mats])
-                elif gamma == 1:  # one product for the whole batch
-                    s = w @ np.maximum.reduceat(kernel.similarities(q, wide, metric), first, axis=1)
+                    s = objects_.clustered_scores(q, groups[qid], every, gamma, w, beta)
                 else:
-                    s = np.array([w @ kernel.top_sums(kernel.similarities(q, m, metric), gamma, short) for m in mats])
+                    s = objects_.scores(q, every, gamma, w, metric, short)
                 best = np.lexsort((ids, -s))[:k]
-                out.append(pd.DataFrame({"qid": qid, "mv_id": ids[best], "score": s[best]}))
-            yield pd.concat(out)
+                out.append((np.full(len(best), qid), ids[best], s[best]))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)], names=["qid", "mv_id", "score"])
 
     kept = objs if where is None else objs.where(where)
-    return top_k(kept.select("mv_id", "vecs").mapInPandas(run, "qid long, mv_id long, score double"), k)
-
-
-def score_pairs(left: DataFrame, right: DataFrame, pairs: DataFrame, kind: str = "fused", gamma: int = 1, clustered: bool = False) -> DataFrame:
-    """(src, dst, weight) for candidate pairs (src, dst) of objects, by co-partitioned joins."""
-
-    def run(frames):
-        for f in frames:
-            w = []
-            for u, v in zip(f["u"], f["v"]):
-                u, v = np.array(u.tolist(), float), np.array(v.tolist(), float)
-                g = (kernel.cluster_tokens(u), kernel.cluster_tokens(v)) if clustered else None
-                w.append(kernel.edge_weight(u, v, gamma, kind, groups=g))
-            yield pd.DataFrame({"src": f["src"], "dst": f["dst"], "weight": w})
-
-    met = pairs.join(left.select(F.col("mv_id").alias("src"), F.col("vecs").alias("u")), "src")
-    met = met.join(right.select(F.col("mv_id").alias("dst"), F.col("vecs").alias("v")), "dst")
-    return met.select("src", "dst", "u", "v").mapInPandas(run, "src long, dst long, weight double")
+    return top_k(kept.select("mv_id", "vecs").mapInArrow(run, "qid long, mv_id long, score double"), k)
+
+
+def cluster_objects(objs: DataFrame, rounds: int = 5) -> DataFrame:
+    """``objs`` with ``groups``: the group of each token, made once an object and kept with it."""
+    cols = [c for c in objs.columns if c != "groups"]
+    kinds = ", ".join(f"{n} {t}" for n, t in objs.select(cols).dtypes)
+    at = cols.index("vecs")
+
+    def run(batches):
+        for b in batches:
+            x, size = rows_of(b.column(at))
+            start = np.cumsum(size) - size
+            got = [kernel.cluster_tokens(x[i : i + n], rounds=rounds).astype(np.int32) for i, n in zip(start.tolist(), size.tolist())]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(got, pa.list_(pa.int32()))], names=[*cols, "groups"])
+
+    return objs.select(cols).mapInArrow(run, f"{kinds}, groups array<int>")
+
+
+def object_clusters(objs: DataFrame) -> DataFrame:
+    """(mv_id, cluster, centroid, members): the groups of each object's tokens as rows."""
+    o = objs if "groups" in objs.columns else cluster_objects(objs)
+    t = o.select("mv_id", F.posexplode(F.arrays_zip("groups", "vecs")).alias("tok_ix", "t")).select("mv_id", F.col("t.groups").alias("cluster"), "tok_ix", F.col("t.vecs").alias("vec"))
+    part = t.select("mv_id", "cluster", "tok_ix", F.posexplode("vec").alias("i", "x")).groupBy("mv_id", "cluster", "i").agg(F.avg("x").alias("x"))
+    centre = part.groupBy("mv_id", "cluster").agg(F.array_sort(F.collect_list(F.struct("i", "x")))["x"].alias("centroid"))
+    members = t.groupBy("mv_id", "cluster").agg(F.array_sort(F.collect_list("tok_ix")).alias("members"))
+    return centre.join(members, ["mv_id", "cluster"])
+
+
+def shortlists(scores: DataFrame, groups: DataFrame, beta: int) -> DataFrame:
+    """(qid, g, mv_id, tok_ix): the beta tokens of each object nearest to the centre of each group (qid, q_ix, g) of query tokens."""
+    s = scores.join(groups.select("qid", "q_ix", "g"), ["qid", "q_ix"])
+    near = s.groupBy("qid", "g", "mv_id", "tok_ix").agg(F.sum("s").alias("c"))  # a sum of members is a centre
+    w = Window.partitionBy("qid", "g", "mv_id").orderBy(F.desc("c"), "tok_ix")
+    return near.withColumn("r", F.row_number().over(w)).where(F.col("r") <= beta).select("qid", "g", "mv_id", "tok_ix")
+
+
+def refined(scores: DataFrame, groups: DataFrame, short: DataFrame, gamma: int = 1) -> DataFrame:
+    """(qid, mv_id, score): the unified similarity where each query token looks at its group's shortlist only.
+
+    Groups are rows, so the groups of one pair are worked on by different tasks.
+    """
+    s = scores.join(groups.select("qid", "q_ix", "g"), ["qid", "q_ix"]).join(short, ["qid", "g", "mv_id", "tok_ix"], "left_semi")
+    return unified(s.select("qid", "q_ix", "mv_id", "tok_ix", "s"), gamma)
+
+
+def score_pairs(left: DataFrame, right: DataFrame, pairs: DataFrame, kind: str = "fused", gamma: int = 1, clustered: bool = False, beta: int | None = None) -> DataFrame:
+    """(src, dst, weight) for candidate pairs (src, dst) of objects: partners of one object are scored by one product.
+
+    Objects without ``groups`` are clustered once each before they meet.
+    """
+    if kind not in kernel.EDGES:
+        raise ValueError(f"unknown edge function {kind!r}")
+    if clustered:
+        left, right = (o if "groups" in o.columns else cluster_objects(o) for o in (left, right))
+    none = F.lit(None).cast("array<int>")
+
+    def run(batches):
+        for b in batches:
+            src, dst = b.column(0).to_numpy(), b.column(1).to_numpy()
+            x, sx = rows_of(b.column(2))
+            y, sy = rows_of(b.column(3))
+            at, w, n = np.cumsum(sx) - sx, np.zeros(len(src)), len(src)
+            own = b.column(4).to_pylist() if clustered else None
+            other = b.column(5).to_pylist() if clustered else None
+            edge = np.flatnonzero(np.concatenate([[True], src[1:] != src[:-1], [True]])) if n else []
+            first_y = np.cumsum(sy) - sy
+            for lo, hi in zip(edge[:-1], edge[1:]):
+                u = x[at[lo] : at[lo] + sx[lo]]
+                end = first_y[hi - 1] + sy[hi - 1]
+                met = kernel.Block(np.concatenate([u, y[first_y[lo] : end]]), np.concatenate([[len(u)], sy[lo:hi]]))
+                if clustered:
+                    met.groups = {0: np.array(own[lo]), **{1 + k: np.array(g) for k, g in enumerate(other[lo:hi])}}
+                w[lo:hi] = met.edges(0, np.arange(1, hi - lo + 1), gamma, kind, clustered, beta)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(w)], names=["src", "dst", "weight"])
+
+    side = lambda o, i, v, g: o.select(F.col("mv_id").alias(i), F.col("vecs").alias(v), (F.col("groups") if clustered else none).alias(g))
+    met = pairs.join(side(right, "dst", "v", "gv"), "dst").join(side(left, "src", "u", "gu"), "src")
+    met = met.select("src", "dst", "u", "v", "gu", "gv").sortWithinPartitions("src")
+    return met.mapInArrow(run, "src long, dst long, weight double")
 
 
 def idf_weights(tokens: DataFrame, word: str = "word") -> DataFrame:

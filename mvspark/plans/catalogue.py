@@ -202,23 +202,21 @@ sl AS (SELECT qid, g, mv_id, tok_ix FROM cd WHERE r <= 3)"""
 
 
 def _groups(spark, sf):
-    """Shortlists under fixed groups q_ix mod 3: (qid, g, mv_id, tok_ix)."""
+    """Token scores, fixed groups q_ix mod 3 and their shortlists."""
     t = tok(spark, sf)
-    s = S.token_scores(X.as_queries(t), t).withColumn("g", F.col("q_ix") % 3)
-    near = s.groupBy("qid", "g", "mv_id", "tok_ix").agg(F.sum("s").alias("c"))  # a sum of members is a centre
-    w = Window.partitionBy("qid", "g", "mv_id").orderBy(F.desc("c"), "tok_ix")
-    return s, near.withColumn("r", F.row_number().over(w)).where("r <= 3").select("qid", "g", "mv_id", "tok_ix")
+    s = S.token_scores(X.as_queries(t), t)
+    groups = X.as_queries(t).select("qid", "q_ix", (F.col("q_ix") % 3).alias("g"))
+    return s, groups, S.shortlists(s, groups, 3)
 
 
 @query(_CL + " SELECT qid, CAST(g AS INTEGER) AS g, mv_id, tok_ix FROM sl")
 def c2_filter(spark, sf):
-    return _groups(spark, sf)[1]
+    return _groups(spark, sf)[2]
 
 
 @query(_CL + " SELECT qid, mv_id, sum(s) AS score FROM (SELECT sc.qid, sc.q_ix, sc.mv_id, max(s) AS s FROM sc JOIN sl ON sc.qid = sl.qid AND sc.q_ix % 3 = sl.g AND sc.mv_id = sl.mv_id AND sc.tok_ix = sl.tok_ix GROUP BY ALL) GROUP BY ALL")
 def c3_refine(spark, sf):
-    s, short = _groups(spark, sf)
-    return s.join(short, ["qid", "g", "mv_id", "tok_ix"], "left_semi").groupBy("qid", "q_ix", "mv_id").agg(F.max("s").alias("s")).groupBy("qid", "mv_id").agg(F.sum("s").alias("score"))
+    return S.refined(*_groups(spark, sf))
 
 
 @query()
