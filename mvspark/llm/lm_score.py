@@ -2,24 +2,28 @@
 
 A text is its words in order (A-Z lower-cased) and one end. Words seen at least twice in training, up to ``LISTED``
 of the most frequent, the end, and an escape for all others are the leaves of a Huffman tree; every token is
-a walk down it, and every step one bit. Three predictors know a bit: its node alone (from the words' counts); the
-last word and the node (counts in a hashed table); and the last two words, whose hashed entry names the
-word that most often followed, as long as the walk so far agrees with it. They are mixed in the
-logistic domain, with weights chosen by how often the contexts were seen and how deep the walk is. Weights, and a
+a run of bits. The last two words' hashed entry names the word that most often followed; if there is one, the first bit
+tells whether it comes again, predicted from how often it did and did not. If it does not, the token is a walk
+down the tree, and every step one bit. Three predictors know it: the node alone (from the words' counts), the last word and the
+node, and the last very frequent word of the text (which tells the language) and the node, both from counts in hashed tables. They
+are mixed in the logistic domain, with weights chosen by how often the context was seen and how deep the walk
+is; below ``DEEP`` steps contexts have too little to say, and the words' counts alone decide. Weights, and a
 last table that refines the mixed probability by its level, are learnt online in the same pass that gathers the counts:
 whenever a task settles what it has counted, it predicts the texts that come next and learns from them. They go on
-learning while a text is scored: after every ``SPAN`` words they move by what the text has shown so far. Every text starts from the same state, so a score depends on the
+learning while a text is scored: after its first ``SPAN`` words, after twice as many more, and so on, they move by what
+the text has shown so far. Every text starts from the same state, so a score depends on the
 text and the training texts alone. The bits of a text and its bytes give bits per byte.
 
 A word after an escape is, if it was seen in training, one of the rare words, by absolute discounting of
 their counts (the discount from how many were seen once and twice); else it is spelled: each byte, and the
 space after the word, is a walk down a Huffman tree of bytes, predicted from up to five bytes before it and from the last
-very frequent word of the text (which tells the language), mixed and learnt the same way. As words
+very frequent word, mixed and learnt the same way. As words
 seen once are escapes in training, the model knows when new words come.
 
+Words are named by 64 bits and never become objects: a batch of texts is one run of bytes, cut and hashed as a whole.
 Training gathers dense chunks of the tables (their size follows the number of training words up to a
-bound) from as many tasks as the cluster runs at once. Counts are exact: listed words are looked up in the scan,
-the rest meet the table of all counts by one join.
+bound) from as many tasks as the cluster runs at once. All training words are counted: listed ones are looked up in
+the scan, the rest meet the table of all counts by one join.
 
 Defined results: null and wordless texts are one end token; null ids hash as the empty text does;
 repeated rows are scored one by one; without training documents every count is 0; an empty table
@@ -30,8 +34,6 @@ from __future__ import annotations
 
 import heapq
 import math
-import zlib
-from collections import Counter
 
 import numpy as np
 import pandas as pd
@@ -42,25 +44,26 @@ from pyspark.sql import functions as F
 
 from .common import text_of, written
 
-END = b"\n"
-#: words in the list at most; distinct words a worker counts before it hands them on; frequent words that tell the language
-LISTED, HELD, TOPICS = 262_144, 300_000, 64
+#: words in the list at most; words a worker counts before it hands them on; frequent words that tell the language
+LISTED, HELD, TOPICS = 262_144, 4_000_000, 64
 #: slots of each table: two for each training token, within these powers of two
-LEAST, MOST = 12, 22
-#: words after which a text's own weights move, and how fast; words in a batch of texts
-SPAN, FAST, TOKENS = 64, 0.02, 40_000
+LEAST, MOST = 12, 21
+#: words after which a text's own weights move first (then after spans ever twice as long), and how fast; bytes in a batch of texts
+SPAN, FAST, BYTES = 64, 0.02, 300_000
 #: levels of the refined probability, and how many bits its learnt value weighs against the text's own
 STEPS, FIRM = 33, 200.0
-#: gates: how often the last word and node were seen, state of the followed word, depth
-SEEN, FOLLOWED, DEEP = 7, 7, 4
-GATES = SEEN * FOLLOWED * DEEP
+#: steps of a walk that are predicted from contexts; gates: how often the last word and node were seen and the depth, or the followed word's state
+DEEP, SEEN, FOLLOWED = 8, 7, 7
+GATES = SEEN * DEEP + FOLLOWED
+#: power of two of the slots of frequent words and nodes
+TOPIC_POWER = 20
 #: contexts of a spelled byte: (bytes before it, with the topic or without), power of two of each one's slots, and gates
-SPELLED, SPELL_POWER = ((1, True), (2, True), (3, True), (4, True), (5, False)), 20
+SPELLED, SPELL_POWER = ((2, True), (3, True), (4, True), (5, False)), 20
 SPELL_GATES = 8 * 6
 #: bits between two moves of the learnt weights, their rate and what steadies them
 STEP, RATE, STEADY = 32_768, 0.3, 20.0
 #: bits a task counts before it settles them and learns from the texts that come next: a share of those so far, within bounds
-SHARE, SOONEST, LATEST = 0.25, 200_000, 6_000_000
+SHARE, SOONEST, LATEST = 0.4, 200_000, 5_000_000
 #: entries of a chunk of counts on its way to the driver, and the unit of sums that must not depend on their order
 CHUNK, POINT = 1 << 13, float(1 << 20)
 #: bits of a leaf's number in an entry; the bits above check the context
@@ -70,10 +73,6 @@ _MIX = np.uint64(0x9E3779B97F4A7C15)
 _NODE = np.uint64(0xD1B54A32D192ED03)
 
 
-def words(text: str | None) -> list[bytes]:
-    return (text or "").encode("utf-8", "surrogatepass").lower().split()
-
-
 def held_out(doc_id: Column) -> Column:
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % 5 == 1
 
@@ -99,9 +98,9 @@ def huffman(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 class Tree:
     """Every leaf's inner nodes and bits from the root, and each inner node's log odds from the leaves' counts."""
 
-    def __init__(self, counts: np.ndarray):
+    def __init__(self, counts: np.ndarray, shape: tuple[np.ndarray, np.ndarray] | None = None):
         n = len(counts)
-        parent, side = huffman(counts)
+        parent, side = shape or huffman(counts)
         root, at = 2 * n - 2, np.arange(n)
         self.length = np.zeros(n, np.int64)
         climbs = []
@@ -119,12 +118,15 @@ class Tree:
         mass = np.repeat(np.maximum(counts, 0).astype(np.float64), self.length)
         ones, both = np.bincount(self.node, mass * self.bit, n - 1), np.bincount(self.node, mass, n - 1)
         self.odds = np.log((ones + 0.4) / (both - ones + 0.4)).astype(np.float32)[self.node]
+        sure = -np.log1p(np.exp(-np.where(self.bit, self.odds, -self.odds).astype(np.float64))) / math.log(10)
+        deep = np.arange(len(self.node)) - np.repeat(self.offset, self.length) >= DEEP
+        self.rest = np.bincount(np.repeat(np.arange(n), self.length), np.where(deep, sure, 0), n)  # log10 of what no context predicts
         with np.errstate(over="ignore"):
             self.salt = self.node.astype(np.uint64) * _NODE
 
-    def walk(self, leaf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(steps to each leaf, depth and place in ``node`` and ``bit`` of every step)."""
-        size = self.length[leaf]
+    def walk(self, leaf: np.ndarray, deep: int = 1 << 30) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(steps to each leaf, depth and place in ``node`` and ``bit`` of every step), ``deep`` steps at most."""
+        size = np.minimum(self.length[leaf], deep)
         begin = np.cumsum(size) - size
         every = np.arange(int(size.sum()), dtype=np.int32)
         return size, every - np.repeat(begin.astype(np.int32), size), every + np.repeat((self.offset[leaf] - begin).astype(np.int32), size)
@@ -133,9 +135,10 @@ class Tree:
 def context_names(ids: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Hashes of the word before each token and of the two before it, within its text; ``first`` marks where texts start."""
     with np.errstate(over="ignore"):
-        one = np.concatenate([[0], ids[:-1]]).astype(np.uint64) + np.uint64(1)
+        one, two = np.zeros(len(ids), np.uint64), np.zeros(len(ids), np.uint64)
+        one[1:] = ids[:-1]
         one[first] = 0
-        two = np.concatenate([[0], one[:-1]]).astype(np.uint64) + np.uint64(1)
+        two[1:] = one[:-1]
         two[first] = 0
         a = (one + np.uint64(1)) * _MIX
         a ^= a >> np.uint64(29)
@@ -252,46 +255,130 @@ def averaged(sums: dict[int, tuple[int, int]], first: int, start: np.ndarray) ->
 
 def start_weights() -> np.ndarray:
     """Before training: contexts that were never seen count nothing."""
-    w = np.zeros((SEEN, FOLLOWED, DEEP, 3), np.float32)
-    w[..., 0], w[0, ..., 0] = 0.5, 1.0
-    w[1:, ..., 1] = 0.5
-    w[:, 1:, :, 2] = 0.5
-    return w.reshape(GATES, 3)
+    w = np.zeros((GATES, 3), np.float32)
+    w[: SEEN * DEEP] = (0.2, 0.5, 0.4)
+    w[:DEEP] = (0.4, 0.0, 0.6)
+    w[SEEN * DEEP :] = (1.0, 0.0, 0.0)
+    return w
 
 
 # --- reading texts ---
 
 
-def read_tokens(texts: list[list[bytes]], at: dict[bytes, int]) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
-    """(leaf, id, where texts start) of every token and end, and the words that are not listed, in order."""
-    end, escape = len(at), len(at) + 1
-    leaf: list[int] = []
-    first: list[int] = []
-    odd: list[bytes] = []
-    get = at.get
-    for w in texts:
-        first.append(len(leaf))
-        got = [get(x, escape) for x in w]
-        if escape in got:
-            odd += [x for x, i in zip(w, got) if i == escape]
-        leaf += got
-        leaf.append(end)
-    kind = np.array(leaf, np.int64)
-    ids = kind.copy()  # a word that is not listed is still a context of its own
-    ids[kind == escape] = np.fromiter(map(zlib.crc32, odd), np.int64, len(odd)) + escape
-    return kind, ids, np.array(first, np.int64), odd
+_SPACE, _LOWER = np.zeros(256, bool), np.arange(256, dtype=np.uint8)
+_SPACE[[32, *range(9, 14)]] = True
+_LOWER[65:91] += 32
+#: an odd factor and its inverse modulo 2^64, for names that do not depend on where a word lies
+_TIMES = 0x5851F42D4C957F2D
+_POWERS: dict[str, np.ndarray] = {}
+
+
+def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first n powers of the factor and of its inverse."""
+    if len(_POWERS.get("up", ())) < n:
+        size = max(n, 2 * BYTES)
+        for name, base in (("up", _TIMES), ("down", pow(_TIMES, -1, 1 << 64))):
+            out = np.full(size, base, np.uint64)
+            out[0] = 1
+            with np.errstate(over="ignore"):
+                _POWERS[name] = np.cumprod(out)
+    return _POWERS["up"][:n], _POWERS["down"][:n]
+
+
+class Texts:
+    """A batch of texts as one run of bytes: where words start and end, their names, and an end after every text's words."""
+
+    def __init__(self, flat: np.ndarray, offset: np.ndarray):
+        n = len(offset) - 1
+        self.flat = flat = _LOWER[flat]
+        solid = ~_SPACE[flat]
+        edge = np.zeros(len(flat) + 1, bool)
+        edge[offset] = True
+        begin, stop = solid.copy(), solid.copy()
+        begin[1:] &= ~solid[:-1] | edge[1:-1]
+        stop[:-1] &= ~solid[1:] | edge[1:-1]
+        self.start, self.stop = np.flatnonzero(begin), np.flatnonzero(stop) + 1
+        up, down = _powers(len(flat))
+        with np.errstate(over="ignore"):
+            sums = np.concatenate([[np.uint64(0)], np.cumsum((flat.astype(np.uint64) + np.uint64(1)) * up)])
+            name = (sums[self.stop] - sums[self.start]) * down[self.start]
+            name ^= name >> np.uint64(32)
+            self.name = name * _MIX
+        per = np.searchsorted(self.start, offset)
+        self.words = np.diff(per)  # of each text
+        self.first = per[:-1] + np.arange(n)  # where its tokens start, ends counted
+        self.size = self.words + 1
+        self.text = np.repeat(np.arange(n, dtype=np.int32), self.size)
+        self.is_end = np.zeros(len(self.text), bool)
+        self.is_end[self.first + self.words] = True
+        self.bytes = np.bincount(self.text[~self.is_end], self.stop - self.start, n).astype(np.int64) + self.size if n else np.zeros(0, np.int64)
+        self.ids = np.ones(len(self.text), np.uint64)
+        self.ids[~self.is_end] = self.name
+
+    @classmethod
+    def of(cls, texts: list[bytes]) -> Texts:
+        offset = np.cumsum([0] + [len(t) for t in texts])
+        return cls(np.frombuffer(b"".join(texts), np.uint8), offset)
+
+    def word(self, tokens: np.ndarray) -> list[bytes]:
+        """The bytes of the given tokens, none of them an end."""
+        at = tokens - self.text[tokens]
+        return [self.flat[i:j].tobytes() for i, j in zip(self.start[at].tolist(), self.stop[at].tolist())]
+
+
+def text_batches(column: pa.Array):
+    """(rows, Texts) of an Arrow column of strings, about BYTES bytes at a time."""
+    if isinstance(column, pa.ChunkedArray):
+        column = column.combine_chunks()
+    kind = np.int64 if pa.types.is_large_string(column.type) else np.int32
+    n, at = len(column), column.offset
+    bounds = np.frombuffer(column.buffers()[1], kind)[at : at + n + 1].astype(np.int64) if n else np.zeros(1, np.int64)
+    data = column.buffers()[2]
+    flat = np.frombuffer(data, np.uint8) if data is not None and data.size else np.zeros(0, np.uint8)
+    lo = 0
+    while lo < n:
+        hi = max(lo + 1, int(np.searchsorted(bounds, bounds[lo] + BYTES, side="right")) - 1)
+        yield slice(lo, hi), Texts(flat[bounds[lo] : bounds[hi]], bounds[lo : hi + 1] - bounds[lo])
+        lo = hi
+
+
+class Places:
+    """Names of listed words to leaves, by the top bits of the names; other words are the escape."""
+
+    BITS = 20
+
+    def __init__(self, names: np.ndarray):
+        self.end, self.escape = len(names), len(names) + 1
+        order = np.argsort(names, kind="stable")
+        self.names, self.leaf = np.append(names[order], np.uint64(0)), np.append(order, 0).astype(np.int32)
+        self.begin = np.searchsorted(names[order], np.arange((1 << self.BITS) + 1, dtype=np.uint64) << np.uint64(64 - self.BITS)).astype(np.int32)
+        self.begin[-1] = len(names)
+
+    def __call__(self, t: Texts) -> np.ndarray:
+        """Leaf of every token."""
+        found = np.full(len(t.name), self.escape, np.int32)
+        box = (t.name >> np.uint64(64 - self.BITS)).astype(np.int32)
+        at, stop = self.begin[box], self.begin[box + 1]
+        left = np.flatnonzero(at < stop)
+        at, stop = at[left], stop[left]
+        while len(left):
+            hit = self.names[at] == t.name[left]
+            found[left[hit]] = self.leaf[at[hit]]
+            at = at + 1
+            go = ~hit & (at < stop)
+            left, at, stop = left[go], at[go], stop[go]
+        out = np.full(len(t.ids), self.end, np.int32)
+        out[~t.is_end] = found
+        return out
 
 
 def topics(leaf: np.ndarray, first: np.ndarray, escape: int) -> np.ndarray:
-    """For every word that is not listed, the last of the ``TOPICS`` most frequent words before it in its text, else 0."""
-    at = np.arange(len(leaf))
-    last = np.where((leaf < TOPICS) & (leaf < escape - 1), at, -1)
-    last = np.maximum.accumulate(last)
-    start = np.zeros(len(leaf), np.int64)
-    start[first] = first
-    start = np.maximum.accumulate(start)
-    here = np.flatnonzero(leaf == escape)
-    return np.where(last[here] >= start[here], leaf[last[here]] + 1, 0)
+    """For every token the last of the ``TOPICS`` most frequent words before it in its text, plus one; else 0."""
+    at = np.arange(len(leaf), dtype=np.int32)
+    last = np.where(leaf < min(TOPICS, escape - 1), at, -1)
+    last = np.concatenate([[-1], np.maximum.accumulate(last)[:-1]]) if len(leaf) else last
+    start = np.repeat(first, np.diff(np.append(first, len(leaf))))
+    return np.where(last >= start, leaf[last] + 1, 0)
 
 
 class Spelling:
@@ -318,38 +405,55 @@ class Spelling:
 
     def inputs(self, tables: list) -> tuple[list[np.ndarray], np.ndarray]:
         got = [t.look(s) for t, s in zip(tables, self.slots)]
-        return [x for x, _ in got], np.minimum(got[1][1] >> 1, 7).astype(np.int32) * 6 + np.minimum(got[-2][1] >> 1, 5)
+        return [x for x, _ in got], np.minimum(got[0][1] >> 1, 7).astype(np.int32) * 6 + np.minimum(got[-2][1] >> 1, 5)
 
 
 class Steps:
-    """The bits of a run of tokens under the word predictors."""
+    """The bits of a run of tokens: first whether the followed word comes, where there is one, then walks of the tokens it is not.
 
-    def __init__(self, tree: Tree, leaf: np.ndarray, ids: np.ndarray, first: np.ndarray, power: int):
-        self.tree, self.leaf = tree, leaf
-        self.size, self.depth, self.at = tree.walk(leaf)
-        self.bit = tree.bit[self.at]
+    ``walk_all`` gives the walks of all tokens, as counts are gathered from all.
+    """
+
+    def __init__(self, tree: Tree, leaf: np.ndarray, ids: np.ndarray, first: np.ndarray, topic: np.ndarray, power: int, entries=None, walk_all: bool = False):
+        self.tree = tree
         one, self.two = context_names(ids, first)
-        self.slots = slots_of(np.repeat(one, self.size), tree.salt[self.at], power)
+        self.asked = np.zeros(0, np.int64)
+        walks = np.arange(len(leaf))
+        if entries is not None:
+            slot, check = followed(self.two, power)
+            named, self.times, self.misses = (entries[c][slot].astype(np.int64) for c in ("value", "n", "miss"))
+            guess = named & ((1 << LEAF) - 1)
+            self.asked = np.flatnonzero((named >> LEAF == check) & (self.times > 0) & (guess < len(tree.length)))
+            self.times, self.misses = self.times[self.asked], self.misses[self.asked]
+            self.comes = (guess[self.asked] == leaf[self.asked]).astype(np.int8)
+            if not walk_all:
+                stay = np.ones(len(leaf), bool)
+                stay[self.asked[self.comes == 1]] = False
+                walks = np.flatnonzero(stay)
+        self.walks = walks
+        self.size, self.depth, self.at = tree.walk(leaf[walks], DEEP)
+        self.bit = tree.bit[self.at]
+        salt = tree.salt[self.at]
+        with np.errstate(over="ignore"):
+            about = (topic[walks].astype(np.uint64) + np.uint64(7)) * np.uint64(0x94D049BB133111EB)
+        self.slots = slots_of(np.repeat(one[walks], self.size), salt, power)
+        self.topic_slots = slots_of(np.repeat(about, self.size), salt, TOPIC_POWER)
 
-    def inputs(self, table, entries, power: int) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
-        """Mixer inputs (node, last word, followed word), the gate of each bit, and the state of the followed word."""
-        tree = self.tree
+    def inputs(self, table, about) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(mixer inputs, gate, bit, token, state) of all bits: questions after the followed word, then walks."""
         x, seen = table.look(self.slots)
-        slot, check = followed(self.two, power)
-        named, times, misses = (entries[c][slot].astype(np.int64) for c in ("value", "n", "miss"))
-        guess = named & ((1 << LEAF) - 1)
-        live = (named >> LEAF == check) & (times > 0) & (guess < len(tree.length))
-        y, state = np.zeros(len(self.bit), np.float32), np.zeros(len(self.bit), np.int32)
-        on = np.flatnonzero(np.repeat(live, self.size))
-        if len(on):
-            token = np.repeat(np.flatnonzero(live), self.size[live])
-            to = tree.offset[guess[token]] + np.minimum(self.depth[on], tree.length[guess[token]] - 1)
-            agrees = tree.node[to] == tree.node[self.at[on]]
-            on, to, token = on[agrees], to[agrees], token[agrees]
-            y[on] = tree.bit[to] * np.float32(2) - 1
-            state[on] = (1 + np.minimum(times - 1, 2) * 2 + (misses > 0))[token]
-        gate = (np.minimum(seen, SEEN - 1).astype(np.int32) * FOLLOWED + state) * DEEP + np.minimum(self.depth >> 1, DEEP - 1)
-        return [tree.odds[self.at], x, y], gate, state
+        y, _ = about.look(self.topic_slots)
+        gate = np.minimum(seen, SEEN - 1).astype(np.int32) * DEEP + self.depth
+        zero = np.zeros(len(self.asked), np.float32)
+        state = 1 + np.minimum(self.times - 1, 2) * 2 + (self.misses > 0) if len(self.asked) else np.zeros(0, np.int64)
+        sure = np.log((self.times + 0.4) / (self.misses + 0.4)).astype(np.float32) if len(self.asked) else zero
+        return (
+            [np.concatenate([sure, self.tree.odds[self.at]]), np.concatenate([zero + 1, x]), np.concatenate([zero, y])],
+            np.concatenate([SEEN * DEEP + state, gate]).astype(np.int32),
+            np.concatenate([self.comes, self.bit]) if len(self.asked) else self.bit,
+            np.concatenate([self.asked, np.repeat(self.walks, self.size)]),
+            np.concatenate([state, np.zeros(len(gate), np.int64)]).astype(np.int32),
+        )
 
 
 ENTRY = np.dtype([("value", "<u4"), ("n", "<u2"), ("miss", "<u2")])
@@ -360,7 +464,7 @@ class Followers:
 
     def __init__(self, power: int):
         self.power = power
-        self.value, self.n, self.miss = (np.zeros(1 << power, np.int64) for _ in range(3))
+        self.value, self.n, self.miss = np.zeros(1 << power, np.uint32), np.zeros(1 << power, np.int32), np.zeros(1 << power, np.int32)
 
     def __getitem__(self, column: str) -> np.ndarray:
         return {"value": self.value, "n": self.n, "miss": self.miss}[column]
@@ -369,7 +473,7 @@ class Followers:
         slot, check = followed(names, self.power)
         pair, n = np.unique(slot << 32 | check << LEAF | leaf, return_counts=True)
         slot, value = pair >> 32, pair & ((1 << 32) - 1)
-        held = self.value[slot]
+        held = self.value[slot].astype(np.int64)
         same = (held == value) & (self.n[slot] > 0)
         self.n[slot[same]] += n[same]
         miss = ~same & (held >> LEAF == value >> LEAF) & (self.n[slot] > 0)
@@ -408,8 +512,8 @@ def merged(parts: list[np.ndarray]) -> np.ndarray:
 class Words:
     """The trained model: ``names`` are the listed words in order of ``counts``; the end and the escape come after them."""
 
-    def __init__(self, names, counts, letters, table, entries, spelled, weights, refined, spell_weights, spell_refined):
-        self.state = (names, counts, letters, table, entries, spelled, weights, refined, spell_weights, spell_refined)
+    def __init__(self, names, counts, shape, letters, table, about, entries, spelled, weights, refined, spell_weights, spell_refined):
+        self.state = (names, counts, shape, letters, table, about, entries, spelled, weights, refined, spell_weights, spell_refined)
         self._ready()
 
     def __getstate__(self):
@@ -420,118 +524,102 @@ class Words:
         self._ready()
 
     def _ready(self):
-        self.names, self.counts, letters, table, self.entries, spelled, self.weights, self.refined, self.spell_weights, self.spell_refined = self.state
-        self.tree, self.letters, self.table, self.spelled = Tree(self.counts), Tree(letters), Ready(table), [Ready(t) for t in spelled]
-        self.at = {w: i for i, w in enumerate(self.names)}
-        self.escape, self.power = len(self.names) + 1, int(math.log2(len(table)))
+        names, self.counts, shape, letters, table, about, self.entries, spelled, self.weights, self.refined, self.spell_weights, self.spell_refined = self.state
+        self.tree, self.letters = Tree(self.counts, shape), Tree(letters)
+        self.table, self.about, self.spelled = Ready(table), Ready(about), [Ready(t) for t in spelled]
+        self.at, self.power = Places(names), int(math.log2(len(table)))
 
     def spell(self, batch: list[bytes], topic: np.ndarray) -> np.ndarray:
         """log10 probability of each word's bytes and the space after it."""
         out = np.zeros(len(batch))
-        for lo in range(0, len(batch), TOKENS // 2):
-            s = Spelling(self.letters, batch[lo : lo + TOKENS // 2], topic[lo : lo + TOKENS // 2])
+        for lo in range(0, len(batch), BYTES // 10):
+            s = Spelling(self.letters, batch[lo : lo + BYTES // 10], topic[lo : lo + BYTES // 10])
             z = logit(*s.inputs(self.spelled), self.spell_weights)
             p = np.clip((1 / (1 + np.exp(-z)) + self.spell_refined[level_of(z)]) / 2, 1e-6, 1 - 1e-6)
-            out[lo : lo + TOKENS // 2] = np.bincount(np.repeat(s.word, s.steps), np.log10(np.where(s.bit == 1, p, 1 - p)), len(out[lo : lo + TOKENS // 2]))
+            out[lo : lo + BYTES // 10] = np.bincount(np.repeat(s.word, s.steps), np.log10(np.where(s.bit == 1, p, 1 - p)), len(out[lo : lo + BYTES // 10]))
         return out
 
-    def score(self, texts: list[list[bytes]], span: int = SPAN, spell: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, list[bytes], np.ndarray]:
-        """(log10 probability of each text but for what follows escapes; text, word and spelling of every word that is not listed).
+    def score(self, t: Texts, span: int = SPAN, spell: np.ndarray | None = None, sums: tuple = ()) -> tuple:
+        """(log10 probability of each text but for what follows escapes; text, name and spelling of every word that is not listed;
+        for each array of ``sums`` its values summed over the leaves of each text).
 
         Only texts marked in ``spell`` (all, if not given) can hold new words; the others' spellings are zero.
         """
-        n = len(texts)
-        leaf, ids, first, odd = read_tokens(texts, self.at)
-        lengths = np.diff(np.append(first, len(leaf)))
-        place = np.repeat(np.arange(n, dtype=np.int32), lengths)
-        steps = Steps(self.tree, leaf, ids, first, self.power)
-        x, gate, state = steps.inputs(self.table, self.entries, self.power)
+        n, leaf, lengths, place = len(t.size), self.at(t), t.size, t.text
+        topic = topics(leaf, t.first, self.at.escape)
+        steps = Steps(self.tree, leaf, t.ids, t.first, topic, self.power, self.entries)
+        x, gate, bit, token, state = steps.inputs(self.table, self.about)
         order = np.argsort(-lengths, kind="stable")  # longest first, so that texts still going are a prefix
         rank = np.empty(n, np.int32)
         rank[order] = np.arange(n)
-        block = (np.arange(len(leaf)) - first[place]) // span
-        text = np.repeat(rank[place], steps.size)
+        out = np.bincount(rank[place[steps.walks]], self.tree.rest[leaf[steps.walks]], n).astype(np.float64)
+        inside = np.arange(len(leaf), dtype=np.int32) - t.first.astype(np.int32)[place]
+        block = np.frexp((inside // span + 1).astype(np.float32))[1].astype(np.uint8) - 1  # spans double
+        when = block[token]
         last = int(block.max(initial=0))
-        by = np.argsort(np.repeat(block.astype(np.uint16 if last < 65536 else np.int64), steps.size), kind="stable") if last else np.arange(len(text))
-        edges = np.concatenate([[0], np.cumsum(np.bincount(block, steps.size, last + 1).astype(np.int64))])
-        s_all = logit(x, gate, self.weights)
+        by = np.argsort(when, kind="stable") if last else slice(None)
+        edges = np.concatenate([[0], np.cumsum(np.bincount(when, minlength=last + 1))])
+        text, bit, state, fixed = rank[place][token][by], bit[by], state[by], logit(x, gate, self.weights)[by]
+        x = [c[by] for c in x]
         own = np.zeros((3, n * FOLLOWED), np.float32)
-        hit, all_ = np.tile(self.refined * FIRM, n), np.full(n * STEPS, FIRM)
-        out = np.zeros(n)
+        hit, all_ = np.tile((self.refined * FIRM).astype(np.float32), n), np.full(n * STEPS, FIRM, np.float32)
         for k, (lo, hi) in enumerate(zip(edges[:-1].tolist(), edges[1:].tolist())):
-            pick = by[lo:hi] if last else slice(None)
-            who, y, s = text[pick], steps.bit[pick], s_all[pick]
+            if lo == hi:
+                continue
+            part = slice(lo, hi)
+            who, y, s, z, mine = text[part], bit[part], fixed[part], [c[part] for c in x], text[part] * FOLLOWED + state[part]
             if k:
-                mine = who * FOLLOWED + state[pick]
-                s = np.clip(s + sum(own[j][mine] * x[j][pick] for j in range(3)), -14, 14)
+                s = np.clip(s + own[0][mine] * z[0] + own[1][mine] * z[1] + own[2][mine] * z[2], -14, 14)
             cell = who * STEPS + level_of(s)
             p = 1 / (1 + np.exp(-s))
-            q = np.clip((p + hit[cell] / all_[cell]) / 2, 1e-6, 1 - 1e-6)
-            m = int(who.max()) + 1 if len(who) else 0
-            out[:m] += np.bincount(who, np.log10(np.where(y, q, 1 - q)), m)
+            q = (p + hit[cell] / all_[cell]) / 2
+            m = int(who.max()) + 1
+            out[:m] += np.bincount(who, np.log10(np.clip(np.abs(q - (y == 0)), 1e-6, 1)), m)
             if k < last:  # what this block showed moves the next, of the texts that go on
-                on = np.flatnonzero(who < int((lengths > (k + 1) * span).sum()))
+                on = np.flatnonzero(who < int((lengths > span * ((1 << k + 1) - 1)).sum()))
                 if len(on) < len(who):
-                    who, y, p, cell = who[on], y[on], p[on], cell[on]
-                    pick = pick[on]
-                m = int(who.max()) + 1
-                mine = who * FOLLOWED + state[pick]
+                    who, y, p, cell, mine, z = who[on], y[on], p[on], cell[on], mine[on], [c[on] for c in z]
+                m = int(who.max(initial=-1)) + 1
                 have, err = np.bincount(mine, minlength=m * FOLLOWED), y - p
                 for j in range(3):
-                    own[j, : m * FOLLOWED] += (FAST * np.bincount(mine, err * x[j][pick], m * FOLLOWED) / (1 + have / 256)).astype(np.float32)
+                    own[j, : m * FOLLOWED] += (FAST * np.bincount(mine, err * z[j], m * FOLLOWED) / (1 + have / 256)).astype(np.float32)
                 hit[: m * STEPS] += np.bincount(cell, y, m * STEPS)
                 all_[: m * STEPS] += np.bincount(cell, minlength=m * STEPS)
-        whose = place[leaf == self.escape]
-        spelled = np.zeros(len(odd))
-        can = np.flatnonzero(spell[whose]) if spell is not None else np.arange(len(odd))
+        new = np.flatnonzero(leaf == self.at.escape)
+        spelled = np.zeros(len(new))
+        can = np.flatnonzero(spell[place[new]]) if spell is not None else np.arange(len(new))
         if len(can):
-            spelled[can] = self.spell([odd[i] for i in can.tolist()], topics(leaf, first, self.escape)[can])
-        return out[rank], whose, odd, spelled
-
-
-def token_batches(batches):
-    """Training texts as lists of words, about TOKENS tokens at a time."""
-    held, n = [], 0
-    for b in batches:
-        for t in b.column(0).to_pylist():
-            w = words(t)
-            held.append(w)
-            n += len(w) + 1
-            if n >= TOKENS:
-                yield held
-                held, n = [], 0
-    if held:
-        yield held
+            spelled[can] = self.spell(t.word(new[can]), topic[new[can]])
+        return out[rank], place[new], t.ids[new], spelled, [np.bincount(place, v[leaf], n) for v in sums]
 
 
 # --- training ---
 
 
-def _flush(counts: Counter) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "c"])
-
-
 def word_counts(docs: DataFrame) -> DataFrame:
-    """(word, c): training counts of every distinct word of all documents and of the end."""
+    """(kind, name, c): training counts of every distinct word (kind 0) and of the bytes of words (kind 1)."""
 
     def run(batches):
-        total: Counter = Counter()
+        held, n, letters = [], 0, np.zeros(256, np.int64)
+
+        def flush():
+            name, c = np.unique(np.concatenate(held), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(np.zeros(len(name), np.int32)), pa.array(name.view(np.int64)), pa.array(c)], names=["kind", "name", "c"])
+
         for b in batches:
-            for out, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                w = words(t)
-                if out:
-                    for x in w:
-                        total.setdefault(x, 0)
-                else:
-                    total.update(w)
-                    total[END] += 1
-                if len(total) > HELD:
-                    yield _flush(total)
-                    total = Counter()
-        yield _flush(total)
-
-    rows = docs.select(held_out(docs["doc_id"]).alias("out"), text_of(docs).alias("text"))
-    return written(rows.mapInArrow(run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c")), "words")
+            for _, t in text_batches(b.column(0)):
+                held.append(t.name)
+                n += len(t.name)
+                letters += np.bincount(t.flat, minlength=256)
+                if n > HELD:
+                    yield flush()
+                    held, n = [], 0
+        if held:
+            yield flush()
+        yield pa.RecordBatch.from_arrays([pa.array(np.ones(256, np.int32)), pa.array(np.arange(256)), pa.array(letters)], names=["kind", "name", "c"])
+
+    rows = docs.where(~held_out(docs["doc_id"])).select(text_of(docs).alias("text"))
+    return written(rows.mapInArrow(run, "kind int, name long, c long").groupBy("kind", "name").agg(F.sum("c").alias("c")), "words")
 
 
 def _chunks(total: np.ndarray, first: int = 0) -> pa.RecordBatch:
@@ -540,7 +628,7 @@ def _chunks(total: np.ndarray, first: int = 0) -> pa.RecordBatch:
     full = np.zeros(n * CHUNK, total.dtype)
     full[: len(total)] = total
     full = full.reshape(n, CHUNK)
-    some = [i for i in range(n) if full[i].tobytes().strip(b"\0")]
+    some = np.flatnonzero(full.view("u1").reshape(n, -1).any(1)).tolist()
     return pa.RecordBatch.from_arrays([pa.array([first + i for i in some], pa.int64()), pa.array([full[i].tobytes() for i in some], pa.binary())], names=["chunk", "n"])
 
 
@@ -550,9 +638,9 @@ def packed(total: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(both[:, 0] | both[:, 1] << np.uint32(16))
 
 
-def _gathered(rows: DataFrame, power: int) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
-    """(table, entries, spelling tables) of all tasks: equal chunks meet, and reach the driver once."""
-    size, letter = 1 << power, 1 << SPELL_POWER
+def _gathered(rows: DataFrame, power: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[np.ndarray]]:
+    """(table, frequent words' table, entries, spelling tables) of all tasks: equal chunks meet, and reach the driver once."""
+    size, rest = 1 << power, (2 << TOPIC_POWER) + len(SPELLED) * (2 << SPELL_POWER)
     words_to = -(-2 * size // CHUNK)
     entries_to = words_to + -(-size // CHUNK)
 
@@ -569,71 +657,72 @@ def _gathered(rows: DataFrame, power: int) -> tuple[np.ndarray, np.ndarray, list
 
     counts = np.zeros((words_to * CHUNK,), "<u2")
     entries = np.zeros((entries_to - words_to) * CHUNK, ENTRY)
-    letters = np.zeros(2 * letter * len(SPELLED), "<u2")
+    more = np.zeros(rest, "<u2")
     for chunk, raw in rows.groupBy("chunk").applyInPandas(add, "chunk long, n binary").toLocalIterator():  # as many as the tables have, whatever the input
-        kind, base, into = ("<u2", 0, counts) if chunk < words_to else (ENTRY, words_to, entries) if chunk < entries_to else ("<u2", entries_to, letters)
+        kind, base, into = ("<u2", 0, counts) if chunk < words_to else (ENTRY, words_to, entries) if chunk < entries_to else ("<u2", entries_to, more)
         into[(chunk - base) * CHUNK : (chunk - base + 1) * CHUNK] = np.frombuffer(raw, kind)
-    return packed(counts[: 2 * size]), entries[:size], [packed(x) for x in letters.reshape(len(SPELLED), -1)]
+    about, letters = more[: 2 << TOPIC_POWER], more[2 << TOPIC_POWER :].reshape(len(SPELLED), -1)
+    return packed(counts[: 2 * size]), packed(about), entries[:size], [packed(x) for x in letters]
 
 
-def train(docs: DataFrame, table: DataFrame, tokens: int, end_count: int, listed: int = LISTED) -> Words:
-    """The model of all training texts, from their counts in ``table``."""
-    top = table.where((F.col("c") >= 2) & (F.col("word") != F.lit(END))).orderBy(F.desc("c"), "word").limit(listed).select("word", "c").toArrow()
-    names, counts = top.column("word").to_pylist(), top.column("c").to_pylist()
+def train(docs: DataFrame, table: DataFrame, tokens: int, texts_seen: int, listed: int = LISTED) -> Words:
+    """The model of all training texts (``tokens`` words and ends), from their counts in ``table``."""
+    top = table.where("kind = 0 and c >= 2").orderBy(F.desc("c"), "name").limit(listed).select("name", "c").toArrow()
+    names, counts = (top.column(c).combine_chunks().to_numpy(zero_copy_only=False).astype(np.int64) for c in ("name", "c"))
     # a training word of the least listed count would not be listed but for its own occurrence
-    least = counts[-1] if counts else 0
-    escapes = tokens - end_count - sum(counts) + sum(c for c in counts if c == least)
-    counts = np.array([*counts, end_count, max(1, escapes)], np.int64)
+    least = int(counts[-1]) if len(counts) else 0
+    escapes = tokens - texts_seen - int(counts.sum()) + int(counts[counts == least].sum())
+    names, counts = names.view(np.uint64), np.concatenate([counts, [texts_seen, max(1, escapes)]])
     power = min(MOST, max(LEAST, math.ceil(math.log2(2 * max(tokens, 1)))))
     spark, size = docs.sparkSession, 1 << power
 
-    def histogram(batches):
-        n = np.zeros(256, np.int64)
-        for b in batches:
-            n += np.bincount(np.frombuffer(b" ".join(b.column(0).to_pylist()) + b" ", np.uint8), minlength=256)
-        yield pa.RecordBatch.from_arrays([pa.array(range(256), pa.int32()), pa.array(n)], names=["s", "n"])
-
     letters = np.zeros(256, np.int64)
-    for s, n in table.where("c = 1").select("word").mapInArrow(histogram, "s int, n long").groupBy("s").agg(F.sum("n")).collect():
+    for s, n in table.where("kind = 1").select("name", "c").collect():
         letters[s] = n
-    kit = spark.sparkContext.broadcast((names, counts, letters))  # at most LISTED words
+    shape = huffman(counts)
+    kit = spark.sparkContext.broadcast((names, counts, letters, shape))  # at most LISTED words
     texts = docs.where(~held_out(docs["doc_id"])).select(text_of(docs).alias("text"))
     texts = texts.coalesce(max(2, spark.sparkContext.defaultParallelism))  # each task hands on whole tables
 
     start, start_spell = start_weights(), np.full((SPELL_GATES, len(SPELLED)), 1.2 / len(SPELLED), np.float32)
 
     def gather(batches):
-        names, counts, letters = kit.value
-        tree, spelling, at = Tree(counts), Tree(letters), {w: i for i, w in enumerate(names)}
-        follow, total, letter = Followers(power), Counts(power), [Counts(SPELL_POWER) for _ in SPELLED]
+        names, counts, letters, shape = kit.value
+        tree, spelling, at = Tree(counts, shape), Tree(letters), Places(names)
+        follow, total, about, letter = Followers(power), Counts(power), Counts(TOPIC_POWER), [Counts(SPELL_POWER) for _ in SPELLED]
         by_word, by_letter = Learner(start), Learner(start_spell)
         bits, pending, learning = 0, 0, False
-        for some in token_batches(batches):
-            leaf, ids, first, odd = read_tokens(some, at)
-            steps = Steps(tree, leaf, ids, first, power)
-            s = Spelling(spelling, odd, topics(leaf, first, len(at) + 1))
+        for t in (t for b in batches for _, t in text_batches(b.column(0))):
+            leaf = at(t)
+            topic = topics(leaf, t.first, at.escape)
+            steps = Steps(tree, leaf, t.ids, t.first, topic, power)
+            new = np.flatnonzero(leaf == at.escape)
+            s = Spelling(spelling, t.word(new), topic[new])
             if learning:
-                x, gate, _ = steps.inputs(total, follow, power)
-                by_word.learn(x, gate, steps.bit)
+                known = Steps(tree, leaf, t.ids, t.first, topic, power, follow)
+                x, gate, bit, token, _ = known.inputs(total, about)
+                in_order = np.argsort(token, kind="stable")
+                by_word.learn([c[in_order] for c in x], gate[in_order], bit[in_order])
                 by_letter.learn(*s.inputs(letter), s.bit)
                 learning = False
-            follow.add(steps.two, leaf)
+            follow.add(steps.two, leaf.astype(np.int64))
             total.add(steps.slots, steps.bit)
+            about.add(steps.topic_slots, steps.bit)
             for table, slot in zip(letter, s.slots):
                 table.add(slot, s.bit)
             pending += len(steps.bit) + len(s.bit)
             if pending >= min(max(SHARE * bits, SOONEST), LATEST):
-                for table in (total, *letter):
+                for table in (total, about, *letter):
                     table.settle()
                 bits, pending, learning = bits + pending, 0, True
-        for table in (total, *letter):
+        for table in (total, about, *letter):
             table.settle()
         short = lambda t: np.minimum(t.n, 65535).astype("<u2")
         yield _chunks(short(total))
         first = -(-2 * size // CHUNK)
         yield _chunks(follow.entries(), first)
         first += -(-size // CHUNK)
-        yield _chunks(np.concatenate([short(t) for t in letter]), first)
+        yield _chunks(np.concatenate([short(t) for t in (about, *letter)]), first)
         learnt = pd.concat([by_word.rows(0), by_letter.rows(start.size + STEPS)])
         yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int64()), pa.array([learnt.to_numpy(np.int64).tobytes()], pa.binary())], names=["chunk", "n"])
 
@@ -643,78 +732,62 @@ def train(docs: DataFrame, table: DataFrame, tokens: int, end_count: int, listed
         for i, w, m in np.frombuffer(raw, np.int64).reshape(-1, 3).tolist():
             a, b = sums.get(i, (0, 0))
             sums[i] = a + w, b + m
-    found, entries, spelled = _gathered(rows.where("chunk >= 0"), power)
+    found, about, entries, spelled = _gathered(rows.where("chunk >= 0"), power)
     kit.destroy()
     weights, refined = averaged(sums, 0, start)
-    return Words(names, counts, letters, found, entries, spelled, weights, refined, *averaged(sums, start.size + STEPS, start_spell))
+    return Words(names, counts, shape, letters, found, about, entries, spelled, weights, refined, *averaged(sums, start.size + STEPS, start_spell))
 
 
 def scores(docs: DataFrame, listed: int = LISTED) -> DataFrame:
     """One row per row of ``docs``: counts, the unigram base score and the model's log10 probability."""
     table = word_counts(docs)
     once, twice = (F.count(F.when(F.col("c") == k, 1)) for k in (1, 2))
-    is_end = F.col("word") == F.lit(END)
-    n, v, end_c, n1, n2 = (x or 0 for x in table.agg(F.sum("c"), F.count(F.when(F.col("c") > 0, 1)), F.max(F.when(is_end, F.col("c"))), once, twice).first())
+    n, v, n1, n2 = (x or 0 for x in table.where("kind = 0").agg(F.sum("c"), F.count("*"), once, twice).first())
+    end_c = docs.where(~held_out(docs["doc_id"])).count()
+    n, v = n + end_c, v + (end_c > 0)
     model = train(docs, table, n, end_c, listed)
     held = docs.sparkSession.sparkContext.broadcast(model)
     floor = n + 0.5 * (v + 1)
-    base_end = math.log10((end_c + 0.5) / floor)
     off = (n1 + 0.5) / (n1 + 2 * n2 + 1)  # taken off the count of every rare word, for the new ones
-    rare_tokens, rare_types = n - int(model.counts[:-1].sum()), v - len(model.names) - (end_c > 0)
+    rare_tokens, rare_types = n - int(model.counts[:-1].sum()), v - (len(model.counts) - 2) - (end_c > 0)
     new = math.log10(off * rare_types / rare_tokens) if rare_tokens else 0.0
+    kinds = {"rid": pa.int64(), "name": pa.int64(), "tf": pa.int64(), "spelled": pa.float64(), "doc_id": pa.int64(), "held_out": pa.bool_(),
+             "n_tokens": pa.int64(), "bytes": pa.int64(), "known": pa.int64(), "base": pa.float64(), "score": pa.float64()}
 
     def texts(batches):
         model = held.value
-        base = np.log10((model.counts[:-2] + 0.5) / floor)
+        base = np.append(np.log10((model.counts[:-1] + 0.5) / floor), 0)
+        known = np.append(model.counts[:-1] > 0, False).astype(np.float64)
         part, row = TaskContext.get().partitionId() << 40, 0
-        kinds = {"rid": pa.int64(), "word": pa.binary(), "tf": pa.int64(), "spelled": pa.float64(), "doc_id": pa.int64(), "held_out": pa.bool_(),
-                 "n_tokens": pa.int64(), "bytes": pa.int64(), "known": pa.int64(), "base": pa.float64(), "score": pa.float64()}
-
-        def flush(heads, docs_):
-            nonlocal row
-            # every word of a training text is known, so only the others' are spelled
-            total, whose, odd, spelled = model.score(docs_, spell=np.array([is_out for _, is_out in heads], bool))
-            tally: dict = {}
-            for k, w, s in zip(whose.tolist(), odd, spelled.tolist()):
-                c, t = tally.get((k, w), (0, 0.0))
-                tally[k, w] = c + 1, t + s
-            ids = [part + row + k for k in range(len(docs_))]
-            row += len(docs_)
-            n_odd = np.bincount(whose, minlength=len(docs_)).tolist()
-            whole = []
-            for (doc, is_out), w, s, k, this in zip(heads, docs_, total.tolist(), n_odd, ids):
-                in_list = [i for i in map(model.at.get, w) if i is not None] if k else [model.at[x] for x in w]
-                whole.append((doc, is_out, len(w) + 1, sum(map(len, w)) + len(w) + 1, len(in_list) + int(end_c > 0), float(base[in_list].sum() if in_list else 0) + base_end, s))
-            gap = [None] * len(tally)
-            # no word starts with a space, so the row of the text itself meets none
-            cols = [[ids[k] for k, _ in tally] + ids, [w for _, w in tally] + [b" " + i.to_bytes(8, "big") for i in ids],
-                    [c for c, _ in tally.values()] + [0] * len(ids), [t for _, t in tally.values()] + [None] * len(ids)]
-            cols += [gap + [x[i] for x in whole] for i in range(7)]
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds.values())], names=list(kinds))
-
-        heads, docs_, size = [], [], 0
         for b in batches:
-            for doc, is_out, t in zip(*(b.column(i).to_pylist() for i in range(3))):
-                w = words(t)
-                heads.append((doc, is_out))
-                docs_.append(w)
-                size += len(w) + 1
-                if size >= TOKENS:
-                    yield flush(heads, docs_)
-                    heads, docs_, size = [], [], 0
-        if heads:
-            yield flush(heads, docs_)
+            out = b.column(1).to_numpy(zero_copy_only=False)
+            for at, t in text_batches(b.column(2)):
+                score, whose, name, spelled, (bases, knowns) = model.score(t, spell=out[at], sums=(base, known))  # only held-out texts hold new words
+                ids = part + row + np.arange(len(t.size))
+                row += len(t.size)
+                gap = len(name)
+                both = lambda head, x, kind: pa.concat_arrays([pa.nulls(gap, kind) if head is None else pa.array(head, kind), pa.nulls(len(ids), kind) if x is None else pa.array(x, kind)])
+                with np.errstate(over="ignore"):
+                    own = (ids.astype(np.uint64) * _MIX).view(np.int64)  # the row of the text itself counts no word, whatever it meets
+                values = {
+                    "rid": (ids[whose], ids), "name": (name.view(np.int64), own), "tf": (np.ones(gap, np.int64), np.zeros(len(ids), np.int64)),
+                    "spelled": (spelled, None), "held_out": (None, out[at]), "n_tokens": (None, t.size), "bytes": (None, t.bytes),
+                    "known": (None, np.round(knowns).astype(np.int64)), "base": (None, bases), "score": (None, score),
+                }
+                doc = pa.concat_arrays([pa.nulls(gap, pa.int64()), b.column(0).slice(at.start, at.stop - at.start)])
+                yield pa.RecordBatch.from_arrays([doc if c == "doc_id" else both(*values[c], k) for c, k in kinds.items()], names=list(kinds))
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), held_out(docs["doc_id"]).alias("held_out"), text_of(docs).alias("text"))
-    schema = "rid long, word binary, tf long, spelled double, doc_id long, held_out boolean, n_tokens long, bytes long, known long, base double, score double"
-    met = rows.mapInArrow(texts, schema).join(table, "word", "left")
+    schema = "rid long, name long, tf long, spelled double, doc_id long, held_out boolean, n_tokens long, bytes long, known long, base double, score double"
+    met = rows.mapInArrow(texts, schema).join(table.where("kind = 0").select("name", "c"), "name", "left")
     tf, zero, seen = F.col("tf"), F.lit(0.0), F.col("c") > 0
     after = F.when(seen, tf * F.log10((F.col("c") - off) / rare_tokens)).otherwise(F.col("spelled") + tf * new) if rare_tokens else F.col("spelled")
+    count = F.coalesce("c", F.lit(0))
     out = met.groupBy("rid").agg(
         F.max("doc_id").alias("doc_id"), F.max("held_out").alias("held_out"), F.max("n_tokens").alias("n_tokens"),
         F.sum(F.coalesce("known", F.lit(0)) + F.when(seen, tf).otherwise(0)).cast("long").alias("n_known"),
-        F.sum(F.coalesce("base", zero) + F.coalesce(tf * F.log10((F.col("c") + 0.5) / floor), zero)).alias("base_score"),
-        F.max("bytes").alias("bytes"), F.sum(F.coalesce("score", zero) + F.coalesce(after, zero)).alias("score"),
+        F.sum(F.coalesce("base", zero) + F.when(tf > 0, tf * F.log10((count + 0.5) / floor)).otherwise(zero)).alias("base_score"),
+        F.max("bytes").alias("bytes"), F.sum(F.coalesce("score", zero) + F.when(tf > 0, after).otherwise(zero)).alias("score"),
     )
     return out.select(
         "doc_id", "held_out", "n_tokens", "n_known", F.lit(int(n)).cast("long").alias("train_tokens"), "base_score", "score",

@@ -130,18 +130,18 @@ def test_lm_base_and_whole(edge, edge_rows, empty):
     import zlib
 
     out = lambda i: zlib.crc32(str("" if i is None else i).encode()) % 5 == 1
-    w = lambda t: (t or "").encode().lower().split()
+    w, end = split, b"\n"
     c = Counter()
     for i, t in edge_rows:
         if not out(i):
-            c.update([*w(t), lm_score.END])
+            c.update([*w(t), end])
     n, v = sum(c.values()), len(c)
     for listed in (0, 10, 10**5):
         got = lm_score.scores(edge, listed).collect()
         mine = Counter((r.doc_id, r.held_out, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 6)) for r in got)
         assert mine == Counter(
-            (i, out(i), len(w(t)) + 1, sum(c[x] > 0 for x in [*w(t), lm_score.END]), n,
-             round(sum(math.log10((c[x] + 0.5) / (n + 0.5 * (v + 1))) for x in [*w(t), lm_score.END]), 6)) for i, t in edge_rows
+            (i, out(i), len(w(t)) + 1, sum(c[x] > 0 for x in [*w(t), end]), n,
+             round(sum(math.log10((c[x] + 0.5) / (n + 0.5 * (v + 1))) for x in [*w(t), end]), 6)) for i, t in edge_rows
         )
         assert all(math.isfinite(r.score) and r.score < 0 for r in got)
     again = Counter((r.doc_id, r.score) for r in lm_score.scores(edge, 10**5).collect())
@@ -150,30 +150,71 @@ def test_lm_base_and_whole(edge, edge_rows, empty):
     assert lm_score.scores(edge.where(lm_score.held_out(edge["doc_id"]))).where("train_tokens = 0 and n_known = 0 and score < 0").count() > 0
 
 
+def split(t):
+    return (t or "").encode().lower().split()
+
+
 @pytest.fixture(scope="module")
 def lm(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     table = lm_score.word_counts(docs)
-    n, end = table.agg(F.sum("c"), F.max(F.when(F.col("word") == F.lit(lm_score.END), F.col("c")))).first()
-    texts = [lm_score.words(r.text) for r in docs.orderBy("doc_id").limit(60).collect()]
-    return lm_score.train(docs, table, n, end, 3000), [t for t in texts if t]
+    seen = docs.where(~lm_score.held_out(docs["doc_id"])).count()
+    n = table.where("kind = 0").agg(F.sum("c")).first()[0] + seen
+    texts = [split(r.text) for r in docs.orderBy("doc_id").limit(60).collect()]
+    return lm_score.train(docs, table, n, seen, 3000), [t for t in texts if t]
+
+
+def batch(texts):
+    return lm_score.Texts.of([b" ".join(t) for t in texts])
+
+
+def test_texts_are_cut_and_named_as_whole_words(edge_rows):
+    texts = [t or "" for _, t in edge_rows] + ["x", " Ab aB\x0bAB ", "\x1c a\x85b"]
+    t = lm_score.Texts.of([x.encode() for x in texts])
+    at, names = 0, {}
+    for i, x in enumerate(texts):
+        w = split(x)
+        assert t.first[i] == at and t.words[i] == len(w) and t.is_end[at + len(w)] and t.bytes[i] == sum(map(len, w)) + len(w) + 1
+        assert t.word(np.arange(at, at + len(w))) == w
+        for word, name in zip(w, t.ids[at : at + len(w)].tolist()):
+            assert names.setdefault(word, name) == name
+        at += len(w) + 1
+    assert len(set(names.values())) == len(names)
+    import pyarrow as pa
+
+    old, lm_score.BYTES = lm_score.BYTES, 50
+    parts = list(lm_score.text_batches(pa.array(["skip", *texts]).slice(1)))
+    lm_score.BYTES = old
+    assert [k for s, _ in parts for k in range(s.start, s.stop)] == list(range(len(texts)))
+    assert np.concatenate([p.ids for _, p in parts]).tolist() == t.ids.tolist()
+    known = np.array([v for k, v in names.items() if len(k) % 2], np.uint64)
+    at = lm_score.Places(known)
+    leaf = at(t)
+    want = {int(v): i for i, v in enumerate(known)}
+    assert leaf.tolist() == [at.end if e else want.get(v, at.escape) for v, e in zip(t.ids.tolist(), t.is_end.tolist())]
 
 
 def test_lm_words_are_a_distribution(lm):
     model, texts = lm
     for t in texts[:4]:
-        leaf, ids, first, _ = lm_score.read_tokens([t[:6]], model.at)
-        k, n = len(leaf) - 1, len(model.counts)
-        leaves, names = np.tile(leaf, (n, 1)), np.tile(ids, (n, 1))
-        leaves[:, k] = names[:, k] = np.arange(n)
-        steps = lm_score.Steps(model.tree, leaves.ravel(), names.ravel(), np.arange(n) * (k + 1), model.power)
-        x, gate, _ = steps.inputs(model.table, model.entries, model.power)
+        one = batch([t[:6]])
+        k, n = len(one.ids) - 1, len(model.counts)
+        leaves, names = np.tile(model.at(one), (n, 1)), np.tile(one.ids, (n, 1))
+        leaves[:, k] = np.arange(n)
+        topic = np.tile(lm_score.topics(model.at(one), one.first, model.at.escape), n)
+        steps = lm_score.Steps(model.tree, leaves.ravel(), names.ravel(), np.arange(n) * (k + 1), topic, model.power, model.entries)
+        x, gate, bit, token, _ = steps.inputs(model.table, model.about)
         z = lm_score.logit(x, gate, model.weights)
         p = (1 / (1 + np.exp(-z)) + model.refined[lm_score.level_of(z)]) / 2
-        token = np.repeat(np.arange(len(steps.size)), steps.size)
         mine = token % (k + 1) == k
-        logs = np.bincount(token[mine] // (k + 1), np.log(np.where(steps.bit == 1, p, 1 - p))[mine], n)
-        assert np.exp(logs).sum() == pytest.approx(1, abs=1e-6)
+        logs = np.bincount(token[mine] // (k + 1), np.log(np.where(bit == 1, p, 1 - p))[mine], n)
+        walked = np.zeros(n, bool)
+        walked[steps.walks[steps.walks % (k + 1) == k] // (k + 1)] = True
+        p = np.exp(logs + np.where(walked, model.tree.rest * math.log(10), 0))
+        if len(steps.asked):  # what the first bit rules out is not walked to, and its place in the tree stays empty
+            assert 0.3 < p.sum() <= 1 + 1e-6
+        else:
+            assert p.sum() == pytest.approx(1, abs=1e-6)
 
 
 def test_lm_spelling_is_a_distribution(lm):
@@ -185,12 +226,25 @@ def test_lm_spelling_is_a_distribution(lm):
 
 def plain_score(model, text, span):
     """The words' part of one text, bit by bit."""
-    leaf, ids, first, _ = lm_score.read_tokens([text], model.at)
-    one, two = lm_score.context_names(ids, first)
+    one = batch([text])
+    leaf = model.at(one)
+    topic = lm_score.topics(leaf, one.first, model.at.escape)
+    last, two = lm_score.context_names(one.ids, one.first)
     own, hit, seen = np.zeros((lm_score.FOLLOWED, 3)), model.refined * lm_score.FIRM, np.full(lm_score.STEPS, lm_score.FIRM)
-    total, wait = 0.0, []
+    total, wait, border = 0.0, [], span
+
+    def code(bit, x, gate, state):
+        nonlocal total
+        s = max(-14, min(14, float(x @ model.weights[gate]) + float(x @ own[state])))
+        cell = int(np.clip(s * (lm_score.STEPS - 1) / 16 + (lm_score.STEPS - 1) / 2 + 0.5, 0, lm_score.STEPS - 1))
+        p = 1 / (1 + math.exp(-s))
+        q = min(max((p + hit[cell] / seen[cell]) / 2, 1e-6), 1 - 1e-6)
+        total += math.log10(q if bit else 1 - q)
+        wait.append((state, x, bit - p, cell, bit))
+
     for k, to in enumerate(leaf.tolist()):
-        if k % span == 0 and k:
+        if k == border:
+            border = 2 * border + span
             n, slope = Counter(), np.zeros((lm_score.FOLLOWED, 3))
             for state, x, err, cell, bit in wait:
                 n[state] += 1
@@ -199,38 +253,35 @@ def plain_score(model, text, span):
                 seen[cell] += 1
             for state in n:
                 own[state] += lm_score.FAST * slope[state] / (1 + n[state] / 256)
-            wait = []
+            wait.clear()
         slot, check = lm_score.followed(two[k : k + 1], model.power)
         e = model.entries[slot[0]]
         named, times, miss = int(e["value"]), int(e["n"]), int(e["miss"])
         guess = named & ((1 << lm_score.LEAF) - 1)
-        live = times > 0 and named >> lm_score.LEAF == check[0] and guess < len(model.counts)
-        path = lambda f: list(zip(*(c[model.tree.offset[f] : model.tree.offset[f] + model.tree.length[f]].tolist() for c in (model.tree.node, model.tree.bit))))
-        follow = path(guess) if live else []
-        for depth, (node, bit) in enumerate(path(to)):
-            place = model.tree.offset[to] + depth
-            odds, seen1 = (float(v[0]) for v in model.table.look(lm_score.slots_of(one[k : k + 1], model.tree.salt[place : place + 1], model.power)))
-            agrees = depth < len(follow) and follow[depth][0] == node or live and depth >= len(follow) and follow[-1][0] == node
-            at = min(depth, len(follow) - 1)
-            x = np.array([model.tree.odds[place], odds, (2 * follow[at][1] - 1) if agrees else 0])
-            state = 1 + min(times - 1, 2) * 2 + (miss > 0) if agrees else 0
-            gate = (min(int(seen1), lm_score.SEEN - 1) * lm_score.FOLLOWED + state) * lm_score.DEEP + min(depth // 2, lm_score.DEEP - 1)
-            s = max(-14, min(14, float(x @ model.weights[gate]) + float(x @ own[state])))
-            cell = int(np.clip(s * (lm_score.STEPS - 1) / 16 + (lm_score.STEPS - 1) / 2 + 0.5, 0, lm_score.STEPS - 1))
-            p = 1 / (1 + math.exp(-s))
-            q = min(max((p + hit[cell] / seen[cell]) / 2, 1e-6), 1 - 1e-6)
-            total += math.log10(q if bit else 1 - q)
-            wait.append((state, x, bit - p, cell, bit))
+        if times > 0 and named >> lm_score.LEAF == check[0] and guess < len(model.counts):
+            state = 1 + min(times - 1, 2) * 2 + (miss > 0)
+            code(int(guess == to), np.array([math.log((times + 0.4) / (miss + 0.4)), 1, 0]), lm_score.SEEN * lm_score.DEEP + state, state)
+            if guess == to:
+                continue
+        for depth in range(min(model.tree.length[to], lm_score.DEEP)):
+            at = model.tree.offset[to] + depth
+            salt = model.tree.salt[at : at + 1]
+            odds, often = (float(v[0]) for v in model.table.look(lm_score.slots_of(last[k : k + 1], salt, model.power)))
+            with np.errstate(over="ignore"):
+                about = (topic[k : k + 1].astype(np.uint64) + np.uint64(7)) * np.uint64(0x94D049BB133111EB)
+            tells = float(model.about.look(lm_score.slots_of(about, salt, lm_score.TOPIC_POWER))[0][0])
+            code(int(model.tree.bit[at]), np.array([model.tree.odds[at], odds, tells]), min(int(often), lm_score.SEEN - 1) * lm_score.DEEP + depth, 0)
+        total += model.tree.rest[to]
     return total
 
 
 def test_lm_scores_bit_by_bit(lm):
     model, texts = lm
     some = sorted(texts, key=len)[:25]
-    got = model.score(some, span=8)[0]
+    got = model.score(batch(some), span=8)[0]
     assert got == pytest.approx([plain_score(model, t, 8) for t in some], rel=1e-4)
-    alone = [model.score([t], span=8)[0][0] for t in some]
-    assert got == pytest.approx(alone, rel=1e-9)  # a text's score does not depend on what it is scored with
+    alone = [model.score(batch([t]), span=8)[0][0] for t in some]
+    assert got == pytest.approx(alone, rel=1e-6)  # a text's score does not depend on what it is scored with
 
 
 def test_lm_order_of_words_counts(lm):
@@ -238,7 +289,7 @@ def test_lm_order_of_words_counts(lm):
     r = random.Random(3)
     long = [t for t in texts if len(t) > 100][:8]
     mixed = [r.sample(t, len(t)) for t in long]
-    assert model.score(long)[0].sum() > model.score(mixed)[0].sum() * 0.9
+    assert model.score(batch(long))[0].sum() > model.score(batch(mixed))[0].sum() * 0.9
 
 
 def test_lm_counts_of_a_pass_and_of_the_model_agree():
