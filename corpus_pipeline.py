@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from mvspark.llm import decontaminate, exact_dedup, near_copies, packing, toxicity
+from mvspark.llm import decontaminate, exact_dedup, packing, simhash, toxicity
 from mvspark.llm.common import shared_path, table
 
 
@@ -24,7 +24,7 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each component of texts of five-word Jaccard similarity 0.8 the smallest doc_id stays."""
-    return near_copies.drop_near_copies(docs)
+    return simhash.drop_near_duplicates(docs, shingle=5, similar=0.8)
 
 
 def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,7 +41,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 STAGES = [
     ("toxicity", drop_toxic),
     ("exact_dedup", exact),
-    ("near_dedup", near),
+    ("simhash_dedup", near),
     ("decontamination", clean),
     ("packing", pack),
 ]

@@ -66,6 +66,17 @@ def text_of(df: DataFrame, column: str = "text") -> Column:
     return F.coalesce(df[column].cast("string"), F.lit(""))
 
 
+def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """The rows of ``docs`` but for those of ``gone`` (doc_id, check), with their columns; check is the text's xxhash64.
+
+    The columns travel as one, so that none can clash with a name used here.
+    """
+    rows = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("row"), docs["doc_id"].cast("long").alias("id"), F.xxhash64(text_of(docs)).alias("own"))
+    lost = gone.select(F.col("doc_id").alias("gone_id"), F.col("check").alias("gone_check")).distinct()
+    left = rows.join(lost, rows["id"].eqNullSafe(lost["gone_id"]) & (rows["own"] == lost["gone_check"]), "left_anti")
+    return left.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
+
+
 def components(edges: DataFrame, label: str = "cc", rounds: int = 60) -> DataFrame:
     """Connected components of ``edges(a long, b long)`` by alternating star contractions.
 

@@ -9,7 +9,7 @@ at most one row per digest and run; texts never move.
 
 Defined results: null text counts as empty; empty texts are equal to each other; of equal texts
 the row with most code points, then smallest doc_id (null ids last) stays; rows that repeat
-both doc_id and text share one verdict; an empty table gives an empty result; other columns
+both doc_id and text (but for white space) share one verdict, as doc_id names the row that stays; an empty table gives an empty result; other columns
 are ignored.
 """
 
@@ -74,13 +74,16 @@ def exact_duplicates(docs: DataFrame, fan_in: int = FAN_IN) -> DataFrame:
 
 
 def drop_exact_duplicates(docs: DataFrame, fan_in: int = FAN_IN) -> DataFrame:
-    """The rows of ``docs`` that stay, with their columns."""
+    """The rows of ``docs`` that stay, with their columns, which travel as one so that no name can clash."""
     lost = exact_duplicates(docs, fan_in).where("not kept").select(
-        F.col("doc_id").alias("__id"), F.unhex("text_sha256").alias("__digest")
+        F.col("doc_id").alias("gone_id"), F.unhex("text_sha256").alias("gone_digest")
     ).distinct()
-    mark = docs.withColumn("__own", F.unhex(F.sha2(F.translate(text_of(docs), WHITE, ""), 256)))
-    hit = mark["doc_id"].eqNullSafe(lost["__id"]) & (mark["__own"] == lost["__digest"])
-    return mark.join(lost, hit, "left_anti").drop("__own")
+    rows = docs.select(
+        F.struct(*(docs[c] for c in docs.columns)).alias("row"), docs["doc_id"].alias("id"),
+        F.unhex(F.sha2(F.translate(text_of(docs), WHITE, ""), 256)).alias("own"),
+    )
+    left = rows.join(lost, rows["id"].eqNullSafe(lost["gone_id"]) & (rows["own"] == lost["gone_digest"]), "left_anti")
+    return left.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
 
 
 SQL = r"""

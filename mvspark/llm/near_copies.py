@@ -1,6 +1,9 @@
-"""Near copies of whole texts: every pair of five-word Jaccard similarity 0.8 or more, by an exact prefix join.
+"""Near copies of whole texts: SimHash links first, then every pair of five-word Jaccard similarity 0.8 or more.
 
 A text is the set of its five-word shingles (A-Z lower-cased, split at white space), each named by 64 bits.
+Texts whose 64-bit SimHash over them differs in two bits at most are found by the generalised pigeonhole search and
+linked if their sets are similar. Two bits catch few pairs of similarity 0.8, which differ in some ten, so an exact
+prefix join completes the links.
 Shingles are ordered from rare to frequent by a sketch of counts; two sets of similarity 0.8 then share one
 among the first of both, so only documents that meet there are compared, on their whole sets. The
 members of a shingle first meet ``DRAWN`` of them, which costs a few pairs a member however many they are; those
@@ -19,48 +22,68 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import components, text_of, written
+from . import simhash
+from .common import components, text_of, without, written
 from .paragraph_dedup import PICKED, prefix_sizes
 
 SHINGLE, SIMILAR = 5, 0.8
 #: counters by which shingles are called rare or frequent (an order only, no result depends on it)
 SKETCH = 1 << 18
-#: members of a shingle that all others meet first
-DRAWN = 2
+#: members of a shingle that all others meet first, and texts hashed at a time
+DRAWN, BATCH = 2, 500
 
 _ROW = ["key", "n", "at", "short"]
 
 
 def shingles(text: str) -> tuple[int, np.ndarray]:
-    """A 64-bit name of the text's words, and the sorted names of its distinct shingles."""
+    """A 64-bit name of the text's words, and the names of its shingles in order, repeats included."""
     from xxhash import xxh3_64_intdigest
 
     words = text.encode("utf-8", "surrogatepass").lower().split()
-    key = np.array([xxh3_64_intdigest(b" ".join(words))], np.uint64).view(np.int64)
+    key = np.array([xxh3_64_intdigest(b" ".join(words))], np.uint64)
     if len(words) < SHINGLE:
-        return int(key[0]), key
+        return int(key.view(np.int64)[0]), key
     w = np.array([xxh3_64_intdigest(x) for x in words], np.uint64)
     v = np.zeros(len(w) - SHINGLE + 1, np.uint64)
     for i in range(SHINGLE):
         v = (v ^ w[i : len(v) + i]) * np.uint64(0x9E3779B97F4A7C15)
         v ^= v >> np.uint64(32)
-    return int(key[0]), np.unique(v.view(np.int64))
+    return int(key.view(np.int64)[0]), v
 
 
-def _names(batches):
-    from xxhash import xxh3_64_intdigest
+def fingerprint(v: np.ndarray, block: int = 100_000) -> int:
+    """SimHash of shingle names: a bit is set if set in over half of them."""
+    ones = np.zeros(64, np.int64)
+    for i in range(0, len(v), block):
+        raw = (v[i : i + block] * np.uint64(0xD1B54A32D192ED03)).astype(">u8").view(np.uint8).reshape(-1, 8)
+        ones += np.unpackbits(raw, axis=1).sum(axis=0, dtype=np.int64)
+    return int(np.packbits(2 * ones > len(v)).view(">u8").astype(np.uint64).view(np.int64)[0])
 
+
+def _names(batches):
+    """Rows (doc_id, check, key, fp), and at the end one row of how often each sketch cell was hit."""
+    total = np.zeros(SKETCH, np.int64)
+    kinds = [pa.int64()] * 4 + [pa.list_(pa.int64())]
+    emit = lambda *cols: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names=["doc_id", "check", "key", "fp", "cells"])
     for b in batches:
-        words = (t.encode("utf-8", "surrogatepass").lower().split() for t in b.column(1).to_pylist())
-        key = np.fromiter((xxh3_64_intdigest(b" ".join(w)) for w in words), np.uint64, b.num_rows).view(np.int64)
-        yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(key)], names=["doc_id", "check", "key"])
+        for lo in range(0, b.num_rows, BATCH):
+            some = b.slice(lo, BATCH)
+            keys, fps, cells = [], [], []
+            for t in some.column(1).to_pylist():
+                key, v = shingles(t)
+                keys.append(key)
+                fps.append(fingerprint(v))
+                cells.append(_cells(np.unique(v).view(np.int64)))
+            total += np.bincount(np.concatenate(cells), minlength=SKETCH)
+            yield emit(some.column(0).to_pylist(), some.column(2).to_pylist(), keys, fps, [None] * some.num_rows)
+    yield emit([None], [None], [None], [None], [total.tolist()])
 
 
 def _sets(batches):
+    """(key, h): the name and the sorted shingle names of each text."""
     for b in batches:
-        for lo in range(0, b.num_rows, 1000):
-            some = b.slice(lo, 1000)
-            got = [shingles(t) for t in some.column(0).to_pylist()]
+        for lo in range(0, b.num_rows, BATCH):
+            got = [(k, np.unique(v.view(np.int64))) for k, v in map(shingles, b.column(0).slice(lo, BATCH).to_pylist())]
             ends = np.cumsum([0] + [len(h) for _, h in got]).astype(np.int32)
             flat = pa.array(np.concatenate([h for _, h in got]))
             yield pa.RecordBatch.from_arrays(
@@ -72,32 +95,21 @@ def _cells(h: np.ndarray) -> np.ndarray:
     return (h & (SKETCH - 1)).astype(np.int64)
 
 
-def _counts(batches):
-    total = np.zeros(SKETCH, np.int64)
-    for b in batches:
-        total += np.bincount(_cells(b.column(0).flatten().to_numpy()), minlength=SKETCH)
-    cell = np.flatnonzero(total)
-    yield pa.RecordBatch.from_arrays([pa.array(cell.astype(np.int32)), pa.array(total[cell])], names=["cell", "n"])
-
-
 def _prefixes(batches, count: np.ndarray):
+    """The rarest shingles of each text, as many as a similar set must share one of."""
     for b in batches:
-        for lo in range(0, b.num_rows, 1000):
-            part = b.slice(lo, 1000)
-            lists = part.column(1)
-            flat, ends = lists.flatten().to_numpy(), np.cumsum([0, *lists.value_lengths().to_pylist()])
-            heavy = count[_cells(flat)]
-            first, n, at, short = [], [], [], []
-            for i, j in zip(ends[:-1].tolist(), ends[1:].tolist()):
-                own, wide = prefix_sizes(j - i, SIMILAR)
-                h = flat[i:j]
-                first.append(h[np.lexsort((h, heavy[i:j]))[:wide]])
-                n.append(np.full(wide, j - i, np.int32))
+        for lo in range(0, b.num_rows, BATCH):
+            first, n, at, short, key = [], [], [], [], []
+            for t in b.column(0).slice(lo, BATCH).to_pylist():
+                k, v = shingles(t)
+                h = np.unique(v.view(np.int64))
+                own, wide = prefix_sizes(len(h), SIMILAR)
+                first.append(h[np.lexsort((h, count[_cells(h)]))[:wide]])
+                n.append(np.full(wide, len(h), np.int32))
                 at.append(np.arange(wide, dtype=np.int32))
                 short.append(at[-1] < own)
-            key = np.repeat(part.column(0).to_numpy(), [len(x) for x in first])
-            cols = [np.concatenate(first), key, *(np.concatenate(x) for x in (n, at, short))]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["shingle", *_ROW])
+                key.append(np.full(wide, k, np.int64))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in (first, key, n, at, short)], names=["shingle", *_ROW])
 
 
 def _verify(batches):
@@ -117,25 +129,46 @@ def _fits() -> Column:
     return room & F.expr("x.key <> y.key and (x.short and x.n <= y.n or y.short and y.n <= x.n)")
 
 
-def _linked(met: DataFrame, sets: DataFrame, label: str) -> DataFrame:
-    """Links (a, b) among the rows (x, y) that fit and whose whole sets are similar."""
-    pairs = met.where(_fits()).select(F.least("x.key", "y.key").alias("a"), F.greatest("x.key", "y.key").alias("b"))
-    pairs = written(pairs.distinct(), f"{label}-pairs")
+def _verified(pairs: DataFrame, texts: DataFrame, named: DataFrame, label: str) -> DataFrame:
+    """Of the pairs (a, b) of names those whose whole sets are similar. Only the texts they name are hashed, one for each name."""
+    pairs = written(pairs.where("a <> b").distinct(), f"{label}-pairs")
     needed = pairs.select(F.col("a").alias("key")).union(pairs.select(F.col("b").alias("key"))).distinct()
-    needed = written(needed, f"{label}-needed")
-    pick = F.broadcast(needed) if needed.count() <= PICKED else needed
-    bodies = written(sets.join(pick, "key", "left_semi").dropDuplicates(["key"]), f"{label}-sets", "uncompressed")
+    needed = written(named.join(needed, "key").groupBy("key").agg(F.min("check").alias("check")), f"{label}-needed")
+    pick = needed.select("check").distinct()
+    some = texts.join(F.broadcast(pick) if needed.count() <= PICKED else pick, "check", "left_semi").select("text")
+    bodies = written(some.mapInArrow(_sets, "key long, h array<long>").dropDuplicates(["key"]), f"{label}-sets", "uncompressed")
     both = pairs.join(bodies.select(F.col("key").alias("a"), F.col("h").alias("x")), "a")
     both = both.join(bodies.select(F.col("key").alias("b"), F.col("h").alias("y")), "b").select("a", "b", "x", "y")
     return written(both.mapInArrow(_verify, "a long, b long"), f"{label}-links")
 
 
-def links(sets: DataFrame, drawn: int = DRAWN) -> DataFrame:
-    """Edges (a, b) between names of texts that connect all pairs of similarity ``SIMILAR``, from ``sets`` (key, h)."""
-    got = sets.select("h").mapInArrow(_counts, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas()  # SKETCH rows at most
+def _met(rows: DataFrame) -> DataFrame:
+    """Pairs (a, b) of the rows (x, y) of one shingle that can be similar."""
+    return rows.where(_fits()).select(F.least("x.key", "y.key").alias("a"), F.greatest("x.key", "y.key").alias("b"))
+
+
+def by_fingerprint(texts: DataFrame, named: DataFrame) -> DataFrame:
+    """Links (a, b) between names of texts whose fingerprints differ in two bits at most, as far as their sets are similar."""
+    each = written(named.groupBy("fp").agg(F.min("key").alias("key"), F.count_distinct("key").alias("n")), "fingerprints")
+    same = named.join(each.where("n > 1").select("fp", F.col("key").alias("a")), "fp").select("a", F.col("key").alias("b"))
+    ends = simhash.links(each.select("fp", F.lit(0).alias("low")))
+    near = ends.join(each.select(F.col("fp").alias("a"), F.col("key").alias("x")), "a").join(each.select(F.col("fp").alias("b"), F.col("key").alias("y")), "b")
+    near = near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+    return _verified(same.unionByName(near), texts, named, "fingerprint")
+
+
+def links(texts: DataFrame, named: DataFrame, drawn: int = DRAWN) -> DataFrame:
+    """Edges (a, b) between names of texts that connect all pairs of similarity ``SIMILAR``.
+
+    ``texts`` has (text, check), ``named`` the rows of ``_names``.
+    """
+    cells = named.where("cells is not null").select(F.posexplode("cells").alias("cell", "n")).where("n > 0")
+    got = cells.groupBy("cell").agg(F.sum("n").alias("n")).toPandas()  # SKETCH rows at most
     count = np.zeros(SKETCH, np.int32)
     count[got["cell"].to_numpy(np.int64)] = np.minimum(got["n"].to_numpy(np.int64), 2**31 - 1)
-    rows = sets.mapInArrow(lambda it: _prefixes(it, count), "shingle long, key long, n int, at int, short boolean")
+    named = named.where("key is not null")
+    first = by_fingerprint(texts, named)
+    rows = texts.select("text").mapInArrow(lambda it: _prefixes(it, count), "shingle long, key long, n int, at int, short boolean")
     by = Window.partitionBy("shingle").orderBy("key")
     rows = rows.withColumn("low", F.lag("key").over(by)).withColumn("high", F.lead("key").over(by)).where("low < key or high > key")
     rows = written(rows.select("shingle", *_ROW).distinct(), "shared")
@@ -144,7 +177,7 @@ def links(sets: DataFrame, drawn: int = DRAWN) -> DataFrame:
     reps = rows.groupBy("shingle").agg(F.count("*").alias("members"), F.array_distinct(F.array(*turn)).alias("reps"))
     reps = written(reps, "drawn")
     met = rows.join(reps.select("shingle", "reps"), "shingle").select(row.alias("x"), F.explode("reps").alias("y"))
-    near = _linked(met, sets, "drawn")
+    near = first.unionByName(_verified(_met(met), texts, named, "drawn"))
     # members still apart: those of the component with most rows need not meet each other
     roots = components(near, "near").select(F.col("v").alias("key"), "root")
     more = rows.join(reps.where("members > 2").select("shingle"), "shingle", "left_semi").join(roots, "key", "left")
@@ -153,16 +186,16 @@ def links(sets: DataFrame, drawn: int = DRAWN) -> DataFrame:
     tally = tally.agg(F.max_by("comp", F.struct("rows", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1")
     x = more.join(tally, "shingle").where("comp <> main").select("shingle", F.col("row").alias("x"), F.col("comp").alias("one"))
     y = more.select("shingle", F.col("row").alias("y"), F.col("comp").alias("two"))
-    return near.unionByName(_linked(x.join(y, "shingle").where("one <> two").select("x", "y"), sets, "apart"))
+    return near.unionByName(_verified(_met(x.join(y, "shingle").where("one <> two").select("x", "y")), texts, named, "apart"))
 
 
 def near_copies(docs: DataFrame, drawn: int = DRAWN) -> DataFrame:
     """One row per row of ``docs``: doc_id, component_id, and a hash that tells texts of one doc_id apart."""
     text = text_of(docs)
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("check"))
-    named = written(rows.mapInArrow(_names, "doc_id long, check long, key long"), "named")
-    sets = rows.select("text").mapInArrow(_sets, "key long, h array<long>")
-    roots = components(links(sets, drawn), "copies")
+    named = written(rows.mapInArrow(_names, "doc_id long, check long, key long, fp long, cells array<long>"), "named")
+    roots = components(links(rows.select("text", "check"), named, drawn), "copies")
+    named = named.where("key is not null").select("doc_id", "check", "key")
     names = named.groupBy("key").agg(F.min("doc_id").alias("low"))
     names = written(names.join(roots, F.col("key") == F.col("v"), "left").select("key", "low", F.coalesce("root", "key").alias("root")), "names")
     lowest = names.groupBy("root").agg(F.min("low").alias("component_id"))
@@ -172,8 +205,4 @@ def near_copies(docs: DataFrame, drawn: int = DRAWN) -> DataFrame:
 
 def drop_near_copies(docs: DataFrame) -> DataFrame:
     """One document of each component, that of the smallest doc_id, with its columns."""
-    gone = near_copies(docs).where("not (doc_id <=> component_id)")
-    gone = gone.select(F.col("doc_id").alias("__id"), F.col("check").alias("__check")).distinct()
-    mark = docs.withColumn("__own", F.xxhash64(text_of(docs)))
-    hit = mark["doc_id"].eqNullSafe(gone["__id"]) & (mark["__own"] == gone["__check"])
-    return mark.join(gone, hit, "left_anti").drop("__own")
+    return without(docs, near_copies(docs).where("not (doc_id <=> component_id)"))

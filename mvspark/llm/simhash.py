@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, text_of, written
+from .common import components, text_of, without, written
 
 SHINGLE = 3
 RADIUS = 2
@@ -224,10 +224,16 @@ def near_duplicates(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIU
     )
 
 
-def drop_near_duplicates(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
-    """One document of each component, that of the smallest doc_id, with its columns."""
-    gone = near_duplicates(docs, shingle, radius).where("not (doc_id <=> component_id)")
-    gone = gone.select(F.col("doc_id").alias("__id"), F.col("check").alias("__check")).distinct()
-    mark = docs.withColumn("__own", F.xxhash64(text_of(docs)))
-    hit = mark["doc_id"].eqNullSafe(gone["__id"]) & (mark["__own"] == gone["__check"])
-    return mark.join(gone, hit, "left_anti").drop("__own")
+def drop_near_duplicates(docs: DataFrame, shingle: int = SHINGLE, radius: int = RADIUS, similar: float | None = None) -> DataFrame:
+    """One document of each component, that of the smallest doc_id, with its columns.
+
+    With ``similar`` (0.8, over shingles of five words) links between fingerprints are verified by Jaccard similarity of
+    the shingle sets and completed by an exact join, so that every pair that similar is linked and no other.
+    """
+    if similar is not None:
+        from . import near_copies
+
+        if (shingle, similar) != (near_copies.SHINGLE, near_copies.SIMILAR):
+            raise ValueError("verified links are made for five words and a similarity of 0.8")
+        return near_copies.drop_near_copies(docs)
+    return without(docs, near_duplicates(docs, shingle, radius).where("not (doc_id <=> component_id)"))

@@ -29,6 +29,8 @@ from .common import text_of, written
 #: labelled examples a class, indexed words, least likelihood ratio and example count of a word
 EXAMPLES, FEATURES, RATIO, SUPPORT = 6000, 512, 30.0, 4
 NEIGHBOURS, BLOCK = 25, 64
+#: scores a worker remembers, by the terms of a text
+CACHED = 20_000
 #: lengths of indexed beginnings, and the weight all vectors share, so that counts show in a cosine
 PREFIXES, COMMON = (5, 6, 7), 6.0
 
@@ -146,7 +148,7 @@ class Model:
             return self.blank
         key = tuple(sorted(tf.items()))
         if key not in self.cache:
-            if len(self.cache) > 100_000:
+            if len(self.cache) > CACHED:
                 self.cache.clear()
             self.cache[key] = curve(self.vote(self.vector(tf))[0], self.curve)
         return self.cache[key]
