@@ -31,6 +31,8 @@ from .tokenise import default_path, encoder
 
 SIZE = 1024
 END = 2
+#: words whose ids a worker keeps, about 200 bytes each
+CACHE = 1_000_000
 
 _PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, ids binary, part int, nth long"
 _KIND = pa.schema([
@@ -44,7 +46,7 @@ def pieces(docs: DataFrame, size: int = SIZE, end: int = END, tokenizer: str | N
     path = tokenizer or default_path()
 
     def cut(batches):
-        enc, seen, part = encoder(path), defaultdict(int), TaskContext.get().partitionId()
+        enc, seen, part = encoder(path, CACHE), defaultdict(int), TaskContext.get().partitionId()
         tail = np.array([end], enc.kind).tobytes()
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):

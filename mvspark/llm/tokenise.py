@@ -58,11 +58,11 @@ class Encoder:
         self.lengths = np.zeros(max(vocab.values()) + 1, np.int64)
         for t, i in vocab.items():
             self.lengths[i] = len(t)  # one character of a token's name is one byte
-        pre = (json.loads(self.tk.to_str()).get("pre_tokenizer") or {})
+        told = json.loads(self.tk.to_str())
+        pre = told.get("pre_tokenizer") or {}
         self.regular = pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True)
-        self.regular = self.regular and not json.loads(self.tk.to_str()).get("normalizer")
-        added = [t["content"] for t in json.loads(self.tk.to_str()).get("added_tokens") or []]
-        self.added = re.compile("|".join(map(re.escape, added))) if added else None
+        self.regular = self.regular and not told.get("normalizer")
+        self.added = [t["content"] for t in told.get("added_tokens") or []]
         self.known: dict[str, bytes] = {}
         self.cache = cache
 
@@ -104,13 +104,12 @@ class Encoder:
                 gc.enable()
 
     def _ids(self, texts: list[str]) -> list[bytes]:
-        if self.added:
-            special = [i for i, t in enumerate(texts) if self.added.search(t)]
-            if special:
-                whole = dict(zip(special, self._whole([texts[i] for i in special])))
-                rest = iter(self._plain([t for i, t in enumerate(texts) if i not in whole]))
-                return [whole[i] if i in whole else next(rest) for i in range(len(texts))]
-        return self._plain(texts)
+        special = [i for a in self.added for i, t in enumerate(texts) if a in t]
+        if not special:
+            return self._plain(texts)
+        whole = dict(zip(special, self._whole([texts[i] for i in special])))
+        rest = iter(self._plain([t for i, t in enumerate(texts) if i not in whole]))
+        return [whole[i] if i in whole else next(rest) for i in range(len(texts))]
 
     def _plain(self, texts: list[str]) -> list[bytes]:
         split, new = [], set()
