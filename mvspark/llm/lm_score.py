@@ -53,7 +53,7 @@ SPAN, FAST, BYTES = 64, 0.02, 300_000
 #: levels of the refined probability, and how many bits its learnt value weighs against the text's own
 STEPS, FIRM = 33, 200.0
 #: steps of a walk that are predicted from contexts; gates: how often the last word and node were seen and the depth, or the followed word's state
-DEEP, SEEN, FOLLOWED = 8, 7, 7
+DEEP, SEEN, FOLLOWED = 6, 7, 7
 GATES = SEEN * DEEP + FOLLOWED
 #: power of two of the slots of frequent words and nodes
 TOPIC_POWER = 20
