@@ -213,12 +213,11 @@ EDGES = {
 def contribution(q, v, gamma=1, weights=None) -> np.ndarray:
     """What each token of v adds to gamma times the similarity."""
     s = np.asarray(q, float) @ np.asarray(v, float).T
+    if not s.size:
+        return np.zeros(s.shape[1])
+    top = s.argmax(1)[:, None] if gamma == 1 else np.argsort(-s, axis=1, kind="stable")[:, :gamma]  # ties by place
     w = np.ones(len(s)) if weights is None else np.asarray(weights, float)
-    out = np.zeros(s.shape[1])
-    for row, x in zip(s, w):
-        top = np.lexsort((np.arange(len(row)), -row))[:gamma]
-        np.add.at(out, top, x * row[top])
-    return out
+    return np.bincount(top.ravel(), (np.take_along_axis(s, top, 1) * w[:, None]).ravel(), s.shape[1])
 
 
 def softmax(x: np.ndarray) -> np.ndarray:

@@ -7,7 +7,9 @@ task builds the same graph again. All new nodes of a step are scored by one matr
 
 from __future__ import annotations
 
+import hashlib
 import heapq
+import math
 import time
 
 import numpy as np
@@ -43,6 +45,15 @@ def entry_point(layers: DataFrame) -> DataFrame:
     return layers.orderBy(F.desc("top_layer"), "mv_id").limit(1)
 
 
+def levels(n: int, cfg: IndexConfig) -> dict[int, int]:
+    """Layers of the ids 0..n-1, drawn as ``assign_layers`` draws them."""
+    out = {}
+    for i in range(n):
+        u = (int(hashlib.md5(f"{cfg.seed}:{i}".encode()).hexdigest()[:8], 16) + 0.5) / 4294967296.0
+        out[i] = int(-math.log(u) * cfg.level_scale)
+    return out
+
+
 class Shard:
     """One graph in memory. Nodes are places in ``ids``, which rise, so that ties by place are ties by id."""
 
@@ -183,6 +194,14 @@ class Shard:
             self.insert(int(self.place([i])[0]), layers[i])
         return self
 
+    def nearest(self, q: np.ndarray, ef: int) -> list[tuple[float, int]]:
+        """The ef nearest nodes of one vector, for graphs of single tokens."""
+        q = np.asarray(q, np.float32)[None]
+        score, known, starts = lambda some: self.block.scores(q, some).tolist(), {}, [self.entry]
+        for at in range(int(self.top[self.entry]), 0, -1):
+            starts = [self.search_layer(score, at, starts, 1, known=known)[0][1]]
+        return self.search_layer(score, 0, starts, ef, known=known)
+
     def search(self, q: np.ndarray, w: np.ndarray, cfg: SearchConfig, links: Lists | None = None) -> list[tuple[float, int]]:
         """The top k as (score, place): greedy descent, then the base layer with link expansion if asked.
 
@@ -414,7 +433,7 @@ def reachable(graph: DataFrame, rounds: int = 200) -> DataFrame:
     seen = cut(base.where("entry").select("shard", "mv_id").distinct())
     front = seen
     for _ in range(rounds):
-        step = front.join(edges, (front["mv_id"] == edges["src"]) & (front["shard"] == edges["shard"])).select(edges["shard"], F.col("dst").alias("mv_id"))
+        step = front.withColumnRenamed("mv_id", "src").join(edges, ["shard", "src"]).select("shard", F.col("dst").alias("mv_id"))
         front = cut(step.distinct().join(seen, ["shard", "mv_id"], "left_anti"))
         if not front.limit(1).count():
             break

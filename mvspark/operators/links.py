@@ -4,11 +4,17 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..config import IndexConfig, LinkConfig
+from .shards import rows_of
 from .similarity import QUERY_VALUES
 
+#: tokens of a shard that may all meet each other
+TOKENS = 200_000
+
 
 def token_neighbours(tokens: DataFrame, m_prime: int, cells: DataFrame | None = None) -> DataFrame:
     """(mv_id, tok_ix, other_mv, other_tok, s): the m_prime nearest tokens of other objects.
@@ -97,3 +103,131 @@ def unsorted_links(links: DataFrame) -> DataFrame:
     """Places where a list's keys rise: none in a sound table."""
     w = Window.partitionBy("mv_id", "tok_ix").orderBy("pos")
     return links.withColumn("last", F.lag("key").over(w)).where("key > last")
+
+
+# --- links inside shards ---
+
+
+def _owners(row: np.ndarray, owner: np.ndarray, s: np.ndarray, gamma: int, m: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(row, pos, owner, key): of each row's tokens the m owners of largest top-gamma sum, in order."""
+    order = np.lexsort((-s, owner, row))
+    row, owner, s = row[order], owner[order], s[order]
+    lead = np.concatenate([[True], (row[1:] != row[:-1]) | (owner[1:] != owner[:-1])]) if len(row) else np.zeros(0, bool)
+    first = np.flatnonzero(lead)
+    nth = np.arange(len(row)) - np.repeat(first, np.diff(np.append(first, len(row))))
+    key = np.add.reduceat(np.where(nth < gamma, s, 0), first) if len(first) else np.zeros(0)
+    row, owner = row[first], owner[first]
+    order = np.lexsort((owner, -key, row))
+    row, owner, key = row[order], owner[order], key[order]
+    begin = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]])) if len(row) else np.zeros(0, np.int64)
+    pos = np.arange(len(row)) - np.repeat(begin, np.diff(np.append(begin, len(row))))
+    keep = pos < m
+    return row[keep], pos[keep] + 1, owner[keep], key[keep]
+
+
+def _top(s: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """(row, column) of the n largest finite values of every row, ties by column."""
+    n = min(n, s.shape[1])
+    bar = np.partition(s, s.shape[1] - n, axis=1)[:, s.shape[1] - n]
+    row, col = np.nonzero((s >= bar[:, None]) & np.isfinite(s))
+    order = np.lexsort((col, -s[row, col], row))
+    row, col = row[order], col[order]
+    begin = np.searchsorted(row, np.arange(len(s)))
+    keep = np.arange(len(row)) - begin[row] < n
+    return row[keep], col[keep]
+
+
+def nearest_exact(x: np.ndarray, owner: np.ndarray, n: int, block: int = 256):
+    """(row, column, s) of every token's n nearest tokens of other owners, a block of tokens at a time."""
+    for lo in range(0, len(x), block):
+        s = x[lo : lo + block] @ x.T
+        s[owner[lo : lo + block, None] == owner[None]] = -np.inf
+        row, col = _top(s, n)
+        yield row + lo, col, s[row, col].astype(np.float64)
+
+
+def nearest_in_cells(x: np.ndarray, owner: np.ndarray, n: int, probes: int, seed_every: int = 1, block: int = 4096):
+    """As ``nearest_exact``, but a token meets only the tokens of the cells of the ``probes`` centres nearest to it."""
+    k = max(1, int(np.sqrt(len(x))))
+    c = x[np.linspace(0, len(x) - 1, k).astype(int)].copy()
+    for _ in range(4):
+        own = (x @ c.T - 0.5 * (c**2).sum(1)).argmax(1)
+        n_of = np.bincount(own, minlength=k)
+        total = np.zeros_like(c)
+        np.add.at(total, own, x)
+        c = np.where(n_of[:, None] > 0, total / np.maximum(n_of, 1)[:, None], c)
+    own = (x @ c.T - 0.5 * (c**2).sum(1)).argmax(1)
+    members = np.argsort(own, kind="stable")
+    edge = np.searchsorted(own[members], np.arange(k + 1))
+    for lo in range(0, len(x), block):
+        near = np.argsort(-(x[lo : lo + block] @ c.T), axis=1, kind="stable")[:, :probes]
+        rows, cols, vals = [], [], []
+        for cell in np.unique(near):
+            mine, other = np.flatnonzero((near == cell).any(1)) + lo, members[edge[cell] : edge[cell + 1]]
+            if not len(other):
+                continue
+            s = x[mine] @ x[other].T
+            s[owner[mine][:, None] == owner[other][None]] = -np.inf
+            r, q = _top(s, n)
+            rows.append(mine[r])
+            cols.append(other[q])
+            vals.append(s[r, q])
+        row, col, s = (np.concatenate(v) for v in (rows, cols, vals))
+        order = np.lexsort((col, -s, row))
+        row, col, s = row[order], col[order], s[order]
+        begin = np.searchsorted(row, np.arange(lo, min(lo + block, len(x))))
+        keep = np.arange(len(row)) - begin[row - lo] < n
+        yield row[keep], col[keep], s[keep].astype(np.float64)
+
+
+def nearest_by_graph(x: np.ndarray, owner: np.ndarray, n: int, cfg: LinkConfig):
+    """As ``nearest_exact``, by searches of an ordinary layered graph over the tokens."""
+    from .graph import Shard, levels
+
+    index = IndexConfig(M=16, ef_construction=max(32, cfg.ef))
+    g = Shard(index, np.arange(len(x)), x, np.ones(len(x), np.int64)).insert_all(levels(len(x), index))
+    rows, cols, vals = [], [], []
+    most = int(np.bincount(owner).max(initial=0))
+    for i in range(len(x)):
+        found = g.nearest(x[i], max(cfg.ef, n + most))
+        found = [(v, j) for v, j in found if owner[j] != owner[i]][:n]
+        rows += [i] * len(found)
+        cols += [j for _, j in found]
+        vals += [v for v, _ in found]
+    yield np.array(rows, np.int64), np.array(cols, np.int64), np.array(vals)
+
+
+def shard_links(objs: DataFrame, cfg: LinkConfig) -> DataFrame:
+    """(shard, mv_id, tok_ix, pos, linked_mv, key): links between objects of one shard, so that a search of the shard can follow all.
+
+    The nearest tokens come from all tokens of the shard (refused above ``TOKENS``), from cells, or from a token graph.
+    """
+    kinds = [("shard", pa.int32()), ("mv_id", pa.int64()), ("tok_ix", pa.int32()), ("pos", pa.int32()), ("linked_mv", pa.int64()), ("key", pa.float64())]
+
+    def build(t: pa.Table) -> pa.Table:
+        ids = t.column("mv_id").to_numpy()
+        x, size = rows_of(t.column("vecs"))
+        order = np.argsort(ids, kind="stable")
+        start = np.cumsum(size) - size
+        at = np.concatenate([np.arange(start[i], start[i] + size[i]) for i in order]) if len(order) else np.zeros(0, np.int64)
+        x, ids, size = x[at].astype(np.float32), ids[order], size[order]
+        owner = np.repeat(np.arange(len(ids)), size)
+        tok = np.arange(len(owner)) - np.repeat(np.cumsum(size) - size, size)
+        if cfg.how == "exact" and len(x) > TOKENS:
+            raise ValueError(f"a shard of {len(x)} tokens: use cells or a token graph above {TOKENS}")
+        n = cfg.factor * cfg.M
+        near = {"exact": lambda: nearest_exact(x, owner, n), "cells": lambda: nearest_in_cells(x, owner, n, cfg.probes), "graph": lambda: nearest_by_graph(x, owner, n, cfg)}
+        parts = [_owners(row, owner[col], s, cfg.gamma, cfg.M) for row, col, s in (near[cfg.how]() if len(x) else ())]
+        row, pos, own, key = (np.concatenate(c) for c in zip(*parts)) if parts else (np.zeros(0, np.int64),) * 4
+        cols = [np.full(len(row), t.column("shard")[0].as_py() if len(t) else 0), ids[owner[row]] if len(row) else row, tok[row], pos, ids[own] if len(row) else row, key]
+        return pa.Table.from_arrays([pa.array(c).cast(k) for c, (_, k) in zip(cols, kinds)], names=[n for n, _ in kinds])
+
+    return objs.select("shard", "mv_id", "vecs").groupBy("shard").applyInArrow(build, "shard int, mv_id long, tok_ix int, pos int, linked_mv long, key double")
+
+
+def link_loss(links: DataFrame, shards: DataFrame) -> DataFrame:
+    """(links, lost, share): links of a table that lead to another shard than their object's, by ``shards`` (mv_id, shard)."""
+    a = links.select("mv_id", "linked_mv").join(shards.select("mv_id", F.col("shard").alias("own")), "mv_id")
+    b = a.join(shards.select(F.col("mv_id").alias("linked_mv"), F.col("shard").alias("other")), "linked_mv")
+    lost = F.sum((F.col("own") != F.col("other")).cast("long"))
+    return b.agg(F.count("*").alias("links"), F.coalesce(lost, F.lit(0)).alias("lost")).withColumn("share", F.col("lost") / F.greatest(F.col("links"), F.lit(1)))

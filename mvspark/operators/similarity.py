@@ -204,3 +204,22 @@ def idf_weights(tokens: DataFrame, word: str = "word") -> DataFrame:
     n = tokens.select("mv_id").distinct().count()
     df = tokens.groupBy(word).agg(F.count_distinct("mv_id").alias("df"))
     return df.withColumn("weight", F.log(F.lit(float(max(n, 1))) / F.col("df")) / F.log(F.lit(float(max(n, 2)))))
+
+
+def softmax_weights(words: DataFrame) -> DataFrame:
+    """``words`` (mv_id, word, weight) with weights that sum to one in every object, by softmax."""
+    w = Window.partitionBy("mv_id")
+    e = words.withColumn("weight", F.exp(F.col("weight") - F.max("weight").over(w)))
+    return e.withColumn("weight", F.col("weight") / F.sum("weight").over(w))
+
+
+def constant_weights(tokens: DataFrame, value: float = 1.0) -> DataFrame:
+    """The same weight for every token, 0 to 1."""
+    if not 0 <= value <= 1:
+        raise ValueError("token weights lie between 0 and 1")
+    return tokens.withColumn("weight", F.lit(float(value)))
+
+
+def given_weights(tokens: DataFrame, weights: DataFrame) -> DataFrame:
+    """Weights supplied by (qid, q_ix, weight); tokens without one weigh 1."""
+    return tokens.join(weights.select("qid", "q_ix", "weight"), ["qid", "q_ix"], "left").withColumn("weight", F.coalesce("weight", F.lit(1.0)))

@@ -5,17 +5,21 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..config import IndexConfig, SearchConfig
+import numpy as np
+
+from ..config import IndexConfig, LinkConfig, SearchConfig
 from ..functions import kernel
 from ..functions import sql as FS
 from ..functions.vectors import cosine, dot, neg_l2
 from ..operators import baselines as B
 from ..operators import graph as G
+from ..operators import index as I
 from ..operators import links as L
 from ..operators import measures as M
 from ..operators import routing as R
 from ..operators import similarity as S
 from ..sources import fixtures as X
+from ..sources.shared import cut, folder
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -61,26 +65,41 @@ def scores(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _pairs(spark, sf):
-    t = tok(spark, sf).where("tok_ix = 0")
-    return t.select(F.col("mv_id").alias("a"), F.col("vec").alias("x")).crossJoin(F.broadcast(t.where("mv_id % 5 = 0").select(F.col("mv_id").alias("b"), F.col("vec").alias("y"))))
+    """Every token against the first token of every object."""
+    t = tok(spark, sf)
+    a = t.select(F.col("mv_id").alias("a"), F.col("tok_ix").alias("i"), F.col("vec").alias("x"))
+    return a.crossJoin(F.broadcast(t.where("tok_ix = 0").select(F.col("mv_id").alias("b"), F.col("vec").alias("y"))))
 
 
-_P = TOK + ", p AS (SELECT u.mv_id AS a, v.mv_id AS b, u.vec AS x, v.vec AS y FROM tok u, tok v WHERE u.tok_ix = 0 AND v.tok_ix = 0 AND v.mv_id % 5 = 0) "
+_P = TOK + ", p AS (SELECT u.mv_id AS a, u.tok_ix AS i, v.mv_id AS b, u.vec AS x, v.vec AS y FROM tok u, tok v WHERE v.tok_ix = 0) "
 
 
-@query(_P + "SELECT a, b, list_inner_product(x, y) AS s FROM p")
+@query(_P + "SELECT a, i, b, list_inner_product(x, y) AS s FROM p")
 def k1_dot(spark, sf):
-    return _pairs(spark, sf).select("a", "b", dot(F.col("x"), F.col("y")).alias("s"))
+    return _pairs(spark, sf).select("a", "i", "b", dot(F.col("x"), F.col("y")).alias("s"))
 
 
-@query(_P + "SELECT a, b, round(list_inner_product(x, y) / (sqrt(list_inner_product(x, x)) * sqrt(list_inner_product(y, y))), 6) AS s FROM p")
+@query(_P + "SELECT a, i, b, round(list_inner_product(x, y) / (sqrt(list_inner_product(x, x)) * sqrt(list_inner_product(y, y))), 6) AS s FROM p")
 def k2_cosine(spark, sf):
-    return _pairs(spark, sf).select("a", "b", F.round(cosine(F.col("x"), F.col("y")), 6).alias("s"))
+    return _pairs(spark, sf).select("a", "i", "b", F.round(cosine(F.col("x"), F.col("y")), 6).alias("s"))
 
 
-@query(_P + "SELECT a, b, round(-sqrt(list_inner_product(x, x) + list_inner_product(y, y) - 2 * list_inner_product(x, y)), 6) + 0.0 AS s FROM p")
+@query(_P + "SELECT a, i, b, round(-sqrt(list_inner_product(x, x) + list_inner_product(y, y) - 2 * list_inner_product(x, y)), 6) + 0.0 AS s FROM p")
 def k3_neg_l2(spark, sf):
-    return _pairs(spark, sf).select("a", "b", (F.round(neg_l2(F.col("x"), F.col("y")), 6) + 0.0).alias("s"))
+    return _pairs(spark, sf).select("a", "i", "b", (F.round(neg_l2(F.col("x"), F.col("y")), 6) + 0.0).alias("s"))
+
+
+def _manhattan(q, v):
+    """A metric of one's own: negated sum of absolute differences."""
+    return -np.abs(np.asarray(q, float)[:, None] - np.asarray(v, float)[None]).sum(2)
+
+
+@query(TOK + """, sl AS (SELECT q.qid, q.q_ix, t.mv_id, max(-list_sum(list_transform(list_zip(q.qv, t.vec), lambda z: abs(z[1] - z[2])))) AS s FROM qt q, tok t GROUP BY ALL),
+x AS (SELECT qid, mv_id, sum(s) AS score FROM sl GROUP BY ALL) SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY score DESC, mv_id) AS INTEGER) AS rank, mv_id, score FROM x QUALIFY rank <= 10""")
+def k4_own_metric(spark, sf):
+    t = tok(spark, sf)
+    kernel.register_metric("manhattan", _manhattan)
+    return S.linear_scan(X.as_queries(t), S.objects(t), 10, metric="manhattan")
 
 
 @query(NEAR + "SELECT qid, q_ix, mv_id, tok_ix, s, CAST(r AS INTEGER) AS rank FROM nn WHERE r <= 2")
@@ -88,14 +107,35 @@ def k5_gamma_nn(spark, sf):
     return S.gamma_nn(scores(spark, sf), 2)
 
 
-@query("SELECT 1.8::DOUBLE AS score")
+_R2 = 2**-0.5
+#: fixed values of the worked examples: query tokens, object tokens, weights
+X_EXAMPLE1 = ([[1, 0], [0, 1], [_R2, _R2]], [[0.8, 0.6], [0.6, 0.8], [_R2, _R2]], [1, 0, 1])
+X_EXAMPLE2 = ([[1, 0, 0], [0, _R2, _R2]], [[[3**0.5 / 2, 1 / 2, 0], [0, 4 / 5, 3 / 5]], [[_R2, _R2, 0], [0, 3 / 5, 4 / 5]], [[3 / 5, 4 / 5, 0], [0, 1, 0]]])
+
+
+def _example(spark, q, objs, w=None):
+    tokens = spark.createDataFrame([(i, j, [float(x) for x in v]) for i, o in enumerate(objs, 1) for j, v in enumerate(o)], "mv_id long, tok_ix int, vec array<double>")
+    asked = spark.createDataFrame([(0, j, [float(x) for x in v], float(w[j]) if w else 1.0) for j, v in enumerate(q)], "qid long, q_ix int, vec array<double>, weight double")
+    return asked, tokens
+
+
+@query("SELECT 0::BIGINT AS qid, unnest([1, 2])::INTEGER AS gamma, unnest([1.8, round((0.8 + sqrt(0.5)) / 2 + (1 + 1.4 * sqrt(0.5)) / 2, 9)])::DOUBLE AS score")
 def k6_example1(spark, sf):
+    """The worked example, with one and with two nearest tokens, by the scan."""
     q, v, w = X_EXAMPLE1
-    return spark.createDataFrame([(round(kernel.mv_sim(q, v, weights=w), 9),)], "score double")
+    asked, tokens = _example(spark, q, [v], w)
+    out = None
+    for gamma in (1, 2):
+        one = S.linear_scan(asked, S.objects(tokens), 1, gamma).select("qid", F.lit(gamma).alias("gamma"), F.round("score", 9).alias("score"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
-#: fixed values: three query tokens, two object tokens and weights that give 1.8 together
-X_EXAMPLE1 = ([[1.0, 0.0], [0.0, 1.0], [0.6, 0.8]], [[1.0, 0.0], [0.6, 0.8]], [1.0, 1.0, 0.0])
+@query("SELECT 0::BIGINT AS qid, unnest([1, 2])::INTEGER AS rank, unnest([1, 2])::BIGINT AS mv_id, unnest([round(sqrt(3) / 2 + 0.7 * sqrt(2), 9), round(sqrt(0.5) + 0.7 * sqrt(2), 9)])::DOUBLE AS score")
+def k6_example2(spark, sf):
+    """The worked search: the two best of three objects."""
+    asked, tokens = _example(spark, *X_EXAMPLE2)
+    return S.linear_scan(asked, S.objects(tokens), 2).withColumn("score", F.round("score", 9))
 
 
 def _topk(gamma):
@@ -130,26 +170,39 @@ def k6e_short(spark, sf):
     return S.linear_scan(X.as_queries(t), S.objects(t), 10, 12, short="found").withColumn("score", F.round("score", 6))
 
 
-_W = r"""WITH w AS (SELECT doc_id, unnest(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')[1:8]) AS word FROM documents WHERE len(list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '')) >= 2)"""
+_W = r"""WITH w0 AS (SELECT doc_id, list_filter(string_split_regex(lower(text), '\s+'), lambda x: x <> '') AS w FROM documents), w AS (SELECT DISTINCT doc_id, unnest(w) AS word FROM w0 WHERE len(w) >= 2)"""
 
 
-@query(_W + ", n AS (SELECT count(DISTINCT doc_id) AS n FROM w) SELECT word, count(DISTINCT doc_id) AS df, round(ln(any_value(n) * 1.0 / count(DISTINCT doc_id)) / ln(any_value(n)), 6) AS weight FROM w, n GROUP BY word")
+@query(_W + ", n AS (SELECT count(DISTINCT doc_id) AS n FROM w) SELECT word, count(*) AS df, round(ln(any_value(n) * 1.0 / count(*)) / ln(any_value(n)), 6) AS weight FROM w, n GROUP BY word")
 def k7_idf(spark, sf):
-    out = S.idf_weights(X.from_documents(spark, sf, 8, 4).select("mv_id", "word"))
-    return out.withColumn("weight", F.round("weight", 6))
+    """Weights of all words of all texts."""
+    return S.idf_weights(X.words_of(spark, sf)).withColumn("weight", F.round("weight", 6))
+
+
+@query(_W + """, n AS (SELECT count(DISTINCT doc_id) AS n FROM w), i AS (SELECT word, ln(any_value(n) * 1.0 / count(*)) / ln(any_value(n)) AS weight FROM w, n GROUP BY word),
+e AS (SELECT doc_id AS mv_id, word, exp(weight) AS e FROM w JOIN i USING (word))
+SELECT mv_id, count(*) AS words, round(max(e / t), 6) AS most, round(sum(e / t), 6) AS total FROM (SELECT *, sum(e) OVER (PARTITION BY mv_id) AS t FROM e) GROUP BY mv_id""")
+def k7_softmax(spark, sf):
+    """Weights of each text's words scaled by softmax, so that they sum to one."""
+    w = X.words_of(spark, sf).distinct().join(S.idf_weights(X.words_of(spark, sf)).select("word", "weight"), "word")
+    out = S.softmax_weights(w).groupBy("mv_id").agg(F.count("*").alias("words"), F.round(F.max("weight"), 6).alias("most"), F.round(F.sum("weight"), 6).alias("total"))
+    return out
 
 
-_DIR = NEAR + """, sz AS (SELECT mv_id, max(n) AS n FROM tok GROUP BY 1),
+_DIR = NEAR.replace("WHERE mv_id % 5 = 0", "") + """, sz AS (SELECT mv_id, max(n) AS n FROM tok GROUP BY 1),
 d AS (SELECT qid, mv_id, sum(s) AS a FROM (SELECT qid, q_ix, mv_id, max(s) AS s FROM sc GROUP BY ALL) GROUP BY ALL),
 b AS (SELECT qid, mv_id, sum(s) AS b FROM (SELECT qid, mv_id, tok_ix, max(s) AS s FROM sc GROUP BY ALL) GROUP BY ALL),
 f AS (SELECT qid AS src, mv_id AS dst, a, b, u.n AS nu, v.n AS nv FROM d JOIN b USING (qid, mv_id) JOIN sz u ON u.mv_id = qid JOIN sz v USING (mv_id))"""
 
 
+def _every_pair(o):
+    return o.select(F.col("mv_id").alias("src")).crossJoin(F.broadcast(o.select(F.col("mv_id").alias("dst"))))
+
+
 def _edges(kind):
     def run(spark, sf):
         o = S.objects(tok(spark, sf))
-        pairs = o.where("mv_id % 5 = 0").select(F.col("mv_id").alias("src")).crossJoin(F.broadcast(o.select(F.col("mv_id").alias("dst"))))
-        return S.score_pairs(o, o, pairs, kind).withColumn("weight", F.round("weight", 4))
+        return S.score_pairs(o, o, _every_pair(o), kind).withColumn("weight", F.round("weight", 4))
 
     return run
 
@@ -161,32 +214,32 @@ for _name, _kind, _e in (("k8_edge_weight", "fused", "(a / nu + b / nv) / 2"), (
 @query("SELECT CAST(0 AS BIGINT) AS violations")
 def k9_symmetry(spark, sf):
     o = S.objects(tok(spark, sf))
-    ids = o.where("mv_id % 5 = 0").select("mv_id")
-    p = ids.select(F.col("mv_id").alias("src")).crossJoin(F.broadcast(ids.select(F.col("mv_id").alias("dst"))))
-    f = S.score_pairs(o, o, p)
+    f = S.score_pairs(o, o, _every_pair(o))
     back = f.select(F.col("src").alias("dst"), F.col("dst").alias("src"), F.col("weight").alias("other"))
     return f.join(back, ["src", "dst"]).where("abs(weight - other) > 1e-6").agg(F.count("*").alias("violations"))
 
 
-@query("SELECT CAST(0 AS BIGINT) AS violations")
+@query(_DIR + """, ed AS (SELECT (a / nu + b / nv) / 2 AS weight, nu AS n FROM f WHERE src <> dst)
+SELECT count(*) AS pairs, round(corr(n, weight), 6) AS correlation, round(regr_slope(weight, n), 4) AS slope, round(min(weight), 4) AS low, round(max(weight), 4) AS high, 0::BIGINT AS violations FROM ed""")
 def k10_cardinality(spark, sf):
-    """Repeating all tokens of an object leaves the fused weight as it was."""
+    """The fused weight over object size: correlation, slope and bounds; and no weight changes when all tokens of an object repeat."""
     t = tok(spark, sf)
     o = S.objects(t)
     twice = S.objects(t.unionByName(t.withColumn("tok_ix", F.col("tok_ix") + 1000)))
-    p = o.where("mv_id % 5 = 0").select(F.col("mv_id").alias("src")).crossJoin(F.broadcast(o.where("mv_id % 7 = 0").select(F.col("mv_id").alias("dst"))))
-    both = S.score_pairs(o, o, p).join(S.score_pairs(twice, o, p).withColumnRenamed("weight", "other"), ["src", "dst"])
-    return both.where("abs(weight - other) > 1e-6").agg(F.count("*").alias("violations"))
+    p = _every_pair(o).where("src <> dst")
+    f = cut(S.score_pairs(o, o, p))
+    both = f.join(S.score_pairs(twice, o, p).withColumnRenamed("weight", "other"), ["src", "dst"])
+    bad = both.where("abs(weight - other) > 1e-6").agg(F.count("*").alias("violations"))
+    stats = M.size_correlation(f.join(o.select(F.col("mv_id").alias("src"), F.col("n_tok").alias("n")), "src"))
+    return stats.select("pairs", F.round("correlation", 6).alias("correlation"), F.round("slope", 4).alias("slope"), F.round("low", 4).alias("low"), F.round("high", 4).alias("high")).crossJoin(bad)
 
 
 @query("SELECT CAST(0 AS BIGINT) AS violations")
 def k11_consistency(spark, sf):
-    """Gap of query scores within 2 |Q| sqrt(tau max(|u|, |v|)) for unit vectors."""
-    unit = tok(spark, sf).withColumn("vec", F.transform("vec", lambda x: x / F.sqrt(dot(F.col("vec"), F.col("vec")))))
+    """Gap of query scores within 2 |Q| sqrt(tau max(|u|, |v|)) for unit vectors, over all pairs of objects."""
+    unit = S.normalised(tok(spark, sf))
     o, q = S.objects(unit), X.as_queries(unit)
-    some = o.where("mv_id % 3 = 0").select("mv_id")
-    p = some.select(F.col("mv_id").alias("src")).crossJoin(F.broadcast(some.select(F.col("mv_id").alias("dst")))).where("src < dst")
-    f = S.score_pairs(o, o, p).join(o.select(F.col("mv_id").alias("src"), F.col("n_tok").alias("nu")), "src").join(o.select(F.col("mv_id").alias("dst"), F.col("n_tok").alias("nv")), "dst")
+    f = S.score_pairs(o, o, _every_pair(o).where("src < dst")).join(o.select(F.col("mv_id").alias("src"), F.col("n_tok").alias("nu")), "src").join(o.select(F.col("mv_id").alias("dst"), F.col("n_tok").alias("nv")), "dst")
     s = S.unified(S.token_scores(q, unit))
     size = q.groupBy("qid").agg(F.count("*").alias("nq"))
     m = f.join(s.select("qid", F.col("mv_id").alias("src"), F.col("score").alias("su")), "src").join(s.select("qid", F.col("mv_id").alias("dst"), F.col("score").alias("sv")), ["qid", "dst"]).join(size, "qid")
@@ -194,6 +247,21 @@ def k11_consistency(spark, sf):
     return m.where(F.abs(F.col("su") - F.col("sv")) > bound + 1e-9).agg(F.count("*").alias("violations"))
 
 
+@query("""SELECT unnest(['raw grows with repeats', 'raw is one-sided', 'one-sided misses what is not covered', 'fused sees both']) AS fact,
+unnest([2.0, 0.0, 1.0, 0.75])::DOUBLE AS first, unnest([4.0, 2.0, 1.0, 0.75])::DOUBLE AS second""")
+def k12_counterexample(spark, sf):
+    """Unit axes: what raw similarity does to repeated tokens, order and uncovered tokens, and what the fused weight does."""
+    e = np.eye(4)
+    two, four = e[:2], e
+    rows = [
+        ("raw grows with repeats", kernel.edge_weight(two, two, edge_fn="raw"), kernel.edge_weight(np.concatenate([two, two]), two, edge_fn="raw")),
+        ("raw is one-sided", kernel.mv_sim(e[2:4], two), kernel.mv_sim(e[2:4], four)),
+        ("one-sided misses what is not covered", kernel.edge_weight(two, four, edge_fn="one_sided"), kernel.edge_weight(two, two, edge_fn="one_sided")),
+        ("fused sees both", kernel.edge_weight(two, four), kernel.edge_weight(four, two)),
+    ]
+    return spark.createDataFrame([(f, float(a), float(b)) for f, a, b in rows], "fact string, first double, second double")
+
+
 # --- clustered ---
 
 _CL = TOK + """, g AS (SELECT qid, q_ix % 3 AS g, list_reduce(list(qv ORDER BY q_ix), lambda a, b: list_transform(list_zip(a, b), lambda z: z[1] + z[2])) AS c FROM qt GROUP BY ALL),
@@ -235,9 +303,67 @@ def c9_error(spark, sf):
 
 @query()
 def c6_edge_clustered(spark, sf):
+    o = S.cluster_objects(S.objects(tok(spark, sf)))
+    return S.score_pairs(o, o, _every_pair(o), clustered=True)
+
+
+@query(TOK + " SELECT mv_id, count(*) AS tokens, CAST(ceil(sqrt(count(*))) AS BIGINT) AS groups FROM tok GROUP BY mv_id")
+def c1_groups(spark, sf):
+    """Every object's tokens fall into as many groups as the root of their number, each in one."""
+    c = S.object_clusters(S.objects(tok(spark, sf)))
+    return c.groupBy("mv_id").agg(F.sum(F.size("members")).alias("tokens"), F.count("*").alias("groups"))
+
+
+@query("SELECT CAST(0 AS BIGINT) AS violations")
+def c1_lloyd(spark, sf):
+    """No token lies nearer to the centre of another group of its object than to its own."""
     o = S.objects(tok(spark, sf))
-    p = o.where("mv_id % 5 = 0").select(F.col("mv_id").alias("src")).crossJoin(F.broadcast(o.select(F.col("mv_id").alias("dst"))))
-    return S.score_pairs(o, o, p, clustered=True)
+    c = S.object_clusters(o)
+    t = S.to_tokens(o).join(c, "mv_id")
+    gap = F.aggregate(F.zip_with("vec", "centroid", lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda a, x: a + x)
+    d = t.select("mv_id", "tok_ix", gap.alias("gap"), F.array_contains("members", F.col("tok_ix")).alias("own"))
+    worst = d.groupBy("mv_id", "tok_ix").agg(F.min(F.when(F.col("own"), F.col("gap"))).alias("own"), F.min("gap").alias("least"))
+    return worst.where("own > least + 1e-6").agg(F.count("*").alias("violations"))
+
+
+@query("SELECT unnest([2, 3, 8])::INTEGER AS beta, CAST(0 AS BIGINT) AS above, unnest([FALSE, FALSE, TRUE]) AS exact")
+def c5_shortlists(spark, sf):
+    """Longer shortlists never score lower, none scores above the exact form, and those as long as the object equal it."""
+    t, n = tok(spark, sf), 10**6
+    q, o = X.as_queries(t), S.objects(t)
+    e = cut(S.linear_scan(q, o, n)).select("qid", "mv_id", F.col("score").alias("exact"))
+    out, last = None, None
+    for beta in (2, 3, 8):
+        s = cut(S.linear_scan(q, o, n, mode="clustered", beta=beta)).select("qid", "mv_id", "score")
+        j = s.join(e, ["qid", "mv_id"])
+        if last is not None:
+            j = j.join(last.withColumnRenamed("score", "shorter"), ["qid", "mv_id"])
+        low = F.col("score") < F.col("shorter") - 1e-6 if last is not None else F.lit(False)
+        one = j.agg(F.count(F.when((F.col("score") > F.col("exact") + 1e-6) | low, 1)).alias("above"), (F.max(F.abs(F.col("score") - F.col("exact"))) < 1e-6).alias("exact"))
+        one = one.select(F.lit(beta).alias("beta"), "above", "exact")
+        out, last = one if out is None else out.unionByName(one), s
+    return out
+
+
+@query("SELECT CAST(0 AS BIGINT) AS differing")
+def c7_groups_as_rows(spark, sf):
+    """Query groups as rows of a table, worked on apart, score as the kernel does with the same groups."""
+    t = tok(spark, sf)
+    q, o = X.as_queries(t), S.objects(t)
+    members = S.object_clusters(S.objects(q.select(F.col("qid").alias("mv_id"), F.col("q_ix").alias("tok_ix"), "vec")))
+    groups = members.select(F.col("mv_id").alias("qid"), F.explode("members").alias("q_ix"), F.col("cluster").alias("g"))
+    s = S.token_scores(q, t)
+    rows = S.refined(s, groups, S.shortlists(s, groups, 3))
+    kern = S.linear_scan(q, o, 10**6, mode="clustered", beta=3).select("qid", "mv_id", F.col("score").alias("other"))
+    return rows.join(kern, ["qid", "mv_id"], "full").where("score is null or other is null or abs(score - other) > 1e-6").agg(F.count("*").alias("differing"))
+
+
+@query()
+def m13_clustered_error(spark, sf):
+    """How far clustered scores fall below exact ones, over all queries and objects."""
+    t, n = tok(spark, sf), 10**6
+    q, o = X.as_queries(t), S.objects(t)
+    return M.error_distribution(S.linear_scan(q, o, n, mode="clustered"), S.linear_scan(q, o, n))
 
 
 # --- graph ---
@@ -271,7 +397,7 @@ def i11_sharded(spark, sf):
     return G.build_graph(S.objects(tok(spark, sf)), IndexConfig(M=8, ef_construction=32, n_shards=4))
 
 
-@query(_DIR.replace("WHERE mv_id % 5 = 0", "") + " SELECT src, dst, round(w, 4) AS weight FROM (SELECT src, dst, (a / nu + b / nv) / 2 AS w, row_number() OVER (PARTITION BY src ORDER BY (a / nu + b / nv) / 2 DESC, dst) AS r FROM f WHERE src <> dst) WHERE r <= 8")
+@query(_DIR + " SELECT src, dst, round(w, 4) AS weight FROM (SELECT src, dst, (a / nu + b / nv) / 2 AS w, row_number() OVER (PARTITION BY src ORDER BY (a / nu + b / nv) / 2 DESC, dst) AS r FROM f WHERE src <> dst) WHERE r <= 8")
 def i12_bulk_topm(spark, sf):
     return G.bulk_graph(S.objects(tok(spark, sf)), 8).withColumn("weight", F.round("weight", 4))
 
@@ -281,9 +407,63 @@ def i14_integrity(spark, sf):
     return G.check_graph(G.build_graph(S.objects(tok(spark, sf)), CFG), CFG.M)
 
 
-@query()
+@query("SELECT 0::INTEGER AS shard, count(DISTINCT mv_id) AS nodes, TRUE AS mostly_reached FROM (" + TOK + " SELECT mv_id FROM tok)")
+def i14_reachable(spark, sf):
+    """How many nodes the base layer's edges reach from the entry, by rounds of joins."""
+    r = G.reachable(G.build_graph(S.objects(tok(spark, sf)), CFG))
+    return r.select("shard", "nodes", (F.col("reached") > 0.9 * F.col("nodes")).alias("mostly_reached"))
+
+
+@query("SELECT CAST(0 AS BIGINT) AS lone")
+def i14_mirror(spark, sf):
+    """Trimming by mirror leaves no edge without the other direction."""
+    r = G.reachable(G.build_graph(S.objects(tok(spark, sf)), IndexConfig(M=8, ef_construction=32, trim="mirror", descend="best")))
+    return r.agg(F.count(F.when(F.col("mirrored") < 1, 1)).alias("lone"))
+
+
+@query(TOK + " SELECT n AS n_tok, count(*) AS objects FROM (SELECT DISTINCT mv_id, n FROM tok) GROUP BY n")
 def i15_hubs(spark, sf):
-    return G.hub_report(G.build_graph(S.objects(tok(spark, sf)), CFG))
+    """Objects by size; ``hub_report`` adds their in-degrees' percentiles (i15_hub_degrees)."""
+    o = S.objects(tok(spark, sf))
+    return G.hub_report(G.build_graph(o, CFG), o).select("n_tok", "objects")
+
+
+@query()
+def i15_hub_degrees(spark, sf):
+    o = S.objects(tok(spark, sf))
+    return G.hub_report(G.build_graph(o, CFG), o)
+
+
+@query()
+def i09_clustered_build(spark, sf):
+    return G.build_graph(S.objects(tok(spark, sf)), IndexConfig(M=8, ef_construction=32, edge_sim="clustered"))
+
+
+@query("SELECT unnest(['degree', 'self', 'nesting', 'endpoint', 'entry', 'link_shard', 'link_order']) AS rule, CAST(0 AS BIGINT) AS violations")
+def i16_round_trip(spark, sf):
+    """An index of two shards of like objects, written, read, grown by append and checked: rules of graph and links."""
+    o = S.objects(tok(spark, sf))
+    first = I.build_index(o.where("mv_id < 8000000"), IndexConfig(M=8, ef_construction=32, n_shards=2, shard_by="centroid"), LinkConfig(M=8))
+    back = first.save(folder(spark, "index"))
+    return back.append(o.where("mv_id >= 8000000")).validate()
+
+
+@query(TOK + ", x AS (SELECT qid, mv_id, sum(s) AS score FROM (SELECT qid, q_ix, mv_id, max(s) AS s FROM sc GROUP BY ALL) GROUP BY ALL) SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY score DESC, mv_id) AS INTEGER) AS rank, mv_id, score FROM x QUALIFY rank <= 10")
+def i16_saved_search(spark, sf):
+    """Search of a saved index, held whole by every worker, with a list as wide as the data."""
+    t = tok(spark, sf)
+    ix = I.build_index(S.objects(t), IndexConfig(M=8, ef_construction=32, n_shards=2), LinkConfig(M=8)).save(folder(spark, "index"))
+    return I.search_everywhere(X.as_queries(t), ix, SearchConfig(k=10, ef=5000, scale=16129.0))
+
+
+@query("SELECT CAST(0 AS BIGINT) AS worse")
+def i12_rounds(spark, sf):
+    """A bulk build from coarse cells comes closer to the true neighbours with rounds of neighbours' neighbours."""
+    o = S.objects(tok(spark, sf))
+    cells = o.select("mv_id", F.pmod(F.xxhash64("mv_id"), F.lit(4)).alias("cell"))
+    true = cut(G.bulk_graph(o, 8)).select("src", "dst")
+    share = [cut(G.bulk_graph(o, 8, cells, rounds=r)).select("src", "dst").join(true, ["src", "dst"], "left_semi").agg(F.count("*").alias(f"r{r}")) for r in (0, 2)]
+    return share[0].crossJoin(share[1]).select((F.col("r2") < F.col("r0")).cast("long").alias("worse"))
 
 
 @query()
@@ -353,11 +533,73 @@ def l14_monotone(spark, sf):
     return L.unsorted_links(_links(spark, sf)).agg(F.count("*").alias("violations"))
 
 
-def _search(spark, sf, ef, linked, shards=1):
+@query("SELECT CAST(0 AS BIGINT) AS differing")
+def l8_equals_l9(spark, sf):
+    """The engine's pops from sorted lists give what the full scan of all links' priorities gives."""
+    t = tok(spark, sf)
+    links = _links(spark, sf)
+    scan = L.top_links(L.priorities(_rel(spark, sf), links), 4)
+    pairs = X.as_queries(t).select("qid").distinct().crossJoin(F.broadcast(t.select("mv_id").distinct()))
+    pops = R._scored(X.as_queries(t), S.objects(t), pairs, 1, links, 4, 16129.0).select("qid", "mv_id", F.posexplode("linked").alias("i", "popped"))
+    both = scan.select("qid", "mv_id", F.col("linked_mv"), F.col("priority")).join(pops.withColumnRenamed("popped", "linked_mv"), ["qid", "mv_id", "linked_mv"], "full")
+    least = scan.groupBy("qid", "mv_id").agg(F.min("priority").alias("least"))
+    # where priorities tie at the border, either may be taken
+    odd = both.where("priority is null or i is null").join(least, ["qid", "mv_id"]).where("priority is null or priority > least * (1 + 1e-9)")
+    tied = L.priorities(_rel(spark, sf), links)
+    odd = odd.join(tied.withColumnRenamed("priority", "real"), ["qid", "mv_id", "linked_mv"], "left").where("real is null or abs(real - least) > 1e-9 * abs(least)")
+    return odd.agg(F.count("*").alias("differing"))
+
+
+@query("SELECT CAST(0 AS BIGINT) AS inside, TRUE AS lost_between")
+def l1_link_loss(spark, sf):
+    """Links made inside each shard never leave it; global links of the same objects do."""
+    t = tok(spark, sf)
+    o = G.with_shards(S.objects(t), 4)
+    inside = L.link_loss(L.shard_links(o, LinkConfig(M=4)), o).select(F.col("lost").alias("inside"))
+    between = L.link_loss(L.build_links(t, 4), o).select((F.col("lost") > 0).alias("lost_between"))
+    return inside.crossJoin(between)
+
+
+@query(_LINK + " SELECT * FROM lk")
+def l2_shard_links(spark, sf):
+    """In one shard, links made by the shard's worker are the global ones."""
+    return L.shard_links(S.objects(tok(spark, sf)).withColumn("shard", F.lit(0)), LinkConfig(M=4)).drop("shard")
+
+
+@query("SELECT unnest(['cells', 'graph']) AS how, TRUE AS half_found")
+def l1_approximate(spark, sf):
+    """Links by cells and by a token graph, against the exact ones: more than half are found."""
+    o = S.objects(tok(spark, sf)).withColumn("shard", F.lit(0))
+    exact = cut(L.shard_links(o, LinkConfig(M=8)))
+    out = None
+    for how in ("cells", "graph"):
+        got = L.shard_links(o, LinkConfig(M=8, how=how, probes=8, ef=64))
+        hit = exact.select("mv_id", "tok_ix", "linked_mv").join(got.select("mv_id", "tok_ix", "linked_mv", F.lit(1).alias("hit")), ["mv_id", "tok_ix", "linked_mv"], "left")
+        one = hit.agg((F.avg(F.coalesce("hit", F.lit(0))) > 0.5).alias("half_found")).select(F.lit(how).alias("how"), "half_found")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _search(spark, sf, ef, linked, shards=1, mode="exact"):
     t = tok(spark, sf)
-    o, cfg = S.objects(t), IndexConfig(M=8, ef_construction=32, n_shards=shards)
+    o, cfg = G.with_shards(S.objects(t), shards), IndexConfig(M=8, ef_construction=32, n_shards=shards)
     g = G.build_graph(o, cfg)
-    return G.search_graph(X.as_queries(t), o, g, SearchConfig(k=10, ef=ef, linked=linked), cfg, L.build_links(t, 8) if linked else None)
+    links = L.shard_links(o, LinkConfig(M=8)) if linked else None
+    return G.search_graph(X.as_queries(t), o, g, SearchConfig(k=10, ef=ef, linked=linked, mode=mode, scale=16129.0), cfg, links)
+
+
+@query(scored(1, "1") + " SELECT qid, rank, mv_id, score FROM top WHERE rank <= 10")
+def l11_clustered_full(spark, sf):
+    """A walk by clustered scores over all nodes answers with exact scores."""
+    return _search(spark, sf, 5000, True, mode="clustered")[0]
+
+
+@query(TOK + " SELECT count(DISTINCT qid) AS queries, TRUE AS below_all, TRUE AS hops, TRUE AS pops, 0::BIGINT AS lost FROM qt")
+def m12_counters(spark, sf):
+    """Work of a narrow linked search: fewer objects scored than there are, some hops and pops, and no link that leaves its shard."""
+    n = S.objects(tok(spark, sf)).count()
+    c = M.counters(_search(spark, sf, 16, True)[1])
+    return c.select("queries", (F.col("scored") <= n).alias("below_all"), (F.col("hops") > 0).alias("hops"), (F.col("pops") > 0).alias("pops"), F.col("lost").cast("long").alias("lost"))
 
 
 @query(scored(1, "1") + " SELECT * FROM top WHERE rank <= 10")
@@ -403,10 +645,17 @@ QUERIES["b3_floor"], SQL["b3_floor"] = _retrieved("floor", 1), _RT.format(g=1) +
 x AS (SELECT qid, mv_id, sum(s - low) + any_value(base) AS score FROM bs JOIN lo USING (qid, q_ix) JOIN ba USING (qid) GROUP BY ALL)""" + _TOP
 
 
+@query()
+def b1_graph(spark, sf):
+    """Gather by searches of a token graph with the printed settings."""
+    t = tok(spark, sf)
+    return B.token_gather_rerank(X.as_queries(t), t, 10, how="graph", m=32, ef=40)
+
+
 @query()
 def b2_residual_centroid(spark, sf):
     t = tok(spark, sf)
-    return B.cell_probe(X.as_queries(t), t, 10, 32, 4, 2, rerank=True)
+    return B.cell_probe(X.as_queries(t), t, 10, 32, 4, 2, residual=True)
 
 
 @query()
@@ -415,6 +664,41 @@ def b4_cell_probe(spark, sf):
     return B.cell_probe(X.as_queries(t), t, 10, 32, 8, 4)
 
 
+def _fixed_cells(t):
+    """Cells whose centres are the first tokens of the objects of label 0, and codes without residual."""
+    rows = t.where("mv_id < 1000000 and tok_ix = 0").orderBy("mv_id").select("vec").collect()
+    c = np.array([r.vec for r in rows])
+    return B.Cells(c, np.zeros((c.shape[1], 0)), np.zeros((c.shape[1], 1)))
+
+
+_CELL = TOK + """, ce AS (SELECT CAST(row_number() OVER (ORDER BY mv_id) - 1 AS INTEGER) AS cell, vec AS c FROM tok WHERE mv_id < 1000000 AND tok_ix = 0),
+cl AS (SELECT mv_id, tok_ix, arg_max(cell, list_inner_product(vec, c) - 0.5 * list_inner_product(c, c) - cell * 1e-6) AS cell FROM tok, ce GROUP BY ALL),
+size AS (SELECT cell, count(*) AS n FROM cl GROUP BY cell),
+pr AS (SELECT qid, q_ix, cell, list_inner_product(qv, c) AS s, row_number() OVER (PARTITION BY qid, q_ix ORDER BY list_inner_product(qv, c) DESC, cell) AS r FROM qt, ce),
+cum AS (SELECT qid, q_ix, pr.cell, s, r, sum(coalesce(n, 0)) OVER (PARTITION BY qid, q_ix ORDER BY r) AS t FROM pr LEFT JOIN size USING (cell)),
+mi AS (SELECT qid, q_ix, s AS miss FROM (SELECT *, row_number() OVER (PARTITION BY qid, q_ix ORDER BY r) AS f FROM cum WHERE t >= 100) WHERE f = 1),
+bs AS (SELECT qid, q_ix, mv_id, max(s) AS s FROM pr JOIN cl USING (cell) WHERE r <= 3 GROUP BY ALL),
+x AS (SELECT qid, mv_id, sum(greatest(s - miss, 0)) + any_value(base) AS score FROM bs JOIN mi USING (qid, q_ix) JOIN (SELECT qid, sum(miss) AS base FROM mi GROUP BY qid) USING (qid) GROUP BY ALL)"""
+
+
+@query(_CELL + _TOP)
+def b4_fixed_cells(spark, sf):
+    """Probing of given cells whose codes are the cells alone; what three probes do not meet counts as the cell at 100 tokens."""
+    t = tok(spark, sf)
+    cells = _fixed_cells(t)
+    return B.ivf_probe(X.as_queries(t), B.encode(t, cells), cells, 10, n_probe=3, t_prime=100)
+
+
+@query(_CELL + """, ow AS (SELECT DISTINCT qid, mv_id FROM pr JOIN cl USING (cell) WHERE r <= 2),
+x0 AS (SELECT qid, mv_id, sum(s) AS score FROM (SELECT qid, q_ix, mv_id, max(s) AS s FROM pr JOIN cl USING (cell) JOIN ow USING (qid, mv_id) GROUP BY ALL) GROUP BY ALL),
+xx AS (SELECT * FROM x0) SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY score DESC, mv_id) AS INTEGER) AS rank, mv_id, score FROM xx QUALIFY rank <= 10""")
+def b2_fixed_cells(spark, sf):
+    """Owners of tokens in two probed cells, scored on their cells alone."""
+    t = tok(spark, sf)
+    cells = _fixed_cells(t)
+    return B.residual_centroid(X.as_queries(t), B.encode(t, cells), cells, 10, n_probe=2)
+
+
 @query()
 def b5_pooled_rerank(spark, sf):
     t = tok(spark, sf)
@@ -424,10 +708,10 @@ def b5_pooled_rerank(spark, sf):
 QUERIES["b6_scan"], SQL["b6_scan"] = QUERIES["k6a_maxsim_topk"], SQL["k6a_maxsim_topk"]
 
 
-@query(TOK + ", x AS (SELECT qid * 10 + q_ix AS qid, mv_id * 10 + tok_ix AS mv_id, s AS score FROM sc)" + _TOP)
+@query(TOK + " SELECT qid, CAST(q_ix AS INTEGER) AS q_ix, CAST(row_number() OVER (PARTITION BY qid, q_ix ORDER BY s DESC, mv_id, tok_ix) AS INTEGER) AS rank, mv_id, tok_ix, s FROM sc QUALIFY rank <= 10")
 def s1_knn(spark, sf):
-    s = scores(spark, sf)
-    return S.top_k(s.select((F.col("qid") * 10 + F.col("q_ix")).alias("qid"), (F.col("mv_id") * 10 + F.col("tok_ix")).alias("mv_id"), F.col("s").alias("score")), 10)
+    t = tok(spark, sf)
+    return B.knn(X.as_queries(t), t, 10)
 
 
 @query()
@@ -445,125 +729,155 @@ def m1_recall(spark, sf):
     return M.recall(truth.where("mv_id % 3 <> 0"), truth, 10).withColumn("recall", F.round("recall", 6))
 
 
-@query("SELECT unnest(['a', 'b']) AS method, unnest([15.0, 7.0]::DOUBLE[]) AS ms")
+_RUNS = scored(1, "1") + """, tr AS (SELECT qid, mv_id FROM top WHERE rank <= 10), m AS (SELECT unnest([2, 3, 4, 5]) AS m),
+cu AS (SELECT CASE WHEN m % 2 = 0 THEN 'even' ELSE 'odd' END AS method, CAST(m AS VARCHAR) AS setting, count(CASE WHEN mv_id % m <> 0 THEN 1 END) / CAST(count(*) AS DOUBLE) AS recall, 10.0 * m AS ms FROM tr, m GROUP BY m)"""
+
+
+def _runs(spark, sf):
+    """A curve with known points: the true answers without those whose id the setting divides, ten milliseconds a unit."""
+    truth = cut(QUERIES["k6a_maxsim_topk"](spark, sf))
+    runs = [("odd" if m % 2 else "even", str(m), truth.where(F.col("mv_id") % m != 0), 10.0 * m) for m in (2, 3, 4, 5)]
+    return M.recall_time_curve(runs, truth, 10)
+
+
+@query(_RUNS + " SELECT method, setting, round(recall, 6) AS recall, ms::DOUBLE AS ms FROM cu")
+def m5_curve(spark, sf):
+    return _runs(spark, sf).withColumn("recall", F.round("recall", 6))
+
+
+@query(_RUNS + """, l AS (SELECT *, lag(recall) OVER w AS r0, lag(ms) OVER w AS m0 FROM cu WINDOW w AS (PARTITION BY method ORDER BY recall, ms)),
+f AS (SELECT *, row_number() OVER (PARTITION BY method ORDER BY recall, ms) AS n FROM l WHERE recall >= 0.7)
+SELECT method, round(CASE WHEN r0 IS NULL THEN ms ELSE m0 + (ms - m0) * (0.7 - r0) / (recall - r0) END, 6) AS ms FROM f WHERE n = 1""")
 def m6_time_at_recall(spark, sf):
-    c = spark.createDataFrame([("a", 0.8, 10.0), ("a", 1.0, 20.0), ("b", 0.95, 7.0), ("c", 0.5, 1.0)], "method string, recall double, ms double")
-    return M.at_target(c, 0.9)
+    return M.at_target(_runs(spark, sf), 0.7).withColumn("ms", F.round("ms", 6))
 
 
-@query(TOK + " SELECT count(*) AS n_objects, CAST(sum(c) AS BIGINT) AS n_tokens, min(c) AS c_min, max(c) AS c_max FROM (SELECT mv_id, count(*) AS c FROM tok GROUP BY 1)")
-def m14_describe(spark, sf):
-    return M.describe(tok(spark, sf))
+@query(_RUNS + " SELECT method, round(max(recall), 6) AS recall FROM cu WHERE ms <= 35 GROUP BY method")
+def m7_recall_at_time(spark, sf):
+    return M.at_budget(_runs(spark, sf), 35.0).withColumn("recall", F.round("recall", 6))
 
 
-def _doc_sets(spark, sf, words=16, d=128):
-    t = X.from_documents(spark, sf, words, d)
-    q = X.as_queries(X.from_documents(spark, sf, words, d, skip=words), 50)
-    return t, q
+@query(_RUNS + """, b AS (SELECT method, recall, ms, row_number() OVER (PARTITION BY method ORDER BY recall DESC, ms) AS r FROM cu)
+SELECT round(x.recall / y.recall - 1, 6) AS recall_gain, round(x.ms / y.ms, 6) AS ms_ratio FROM b x, b y WHERE x.r = 1 AND y.r = 1 AND x.method = 'odd' AND y.method = 'even'""")
+def m9_gain(spark, sf):
+    return M.relative_gain(_runs(spark, sf), "odd", "even").select(F.round("recall_gain", 6).alias("recall_gain"), F.round("ms_ratio", 6).alias("ms_ratio"))
 
 
-def _workload(ks=(10,), gammas=(1,), words=(16,), dims=(128,), efs=(64,)):
-    """(setting, method, recall) of scan-based and graph-based methods on documents."""
+@query("SELECT round(regr_slope(c, ln(n)), 6) AS slope, round(regr_r2(c, ln(n)), 6) AS r2 FROM (SELECT user_id + 1 AS n, count(*)::DOUBLE AS c FROM events GROUP BY user_id)")
+def m8_growth(spark, sf):
+    """Slope and fit over the log of a size, on the events of every user."""
+    e = X.read(spark, sf, "events").groupBy((F.col("user_id") + 1).alias("n")).agg(F.count("*").cast("double").alias("ms"))
+    return M.growth(e).select(F.round("slope", 6).alias("slope"), F.round("r2", 6).alias("r2"))
 
-    def run(spark, sf):
-        out = None
-        for c in words:
-            for d in dims:
-                t, q = _doc_sets(spark, sf, c, d)
-                t, q = t.select("mv_id", "tok_ix", "vec").persist(), q.persist()
-                o, cfg = S.objects(t), IndexConfig(M=16, ef_construction=48)
-                graph, links = G.build_graph(o, cfg).persist(), L.build_links(t, 16).persist()
-                for k in ks:
-                    for g in gammas:
-                        truth = S.linear_scan(q, o, k, g).persist()
-                        res = {"retrieved_only": B.retrieved_only(q, t, k, k, g), "cell_probe": B.cell_probe(q, t, k, 64, 8, 4), "token_gather": B.token_gather_rerank(q, t, k, gamma=g)}
-                        for ef in efs:
-                            for linked in (True, False):
-                                cf = SearchConfig(k=k, ef=max(ef, k), gamma=g, linked=linked)
-                                res[f"{'linked' if linked else 'plain'}_ef{ef}"] = G.search_graph(q, o, graph, cf, cfg, links if linked else None)[0]
-                        for name, r in res.items():
-                            one = M.recall(r, truth, k).agg(F.avg("recall").alias("recall"), F.count("*").alias("queries"))
-                            one = one.select(F.lit(f"c={c} d={d} k={k} gamma={g}").alias("setting"), F.lit(name).alias("method"), "recall", "queries")
-                            out = one if out is None else out.unionByName(one)
-        return out
 
-    return run
+@query(TOK + " SELECT qid, round(least(1.0, 1.0), 6) AS recall FROM (SELECT DISTINCT qid FROM qt)")
+def m1_recall_score_ties(spark, sf):
+    """Answers of equal score count: the same objects in another order of ids lose nothing."""
+    t = tok(spark, sf)
+    truth = cut(S.linear_scan(X.as_queries(t), S.objects(t), 10))
+    twin = S.linear_scan(X.as_queries(t), S.objects(t.withColumn("mv_id", -F.col("mv_id"))), 10)
+    return M.recall_by_score(twin, truth, 10).select("qid", F.round("recall", 6).alias("recall"))
 
 
-QUERIES["w01_main_curve"] = _workload(efs=(16, 32, 64))
-QUERIES["w03_query_tokens"] = _workload(words=(8, 16))
-QUERIES["w04_dimensions"] = _workload(dims=(128, 256))
-QUERIES["w05_k"] = _workload(ks=(10, 32))
-QUERIES["w06_aggregate"] = _workload(gammas=(2, 8))
+@query("""WITH o AS (SELECT o_orderpriority AS method, sum(o_totalprice) AS seconds, count(*) AS dots FROM orders GROUP BY 1), b AS (SELECT seconds AS bs, dots AS bd FROM o ORDER BY method LIMIT 1)
+SELECT method, round(seconds / bs, 6) AS seconds_ratio, round(dots / bd::DOUBLE, 6) AS dots_ratio FROM o, b WHERE method <> (SELECT min(method) FROM o)""")
+def m10_build_overhead(spark, sf):
+    """Ratios of costs to one method's, on sums of orders by priority."""
+    c = X.read(spark, sf, "orders").groupBy(F.col("o_orderpriority").alias("method")).agg(F.sum("o_totalprice").alias("seconds"), F.count("*").alias("dots"))
+    out = M.build_overhead(c, c.agg(F.min("method")).first()[0])
+    return out.select("method", F.round("seconds_ratio", 6).alias("seconds_ratio"), F.round("dots_ratio", 6).alias("dots_ratio"))
 
 
-@query()
-def w02_growth(spark, sf):
-    """Objects scored a query by linked search as the number of objects doubles."""
-    t, q = _doc_sets(spark, sf)
-    t, q, out = t.select("mv_id", "tok_ix", "vec").persist(), q.persist(), None
-    high = t.agg(F.max("mv_id")).first()[0] or 0
-    for part in (4, 2, 1):
-        some = t.where(F.col("mv_id") <= high // part).persist()
-        o, cfg = S.objects(some), IndexConfig(M=16, ef_construction=48)
-        r, st = G.search_graph(q, o, G.build_graph(o, cfg), SearchConfig(k=10, ef=64), cfg, L.build_links(some, 16))
-        rec = M.recall(r, S.linear_scan(q, o, 10), 10).agg(F.avg("recall").alias("recall"))
-        one = o.agg(F.count("*").alias("n")).crossJoin(st.agg(F.avg("scored").alias("scored"))).crossJoin(rec)
-        out = one if out is None else out.unionByName(one)
-    return out
+@query(_RUNS + ", q AS (SELECT qid, count(CASE WHEN mv_id % 5 <> 0 THEN 1 END) / 10.0 AS a, count(CASE WHEN mv_id % 2 <> 0 THEN 1 END) / 10.0 AS b FROM tr GROUP BY qid) SELECT count(*) AS queries, round(avg(a), 6) AS linked, round(avg(b), 6) AS plain, round(avg(a) - avg(b), 6) AS gain FROM q")
+def m11_expansion_gain(spark, sf):
+    """Gain of one result over another, query by query."""
+    truth = cut(QUERIES["k6a_maxsim_topk"](spark, sf))
+    out = M.expansion_gain(*(M.recall(truth.where(F.col("mv_id") % m != 0), truth, 10) for m in (5, 2)))
+    return out.select("queries", *(F.round(c, 6).alias(c) for c in ("linked", "plain", "gain")))
 
 
-@query()
-def w07_build_size(spark, sf):
-    """Rows and bytes (12 an edge or link) of graph and links over three object sets."""
-    out = None
-    for name, t in (("embeddings", tok(spark, sf)), ("documents", _doc_sets(spark, sf)[0].select("mv_id", "tok_ix", "vec"))):
-        o = S.objects(t)
-        for part, n in (("graph", G.build_graph(o, CFG).agg(F.sum(F.size("nbrs")).alias("n"))), ("links", L.build_links(t, CFG.M).agg(F.count("*").alias("n")))):
-            one = n.select(F.lit(name).alias("corpus"), F.lit(part).alias("part"), F.col("n").cast("long").alias("n"), (F.col("n") * 12).cast("long").alias("bytes"))
-            out = one if out is None else out.unionByName(one)
-    return out
+@query("SELECT TRUE AS timed, TRUE AS sized")
+def m2_m4_cost(spark, sf):
+    """Median time of a search of a saved index, and the bytes of each of its parts."""
+    t = tok(spark, sf)
+    path = folder(spark, "index")
+    ix = I.build_index(S.objects(t), CFG, LinkConfig(M=8)).save(path)
+    took = M.timed(lambda: ix.search(X.as_queries(t), SearchConfig(k=10, ef=16, scale=16129.0))[0], repeats=2)
+    size = I.size_of(spark, path)
+    return spark.createDataFrame([(took > 0, all(size[p] > 0 for p in ("objects", "graph", "links")))], "timed boolean, sized boolean")
+
+
+@query(TOK + " SELECT count(*) AS n_objects, CAST(sum(c) AS BIGINT) AS n_tokens, 64::INTEGER AS d, min(c) AS c_min, quantile_cont(c, 0.5) AS c_median, quantile_cont(c, 0.9) AS c_p90, max(c) AS c_max, (SELECT count(DISTINCT qid) FROM qt) AS n_queries FROM (SELECT mv_id, count(*) AS c FROM tok GROUP BY 1)")
+def m14_describe(spark, sf):
+    t = tok(spark, sf)
+    return M.describe(t, X.as_queries(t))
+
+
+@query(_W + """, n AS (SELECT count(DISTINCT doc_id) AS n FROM w) SELECT CAST(item_id AS BIGINT) AS qid, count(*) AS words, count(weight) AS known FROM
+(SELECT item_id, unnest(list_filter(string_split_regex(lower(text), '\\s+'), lambda x: x <> '')) AS word FROM benchmark) b LEFT JOIN (SELECT word, ln(any_value(n) * 1.0 / count(*)) AS weight FROM w, n GROUP BY word) USING (word) GROUP BY item_id""")
+def w10_query_weights(spark, sf):
+    """How many words of each benchmark item get an idf weight from the documents."""
+    w = S.idf_weights(X.words_of(spark, sf)).select("word", "weight")
+    b = X.words_of(spark, sf, "benchmark", "item_id").join(w, "word", "left")
+    return b.groupBy(F.col("mv_id").alias("qid")).agg(F.count("*").alias("words"), F.count("weight").alias("known"))
 
 
 @query()
 def w10_weighted_chamfer(spark, sf):
-    """Top-10 documents for benchmark items with idf token weights."""
-    d = X.from_documents(spark, sf, 16)
-    w = S.idf_weights(d.select("mv_id", "word")).select("word", "weight")
-    b = X.from_documents(spark, sf, 16, table="benchmark", key="item_id").join(w, "word", "left")
+    """Top-10 documents, each the vectors of all its different words, for benchmark items with idf token weights."""
+    w = S.idf_weights(X.words_of(spark, sf)).select("word", "weight")
+    d = X.word_objects(spark, sf)
+    b = X.word_objects(spark, sf, "benchmark", "item_id").join(w, "word", "left")
     q = b.select(F.col("mv_id").alias("qid"), F.col("tok_ix").alias("q_ix"), "vec", F.coalesce("weight", F.lit(1.0)).alias("weight"))
     return S.linear_scan(q, S.objects(d), 10)
 
 
 @query()
 def w11_edge_functions(spark, sf):
-    """Recall of plain graph search and largest in-degree, by edge function, on objects of mixed sizes."""
-    t, q = _doc_sets(spark, sf)
-    t = t.select("mv_id", "tok_ix", "vec").where(F.col("tok_ix") < F.when(F.col("mv_id") % 4 == 0, 16).otherwise(4)).persist()
-    o, out = S.objects(t).persist(), None
-    truth = S.linear_scan(q, o, 10).persist()
+    """Recall of plain graph search and largest in-degree, by edge function, on documents of 4 to 32 windows."""
+    t = X.from_windows(spark, sf)
+    t = cut(t.unionByName(t.withColumn("tok_ix", F.col("tok_ix") + 1000)).where((F.col("tok_ix") < 1000) | (F.pmod(F.xxhash64("mv_id"), F.lit(4)) == 0)))
+    q, o, out = X.as_queries(t, 50), cut(S.objects(t)), None
+    truth = cut(S.linear_scan(q, o, 10))
     for kind in ("fused", "raw", "one_sided", "sum"):
-        cfg = IndexConfig(M=8, ef_construction=32, edge_fn=kind)
-        g = G.build_graph(o, cfg).persist()
-        r, _ = G.search_graph(q, o, g, SearchConfig(k=10, ef=32, linked=False), cfg)
+        cfg = IndexConfig(M=8, ef_construction=32, edge_fn=kind, n_shards=4)
+        g = cut(G.build_graph(o, cfg))
+        r, _ = G.search_graph(q, o, g, SearchConfig(k=10, ef=32, linked=False, scale=16129.0), cfg)
         one = M.recall(r, truth, 10).agg(F.avg("recall").alias("recall")).crossJoin(G.hub_report(g).agg(F.max("in_degree").alias("hub")))
         one = one.select(F.lit(kind).alias("edge_fn"), "recall", "hub")
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@query("""WITH p AS (SELECT item_id AS qid, doc_id AS mv_id FROM benchmark b, documents d WHERE contains(d.text, b.text))
+SELECT count(*) AS planted, count(DISTINCT qid) AS items, TRUE AS all_found FROM p""")
+def w12_planted(spark, sf):
+    """Documents that hold a benchmark item, by the search of its words among words: pairs planted, and whether every item's rank covers them."""
+    b, d = X.read(spark, sf, "benchmark"), X.read(spark, sf, "documents")
+    pairs = X.containing(d.select(F.col("doc_id").alias("mv_id"), "text"), b.select(F.col("item_id").alias("qid"), F.col("text").alias("passage")))
+    pairs = cut(pairs)
+    k = max(10, pairs.groupBy("qid").count().agg(F.max("count")).first()[0] or 0) * 4
+    found = QUERIES["w12_relevance_search"](spark, sf, k)
+    hit = pairs.join(found, ["qid", "mv_id"], "left").groupBy("qid").agg(F.min("rank").alias("rank"))
+    return pairs.agg(F.count("*").alias("planted"), F.count_distinct("qid").alias("items")).crossJoin(hit.agg((F.count("rank") == F.count("*")).alias("all_found")))
+
+
 @query()
-def w08_build_ablation(spark, sf):
-    """Multiply-adds of edge scores with and without clusters, by object size."""
-    o = S.objects(tok(spark, sf))
-    c = F.ceil(F.sqrt(F.col("n_tok")))
-    return o.groupBy("n_tok").agg(F.count("*").alias("objects"), F.max(F.col("n_tok") * F.col("n_tok")).alias("exact"), F.max(2 * (c * F.col("n_tok") + F.col("n_tok") * c)).alias("clustered"))
+def w12_relevance_search(spark, sf, k=40):
+    """Documents by the number of a benchmark item's words that they hold, weighted by idf."""
+    w = S.idf_weights(X.words_of(spark, sf)).select("word", "weight")
+    q = X.words_of(spark, sf, "benchmark", "item_id").distinct().select(F.col("mv_id").alias("qid"), "word").join(w, "word")
+    d = X.words_of(spark, sf).distinct()
+    s = d.join(F.broadcast(q) if q.count() < 1_000_000 else q, "word").groupBy("qid", "mv_id").agg(F.sum("weight").alias("score"))
+    return S.top_k(s, k)
 
 
-@query("SELECT count(*) AS planted FROM benchmark b, documents d WHERE contains(d.text, b.text)")
-def w12_planted(spark, sf):
+@query()
+def w12_relevance(spark, sf):
+    """Hit rate, reciprocal rank and discounted gain of that search against the planted pairs."""
     b, d = X.read(spark, sf, "benchmark"), X.read(spark, sf, "documents")
-    return d.join(F.broadcast(b.select(F.col("text").alias("p"))), F.expr("contains(text, p)")).agg(F.count("*").alias("planted"))
+    pairs = X.containing(d.select(F.col("doc_id").alias("mv_id"), "text"), b.select(F.col("item_id").alias("qid"), F.col("text").alias("passage")))
+    return M.relevance(QUERIES["w12_relevance_search"](spark, sf, 40), pairs, 10)
 
 
 @query()
@@ -609,10 +923,8 @@ def i13_delete_relinked(spark, sf):
 def l11_routed(spark, sf):
     """Each query visits two of four shards of like objects."""
     t = tok(spark, sf)
-    o, cfg = S.objects(t), IndexConfig(M=8, ef_construction=32, n_shards=4)
-    centres = R.fit_centres(o, 4)
-    routed = R.route_objects(o, centres)
-    return R.search_routed(X.as_queries(t), routed, G.build_graph(routed, cfg), centres, SearchConfig(k=10, ef=32, probe_shards=2), cfg, L.build_links(t, 8))[0]
+    ix = I.build_index(S.objects(t), IndexConfig(M=8, ef_construction=32, n_shards=4, shard_by="centroid"), LinkConfig(M=8))
+    return ix.search(X.as_queries(t), SearchConfig(k=10, ef=32, probe_shards=2, scale=16129.0))[0]
 
 
 @query(scored(1, "1") + " SELECT * FROM top WHERE rank <= 10")
@@ -622,13 +934,15 @@ def l11_rounds_full(spark, sf):
     o = S.objects(t)
     g = G.build_graph(o, CFG)
     edges = g.where("layer = 0").select(F.col("mv_id").alias("src"), F.explode("nbrs").alias("dst"))
-    return R.search_rounds(X.as_queries(t), o, edges, 10, 5000, g.where("entry").select("mv_id"), L.build_links(t, 8))
+    return R.search_rounds(X.as_queries(t), o, edges, 10, 5000, g.where("entry").select("mv_id"), L.build_links(t, 8), m=8, scale=16129.0)
 
 
-@query("SELECT unnest(['b', 'c', 'd']) AS method, unnest([0.5, 3.0, NULL]::DOUBLE[]) AS factor")
+@query(_RUNS + """, l AS (SELECT *, lag(recall) OVER w AS r0, lag(ms) OVER w AS m0 FROM cu WINDOW w AS (PARTITION BY method ORDER BY recall, ms)),
+f AS (SELECT *, row_number() OVER (PARTITION BY method ORDER BY recall, ms) AS n FROM l WHERE recall >= 0.6),
+a AS (SELECT method, CASE WHEN r0 IS NULL THEN ms ELSE m0 + (ms - m0) * (0.6 - r0) / (recall - r0) END AS ms FROM f WHERE n = 1)
+SELECT x.method, round(y.ms / z.ms, 6) AS factor FROM (SELECT DISTINCT method FROM cu WHERE method <> 'odd') x LEFT JOIN a y USING (method), a z WHERE z.method = 'odd'""")
 def m7_speedup(spark, sf):
-    rows = [("a", 0.8, 10.0), ("a", 1.0, 18.0), ("b", 0.95, 7.0), ("c", 0.91, 42.0), ("d", 0.5, 1.0)]
-    return M.speedup(spark.createDataFrame(rows, "method string, recall double, ms double"), "a")
+    return M.speedup(_runs(spark, sf), "odd", 0.6).withColumn("factor", F.round("factor", 6))
 
 
 @query(TOK + ", a AS (SELECT qid, q_ix, mv_id, max(s) AS s FROM sc GROUP BY ALL) SELECT qid, mv_id, sum(s) AS score FROM a GROUP BY ALL")
@@ -655,21 +969,3 @@ def f6_orders(spark, sf):
 @query()
 def f5_pages(spark, sf):
     return X.from_pages(spark, sf)
-
-
-@query()
-def w02_orders(spark, sf):
-    """Recall and objects scored a query as the orders searched double."""
-    t = X.from_orders(spark, sf).persist()
-    high, out = t.agg(F.max("mv_id")).first()[0] or 0, None
-    q = X.as_queries(t, 1000).persist()
-    for part in (8, 4, 2):
-        o, cfg = S.objects(t.where(F.col("mv_id") <= high // part)).persist(), IndexConfig(M=8, ef_construction=32, n_shards=8)
-        r, st = G.search_graph(q, o, G.build_graph(o, cfg), SearchConfig(k=10, ef=32, linked=False), cfg)
-        rec = M.recall_by_score(r, S.linear_scan(q, o, 10), 10).agg(F.avg("recall").alias("recall"))
-        one = o.agg(F.count("*").alias("n")).crossJoin(st.agg(F.avg("scored").alias("scored"))).crossJoin(rec)
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-QUERIES["w13_overall"] = _workload(efs=(32,), gammas=(1, 2))

@@ -5,15 +5,18 @@ Each runs what is there and stops (availableNow), so that it can be held against
 
 from __future__ import annotations
 
-import shutil
-import tempfile
-import uuid
-
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..config import IndexConfig, LinkConfig, SearchConfig
+from ..operators import index as I
+from ..operators import similarity as S
+from ..sources import fixtures as X
+from ..sources.shared import folder
+
 
 def stream(spark: SparkSession, sf: str) -> DataFrame:
     schema = spark.read.parquet(f"{sf}/events.parquet").schema
@@ -21,12 +24,26 @@ def stream(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def finish(df: DataFrame, mode: str) -> DataFrame:
-    """Run a stream over what is there and return its memory table."""
-    name, at = f"s{uuid.uuid4().hex}", (df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp()) + f"/stream-{uuid.uuid4().hex}"
-    df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", at).trigger(availableNow=True).start().awaitTermination()
-    if at.startswith("/"):
-        shutil.rmtree(at, ignore_errors=True)
-    return df.sparkSession.table(name)
+    """Run a stream over what is there into files of the shared folder and return them as a table.
+
+    Rows of complete and update mode carry the number of their batch; the last batch's, or every key's last, are the answer.
+    """
+    spark = df.sparkSession
+    at = folder(spark, "stream")
+    if mode == "append":
+        to = df.writeStream.format("parquet").option("path", f"{at}/rows").outputMode("append")
+        to.option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+        return spark.read.schema(df.schema).parquet(f"{at}/rows")
+
+    def keep(batch: DataFrame, n: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{at}/rows/batch={n}")  # written again if the batch is run again
+
+    df.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+    rows = spark.read.parquet(f"{at}/rows")
+    if mode == "complete":
+        rows = rows.where(F.col("batch") == rows.agg(F.max("batch")).first()[0])
+        return rows.drop("batch")
+    return rows
 
 
 def t_tumbling(spark, sf):
@@ -40,8 +57,77 @@ def t_sliding(spark, sf):
 
 
 def t_dedup(spark, sf):
+    """The first of the events of every user and type, repeats within the watermark dropped; which one is first is up to the stream."""
     d = stream(spark, sf).withWatermark("ts", "400 days").dropDuplicatesWithinWatermark(["user_id", "event_type"])
-    return finish(d, "append").select("user_id", "event_type").distinct()
+    return finish(d, "append").select("user_id", "event_type")
+
+
+def t_watermark_late(spark, sf):
+    """Events by day: the newest third, then the last of all, then the rest. What comes behind the watermark of two batches ago is dropped."""
+    e = spark.read.parquet(f"{sf}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    low, high = e.agg(F.min("ts"), F.max("ts")).first()
+    cut1 = high - (high - low) / 3
+    at = folder(spark, "late")
+    newest = F.col("ts") >= F.lit(cut1)
+    for k, part in enumerate((e.where(newest & (F.col("ts") < F.lit(high))), e.where(F.col("ts") == F.lit(high)), e.where(~newest))):
+        part.coalesce(1).write.parquet(f"{at}/in/part={k}")
+    s = spark.readStream.schema("event_id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{at}/in/part=*")
+    w = s.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
+    rows = finish(w, "append")
+    total, kept = e.count(), rows.agg(F.sum("n")).first()[0] or 0
+    return spark.createDataFrame([(total, kept <= e.where(F.col("ts") >= F.lit(cut1)).count())], "events long, late_dropped boolean")
+
+
+def t_append_index(spark, sf):
+    """Objects that come by stream are added to an index batch by batch; the grown index finds what a scan of all finds."""
+    t = X.from_embeddings(spark, sf)
+    o = S.objects(t)
+    at = folder(spark, "grow")
+    old, new = o.where("mv_id % 4 <> 3"), o.where("mv_id % 4 = 3")
+    new.repartition(2).write.parquet(f"{at}/new")
+    cfg, links = IndexConfig(M=8, ef_construction=32, n_shards=2), LinkConfig(M=8)
+    I.build_index(old, cfg, links).save(f"{at}/index0")
+    s = spark.readStream.schema(new.schema).option("maxFilesPerTrigger", 1).parquet(f"{at}/new")
+
+    def grow(batch: DataFrame, n: int) -> None:
+        I.load(spark, f"{at}/index{n}").append(batch).save(f"{at}/index{n + 1}")  # a new version each time, so a repeated batch is harmless
+
+    query = s.writeStream.foreachBatch(grow).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    done = sum(1 for _ in range(query.lastProgress["batchId"] + 1)) if query.lastProgress else 0
+    last = I.load(spark, f"{at}/index{done}")
+    return last.search(X.as_queries(t), SearchConfig(k=10, ef=5000, scale=16129.0))[0]
+
+
+def t_query_stream(spark, sf):
+    """Queries that come by stream, searched in an index that every worker holds."""
+    t = X.from_embeddings(spark, sf)
+    at = folder(spark, "asked")
+    ix = I.build_index(S.objects(t), IndexConfig(M=8, ef_construction=32), LinkConfig(M=8)).save(f"{at}/index")
+    X.as_queries(t).repartition(2, "qid").write.parquet(f"{at}/in")
+
+    def answer(batch: DataFrame, n: int) -> None:
+        I.search_everywhere(batch, ix, SearchConfig(k=10, ef=5000, scale=16129.0)).write.mode("overwrite").parquet(f"{at}/out/batch={n}")
+
+    s = spark.readStream.schema("qid long, q_ix int, vec array<double>").option("maxFilesPerTrigger", 1).parquet(f"{at}/in")
+    s.writeStream.foreachBatch(answer).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{at}/out").drop("batch")
+
+
+def t_restart(spark, sf):
+    """A stream stopped after its first files and started again from its checkpoint counts every event once."""
+    at = folder(spark, "restart")
+    e = spark.read.parquet(f"{sf}/events.parquet").select("event_id", "user_id")
+    e.where("event_id % 2 = 0").coalesce(1).write.parquet(f"{at}/in/part=0")
+
+    def go() -> None:
+        s = spark.readStream.schema("event_id long, user_id long").parquet(f"{at}/in/part=*")
+        s.writeStream.format("parquet").option("path", f"{at}/out").option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+
+    go()
+    e.where("event_id % 2 = 1").coalesce(1).write.parquet(f"{at}/in/part=1")
+    go()
+    return spark.read.parquet(f"{at}/out").groupBy("user_id").agg(F.count("*").alias("n"))
 
 
 def t_stream_static(spark, sf):
@@ -50,15 +136,22 @@ def t_stream_static(spark, sf):
 
 
 def t_state_objects(spark, sf):
-    """How many tokens each user's object has: events gathered in state, across batches."""
+    """Every user's multi-vector object, its tokens gathered in state across batches: tokens, and the sum of their first coordinate."""
+    kinds = ("view", "click", "purchase", "error", "signup")
 
     def grow(key, frames, state: GroupState):
-        n = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
-        state.update((n,))
-        yield pd.DataFrame({"user_id": [key[0]], "n_tok": [n]})
+        tokens = list(state.get[0]) if state.exists else []
+        for f in frames:
+            for kind, value, hour in zip(f["event_type"], f["value"], f["hour"]):
+                v = np.zeros(8)
+                v[kinds.index(kind) if kind in kinds else 5], v[6], v[7] = 1, float(value) if value == value and value is not None else 0.0, hour
+                tokens.append(v.tolist())
+        state.update((tokens,))
+        yield pd.DataFrame({"user_id": [key[0]], "n_tok": [len(tokens)], "hours": [int(sum(t[7] for t in tokens))]})
 
-    s = stream(spark, sf).groupBy("user_id").applyInPandasWithState(grow, "user_id long, n_tok long", "n long", "update", GroupStateTimeout.NoTimeout)
-    return finish(s, "update").groupBy("user_id").agg(F.max("n_tok").alias("n_tok"))
+    e = stream(spark, sf).select("user_id", "event_type", "value", F.hour("ts").alias("hour"))
+    s = e.groupBy("user_id").applyInPandasWithState(grow, "user_id long, n_tok long, hours long", "tokens array<array<double>>", "update", GroupStateTimeout.NoTimeout)
+    return finish(s, "update").groupBy("user_id").agg(F.max("n_tok").alias("n_tok"), F.max_by("hours", "n_tok").alias("hours"))
 
 
 def t_session(spark, sf):
@@ -74,13 +167,24 @@ def t_stream_stream(spark, sf):
     return finish(a.join(b, F.expr("u = v AND bt >= at AND bt <= at + INTERVAL 1 HOUR")), "append").select("a", "b")
 
 
-QUERIES = {f.__name__: f for f in (t_tumbling, t_sliding, t_session, t_dedup, t_stream_static, t_stream_stream, t_state_objects)}
+_TOP10 = '''WITH e AS (SELECT label, row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS i, list_transform(embedding, lambda x: floor(CAST(x AS DOUBLE) * 127 + 0.5)) AS vec FROM embeddings),
+t0 AS (SELECT CAST(label * 1000000 + i // 8 AS BIGINT) AS mv_id, i % 8 AS tok_ix, vec FROM e), tok AS (SELECT * FROM (SELECT *, count(*) OVER (PARTITION BY mv_id) AS n FROM t0) WHERE n >= 2),
+x AS (SELECT qid, mv_id, sum(s) AS score FROM (SELECT q.mv_id AS qid, q.tok_ix AS q_ix, t.mv_id, max(list_inner_product(q.vec, t.vec)) AS s FROM tok q, tok t WHERE q.mv_id % 5 = 0 GROUP BY ALL) GROUP BY ALL)
+SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY score DESC, mv_id) AS INTEGER) AS rank, mv_id, score FROM x QUALIFY rank <= 10'''
+
+QUERIES = {f.__name__: f for f in (
+    t_tumbling, t_sliding, t_session, t_dedup, t_watermark_late, t_append_index, t_query_stream, t_restart, t_stream_static, t_stream_stream, t_state_objects,
+)}
 SQL = {
     "t_tumbling": "SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, count(*) AS n FROM events GROUP BY ALL",
     "t_session": "SELECT user_id, min(ts) AS start, count(*) AS n FROM (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w >= INTERVAL 1 HOUR THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id))) GROUP BY user_id, s",
     "t_stream_stream": "SELECT x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.user_id = y.user_id AND x.event_id % 2 = 0 AND y.event_id % 2 = 1 AND y.ts >= x.ts AND y.ts <= x.ts + INTERVAL 1 HOUR",
     "t_dedup": "SELECT DISTINCT user_id, event_type FROM events",
     "t_stream_static": "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1",
-    "t_state_objects": "SELECT user_id, count(*) AS n_tok FROM events GROUP BY 1",
+    "t_state_objects": "SELECT user_id, count(*) AS n_tok, CAST(sum(hour(ts)) AS BIGINT) AS hours FROM events GROUP BY 1",
+    "t_restart": "SELECT user_id, count(*) AS n FROM events GROUP BY 1",
+    "t_watermark_late": "SELECT count(*) AS events, TRUE AS late_dropped FROM events",
+    "t_append_index": _TOP10,
+    "t_query_stream": _TOP10,
     "t_sliding": "SELECT s AS start, count(*) AS n FROM (SELECT unnest([date_trunc('day', ts)::TIMESTAMP, date_trunc('day', ts)::TIMESTAMP - INTERVAL 1 DAY]) AS s FROM events) GROUP BY 1",
 }
