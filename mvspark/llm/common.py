@@ -77,6 +77,31 @@ def without(docs: DataFrame, gone: DataFrame) -> DataFrame:
     return left.select(*(F.col("row").getField(c).alias(c) for c in docs.columns))
 
 
+#: a key that more than one in so many rows share is joined by broadcast, so at most as many keys are
+HEAVY = 1000
+#: rows of a key up to which a task takes them anyway
+PLENTY = 2000
+
+
+def spread_join(many: DataFrame, one: DataFrame, on: list[str], count: str, how: str = "inner") -> DataFrame:
+    """``many`` joined with ``one``, which has one row a key and in ``count`` the key's rows in ``many``.
+
+    Keys with more than a thousandth of all rows, so a thousand at most, go by broadcast and their rows stay
+    where they are; the rest meet by shuffle. No task gets all rows of a frequent key.
+    """
+    total = one.agg(F.sum(count)).first()[0] or 0
+    floor = max(total // HEAVY, PLENTY)
+    heavy = one.where(F.col(count) > floor)
+    if not one.agg(F.max(count)).first()[0] or not heavy.limit(1).count():
+        return many.join(one, on, how)
+    light = one.where(F.coalesce(F.col(count), F.lit(0)) <= floor)
+    keys = F.broadcast(heavy.select(*on))
+    same = lambda a, b: [a[c].eqNullSafe(b[c]) for c in on]
+    few = many.join(F.broadcast(heavy), on, "inner")
+    rest = many.join(keys, same(many, keys), "left_anti").join(light, on, how)
+    return few.unionByName(rest.select(few.columns))
+
+
 def components(edges: DataFrame, label: str = "cc", rounds: int = 60) -> DataFrame:
     """Connected components of ``edges(a long, b long)`` by alternating star contractions.
 

@@ -115,14 +115,116 @@ def test_urls(spark):
 
 
 def test_like_branches_merge(spark):
-    rows = [("h", f"/{s}/x{i}", i < bad) for s, n, bad in (("a", 10, 1), ("b", 10, 3), ("d", 900, 90), ("c", 10, 10)) for i in range(n)]
-    pages = spark.createDataFrame(rows, "host string, path string, bad boolean")
+    rows = [("h", f"/{s}/x{i}", int(i < bad)) for s, n, bad in (("a", 10, 1), ("b", 10, 2), ("d", 6000, 600), ("c", 40, 40)) for i in range(n)]
+    rows += [("h", f"/{s}/x{i}", None) for s in ("u", "v") for i in range(20)]
+    pages = spark.createDataFrame(rows, "host string, path string, bad int")
     tree = url_filter.templates(pages, F.col("bad")).select(F.get("shape", 0).alias("s"), "template", "share").distinct().collect()
     branch = {r.s: r.template.split("/")[1] for r in tree}
-    assert branch["a"] == branch["b"] == branch["d"] == "~a" and branch["c"] == "c"
+    assert branch["a"] == branch["b"] == branch["d"] == "~a" and branch["c"] == "c" and branch["u"] == branch["v"] == "~u"
     assert all((r.share >= url_filter.REJECT) == (r.s == "c") for r in tree)
 
 
+def plain_judge(urls, rules):
+    """Verdicts of the tree, host by host and branch by branch."""
+    def classed(x):
+        if re.fullmatch(r"[0-9]{4}-[0-9]{2}(-[0-9]{2})?", x):
+            return "{date}"
+        if re.fullmatch("[0-9]+", x):
+            return "{n}"
+        if m := re.fullmatch(r"[0-9]+\.([A-Za-z]{1,5})", x):
+            return "{n}." + m[1]
+        return "{hex}" if re.fullmatch("[0-9A-Fa-f-]{8,}", x) else x
+
+    pages, out = [], {}
+    for i, u in urls:
+        m = re.match(r"(?s)(?:.*?)://([^/?#]*)([^?#]*)", u or "")
+        host, path = (m[1].lower(), m[2]) if m else ("", "")
+        fits = [(len(h + p), v) for v, h, p in rules if (host == h or host.endswith("." + h)) and path.startswith(p)]
+        label = int(max(fits)[1] == "block") if fits else None
+        segs = [classed(x) for x in path.split("/") if x]
+        if len(segs) > url_filter.DEPTH:
+            segs = [*segs[: url_filter.DEPTH], "{more}" + "/".join(segs[url_filter.DEPTH :])]
+        pages.append((i, host, tuple(segs), label, [""]))
+        out[i] = label
+
+    def count(some):
+        known = [p[3] for p in some if p[3] is not None]
+        return len(some), len(known), sum(known)
+
+    def split(some, level):
+        kids = {}
+        for p in some:
+            if len(p[2]) > level:
+                kids.setdefault(p[2][level], []).append(p)
+        named, groups, name = {}, {}, {}
+        for seg, mine in kids.items():
+            below = "|".join(sorted({"" if len(p[2]) <= level + 1 else p[2][level + 1] if p[2][level + 1].startswith("{") else "w" for p in mine}))
+            if len(mine) < url_filter.SUPPORT and not seg.startswith("{"):
+                name[seg] = "*"
+            else:
+                named.setdefault(below, []).append(seg)
+        for below, segs in named.items():
+            _, known, bad = (sum(c) for c in zip(*(count(kids[s]) for s in segs)))
+            common = (bad + 0.5) / (known + 1)
+            for s in segs:
+                _, k, b = count(kids[s])
+                rate = -2 if not k else -1 if abs(b - k * common) / math.sqrt(k * common * (1 - common)) <= url_filter.ALIKE else int((b + 0.5) / (k + 1) * url_filter.BINS)
+                groups.setdefault((below, rate), []).append(s)
+        for segs in groups.values():
+            for s in segs:
+                name[s] = "~" + min(segs) if len(segs) > 1 else s
+        for seg, mine in kids.items():
+            for p in mine:
+                p[4][0] += "/" + name[seg]
+        for branch in {p[4][0] for p in some if len(p[2]) > level}:
+            split([p for p in some if p[4][0] == branch], level + 1)
+
+    hosts = {}
+    for p in pages:
+        hosts.setdefault(p[1], []).append(p)
+    _, known, bad = count(pages)
+    prior = bad / known if known else 0
+    verdict = {}
+    for some in hosts.values():
+        split(some, 0)
+        _, known, bad = count(some)
+        share = (bad + url_filter.SMOOTH * prior) / (known + url_filter.SMOOTH)
+        for template in {p[4][0] for p in some}:
+            mine = [p for p in some if p[4][0] == template]
+            _, known, bad = count(mine)
+            purity = (bad + url_filter.SMOOTH * share) / (known + url_filter.SMOOTH)
+            for p in mine:
+                verdict[p[0]] = ("block" if (known and purity >= url_filter.REJECT if p[3] is None else p[3]) else "allow", template, round(purity, 9))
+    return verdict
+
+
+def test_verdicts_against_brute_force(spark, sf):
+    r = random.Random(2)
+    rules = (*url_filter.RULES, ("block", "shop.test", "/promo/1"), ("allow", "shop.test", "/item/"))
+    urls = [(x.page_id, x.url) for x in spark.read.parquet(f"{sf}/pages.parquet").collect()]
+    urls += [(10_000 + i, f"http://shop.test/promo/{r.randrange(10, 200)}{r.choice(['', '/x'])}") for i in range(200)]
+    urls += [(20_000 + i, f"http://shop.test/item/{r.randrange(9)}/{r.choice('abcdefgh')}") for i in range(150)]
+    urls += [(30_000 + i, f"https://deep.test{'/s' * r.randrange(28, 40)}/{r.choice(['a', 'b', '7'])}") for i in range(60)]
+    urls += [(40_000 + i, u) for i, u in enumerate([None, "", "x", "http://shop.test/promo/19", "http://shop.test/promo/19", "http://tie.test/a/b", "http://tie.test/a/b"])]
+    df = spark.createDataFrame([(i, u, "h", "t") for i, u in urls], "page_id long, url string, host string, template string")
+    want = plain_judge(urls, rules)
+    got = {x.page_id: (x.verdict, x.template, round(x.share, 9)) for x in url_filter.judge(df, rules).collect()}
+    assert got == want
+    free = {i for i, v in want.items() if v[0] == "block" and "/promo/" in dict(urls)[i] and "/promo/1" not in dict(urls)[i]}
+    assert len(free) > 50  # pages that no rule fits, blocked by their template
+
+
+def test_spread_join(spark):
+    from mvspark.llm import common
+
+    many = spark.createDataFrame([(k, i) for k, n in ((1, 5000), (2, 30), (None, 10), (3, 1)) for i in range(n)], "k long, i long")
+    one = spark.createDataFrame([(1, "a", 5000), (2, "b", 30), (4, "d", 0)], "k long, v string, n long")
+    got = common.spread_join(many, one, ["k"], "n", "left")
+    want = many.join(one, ["k"], "left")
+    assert got.exceptAll(want.select(got.columns)).count() == 0 and got.count() == want.count()
+    assert common.spread_join(many, one.limit(0), ["k"], "n").count() == 0
+
+
 # --- language model ---
 
 
