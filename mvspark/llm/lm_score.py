@@ -291,6 +291,7 @@ class Texts:
     def __init__(self, flat: np.ndarray, offset: np.ndarray):
         n = len(offset) - 1
         self.flat = flat = _LOWER[flat]
+        self.flat_start = offset[:-1]
         solid = ~_SPACE[flat]
         edge = np.zeros(len(flat) + 1, bool)
         edge[offset] = True

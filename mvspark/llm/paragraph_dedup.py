@@ -8,9 +8,11 @@ bucket costs a few pairs a member. Pairs are verified by exact Jaccard and clust
 Large buckets whose members then still lie in different components go through a prefix filter: of two sets of
 similarity 0.8 the rarest shingles of one meet those of the other, so only paragraphs of different components
 that share one are verified, and no link within a bucket is lost. In a cluster the
-first paragraph (smallest doc_id, then place) stays and the others are removals. Passages set inside longer
-paragraphs are found by content-defined chunks (cut after words that a hash of length and end letters
-picks), compared exactly.
+first paragraph (smallest doc_id, then place) stays and the others are removals.
+
+Passages set inside longer lines, or broken into lines otherwise, are found by anchors: runs of ``ANCHOR`` words of the
+whole text, picked where their hash is the least among ``WINDOW`` neighbours. Equal runs of ``ANCHOR + WINDOW - 1`` = 50
+words or more have an anchor in common, wherever they lie, and an anchor in common is an equal run of 24 words.
 
 Defined results: null and empty texts have no paragraphs; a document repeated under one doc_id does not
 repeat across documents; null ids are ignored; an empty table gives an empty result; other columns
@@ -20,14 +22,16 @@ are ignored.
 from __future__ import annotations
 
 import math
+import re
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import components, text_of, written
+from .common import components, spread_join, text_of, written
+from .lm_score import Texts, _powers, text_batches
 
 SHINGLE, SIMILAR = 5, 0.8
 FEW, DRAWN = 12, 4
@@ -36,8 +40,8 @@ SKETCH = 1 << 18
 #: words of 64 parities of a paragraph's shingles
 PARITY = 4
 _SIDE = ["key", "comp", "n", "at", "short", *(f"odd{i}" for i in range(PARITY))]
-#: paragraphs from which chunks are cut, chunk lengths kept, one cut in so many words
-LONG, CHUNK, CUT = 50, 8, 11
+#: words of an anchor, and neighbours of which the least is one; words from which a repeated line is a long passage
+ANCHOR, WINDOW, LONG = 24, 27, 50
 #: keys at most that are broadcast to pick the lines to verify; more are joined by shuffle
 PICKED = 1_000_000
 
@@ -52,59 +56,90 @@ def tuned(similar: float = SIMILAR, recall: float = 0.99, most: int = 64) -> tup
     return best
 
 
-def _units(batches, bands: int, rows: int):
-    from xxhash import xxh64_intdigest
+def run_names(name: np.ndarray, n: int) -> np.ndarray:
+    """Names of all runs of n words, from the words' names."""
+    up, down = _powers(len(name) + 1)
+    with np.errstate(over="ignore"):
+        sums = np.concatenate([[np.uint64(0)], np.cumsum(name * up[: len(name)])])
+        h = (sums[n:] - sums[: len(sums) - n]) * down[: max(0, len(name) - n + 1)]
+        h = (h ^ (h >> np.uint64(32))) * np.uint64(0x9E3779B97F4A7C15)
+        return h ^ (h >> np.uint64(29))
+
+
+def _slide(x: np.ndarray, n: int, pick) -> np.ndarray:
+    """``pick`` (minimum or maximum) of every n neighbours, from each place on."""
+    have = 1
+    while 2 * have <= n:
+        x = pick(x[: len(x) - have], x[have:])
+        have *= 2
+    return pick(x[: len(x) - (n - have)], x[n - have :]) if n > have else x
+
+
+def anchors(name: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(first word, name) of the anchors of texts, given as words' names and the text each lies in."""
+    if len(name) < ANCHOR + WINDOW - 1:
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64)
+    h = run_names(name, ANCHOR)
+    least = _slide(h, WINDOW, np.minimum)
+    span = ANCHOR + WINDOW - 1
+    inside = text[: len(least)] == text[span - 1 :]
+    least = np.where(inside, least, 0)
+    pad = np.zeros(WINDOW - 1, np.uint64)
+    most = _slide(np.concatenate([pad, least, pad]), WINDOW, np.maximum)  # of all windows that hold a place
+    at = np.flatnonzero((most == h) & (h > 0))
+    return at, h[at]
+
 
+def _units(batches, bands: int, rows: int):
     rng = np.random.default_rng(11)
     mul = rng.integers(1, 1 << 63, bands * rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
     add = rng.integers(0, 1 << 63, bands * rows, dtype=np.uint64)
     for b in batches:
-        for lo in range(0, b.num_rows, 400):
-            some = b.slice(lo, 400)
-            doc_, place, size, key, spans, hashes = [], [], [], [], [0], []
-            chunk_doc, chunk_key, chunk_size = [], [], []
-            for doc, t in zip(some.column(0).to_pylist(), some.column(1).to_pylist()):
-                for k, raw in enumerate(t.encode("utf-8", "surrogatepass").lower().split(b"\n")):
-                    w = raw.split()
-                    n = len(w)
-                    if n < SHINGLE:
-                        continue
-                    line = b" ".join(w)
-                    sizes = np.fromiter(map(len, w), np.int64, n)
-                    ends = np.cumsum(sizes + 1) - 1
-                    starts = ends - sizes
-                    hashes += [xxh64_intdigest(line[i:j]) for i, j in zip(starts[: n - SHINGLE + 1].tolist(), ends[SHINGLE - 1 :].tolist())]
-                    spans.append(len(hashes))
-                    doc_.append(doc)
-                    place.append(k)
-                    size.append(n)
-                    key.append(_key(line))
-                    if n >= LONG:
-                        raw_line = np.frombuffer(line, np.uint8).astype(np.int64)
-                        mark = raw_line[starts] * 7 + raw_line[ends - 1] * 31 + raw_line[(starts + ends) // 2] * 13 + sizes * 3
-                        cuts = np.flatnonzero(mark % CUT == 0)
-                        wide = np.flatnonzero(np.diff(cuts) >= CHUNK)
-                        for i, j in zip(cuts[wide].tolist(), cuts[wide + 1].tolist()):
-                            chunk_doc.append(doc)
-                            chunk_key.append(_key(line[starts[i + 1] : ends[j]]))
-                            chunk_size.append(j - i)
-            h, first = np.array(hashes, np.uint64), np.array(spans[:-1], np.int64)
-            sig = np.empty((bands, len(first)), np.uint64)
-            with np.errstate(over="ignore"):
-                for band in range(bands if len(first) else 0):
-                    v = np.zeros(len(first), np.uint64)
-                    for r in range(band * rows, band * rows + rows):
-                        v = (v ^ np.minimum.reduceat(h * mul[r] + add[r], first)) * np.uint64(0x9E3779B97F4A7C15)
-                        v ^= v >> np.uint64(32)
-                    sig[band] = v
-            n, m = len(doc_), len(chunk_doc)
+        ids = b.column(0).to_numpy()
+        for at, t in text_batches(b.column(1)):
+            doc, text = ids[at], t.text[~t.is_end]
+            breaks = np.concatenate([[0], np.cumsum(t.flat == 10)])
+            line = breaks[t.start]
+            lead = np.flatnonzero(np.concatenate([[True], (line[1:] != line[:-1]) | (text[1:] != text[:-1])])) if len(line) else np.zeros(0, np.int64)
+            size = np.diff(np.append(lead, len(line)))
+            lead, size = lead[size >= SHINGLE], size[size >= SHINGLE]
+            m = len(lead)
+            where = text[lead] if m else np.zeros(0, np.int32)
+            starts = t.first - np.arange(len(t.first))  # words before each text
+            tight = np.concatenate([(t.start[1:] == t.stop[:-1] + 1) & (t.flat[np.minimum(t.stop[:-1], len(t.flat) - 1)] == 32), [False]]) if len(line) else np.zeros(0, bool)
+            loose = np.concatenate([[0], np.cumsum(~tight)])
+            keys = []
+            for i, n, bad in zip(lead.tolist(), size.tolist(), (loose[lead + size - 1] - loose[lead]).tolist() if m else ()):
+                if bad:  # white space but one space somewhere
+                    raw = b" ".join(t.flat[x:y].tobytes() for x, y in zip(t.start[i : i + n].tolist(), t.stop[i : i + n].tolist()))
+                else:
+                    raw = t.flat[t.start[i] : t.stop[i + n - 1]].tobytes()
+                keys.append(_key(raw))
+            sig = np.empty((bands, m), np.uint64)
+            if m:
+                per = size - SHINGLE + 1
+                first = np.cumsum(per) - per
+                h = run_names(t.name, SHINGLE)[np.repeat(lead - first, per) + np.arange(int(per.sum()))]
+                with np.errstate(over="ignore"):
+                    for band in range(bands):
+                        v = np.zeros(m, np.uint64)
+                        for r in range(band * rows, band * rows + rows):
+                            v = (v ^ np.minimum.reduceat(h * mul[r] + add[r], first)) * np.uint64(0x9E3779B97F4A7C15)
+                            v ^= v >> np.uint64(32)
+                        sig[band] = v
+            spot, names = anchors(t.name, text)
+            k = len(spot)
             flat = pa.array((sig.T.reshape(-1) >> np.uint64(32)).astype(np.uint32).view(np.int32))
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * bands), flat)
-            none = pa.array([None] * m, pa.list_(pa.int32()))
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(m + 1, dtype=np.int32) * bands), flat)
+            none = pa.nulls(k, pa.list_(pa.int32()))
+            before = breaks[t.flat_start]  # line breaks before each text
+            both = lambda x, y, kind: pa.array(np.concatenate([x, y]).astype(kind))
+            own = text[spot] if k else np.zeros(0, np.int32)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(doc_ + chunk_doc, pa.int64()), pa.array(place + [-1] * m, pa.int32()), pa.array(size + chunk_size, pa.int64()),
-                 pa.array(key + chunk_key, pa.int64()), pa.concat_arrays([lists, none]) if m else lists],
-                names=["doc_id", "place", "n_words", "key", "bands"],
+                [both(doc[where], doc[own], np.int64), both(line[lead] - before[where] if m else where, np.full(k, -1), np.int32),
+                 both(lead - starts[where], spot - starts[own], np.int32), both(size, np.full(k, ANCHOR), np.int64),
+                 both(np.array(keys, np.int64), names.view(np.int64), np.int64), pa.concat_arrays([lists, none])],
+                names=["doc_id", "place", "start", "n_words", "key", "bands"],
             )
 
 
@@ -246,18 +281,18 @@ def left_over(crowd: DataFrame, bodies: DataFrame, roots: DataFrame) -> DataFram
 
 
 def repeated_passages(docs: DataFrame, recall: float = 0.99) -> DataFrame:
-    """One row per removed or kept passage that repeats: doc_id, place, n_words, class_id, keep_id, removed.
+    """One row per removed or kept passage that repeats: doc_id, place, start, n_words, class_id, keep_id, removed.
 
-    ``place`` is the line number, or -1 for a chunk inside a longer line; ``keep_id`` is the document that keeps it.
+    ``place`` is the line number, or -1 for an anchor, ``start`` the first word; ``keep_id`` is the document that keeps it.
     """
     bands, rows = tuned(SIMILAR, recall)
     named = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_of(docs).alias("text")).where("doc_id is not null")
     units = written(
-        named.mapInArrow(lambda it: _units(it, bands, rows), "doc_id long, place int, n_words long, key long, bands array<int>"), "units"
+        named.mapInArrow(lambda it: _units(it, bands, rows), "doc_id long, place int, start int, n_words long, key long, bands array<int>"), "units"
     )
     lines = units.where("place >= 0")
-    distinct = written(lines.groupBy("key").agg(F.first("bands").alias("bands")), "paragraphs")
-    pairs, crowd = candidates(distinct)
+    distinct = written(lines.groupBy("key").agg(F.first("bands").alias("bands"), F.count("*").alias("n")), "paragraphs")
+    pairs, crowd = candidates(distinct.select("key", "bands"))
     pairs = written(pairs, "pairs")
     needed = written(pairs.select(F.col("a").alias("key")).union(pairs.select(F.col("b").alias("key"))).distinct(), "needed")
     pick = F.broadcast(needed) if needed.count() <= PICKED else needed
@@ -267,37 +302,97 @@ def repeated_passages(docs: DataFrame, recall: float = 0.99) -> DataFrame:
     more = components(left_over(crowd, bodies, roots), "left").select(F.col("v").alias("w"), F.col("root").alias("to"))
     moved = roots.join(more, F.col("root") == F.col("w"), "left").select("v", F.coalesce("to", "root").alias("root"))
     alone = more.select(F.col("w").alias("v"), F.col("to").alias("root")).join(roots, "v", "left_anti")
-    roots = moved.unionByName(alone)
-    tagged = units.select("doc_id", "place", "n_words", "key").join(roots, F.col("key") == F.col("v"), "left")
-    tagged = tagged.select("doc_id", "place", "n_words", F.coalesce("root", "key").alias("class"))
-    tagged = written(tagged, "tagged")
-    spread = tagged.groupBy("class").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first <> last")
-    out = written(tagged.join(spread.select("class"), "class"), "repeats")
-    out = out.join(out.groupBy("class").agg(F.min(F.struct("doc_id", "place")).alias("keep")), "class")
-    return out.select(
-        "doc_id", "place", "n_words", F.lower(F.hex("class")).alias("class_id"), F.col("keep.doc_id").alias("keep_id"),
-        (F.struct("doc_id", "place") != F.col("keep")).alias("removed"),
-    )
+    roots = moved.unionByName(alone).select(F.col("v").alias("key"), "root")
+    # classes of distinct lines first, so that no line of many documents is joined row by row
+    of = distinct.select("key", "n").join(roots, "key", "left").select("key", "n", F.coalesce("root", "key").alias("class"))
+    of = written(of, "classes")
+    tagged = spread_join(lines.select("key", "doc_id", "place", "start", "n_words"), of, ["key"], "n").select("doc_id", "place", "start", "n_words", "class")
+    runs = units.where("place < 0").select("doc_id", "place", "start", "n_words", F.col("key").alias("class"))
+    out = None
+    for label, part in (("lines", written(tagged, "tagged")), ("runs", runs)):
+        spread = part.groupBy("class").agg(
+            F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.min(F.struct("doc_id", "place", "start")).alias("keep"), F.count("*").alias("rows")
+        )
+        spread = written(spread.where("first <> last").select("class", "keep", "rows"), f"spread-{label}")
+        one = spread_join(part, spread, ["class"], "rows")
+        one = one.select(
+            "doc_id", "place", "start", "n_words", F.lower(F.hex("class")).alias("class_id"), F.col("keep.doc_id").alias("keep_id"),
+            (F.struct("doc_id", "place", "start") != F.col("keep")).alias("removed"),
+        )
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def repeated_documents(docs: DataFrame, recall: float = 0.99) -> DataFrame:
-    """One row per document that shares a passage with another: counts, and the documents that keep its passages."""
-    p = repeated_passages(docs, recall)
+    """One row per document (null ids left out): its class, whether it shares a long passage, counts, and who keeps its passages.
+
+    A long passage is a repeated line of ``LONG`` words or a run of ``ANCHOR`` equal words. ``class_id`` is the smallest doc_id
+    that keeps one of the document's long passages, or its own.
+    """
+    p = written(repeated_passages(docs, recall), "found")
     line = F.col("place") >= 0
-    return p.groupBy("doc_id").agg(
+    wide = (~line) | (F.col("n_words") >= LONG)
+    before = F.lag("start").over(Window.partitionBy("doc_id", line).orderBy("start"))
+    p = p.withColumn("fresh", F.when(~line, F.least(F.lit(ANCHOR), F.col("start") - F.coalesce(before, F.lit(-ANCHOR)))))
+    one = p.groupBy("doc_id").agg(
+        F.min(F.when(wide, F.col("keep_id"))).alias("class_id"), F.max(wide).alias("long_passage"),
         F.count(F.when(line, 1)).alias("n_paragraphs"), F.count(F.when(line & F.col("removed"), 1)).alias("n_removed"),
         F.sum(F.when(line & F.col("removed"), F.col("n_words")).otherwise(0)).alias("words_removed"),
-        F.count(F.when(~line, 1)).alias("n_chunks"), F.max("n_words").alias("longest"),
-        F.array_sort(F.collect_set("keep_id")).alias("keep_ids"),
+        F.count(F.when(~line, 1)).alias("n_chunks"), F.coalesce(F.sum("fresh"), F.lit(0)).cast("long").alias("chunk_words"),
+        F.max("n_words").alias("longest"), F.array_sort(F.collect_set("keep_id")).alias("keep_ids"),
+    )
+    ids = docs.select(docs["doc_id"].cast("long").alias("doc_id")).where("doc_id is not null").distinct()
+    zero = [F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("n_paragraphs", "n_removed", "words_removed", "n_chunks", "chunk_words", "longest")]
+    none = F.array().cast("array<long>")
+    return ids.join(one, "doc_id", "left").select(
+        "doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("long_passage", F.lit(False)).alias("long_passage"), *zero,
+        F.coalesce("keep_ids", none).alias("keep_ids"),
     )
 
 
 def remove_repeated(docs: DataFrame, recall: float = 0.99) -> DataFrame:
-    """``docs`` with the removed paragraphs cut from their texts; documents and other columns stay."""
-    gone = repeated_passages(docs, recall).where("removed and place >= 0").groupBy(F.col("doc_id").alias("__id")).agg(
-        F.collect_set("place").alias("__gone")
+    """``docs`` with the removed paragraphs and the removed runs of words cut from their texts; documents and other columns stay.
+
+    Runs that follow each other closely (as the anchors of one passage do) are cut as one.
+    """
+    gone = repeated_passages(docs, recall).where("removed").groupBy(F.col("doc_id").alias("id")).agg(
+        F.array_sort(F.collect_set(F.when(F.col("place") >= 0, F.col("place")))).alias("lines"),
+        F.array_sort(F.collect_set(F.when(F.col("place") < 0, F.col("start")))).alias("runs"),
     )
-    met = docs.join(gone, docs["doc_id"] == gone["__id"], "left")
-    left = F.filter(F.split(docs["text"], "\n"), lambda s, i: ~F.array_contains("__gone", i))
-    text = F.when(F.col("__gone").isNull(), docs["text"]).otherwise(F.array_join(left, "\n"))
-    return met.withColumn("text", text).select(*docs.columns)
+    rows = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("row"), docs["doc_id"].cast("long").alias("own"), docs["text"].alias("body"))
+    met = rows.join(gone, rows["own"] == gone["id"], "left")
+    text = F.when(F.col("id").isNull(), F.col("body")).otherwise(_cut(F.col("body"), F.col("lines"), F.col("runs")))
+    return met.select(*(text.alias(c) if c == "text" else F.col("row").getField(c).alias(c) for c in docs.columns))
+
+
+def without_runs(text: str | None, lines, runs) -> str | None:
+    """A text without the given lines and without the runs of words that start at the given words."""
+    if text is None:
+        return None
+    raw = text.encode("utf-8", "surrogatepass")
+    words = [m.span() for m in _WORD.finditer(raw)]
+    drop = bytearray(len(raw))
+    last = -ANCHOR
+    for r in runs if runs is not None else ():
+        lo = words[min(last + ANCHOR, r)][0] if 0 <= last and r - last <= WINDOW else words[r][0]
+        hi = words[r + ANCHOR - 1][1]
+        drop[lo:hi] = b"\1" * (hi - lo)
+        last = r
+    at = 0
+    for k, one in enumerate(raw.split(b"\n")):
+        if lines is not None and k in set(lines):
+            end = min(len(raw), at + len(one) + 1)
+            drop[at:end] = b"\1" * (end - at)
+        at += len(one) + 1
+    return bytes(c for c, d in zip(raw, drop) if not d).decode("utf-8", "surrogatepass")
+
+
+_WORD = re.compile(rb"[^\x20\x09-\x0D]+")
+
+
+def _cut(text, lines, runs):
+    def run(texts: pd.Series, gone: pd.Series, spans: pd.Series) -> pd.Series:
+        return pd.Series([t if g is None else without_runs(t, g, s) for t, g, s in zip(texts, gone, spans)], dtype=object)
+
+    run.__annotations__ = {"texts": pd.Series, "gone": pd.Series, "spans": pd.Series, "return": pd.Series}
+    return F.pandas_udf(run, "string")(text, lines, runs)

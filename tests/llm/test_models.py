@@ -484,15 +484,39 @@ def test_passages(spark, edge, empty):
     docs[7] += [docs[7][0]]
     rows = [(i, "\n".join(x)) for i, x in docs.items()]
     df = frame(spark, rows)
+    docs[8] = [line(10), same[: len(same) // 2], line(5)]
+    wrapped = line(52).split()
+    rows += [(40, " ".join(wrapped)), (41, "\n".join(" ".join(wrapped[i : i + 7]) for i in range(0, 52, 7))), (42, None), (43, "")]
+    df = frame(spark, rows)
     got = {x.doc_id: x for x in paragraph_dedup.repeated_documents(df).collect()}
-    assert set(got) == {1, 2, 3, 4, 5, 6}
+    assert set(got) == {*range(30), 40, 41, 42, 43}
+    assert {i for i, x in got.items() if x.n_paragraphs + x.n_chunks} == {i for i, x in got.items() if x.long_passage} == {1, 2, 3, 4, 5, 6, 40, 41}
+    assert got[41].class_id == 40 and got[6].class_id == 5 and got[7].class_id == 7 and got[41].n_chunks > 0 and got[6].chunk_words >= 24
     assert got[2].n_removed == 1 and got[2].keep_ids == [1] and got[4].keep_ids == [3] and got[1].n_removed == 0
     left = {x.doc_id: x.text for x in paragraph_dedup.remove_repeated(df).collect()}
-    assert same.upper() not in left[2] and same in left[1] and len(left) == 30
+    assert same.upper() not in left[2] and same in left[1] and len(left) == 34
+    assert inner in left[5] and inner not in left[6] and left[6].startswith(docs[6][0] + "\n" + docs[6][1]) and left[42] is None
+    assert len(set(inner.split()) & set(left[6].split())) <= 2 * (paragraph_dedup.WINDOW - 1)
     assert paragraph_dedup.repeated_documents(empty).count() == 0
     assert paragraph_dedup.repeated_documents(edge).where("doc_id is null").count() == 0
 
 
+def test_every_run_of_fifty_words_has_a_common_anchor():
+    r = random.Random(9)
+    word = lambda: "".join(r.choice("abcdef") for _ in range(3))
+    for n in (50, 51, 70, 200):
+        for _ in range(40):
+            run = [word() for _ in range(n)]
+            a = [word() for _ in range(r.randrange(80))] + run + [word() for _ in range(r.randrange(80))]
+            b = [word() for _ in range(r.randrange(80))] + run + [word() for _ in range(r.randrange(80))]
+            t = lm_score.Texts.of([" ".join(a).encode(), b"x y", " ".join(b).encode()])
+            text = t.text[~t.is_end]
+            at, names = paragraph_dedup.anchors(t.name, text)
+            mine = [{x for x, i in zip(names.tolist(), at.tolist()) if text[i] == k} for k in (0, 2)]
+            assert mine[0] & mine[1]
+            assert all(text[i] == text[i + paragraph_dedup.ANCHOR - 1] for i in at.tolist())
+
+
 @pytest.mark.parametrize("joined", [0, 40])
 def test_large_buckets_lose_no_link(spark, joined):
     r = random.Random(8)
