@@ -31,6 +31,8 @@ SHINGLE, SIMILAR = 5, 0.8
 SKETCH = 1 << 18
 #: members of a shingle that all others meet first, and texts hashed at a time
 DRAWN, BATCH = 2, 500
+#: words of 64 parities of a text's shingles
+PARITY = 8
 
 _ROW = ["key", "n", "at", "short"]
 
@@ -60,23 +62,33 @@ def fingerprint(v: np.ndarray, block: int = 100_000) -> int:
     return int(np.packbits(2 * ones > len(v)).view(">u8").astype(np.uint64).view(np.int64)[0])
 
 
+def parities(h: np.ndarray) -> np.ndarray:
+    """Words whose bits count shingles modulo two; two sets' differ in no more bits than the sets in members."""
+    odd = np.bincount((h >> np.uint64(40)).astype(np.int64) % (64 * PARITY), minlength=64 * PARITY) & 1
+    return np.packbits(odd.astype(bool)).view(np.int64)
+
+
 def _names(batches):
-    """Rows (doc_id, check, key, fp), and at the end one row of how often each sketch cell was hit."""
+    """Rows (doc_id, check, key, fp, n, odd), and at the end one row of how often each sketch cell was hit."""
     total = np.zeros(SKETCH, np.int64)
-    kinds = [pa.int64()] * 4 + [pa.list_(pa.int64())]
-    emit = lambda *cols: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names=["doc_id", "check", "key", "fp", "cells"])
+    kinds = [pa.int64()] * 5 + [pa.list_(pa.int64())] * 2
+    names = ["doc_id", "check", "key", "fp", "n", "odd", "cells"]
+    emit = lambda *cols: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names=names)
     for b in batches:
         for lo in range(0, b.num_rows, BATCH):
             some = b.slice(lo, BATCH)
-            keys, fps, cells = [], [], []
+            keys, fps, cells, sizes, odd = [], [], [], [], []
             for t in some.column(1).to_pylist():
                 key, v = shingles(t)
+                h = np.unique(v)
                 keys.append(key)
                 fps.append(fingerprint(v))
-                cells.append(_cells(np.unique(v).view(np.int64)))
+                cells.append(_cells(h.view(np.int64)))
+                sizes.append(len(h))
+                odd.append(parities(h).tolist())
             total += np.bincount(np.concatenate(cells), minlength=SKETCH)
-            yield emit(some.column(0).to_pylist(), some.column(2).to_pylist(), keys, fps, [None] * some.num_rows)
-    yield emit([None], [None], [None], [None], [total.tolist()])
+            yield emit(some.column(0).to_pylist(), some.column(2).to_pylist(), keys, fps, sizes, odd, [None] * some.num_rows)
+    yield emit([None], [None], [None], [None], [None], [None], [total.tolist()])
 
 
 def _sets(batches):
@@ -129,9 +141,19 @@ def _fits() -> Column:
     return room & F.expr("x.key <> y.key and (x.short and x.n <= y.n or y.short and y.n <= x.n)")
 
 
+def _near(x: Column, y: Column) -> Column:
+    """Two sets (n, odd) may be similar: their sizes fit, and their parities differ in no more bits than similar sets' members."""
+    both = F.ceil((x["n"] + y["n"]) * F.lit(SIMILAR / (1 + SIMILAR)) - F.lit(1e-9))
+    bits = sum((F.bit_count(x["odd"][i].bitwiseXOR(y["odd"][i])) for i in range(PARITY)), F.lit(0))
+    return (F.least(x["n"], y["n"]) >= both) & (bits <= x["n"] + y["n"] - 2 * both)
+
+
 def _verified(pairs: DataFrame, texts: DataFrame, named: DataFrame, label: str) -> DataFrame:
     """Of the pairs (a, b) of names those whose whole sets are similar. Only the texts they name are hashed, one for each name."""
-    pairs = written(pairs.where("a <> b").distinct(), f"{label}-pairs")
+    seen = named.groupBy("key").agg(F.first("n").alias("n"), F.first("odd").alias("odd"))
+    a, b = (seen.select(F.col("key").alias(c), F.struct("n", "odd").alias(f"of_{c}")) for c in "ab")
+    pairs = pairs.where("a <> b").distinct().join(a, "a").join(b, "b").where(_near(F.col("of_a"), F.col("of_b"))).select("a", "b")
+    pairs = written(pairs, f"{label}-pairs")
     needed = pairs.select(F.col("a").alias("key")).union(pairs.select(F.col("b").alias("key"))).distinct()
     needed = written(named.join(needed, "key").groupBy("key").agg(F.min("check").alias("check")), f"{label}-needed")
     pick = needed.select("check").distinct()
@@ -181,19 +203,21 @@ def links(texts: DataFrame, named: DataFrame, drawn: int = DRAWN) -> DataFrame:
     # members still apart: those of the component with most rows need not meet each other
     roots = components(near, "near").select(F.col("v").alias("key"), "root")
     more = rows.join(reps.where("members > 2").select("shingle"), "shingle", "left_semi").join(roots, "key", "left")
-    more = written(more.select("shingle", row.alias("row"), F.coalesce("root", "key").alias("comp")), "apart")
+    odd = named.groupBy("key").agg(F.first("odd").alias("odd"))
+    row = F.struct(*_ROW, "odd")
+    more = written(more.join(odd, "key").select("shingle", row.alias("row"), F.coalesce("root", "key").alias("comp")), "apart")
     tally = more.groupBy("shingle", "comp").agg(F.count("*").alias("rows")).groupBy("shingle")
     tally = tally.agg(F.max_by("comp", F.struct("rows", "comp")).alias("main"), F.count("*").alias("comps")).where("comps > 1")
     x = more.join(tally, "shingle").where("comp <> main").select("shingle", F.col("row").alias("x"), F.col("comp").alias("one"))
     y = more.select("shingle", F.col("row").alias("y"), F.col("comp").alias("two"))
-    return near.unionByName(_verified(_met(x.join(y, "shingle").where("one <> two").select("x", "y")), texts, named, "apart"))
+    return near.unionByName(_verified(_met(x.join(y, "shingle").where("one <> two").where(_near(F.col("x"), F.col("y"))).select("x", "y")), texts, named, "apart"))
 
 
 def near_copies(docs: DataFrame, drawn: int = DRAWN) -> DataFrame:
     """One row per row of ``docs``: doc_id, component_id, and a hash that tells texts of one doc_id apart."""
     text = text_of(docs)
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("check"))
-    named = written(rows.mapInArrow(_names, "doc_id long, check long, key long, fp long, cells array<long>"), "named")
+    named = written(rows.mapInArrow(_names, "doc_id long, check long, key long, fp long, n long, odd array<long>, cells array<long>"), "named")
     roots = components(links(rows.select("text", "check"), named, drawn), "copies")
     named = named.where("key is not null").select("doc_id", "check", "key")
     names = named.groupBy("key").agg(F.min("doc_id").alias("low"))
