@@ -45,7 +45,7 @@ from pyspark.sql import functions as F
 from .common import text_of, written
 
 #: words in the list at most; words a worker counts before it hands them on; frequent words that tell the language
-LISTED, HELD, TOPICS = 262_144, 4_000_000, 64
+LISTED, HELD, TOPICS = 262_144, 2_000_000, 64
 #: slots of each table: two for each training token, within these powers of two
 LEAST, MOST = 12, 21
 #: words after which a text's own weights move first (then after spans ever twice as long), and how fast; bytes in a batch of texts
@@ -63,7 +63,7 @@ SPELL_GATES = 8 * 6
 #: bits between two moves of the learnt weights, their rate and what steadies them
 STEP, RATE, STEADY = 32_768, 0.3, 20.0
 #: bits a task counts before it settles them and learns from the texts that come next: a share of those so far, within bounds
-SHARE, SOONEST, LATEST = 0.4, 200_000, 5_000_000
+SHARE, SOONEST, LATEST = 0.4, 200_000, 3_000_000
 #: entries of a chunk of counts on its way to the driver, and the unit of sums that must not depend on their order
 CHUNK, POINT = 1 << 13, float(1 << 20)
 #: bits of a leaf's number in an entry; the bits above check the context
@@ -96,37 +96,54 @@ def huffman(counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Tree:
-    """Every leaf's inner nodes and bits from the root, and each inner node's log odds from the leaves' counts."""
+    """Every leaf's first ``keep`` inner nodes and bits from the root, and each inner node's log odds from the leaves' counts.
 
-    def __init__(self, counts: np.ndarray, shape: tuple[np.ndarray, np.ndarray] | None = None):
+    ``rest`` is the log10 probability of a leaf's further steps by the counts alone.
+    """
+
+    def __init__(self, counts: np.ndarray, shape: tuple[np.ndarray, np.ndarray] | None = None, keep: int = 1 << 30):
         n = len(counts)
         parent, side = shape or huffman(counts)
-        root, at = 2 * n - 2, np.arange(n)
-        self.length = np.zeros(n, np.int64)
-        climbs = []
-        while (at != root).any():
-            go = at != root
-            climbs.append((np.where(go, parent[at] - n, -1), side[at]))
-            self.length += go
-            at = np.where(go, parent[at], root)
+        mass, whole = np.maximum(counts, 0).astype(np.float64), np.zeros(n, np.int32)
+        ones, both = np.zeros(n - 1), np.zeros(n - 1)
+        for leaf, at in self._climb(n, parent):
+            up = parent[at] - n
+            both += np.bincount(up, mass[leaf], n - 1)
+            ones += np.bincount(up, mass[leaf] * side[at], n - 1)
+            whole[leaf] += 1
+        odds = np.log((ones + 0.4) / (both - ones + 0.4)).astype(np.float32)
+        self.length = np.minimum(whole, keep).astype(np.int64)
         self.offset = np.cumsum(self.length) - self.length
-        self.node, self.bit = np.zeros(self.length.sum(), np.int32), np.zeros(self.length.sum(), np.int8)
-        for up, (node, bit) in enumerate(climbs):
-            on = np.flatnonzero(node >= 0)
-            place = self.offset[on] + self.length[on] - 1 - up
-            self.node[place], self.bit[place] = node[on], bit[on]
-        mass = np.repeat(np.maximum(counts, 0).astype(np.float64), self.length)
-        ones, both = np.bincount(self.node, mass * self.bit, n - 1), np.bincount(self.node, mass, n - 1)
-        self.odds = np.log((ones + 0.4) / (both - ones + 0.4)).astype(np.float32)[self.node]
-        sure = -np.log1p(np.exp(-np.where(self.bit, self.odds, -self.odds).astype(np.float64))) / math.log(10)
-        deep = np.arange(len(self.node)) - np.repeat(self.offset, self.length) >= DEEP
-        self.rest = np.bincount(np.repeat(np.arange(n), self.length), np.where(deep, sure, 0), n)  # log10 of what no context predicts
+        size = int(self.length.sum())
+        self.node, self.bit, self.rest = np.zeros(size, np.int32), np.zeros(size, np.int8), np.zeros(n)
+        for k, (leaf, at) in enumerate(self._climb(n, parent)):
+            up, depth = parent[at] - n, whole[leaf] - 1 - k
+            deep = depth >= keep
+            if deep.any():
+                z = np.where(side[at[deep]] == 1, odds[up[deep]], -odds[up[deep]]).astype(np.float64)
+                self.rest[leaf[deep]] -= np.log1p(np.exp(-z)) / math.log(10)
+            place = self.offset[leaf[~deep]] + depth[~deep]
+            self.node[place], self.bit[place] = up[~deep], side[at[~deep]]
+        self.odds = odds[self.node]
+
+    @staticmethod
+    def _climb(n: int, parent: np.ndarray):
+        """(leaves not yet at the root, where they are) step by step upwards."""
+        leaf, at, root = np.arange(n), np.arange(n), 2 * n - 2
+        while len(leaf):
+            yield leaf, at
+            at = parent[at]
+            go = at != root
+            leaf, at = leaf[go], at[go]
+
+    def salt(self, at: np.ndarray) -> np.ndarray:
+        """What tells the nodes of the given steps apart in a hash."""
         with np.errstate(over="ignore"):
-            self.salt = self.node.astype(np.uint64) * _NODE
+            return self.node[at].astype(np.uint64) * _NODE
 
-    def walk(self, leaf: np.ndarray, deep: int = 1 << 30) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(steps to each leaf, depth and place in ``node`` and ``bit`` of every step), ``deep`` steps at most."""
-        size = np.minimum(self.length[leaf], deep)
+    def walk(self, leaf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(steps to each leaf, depth and place in ``node`` and ``bit`` of every step that is kept)."""
+        size = self.length[leaf]
         begin = np.cumsum(size) - size
         every = np.arange(int(size.sum()), dtype=np.int32)
         return size, every - np.repeat(begin.astype(np.int32), size), every + np.repeat((self.offset[leaf] - begin).astype(np.int32), size)
@@ -392,7 +409,7 @@ class Spelling:
         self.word = np.repeat(np.arange(len(batch)), sizes)
         pos, about = np.arange(len(flat)) - first[self.word], topic[self.word].astype(np.uint64)
         self.steps, _, at = tree.walk(flat)
-        self.bit, salt = tree.bit[at], tree.salt[at]
+        self.bit, salt = tree.bit[at], tree.salt(at)
         longest, h, before = max(n for n, _ in SPELLED), np.zeros(len(flat), np.uint64), []
         with np.errstate(over="ignore"):
             for k in range(1, longest + 1):
@@ -432,9 +449,9 @@ class Steps:
                 stay[self.asked[self.comes == 1]] = False
                 walks = np.flatnonzero(stay)
         self.walks = walks
-        self.size, self.depth, self.at = tree.walk(leaf[walks], DEEP)
+        self.size, self.depth, self.at = tree.walk(leaf[walks])
         self.bit = tree.bit[self.at]
-        salt = tree.salt[self.at]
+        salt = tree.salt(self.at)
         with np.errstate(over="ignore"):
             about = (topic[walks].astype(np.uint64) + np.uint64(7)) * np.uint64(0x94D049BB133111EB)
         self.slots = slots_of(np.repeat(one[walks], self.size), salt, power)
@@ -526,7 +543,7 @@ class Words:
 
     def _ready(self):
         names, self.counts, shape, letters, table, about, self.entries, spelled, self.weights, self.refined, self.spell_weights, self.spell_refined = self.state
-        self.tree, self.letters = Tree(self.counts, shape), Tree(letters)
+        self.tree, self.letters = Tree(self.counts, shape, DEEP), Tree(letters)
         self.table, self.about, self.spelled = Ready(table), Ready(about), [Ready(t) for t in spelled]
         self.at, self.power = Places(names), int(math.log2(len(table)))
 
@@ -689,7 +706,7 @@ def train(docs: DataFrame, table: DataFrame, tokens: int, texts_seen: int, liste
 
     def gather(batches):
         names, counts, letters, shape = kit.value
-        tree, spelling, at = Tree(counts, shape), Tree(letters), Places(names)
+        tree, spelling, at = Tree(counts, shape, DEEP), Tree(letters), Places(names)
         follow, total, about, letter = Followers(power), Counts(power), Counts(TOPIC_POWER), [Counts(SPELL_POWER) for _ in SPELLED]
         by_word, by_letter = Learner(start), Learner(start_spell)
         bits, pending, learning = 0, 0, False

@@ -365,9 +365,9 @@ def plain_score(model, text, span):
             code(int(guess == to), np.array([math.log((times + 0.4) / (miss + 0.4)), 1, 0]), lm_score.SEEN * lm_score.DEEP + state, state)
             if guess == to:
                 continue
-        for depth in range(min(model.tree.length[to], lm_score.DEEP)):
+        for depth in range(model.tree.length[to]):
             at = model.tree.offset[to] + depth
-            salt = model.tree.salt[at : at + 1]
+            salt = model.tree.salt(np.arange(at, at + 1))
             odds, often = (float(v[0]) for v in model.table.look(lm_score.slots_of(last[k : k + 1], salt, model.power)))
             with np.errstate(over="ignore"):
                 about = (topic[k : k + 1].astype(np.uint64) + np.uint64(7)) * np.uint64(0x94D049BB133111EB)
