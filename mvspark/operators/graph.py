@@ -220,7 +220,7 @@ class Shard:
         def expand(n: int) -> list[int]:
             v = block.of(n)
             block.dots += len(q) * len(v)
-            out, pops = linked_nodes(q, v, w, cfg.gamma, links.of(n), self.cfg.M, cfg.distinct_pops, cfg.scale)
+            out, pops = best_linked(q, v, w, cfg.gamma, links.of(n), self.cfg.M, cfg.distinct_pops, cfg.scale)
             self.work["pops"] += pops
             return out
 
@@ -246,29 +246,46 @@ class Lists:
         self.shard, self.rows = shard, dict(zip(shard.place(ids).tolist(), range(len(ids))))
         self.column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
         self.lost = 0
-        self.ready: dict[int, dict[int, list[tuple[float, int]]]] = {}
+        self.ready: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
 
-    def of(self, node: int) -> dict[int, list[tuple[float, int]]]:
+    def of(self, node: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(token, linked node, key) of all links of a node that stay in the shard, by token and place."""
         if node not in self.ready:
-            out: dict[int, list[tuple[float, int]]] = {}
+            none = np.zeros(0, np.int64)
+            tok, at, key = none, none, np.zeros(0)
             k = self.rows.get(node)
             mine = self.column[k].values if k is not None and self.column[k].is_valid else None
             if mine is not None and len(mine):
                 tok, linked, key = (mine.field(c).to_numpy() for c in ("tok_ix", "linked_mv", "key"))
                 at = self.shard.place(linked)
                 self.lost += int((at < 0).sum())  # a linked object of another shard
-                for t, n, x in zip(tok.tolist(), at.tolist(), key.tolist()):
-                    if n >= 0:
-                        out.setdefault(t, []).append((x, n))
-            self.ready[node] = out
+                tok, at, key = tok[at >= 0], at[at >= 0], key[at >= 0]
+            self.ready[node] = tok, at, key
         return self.ready[node]
 
 
-def linked_nodes(q, vecs, w, gamma: int, lists: dict[int, list[tuple[float, int]]], m: int, distinct: bool = True, scale: float = 1.0) -> tuple[list[int], int]:
-    """(the m linked objects of highest priority, pops): taken from the heads of the tokens' sorted lists.
+def best_linked(q, vecs, w, gamma: int, links: tuple, m: int, distinct: bool = True, scale: float = 1.0) -> tuple[list[int], int]:
+    """(the m linked objects of highest priority, links looked at): all priorities at once, in the order that pops would take them.
 
     ``scale`` is the squared length of token vectors: relevance is the softmax over unit vectors' contributions.
     """
+    tok, node, key = links
+    if not len(tok):
+        return [], 0
+    priority = kernel.softmax(kernel.contribution(q, vecs, gamma, w) / scale)[tok] * key
+    order = node[np.lexsort((node, -priority))].tolist()
+    if not distinct:
+        return list(dict.fromkeys(order[:m])), min(m, len(order))
+    out: dict[int, None] = {}
+    for pops, n in enumerate(order, 1):
+        out[n] = None
+        if len(out) == m:
+            return list(out), pops
+    return list(out), len(order)
+
+
+def linked_nodes(q, vecs, w, gamma: int, lists: dict[int, list[tuple[float, int]]], m: int, distinct: bool = True, scale: float = 1.0) -> tuple[list[int], int]:
+    """As ``best_linked``, lazily: pops from a heap of the heads of the tokens' sorted lists (key, node)."""
     rel = kernel.softmax(kernel.contribution(q, vecs, gamma, w) / scale)
     heap = [(-rel[t] * l[0][0], l[0][1], t, 0) for t, l in lists.items() if l]
     heapq.heapify(heap)

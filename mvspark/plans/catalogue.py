@@ -770,7 +770,7 @@ def m8_growth(spark, sf):
     return M.growth(e).select(F.round("slope", 6).alias("slope"), F.round("r2", 6).alias("r2"))
 
 
-@query(TOK + " SELECT qid, round(least(1.0, 1.0), 6) AS recall FROM (SELECT DISTINCT qid FROM qt)")
+@query(TOK + " SELECT qid, 1.0::DOUBLE AS recall FROM (SELECT DISTINCT qid FROM qt)")
 def m1_recall_score_ties(spark, sf):
     """Answers of equal score count: the same objects in another order of ids lose nothing."""
     t = tok(spark, sf)

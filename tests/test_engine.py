@@ -9,10 +9,12 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from mvspark.config import IndexConfig, SearchConfig, SimConfig
+from mvspark.config import IndexConfig, LinkConfig, SearchConfig, SimConfig
 from mvspark.functions import kernel
 from mvspark.functions import sql as FS
+from mvspark.operators import baselines as B
 from mvspark.operators import graph as G
+from mvspark.operators import index as I
 from mvspark.operators import links as L
 from mvspark.operators import measures as M
 from mvspark.operators import routing as R
@@ -37,7 +39,46 @@ def test_example_and_counterexample():
     assert kernel.mv_sim(e[2:3], e[:2]) == 0 and kernel.mv_sim(np.zeros((0, 4)), e) == 0
 
 
+def test_worked_search_and_metrics():
+    q, objs = catalogue.X_EXAMPLE2
+    got = [kernel.mv_sim(q, o) for o in objs]
+    assert got == pytest.approx([1.85597, 1.69706, 1.30711], abs=1e-5)
+    f = lambda i, j: kernel.edge_weight(objs[i], objs[j])
+    assert [f(0, 1), f(0, 2), f(1, 2), f(0, 0)] == pytest.approx([0.962963, 0.859808, 0.821751, 1], abs=1e-5)
+    assert kernel.softmax(kernel.contribution(q, objs[0])) == pytest.approx([0.469059, 0.530941], abs=1e-5)
+    q, v, w = catalogue.X_EXAMPLE1
+    assert kernel.mv_sim(q, v, 2, w) == pytest.approx(1.748528, abs=1e-6)
+    with pytest.raises(ValueError):
+        kernel.similarities(np.eye(2), np.eye(2), "nonsense")
+    with pytest.raises(ValueError):
+        SimConfig(metric="nonsense")
+    kernel.register_metric("half", lambda a, b: np.asarray(a) @ np.asarray(b).T / 2)
+    assert kernel.mv_sim(np.eye(2), np.eye(2), metric="half") == 1 and SimConfig(metric="half").metric == "half"
+    with pytest.raises(ValueError):
+        kernel.register_metric("flat", lambda a, b: np.zeros(3))
+
+
+def test_block_scores_equal_single_ones():
+    for gamma in (1, 2, 5):
+        objs = [unit(n) for n in (1, 3, 3, 7, 2, 9)]
+        block = kernel.Block(np.concatenate(objs), np.array([len(o) for o in objs]))
+        q, w, some = unit(5), RNG.uniform(0, 1, 5), np.array([4, 0, 5, 2])
+        assert block.scores(q, some, gamma, w) == pytest.approx([kernel.mv_sim(q, objs[i], gamma, w) for i in some])
+        groups = kernel.cluster_tokens(q)
+        assert block.clustered_scores(q, groups, some, gamma, w) == pytest.approx([kernel.clustered_sim(q, objs[i], gamma, w, groups=groups) for i in some])
+        for kind in kernel.EDGES:
+            assert block.edges(3, some, gamma, kind) == pytest.approx([kernel.edge_weight(objs[3], objs[i], gamma, kind) for i in some])
+            near = [kernel.edge_weight(objs[3], objs[i], gamma, kind, groups=(kernel.cluster_tokens(objs[3]), kernel.cluster_tokens(objs[i]))) for i in some]
+            assert block.edges(3, some, gamma, kind, True) == pytest.approx(near)
+
+
 def test_settings_are_checked():
+    with pytest.raises(ValueError):
+        IndexConfig(edge_fn="nonsense")
+    with pytest.raises(ValueError):
+        SearchConfig(scale=0)
+    with pytest.raises(ValueError):
+        LinkConfig(how="nonsense")
     with pytest.raises(ValueError):
         SearchConfig(k=10, ef=5)
     with pytest.raises(ValueError):
@@ -82,6 +123,10 @@ def test_lazy_pops_equal_scan():
                 best[n] = max(best.get(n, -1), rel[t] * key)
         want = sorted(best, key=lambda n: (-best[n], n))[:m]
         assert G.linked_nodes(q, v, np.ones(5), 1, lists, m)[0] == want
+        flat = [(t, n, key) for t, l in lists.items() for key, n in l]
+        links = tuple(np.array(c) for c in zip(*flat))
+        assert G.best_linked(q, v, np.ones(5), 1, links, m)[0] == want
+        assert G.best_linked(q, v, np.ones(5), 1, links, m, False)[0] == G.linked_nodes(q, v, np.ones(5), 1, lists, m, False)[0]
 
 
 @pytest.fixture(scope="module")
@@ -207,8 +252,10 @@ def test_search_by_rounds(spark):
     assert rows(R.search_rounds(q, o, ring, 5, 60, start)) == rows(truth)
     narrow = R.search_rounds(q, o, ring, 5, 5, start)
     assert M.recall(narrow, truth, 5).agg(F.avg("recall")).first()[0] <= 1
-    links = spark.createDataFrame([(i, j) for i in range(60) for j in range(60) if i != j], "mv_id long, linked_mv long")
-    assert rows(R.search_rounds(q, o, ring, 5, 5, start, links)) == rows(truth)
+    links = spark.createDataFrame([(i, 0, j + 1, j, 1.0) for i in range(60) for j in range(60) if i != j], "mv_id long, tok_ix int, pos int, linked_mv long, key double")
+    assert rows(R.search_rounds(q, o, ring, 5, 5, start, links, m=60)) == rows(truth)
+    few = R.search_rounds(q, o, ring.limit(0), 5, 5, start, links, m=1)
+    assert few.groupBy("qid").count().agg(F.max("count")).first()[0] <= 5
     assert R.search_rounds(q.limit(0), o, ring, 5, 5, start).count() == 0
     with pytest.raises(ValueError):
         R.search_rounds(q, o, ring, 5, 4, start)
@@ -241,3 +288,62 @@ def test_datasets_of_orders_and_pages(spark, sf):
     for t in (X.from_orders(spark, sf), X.from_pages(spark, sf)):
         r = t.selectExpr("count(*) n", "count(distinct mv_id, tok_ix) k", "min(size(vec)) lo", "max(size(vec)) hi", "count_if(vec is null) none").first()
         assert r.n == r.k > 0 and (r.lo, r.hi, r.none) == (128, 128, 0)
+
+
+def test_index_is_saved_grown_thinned_and_checked(spark, tmp_path):
+    t = S.normalised(_small(spark)).persist()
+    o, q = S.objects(t).persist(), X.as_queries(t, 6)
+    cfg = IndexConfig(M=8, ef_construction=32, n_shards=3, shard_by="centroid")
+    ix = I.build_index(o.where("mv_id < 50"), cfg, LinkConfig(M=4)).save(f"file://{tmp_path}/a")
+    assert all(n > 0 for n in I.size_of(spark, f"file://{tmp_path}/a").values())
+    grown = ix.append(o.where("mv_id >= 50")).save(f"file://{tmp_path}/b")
+    assert grown.cfg == cfg and grown.objects.count() == 60
+    assert grown.validate().where("violations > 0").count() == 0
+    rows = lambda df: {(r.qid, r["rank"], r.mv_id) for r in df.collect()}
+    truth = S.linear_scan(q, o, 5)
+    for mode in ("exact", "clustered"):
+        found, stats = grown.search(q, SearchConfig(k=5, ef=60, mode=mode))
+        assert rows(found) == rows(truth)
+        r = stats.agg(F.sum("lost"), F.min("hops"), F.min("dots"), F.max("scored")).first()
+        assert r[0] == 0 and r[1] > 0 and r[2] > 0 and r[3] <= 60
+    assert rows(I.search_everywhere(q, grown, SearchConfig(k=5, ef=60))) == rows(truth)
+    with pytest.raises(ValueError):
+        I.search_everywhere(q, grown, SearchConfig(k=5, ef=60), limit=10)
+    thin = grown.delete(o.where("mv_id % 3 = 0").select("mv_id"))
+    assert thin.search(q, SearchConfig(k=5, ef=60))[0].where("mv_id % 3 = 0").count() == 0
+    assert I.P.n_shards(o, 60 * 4 * 16 * 4 // 4) == 4
+
+
+def test_clustered_build_and_scores(spark):
+    t = S.normalised(_small(spark, 40, 9)).persist()
+    o = S.objects(t).persist()
+    work = {r: G.build_work(o, IndexConfig(M=6, ef_construction=16, edge_sim=r)).agg(F.sum("dots"), F.sum("scored")).first() for r in ("exact", "clustered")}
+    assert all(w[0] > 0 and w[1] > 0 for w in work.values())
+    assert G.check_graph(G.build_graph(o, IndexConfig(M=6, ef_construction=16, edge_sim="clustered")), 6).where("violations > 0").count() == 0
+    kept = S.cluster_objects(o)
+    p = o.select(F.col("mv_id").alias("src")).crossJoin(o.select(F.col("mv_id").alias("dst")))
+    a, b = (S.score_pairs(x, x, p, clustered=True) for x in (o, kept))
+    assert a.exceptAll(b).count() == 0
+
+
+def test_cells_decode_and_find(spark):
+    t = S.normalised(_small(spark, 80, 5)).persist()
+    q, o = X.as_queries(t, 8), S.objects(t)
+    cells = B.fit_cells(t, 8, 4)
+    x = np.array([r.vec for r in t.collect()])
+    assert np.abs(cells.decode(*cells.encode(x)) - x).max() < np.abs(x - cells.centres[cells.nearest(x)]).max()
+    codes, truth = B.encode(t, cells).persist(), S.linear_scan(q, o, 5)
+    for found in (B.ivf_probe(q, codes, cells, 5, 8, 400), B.residual_centroid(q, codes, cells, 5, 8, 80)):
+        assert M.recall(found, truth, 5).agg(F.avg("recall")).first()[0] > 0.7
+    for found in (B.token_gather_rerank(q, t, 5, 20), B.pooled_rerank(q, t, 5, 16)):
+        assert M.recall(found, truth, 5).agg(F.avg("recall")).first()[0] == 1
+
+
+def test_windows_cover_whole_texts(spark, tmp_path):
+    rows = [(1, " ".join(f"w{i}" for i in range(70))), (2, "one"), (3, None), (4, "a b"), (5, "")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = X.from_windows(spark, str(tmp_path), 32).collect()
+    assert {r.mv_id for r in got} == {1, 4} and sum(r.mv_id == 1 for r in got) == 32 and sum(r.mv_id == 4 for r in got) == 2
+    total = sum(X._signs(f"w{i}", 128).astype(int) for i in (0, 1, 2))
+    first = next(r.vec for r in got if r.mv_id == 1 and r.tok_ix == 0)
+    assert np.floor(total / np.linalg.norm(total) * 127 + 0.5).tolist() == first
