@@ -1,7 +1,8 @@
 """Toxicity by the nearest labelled examples under exact TF-IDF cosine.
 
-Labelled examples (at most ``EXAMPLES`` a class, chosen by a hash of doc_id) are indexed over the words
-that a likelihood-ratio test ties to toxic examples; document frequencies come from every document.
+Labelled examples (at most ``EXAMPLES`` a class, chosen by a hash of doc_id) are indexed over all words
+that a likelihood-ratio test ties to toxic examples, however many there are (at most as many as the examples
+hold); other words weigh nothing, which is a departure from TF-IDF over all terms. Document frequencies come from every document.
 The index keeps, for each word and block of examples, the largest weight: blocks are visited
 from the highest bound down until no bound reaches the k-th best cosine, so the neighbours are exact.
 They vote with their cosine, corrected for the sampling of classes; a logistic curve fitted on the
@@ -26,8 +27,8 @@ from pyspark.sql import functions as F
 
 from .common import text_of, written
 
-#: labelled examples a class, indexed words, least likelihood ratio and example count of a word
-EXAMPLES, FEATURES, RATIO, SUPPORT = 6000, 512, 30.0, 4
+#: labelled examples a class, least likelihood ratio and example count of a word
+EXAMPLES, RATIO, SUPPORT = 6000, 30.0, 4
 NEIGHBOURS, BLOCK = 25, 64
 #: scores a worker remembers, by the terms of a text
 CACHED = 20_000
@@ -110,7 +111,7 @@ class Model:
     def __init__(self, vocabulary: list[str], idf: np.ndarray, examples: list[tuple[int, int, dict[str, int]]], weight: tuple[float, float], k: int):
         self.at, self.idf, self.k = {w: i for i, w in enumerate(vocabulary)}, idf, k
         self.known, self.heads = frozenset(vocabulary), _heads(vocabulary)
-        full, blank = [], [0.5, 0.5]
+        full, blank = [], [1.0, 0.5]  # so that nothing is toxic where nothing is known
         for doc, y, tf in sorted(examples, key=lambda e: (e[0], e[1])):
             if v := self.vector(tf):
                 full.append((doc, y, v))
@@ -217,7 +218,7 @@ def train(docs: DataFrame, labels: DataFrame, examples: int = EXAMPLES, k: int =
         g2 = 2 * (part(F.col("a"), both * share) + part(F.col("b"), both * (1 - share)))
         over = F.col("a") / na > F.col("b") / nb
         top = seen.where(over & (F.col("a") >= SUPPORT)).withColumn("g2", g2).where(F.col("g2") >= RATIO)
-        vocabulary = sorted(r.word for r in top.orderBy(F.desc("g2"), "word").limit(FEATURES).collect())
+        vocabulary = sorted(r.word for r in top.select("word").collect())  # words of a bounded set of examples
     known, heads = frozenset(vocabulary), _heads(vocabulary)
 
     def frequency(batches):

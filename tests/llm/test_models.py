@@ -466,6 +466,42 @@ def test_toxicity(spark, edge, edge_rows, empty):
     assert toxicity.drop_toxic(docs, labels).count() == sum(x.predicted == 0 for x in got)
 
 
+def test_toxicity_scores_against_brute_force(spark):
+    """Scores follow from all examples' cosines, the votes of the nearest and the fitted curve; ties go to the smaller example."""
+    r = random.Random(11)
+    bad = ["zork", "blarg", "snurf"]
+    rows = []
+    for i in range(300):
+        w = [r.choice(["alpha", "beta", "gamma", "delta"]) for _ in range(15)]
+        if i % 3 == 0:
+            w += [r.choice(bad) for _ in range(r.randint(1, 3))]
+        rows.append((i, " ".join(w)))
+    rows += [(1000, rows[0][1]), (1001, rows[0][1].upper()), (1002, ""), (1003, None)]
+    docs = frame(spark, rows)
+    labels = spark.createDataFrame([(i, int(any(b in (t or "") for b in bad))) for i, t in rows[:300]], "doc_id long, toxic int")
+    model = toxicity.train(docs, labels)
+    got = {x.doc_id: x.score for x in toxicity.toxicity(docs, labels, model).collect()}
+    vectors = []
+    for e in range(model.index.n):
+        v = np.zeros(len(model.known) + 1)
+        for f, by in enumerate(model.index.postings):
+            if (p := by.get(e // model.index.block)) is not None and (e % model.index.block) in p[0]:
+                v[f] = p[1][list(p[0]).index(e % model.index.block)]
+        vectors.append(v)
+    for i, t in rows:
+        q = model.vector(model.counts(t))
+        if not q:
+            assert got[i] == pytest.approx(model.blank)
+            continue
+        s = np.round([sum(w * v[f] for f, w in q.items()) for v in vectors], 12)
+        near = np.lexsort((np.arange(len(s)), -s))[: model.k]
+        near = near[s[near] > 0]
+        mass = s[near] * model.w[near]
+        vote = (mass @ model.y[near] + 0.5 * model.blank) / (mass.sum() + 0.5)
+        assert got[i] == pytest.approx(toxicity.curve(vote, model.curve), abs=1e-9)
+    assert got[1000] == got[1001] == got[0] and got[1002] == got[1003]
+
+
 # --- passages ---
 
 
@@ -560,6 +596,71 @@ def test_passage_classes_against_brute_force(spark, sf):
 # --- pipeline ---
 
 
+def edge_stage(spark, rows):
+    """Rows with names that the stages use themselves, null ids, repeated rows and nulls."""
+    cols = ["doc_id", "text", "__own", "__id", "__check", "__crc", "own", "row", "id", "check"]
+    return spark.createDataFrame([(i, t, "o", 1, "c", 2, "w", "r", 7, "k") for i, t in rows], "doc_id long, text string, __own string, __id long, __check string, __crc long, own string, row string, id long, check string").select(cols)
+
+
+def test_stages_take_odd_tables(spark, tmp_path):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    spark.createDataFrame([(1, 0), (None, 1)], "doc_id long, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([(1, "a b c d e f g h i j k"), (None, None)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    long = " ".join(f"w{i}" for i in range(40))
+    rows = [(None, None), (None, "x"), (1, long), (1, long), (2, long + " "), (3, long.replace("w39", "z")), (4, ""), (5, None), (6, "a b c d e f g h i j k l m n")]
+    for name, stage in pipeline.STAGES:
+        for some in (rows, []):
+            docs = edge_stage(spark, some)
+            out = stage(spark, docs, str(tmp_path))
+            got = out.collect()
+            if name != "packing":
+                assert out.columns == docs.columns
+                assert {(r.doc_id, r.text) for r in got} <= set(some)
+            if not some:
+                assert not got
+            elif name == "toxicity":
+                assert len(got) == len(some)
+            elif name == "exact_dedup":
+                assert sorted(r.doc_id for r in got if r.text and r.text.startswith("w0")) == [2, 3]  # the longer of equal texts
+            elif name == "simhash_dedup":
+                assert sorted(r.doc_id for r in got if r.text and r.text.startswith("w0")) == [1, 1]  # rows of one id are one document
+            elif name == "decontamination":
+                assert 6 not in {r.doc_id for r in got} and len(got) == len(some) - 1
+
+
+def test_pipeline_against_brute_force(spark, tmp_path):
+    """Planted exact and near copies and benchmark passages, each stage worked out apart in plain Python."""
+    import hashlib
+    from collections import defaultdict
+
+    pipeline = pytest.importorskip("corpus_pipeline")
+    r = random.Random(12)
+    word = [f"v{i}" for i in range(400)]
+    base = [" ".join(r.choice(word) for _ in range(60)) for _ in range(40)]
+    item = " ".join(r.choice(word) for _ in range(14))
+    texts = list(base) + [t.replace(" ", "  ") for t in base[:6]] + [base[7] + " more", base[8][: -4] + " end"]
+    texts += [base[10] + " " + item, item.upper(), None, ""]
+    rows = list(enumerate(texts))
+    r.shuffle(rows)
+    spark.createDataFrame([(i, t, "en", "s", 1) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([], "doc_id long, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([(1, item)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    groups = defaultdict(list)
+    for i, t in rows:
+        groups[re.sub(r"[\x20\x09-\x0D]", "", t or "")].append((-len(t or ""), i))
+    kept = {min(g)[1] for g in groups.values()}
+    words = {i: (texts[i] or "").lower().split() for i in kept}
+    sets = {i: frozenset(zip(*(w[k:] for k in range(5)))) if len(w) >= 5 else frozenset([tuple(w)]) for i, w in words.items()}
+    root = classes(kept, lambda a, b: 9 * len(sets[a] & sets[b]) >= 4 * (len(sets[a]) + len(sets[b])))
+    kept = set(root.values())
+    windows = {tuple(item.split()[k : k + 10]) for k in range(5)}
+    kept = {i for i in kept if not windows & set(zip(*(words[i][k:] for k in range(10))))}
+    packed = pipeline.run(spark, str(tmp_path)).collect()
+    assert {x.doc_id for x in packed} == kept and hashlib.md5  # every one that stays, and no other
+    total = sum(x.length for x in packed)
+    assert len({x.sequence_id for x in packed}) == -(-total // 1024)
+
+
 def test_pipeline(spark, sf):
     pipeline = pytest.importorskip("corpus_pipeline")
     docs = first = spark.read.parquet(f"{sf}/documents.parquet")
