@@ -176,44 +176,36 @@ def probes(queries: DataFrame, cells: Cells, codes: DataFrame, n: int, t_prime:
 def ivf_probe(queries: DataFrame, codes: DataFrame, cells: Cells, k: int, n_probe: int = 32, t_prime: int = 40_000, gamma: int = 1) -> DataFrame:
     """Cells near each query token; scores from residual codes; tokens not met count as the score at ``t_prime`` tokens.
 
-    A query token's part of an object is the mean of its gamma best decoded tokens there, places left counting as not met.
+    A query token's part of an object is the mean of its gamma best decoded tokens there, places left counting as not met. An
+    object is scored where it lies, with all its codes; those without a token in a probed cell are no answers.
     """
     ask, missing = probes(queries, cells, codes, n_probe, t_prime)
-    block = {qid: (q, w) for qid, q, w in query_block(queries)}
-    spark = codes.sparkSession
-    asked = spark.createDataFrame(ask, "qid long, q_ix int, cell int") if len(ask) else spark.createDataFrame([], "qid long, q_ix int, cell int")
-    met = codes.join(F.broadcast(asked.groupBy("cell").agg(F.collect_list(F.struct("qid", "q_ix")).alias("by"))), "cell")  # at most one row a cell
+    block = query_block(queries)
+    looked = {qid: np.zeros((len(q), len(cells.centres)), bool) for qid, q, _ in block}
+    for qid, some in ask.groupby("qid"):
+        looked[qid][some["q_ix"].to_numpy(), some["cell"].to_numpy()] = True
 
     def run(batches):
         for b in batches:
-            out = []
-            if b.num_rows:
-                x = cells.decode(b.column(2).to_numpy(), np.stack([np.frombuffer(c, np.uint8) for c in b.column(3).to_pylist()]))
-                mv = b.column(0).to_numpy()
-                wanted: dict = {}
-                for row, by in enumerate(b.column(4).to_pylist()):
-                    for a in by:
-                        wanted.setdefault((a["qid"], a["q_ix"]), []).append(row)
-                for (qid, i), rows in wanted.items():
-                    s, own = x[rows] @ block[qid][0][i], mv[rows]
-                    order = np.lexsort((-s, own))
-                    own, s = own[order], s[order]
-                    first = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
-                    nth = np.arange(len(own)) - np.repeat(first, np.diff(np.append(first, len(own))))
-                    keep = nth < gamma
-                    out.append((np.full(keep.sum(), qid), np.full(keep.sum(), i, np.int32), own[keep], s[keep]))
-            cols = [np.concatenate(c) for c in zip(*out)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0)]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["qid", "q_ix", "mv_id", "s"])
-
-    got = met.select("mv_id", "tok_ix", "cell", "code", "by").mapInArrow(run, "qid long, q_ix int, mv_id long, s double")
-    w = Window.partitionBy("qid", "q_ix", "mv_id").orderBy(F.desc("s"))
-    best = got.withColumn("r", F.row_number().over(w)).where(F.col("r") <= gamma)
-    flat = [(qid, i, float(m), float(block[qid][1][i])) for qid, ms in missing.items() for i, m in enumerate(ms)]
-    base = spark.createDataFrame(flat, "qid long, q_ix int, miss double, weight double") if flat else spark.createDataFrame([], "qid long, q_ix int, miss double, weight double")
-    gain = F.greatest(F.col("s") - F.col("miss"), F.lit(0.0)) * F.col("weight") / gamma
-    total = best.join(F.broadcast(base), ["qid", "q_ix"]).groupBy("qid", "mv_id").agg(F.sum(gain).alias("gain"))
-    whole = base.groupBy("qid").agg(F.sum(F.col("miss") * F.col("weight")).alias("base"))
-    return top_k(total.join(F.broadcast(whole), "qid").select("qid", "mv_id", (F.col("gain") + F.col("base")).alias("score")), k)
+            for lo in range(0, b.num_rows, 256):
+                some = b.slice(lo, 256)
+                ids, size = some.column(0).to_numpy(), np.asarray(some.column(1).value_lengths(), np.int64)
+                cell = some.column(1).flatten().to_numpy()
+                x = cells.decode(cell, np.stack([np.frombuffer(c, np.uint8) for c in some.column(2).flatten().to_pylist()]))
+                met, out = kernel.Block(x, size), []
+                for qid, q, w in block:
+                    near = looked[qid][:, cell]
+                    hit = np.flatnonzero(np.logical_or.reduceat(near.any(0), met.start))
+                    gain = np.where(near, np.maximum(q @ x.T - missing[qid][:, None], 0), 0)
+                    s = w @ met._best(gain, met.start, met.size, gamma)[:, hit] + float(w @ missing[qid])
+                    best = np.lexsort((ids[hit], -s))[:k]
+                    out.append((np.full(len(best), qid), ids[hit][best], s[best]))
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)], names=["qid", "mv_id", "score"])
+
+    whole = codes.groupBy("mv_id").agg(F.array_sort(F.collect_list(F.struct("tok_ix", "cell", "code"))).alias("t"))
+    whole = whole.select("mv_id", F.col("t.cell").alias("cell"), F.col("t.code").alias("code"))
+    return top_k(whole.mapInArrow(run, "qid long, mv_id long, score double"), k)
 
 
 def residual_centroid(queries: DataFrame, codes: DataFrame, cells: Cells, k: int, n_probe: int = 4, n_candidates: int | None = None, gamma: int = 1) -> DataFrame:
