@@ -167,6 +167,27 @@ def test_wide_list_holds_nodes_without_edges_to_them():
     assert len(g.search(q, np.ones(3), SearchConfig(k=5, ef=8, linked=False))) == 5
 
 
-def test_norms_are_worked_out_before_tokens_meet(spark, sf):
-    plan = plan_of(catalogue.QUERIES["k2_cosine"](spark, sf))
-    assert "SQRT" not in plan[: plan.index("NestedLoopJoin")]
+def test_cosines_are_made_by_blocks(spark, sf, tok):
+    assert "NestedLoopJoin" not in plan_of(catalogue.QUERIES["k2_cosine"](spark, sf))
+    got = {(r.a, r.i, r.b): r.s for r in S.cosines(tok, S.objects(tok.where("tok_ix = 0"), 1), 6).collect()}
+    t = {(r.mv_id, r.tok_ix): np.array(r.vec) for r in tok.collect()}
+    assert len(got) == len(t) * sum(1 for _, i in t if not i)
+    for (a, i, b), s in list(got.items())[::97]:
+        x, y = t[a, i], t[b, 0]
+        assert s == pytest.approx(x @ y / np.sqrt(x @ x) / np.sqrt(y @ y), abs=6e-7)
+
+
+def test_asked_pairs_carry_no_vectors(tok):
+    """A pair is two ids until its source's task scores it, so rounds and cells don't deal out vectors with every pair."""
+    o = S.objects(tok)
+    p = o.select(F.col("mv_id").alias("src")).crossJoin(o.select(F.col("mv_id").alias("dst")))
+    plan = plan_of(S.score_pairs(o, o, p))
+    assert "collect_list(dst" in plan and plan.count("vecs") > 0 and "v#" not in plan
+
+
+@pytest.mark.parametrize("name", ["k6_example1", "k6_example2", "k12_counterexample", "r_recursive"])
+def test_worked_jobs_read_a_table(spark, sf, name):
+    import __spark_entry__ as entry
+
+    plan = plan_of(entry.queries()[name](spark, sf))
+    assert "parquet" in plan and "LocalTableScan" not in plan
