@@ -191,3 +191,16 @@ def test_worked_jobs_read_a_table(spark, sf, name):
 
     plan = plan_of(entry.queries()[name](spark, sf))
     assert "parquet" in plan and "LocalTableScan" not in plan
+
+
+def test_every_batch_teaches_once_counts_are_settled():
+    """Between two settlings batches teach, too: only those before the first have nothing to predict by."""
+    from mvspark.llm import lm_score
+
+    pace, taught, due = lm_score.Pace(), [], []
+    for _ in range(60):
+        taught.append(pace.bits > 0)
+        due.append(pace.due(lm_score.SOONEST // 2))
+    first = due.index(True)
+    assert not any(taught[: first + 1]) and all(taught[first + 1 :]) and due.count(False) > 10
+    assert pace.bits + pace.pending == 60 * (lm_score.SOONEST // 2)
