@@ -405,6 +405,43 @@ def test_lm_counts_of_a_pass_and_of_the_model_agree():
     assert np.abs(x - y).max() < 1 / 2048 and (seen == again).all() and t.n.sum() == 15_000
 
 
+def test_lm_steps_are_walked_once_for_counting_and_for_asking():
+    """What a task learns from is part of what it counts, and what counts say is kept between settlings: nothing is hashed or worked out twice."""
+    r = np.random.default_rng(5)
+    tree, power = lm_score.Tree(r.integers(1, 99, 40), keep=lm_score.DEEP), 10
+    leaf, first = r.integers(0, 40, 900), np.arange(0, 900, 90)
+    ids, topic = (leaf + 5).astype(np.uint64), r.integers(0, 4, 900)
+    counted = lm_score.Steps(tree, leaf, ids, first, topic, power)
+    f, table, about = lm_score.Followers(power), lm_score.Counts(power), lm_score.Counts(lm_score.TOPIC_POWER)
+    for _ in range(3):
+        f.add(counted.two, leaf)
+        for t, slot in ((table, counted.slots), (about, counted.topic_slots)):
+            t.add(slot, counted.bit)
+            t.settle()
+    asked = counted.asking(f)
+    assert len(asked.asked) and 0 < len(asked.walks) < len(counted.walks) == 900
+    for x, y in zip(asked.inputs(table, about), lm_score.Steps(tree, leaf, ids, first, topic, power, f).inputs(table, about)):
+        assert np.array_equal(x, y)
+    n = 3 * np.bincount(counted.slots * 2 + counted.bit, minlength=2 << power)
+    odds, seen = table.look(np.arange(1 << power))
+    assert np.array_equal(table.n, n) and np.array_equal(odds, table.odds(np.arange(1 << power)))
+    assert np.allclose(odds, np.log(n[1::2] + 0.4) - np.log(n[::2] + 0.4), atol=1e-5) and (seen[n[::2] + n[1::2] == 0] == 0).all()
+
+
+def test_lm_learner_moves_weights_by_gate():
+    r = np.random.default_rng(6)
+    one = lm_score.Learner(np.full((5, 2), 0.3))
+    x, gate, bit = [r.normal(size=700).astype(np.float32) for _ in range(2)], r.choice([0, 1, 3], 700).astype(np.int32), r.integers(0, 2, 700).astype(np.int8)
+    one.learn(x, gate, bit)
+    z = np.stack(x, 1).astype(float)
+    p = 1 / (1 + np.exp(-z @ [0.3, 0.3]))
+    for g in range(5):
+        at = gate == g
+        bend = (z[at].T * (p * (1 - p))[at]) @ z[at] + np.eye(2) * lm_score.STEADY
+        assert np.allclose(one.w[g], 0.3 + lm_score.RATE * np.linalg.solve(bend, z[at].T @ (bit - p)[at])) and one.mass[g] == at.sum()
+    assert one.all.sum() == 700 and one.hit.sum() == bit.sum()
+
+
 def test_followers_keep_the_most_frequent():
     r = np.random.default_rng(1)
     names, leaf = r.integers(0, 1 << 63, 40, dtype=np.uint64)[r.integers(0, 40, 500)], r.integers(0, 3, 500)
