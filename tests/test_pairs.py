@@ -185,6 +185,28 @@ def test_asked_pairs_carry_no_vectors(tok):
     assert "collect_list(dst" in plan and plan.count("vecs") > 0 and "v#" not in plan
 
 
+@pytest.mark.parametrize("more", [False, True])
+def test_cells_meet_without_rows_of_pairs(spark, tok, more, monkeypatch):
+    """Objects of a cell are scored by tasks that hold them; only the best leave. ``more``: some objects in two cells, and two parts."""
+    o = S.objects(tok).persist()
+    c = o.select("mv_id", F.pmod(F.xxhash64("mv_id"), F.lit(3)).alias("cell"))
+    if more:
+        c = c.unionByName(o.where("mv_id % 3 = 0").select("mv_id", F.lit(1).cast("long").alias("cell")))
+        monkeypatch.setattr(S, "QUERY_VALUES", -(-S.values_of(o) // 2))
+    df = G.bulk_graph(o, 3, c)
+    plan = plan_of(df)
+    assert "collect_list(dst" not in plan and "cell" in plan
+    one = c.distinct()
+    pairs = one.select(F.col("mv_id").alias("src"), "cell").join(one.select(F.col("mv_id").alias("dst"), "cell"), "cell").where("src <> dst").select("src", "dst").distinct()
+    truth: dict = {}
+    for r in S.every_pair(o, o, skip_own=True).join(pairs, ["src", "dst"]).collect():
+        truth.setdefault(r.src, []).append((-r.weight, r.dst))
+    got: dict = {}
+    for r in df.collect():
+        got.setdefault(r.src, []).append((-r.weight, r.dst))
+    assert {k: sorted(v) for k, v in got.items()} == {k: sorted(v)[:3] for k, v in truth.items()} and truth
+
+
 @pytest.mark.parametrize("name", ["k6_example1", "k6_example2", "k12_counterexample", "r_recursive"])
 def test_worked_jobs_read_a_table(spark, sf, name):
     import __spark_entry__ as entry
