@@ -207,6 +207,20 @@ def test_cells_meet_without_rows_of_pairs(spark, tok, more, monkeypatch):
     assert {k: sorted(v) for k, v in got.items()} == {k: sorted(v)[:3] for k, v in truth.items()} and truth
 
 
+def test_queries_of_a_graph_are_dealt_over_tasks(spark, tok, monkeypatch):
+    """Runs of queries walk side by side; answers and counters are those of one run."""
+    o, cfg = G.with_shards(S.objects(tok), 1), IndexConfig(M=8, ef_construction=16)
+    g, links, q = G.build_graph(o, cfg).persist(), L.shard_links(o, L.LinkConfig(M=4)).persist(), X.as_queries(tok)
+    out = []
+    for n in (1 << 30, 2):
+        monkeypatch.setattr(G, "QUERIES", n)
+        found, stats = G.search_graph(q, o, g, SearchConfig(k=5, ef=16, scale=16129.0), cfg, links)
+        out.append([sorted(map(tuple, d.collect())) for d in (found, stats.drop("ms"))])
+        assert len(out[0][0])
+    assert out[0] == out[1]
+    assert "run#" in plan_of(found).split("FlatMapCoGroups")[1][:400]
+
+
 @pytest.mark.parametrize("name", ["k6_example1", "k6_example2", "k12_counterexample", "r_recursive"])
 def test_worked_jobs_read_a_table(spark, sf, name):
     import __spark_entry__ as entry
