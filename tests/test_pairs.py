@@ -221,6 +221,24 @@ def test_queries_of_a_graph_are_dealt_over_tasks(spark, tok, monkeypatch):
     assert "run#" in plan_of(found).split("FlatMapCoGroups")[1][:400]
 
 
+def test_full_list_is_as_wide_as_the_data(spark, monkeypatch):
+    """A walk over 5100 objects answers as the scan does, even where the best are on nodes that no edge and no link leads to."""
+    n, led = 5100, 5020
+    t = spark.range(n).selectExpr("id AS mv_id", "explode(array(0, 1)) AS tok_ix", "array(cast(id as double), 1D) AS vec")
+    ring = f"array((id + 1) % {led}, (id + {led} - 1) % {led})"
+    g = spark.range(n).selectExpr(
+        "0 AS shard", "0 AS layer", "id AS mv_id", "0 AS top_layer", f"CASE WHEN id < {led} THEN {ring} ELSE array() END AS nbrs",
+        f"CASE WHEN id < {led} THEN array(1D, 1D) ELSE array() END AS weights", "id = 0 AS entry",
+    )
+    none = spark.createDataFrame([], "shard int, mv_id long, tok_ix int, pos int, linked_mv long, key double")
+    monkeypatch.setattr(catalogue, "tok", lambda *_: t)
+    monkeypatch.setattr(catalogue.G, "build_graph", lambda *_: g)
+    monkeypatch.setattr(catalogue.L, "shard_links", lambda *_: none)
+    monkeypatch.setattr(catalogue.X, "as_queries", lambda t: t.where("mv_id = 7").select(F.col("mv_id").alias("qid"), F.col("tok_ix").alias("q_ix"), "vec"))
+    got = [tuple(r) for r in catalogue.l10_search_full_ef(spark, "").orderBy("rank").collect()]
+    assert got == [(7, k + 1, n - 1 - k, 14.0 * (n - 1 - k) + 2) for k in range(10)]
+
+
 @pytest.mark.parametrize("name", ["k6_example1", "k6_example2", "k12_counterexample", "r_recursive"])
 def test_worked_jobs_read_a_table(spark, sf, name):
     import __spark_entry__ as entry
