@@ -386,6 +386,25 @@ def test_lm_scores_bit_by_bit(lm):
     assert got == pytest.approx(alone, rel=1e-6)  # a text's score does not depend on what it is scored with
 
 
+def test_lm_every_step_is_predicted_from_contexts(lm):
+    """No step of a walk is left to the words' counts alone: all are kept, were counted after their contexts, and are scored by them."""
+    model, texts = lm
+    parent, _ = lm_score.huffman(model.counts)
+    n = len(model.counts)
+    for leaf in range(0, n, 7):
+        at, depth = leaf, 0
+        while at != 2 * n - 2:
+            at, depth = parent[at], depth + 1
+        assert model.tree.length[leaf] == depth
+    assert model.tree.length.max() > 8 and not model.tree.rest.any()
+    trained = [t for t in texts if len(t) > 50][0]
+    one = batch([trained])
+    leaf = model.at(one)
+    s = lm_score.Steps(model.tree, leaf, one.ids, one.first, lm_score.topics(leaf, one.first, model.at.escape), model.power)
+    deep = s.depth >= 8
+    assert deep.sum() > 20 and (model.table.look(s.slots[deep])[1] > 0).mean() > 0.5
+
+
 def test_lm_order_of_words_counts(lm):
     model, texts = lm
     r = random.Random(3)
