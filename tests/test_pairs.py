@@ -221,6 +221,30 @@ def test_queries_of_a_graph_are_dealt_over_tasks(spark, tok, monkeypatch):
     assert "run#" in plan_of(found).split("FlatMapCoGroups")[1][:400]
 
 
+def test_shards_of_any_size_get_their_links(spark, tok, monkeypatch):
+    """A shard of more tokens than a bound is not refused, and its links are those of the scan."""
+    monkeypatch.setattr(L, "TOKENS", 10, raising=False)
+    o = S.objects(tok)
+    got = {tuple(r) for r in L.shard_links(o.withColumn("shard", F.lit(3)), L.LinkConfig(M=4, gamma=2)).collect()}
+    want = {(3, *r) for r in L.build_links(S.to_tokens(o), 4, 2).select("mv_id", "tok_ix", "pos", "linked_mv", "key").collect()}
+    assert got == want and len(got) > 100
+
+
+@pytest.mark.parametrize("block, width", [(1, 1), (3, 7), (64, 50), (512, 1 << 20)])
+def test_nearest_tokens_by_parts(block, width):
+    """Whatever part of the tokens is met at a time, the nearest and their order (ties by place) are those of all at once."""
+    r = np.random.default_rng(4)
+    owner = np.repeat(np.arange(40), r.integers(1, 9, 40))
+    x = r.integers(-2, 3, (len(owner), 3)).astype(np.float32)
+    s = np.where(owner[:, None] == owner, -np.inf, x @ x.T)
+    for n in (1, 6, 500):
+        parts = list(L.nearest_exact(x, owner, n, block, width))
+        row, col, val = (np.concatenate(c) for c in zip(*parts))
+        for i in range(len(x)):
+            want = [j for j in np.lexsort((np.arange(len(x)), -s[i])) if owner[j] != owner[i]][:n]
+            assert col[row == i].tolist() == want and val[row == i].tolist() == s[i][want].tolist()
+
+
 def test_full_list_is_as_wide_as_the_data(spark, monkeypatch):
     """A walk over 5100 objects answers as the scan does, even where the best are on nodes that no edge and no link leads to."""
     n, led = 5100, 5020
